@@ -34,8 +34,9 @@ LIMIT = 75
 FREQUENT = 32_768
 #: Tokens after which a task reports those that it saw often, and how many at most.
 CHUNK, CHUNK_FREQUENT = 4_000_000, 16_384
-#: From the second round on, lists up to SHORT long are compared whole; longer ones take PIVOTS pivots a round.
-SHORT, PIVOTS = 32, 16
+#: From the second round on, a list takes at least so many pivots, and as many times four as keep the round's meetings
+#: within WORK times the postings that there were at first.
+PIVOTS, WORK = 16, 2
 
 LOWER = bytes(range(256)).lower()
 ODD = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB))  # mixing constants
@@ -245,6 +246,14 @@ def _verify(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     return pairs.join(one, "a").join(two, "b").select("a", "b", "t_a", "t_b").mapInArrow(run, "a long, b long").distinct()
 
 
+def _pivots(lists: DataFrame, most: int) -> int:
+    """Pivots of each list in this round, so that pivots times list lengths sum up to `most`, or the least number."""
+    sizes = lists.groupBy("token").agg(F.count(F.lit(1)).alias("k"))
+    tries = [PIVOTS << 2 * i for i in range(12)]
+    row = sizes.agg(*[F.sum(F.least("k", F.lit(p)) * F.col("k")).alias(f"p{p}") for p in tries]).first()
+    return max([PIVOTS, *(p for p in tries if (row[f"p{p}"] or 0) <= most)])
+
+
 class _Bucketed:
     """A table dealt by id once, which joins on id then read without an exchange."""
 
@@ -288,7 +297,7 @@ def links(docs: DataFrame, scratch: Scratch, doc: str = "doc_id", text: str = "t
     chosen = texts.repartition(parts, "id").join(ids.repartition(parts, "i"), F.col("id") == F.col("i"), "left_semi")
     sets = held.keep(chosen.mapInArrow(pack, "id long, tokens binary"), parts)
     sets = sets.filter(F.octet_length("tokens") > 0)
-    found, tried, number = None, None, 0
+    found, tried, groups, number, at_first = None, None, None, 0, lists.count()
     while not lists.isEmpty():
         number += 1
         rank = W.partitionBy("token").orderBy("id")
@@ -296,8 +305,7 @@ def links(docs: DataFrame, scratch: Scratch, doc: str = "doc_id", text: str = "t
             first = lists.groupBy(F.col("token").alias("t")).agg(F.min("id").alias("least"))
             marked = lists.join(first, F.col("token") == F.col("t")).select(*lists.columns, (F.col("id") == F.col("least")).alias("pivot"))
         else:
-            size = F.count(F.lit(1)).over(W.partitionBy("token"))
-            marked = lists.withColumn("pivot", (size <= SHORT) | (F.row_number().over(rank) <= PIVOTS))
+            marked = lists.withColumn("pivot", F.row_number().over(rank) <= _pivots(lists, WORK * at_first))
         marked = scratch.keep(marked, f"marked-{number}")
         pairs = candidate_pairs(marked.filter("pivot"), marked)
         if tried is not None:
@@ -306,14 +314,15 @@ def links(docs: DataFrame, scratch: Scratch, doc: str = "doc_id", text: str = "t
         tried = pairs if tried is None else tried.unionAll(pairs)
         fresh = scratch.keep(_verify(scratch.keep(_suffix_filter(pairs, signatures), f"near-{number}"), sets), f"links-{number}")
         found = fresh if found is None else found.unionAll(fresh)
-        groups = components(found, "a", "b", scratch, f"groups-{number}")
+        if groups is None or not fresh.isEmpty():
+            groups = components(found, "a", "b", scratch, f"groups-{number}")
         left = marked.filter("not pivot").select("token", "id", "n", "pos").join(groups, F.col("id") == F.col("node"), "left").select("token", "id", "n", "pos", F.coalesce("component", "id").alias("comp"))
         mixed = left.groupBy(F.col("token").alias("t")).agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo < hi").select("t")
         lists = scratch.keep(left.join(mixed, F.col("token") == F.col("t"), "left_semi"), f"lists-{number}")
         scratch.drop(f"marked-{number}")
         scratch.drop(f"lists-{number - 1}")
     held.drop()
-    if found is None:
+    if groups is None:
         groups = lists.select(F.col("id").alias("node"), F.col("id").alias("component"))
     return rows, copies, groups
 

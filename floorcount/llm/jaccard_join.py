@@ -33,24 +33,52 @@ LIMIT = 75
 #: Entries of the frequent-token table that every executor gets: 16 bytes each.
 FREQUENT = 32_768
 #: Tokens after which a task reports those that it saw often, and how many at most.
-CHUNK, CHUNK_FREQUENT = 4_000_000, 16_384
+CHUNK, CHUNK_FREQUENT = 2_000_000, 8_192
 #: From the second round on, a list takes at least so many pivots, and as many times four as keep the round's meetings
 #: within WORK times the postings that there were at first.
 PIVOTS, WORK = 16, 2
 
 LOWER = bytes(range(256)).lower()
 ODD = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB))  # mixing constants
+BASE = 0xD6E8FEB86659FD93
+WHITE = np.isin(np.arange(256), [0x20, *range(0x09, 0x0E)])
+#: A random number for each byte, A-Z as a-z: the same on every executor.
+VALUES = np.random.default_rng(20).integers(1, 1 << 63, 256, dtype=np.uint64)[np.frombuffer(LOWER, dtype=np.uint8)] * np.uint64(2) + np.uint64(1)
+ROWS = 256
 
 
-class _WordHashes(dict):
-    def __missing__(self, word: bytes) -> int:
-        if len(self) > 500_000:
-            self.clear()
-        value = self[word] = xxhash.xxh64_intdigest(word)
-        return value
+class _Powers:
+    """Powers of BASE and of its inverse modulo 2^64, as far as the longest text needed them."""
 
+    def __init__(self):
+        self.up = self.down = np.empty(0, dtype=np.uint64)
 
-_hashes = _WordHashes()
+    def grown(self, n: int) -> tuple[np.ndarray, np.ndarray]:
+        if len(self.up) < n:
+            size = max(1 << 16, 1 << (n - 1).bit_length())
+            made = []
+            for base in (BASE, pow(BASE, -1, 1 << 64)):
+                steps = np.full(size, np.uint64(base))
+                steps[0] = np.uint64(1)
+                made.append(np.multiply.accumulate(steps))
+            self.up, self.down = made
+        return self.up, self.down
+
+
+_powers = _Powers()
+
+
+def word_hashes(text: bytes) -> np.ndarray:
+    """A hash of each word, A-Z lower-cased: polynomials over bytes, read off one running sum over the text."""
+    raw = np.frombuffer(text, dtype=np.uint8)
+    edge = np.flatnonzero(np.diff(WHITE[raw], prepend=True, append=True))
+    start, end = edge[::2], edge[1::2]
+    if not len(start):
+        return np.empty(0, dtype=np.uint64)
+    up, down = _powers.grown(len(raw) + 1)
+    total = np.zeros(len(raw) + 1, dtype=np.uint64)
+    np.cumsum(VALUES[raw] * up[: len(raw)], out=total[1:])
+    return _mix((total[end] - total[start]) * down[start])
 
 
 def _mix(x: np.ndarray) -> np.ndarray:
@@ -61,16 +89,22 @@ def _mix(x: np.ndarray) -> np.ndarray:
 
 def shingle_set(text: bytes | None) -> np.ndarray:
     """Sorted hashes (uint64) of the distinct shingles; of a text with fewer words than a shingle, one of them all."""
-    words = (text or b"").translate(LOWER).split()
-    if not words:
-        return np.empty(0, dtype=np.uint64)
-    h = np.fromiter(map(_hashes.__getitem__, words), dtype=np.uint64, count=len(words))
-    width = min(SHINGLE, len(words))
-    n = len(words) - width + 1
+    h = word_hashes(text or b"")
+    if not len(h):
+        return h
+    width = min(SHINGLE, len(h))
+    n = len(h) - width + 1
     out = np.full(n, width, dtype=np.uint64)
     for k in range(width):
         out = _mix(out * ODD[0] + h[k : k + n])
-    return np.unique(out)
+    out.sort()
+    return out[np.concatenate([[True], out[1:] != out[:-1]])]
+
+
+def _slices(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+    """A batch in parts of few rows, which bounds what stands in memory beside it."""
+    for start in range(0, batch.num_rows, ROWS):
+        yield batch.slice(start, ROWS)
 
 
 def set_key(tokens: np.ndarray) -> tuple[int, int]:
@@ -123,14 +157,14 @@ def profiles(texts: DataFrame) -> DataFrame:
             return pa.RecordBatch.from_arrays([none, none, none, none, pa.nulls(len(top), pa.binary()), pa.array(_signed(tokens[top])), pa.array(count[top].astype(np.int64))], names=names)
 
         names = ["id", "n", "c1", "c2", "sig", "token", "docs"]
-        for batch in batches:
+        for batch in (part for whole in batches for part in _slices(whole)):
             rows = []
             for text in batch.column("text").to_pylist():
                 tokens = shingle_set(text)
                 key = set_key(tokens)
                 rows.append((len(tokens), *key, ranges(tokens)))
                 if len(tokens) and key not in seen:
-                    if len(seen) > 500_000:
+                    if len(seen) > 200_000:
                         seen.clear()
                     seen.add(key)
                     held.append(tokens)
@@ -162,14 +196,14 @@ def postings(texts: DataFrame, frequent: Broadcast) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known, counts = frequent.value
         seen: set[tuple[int, int]] = set()
-        for batch in batches:
+        for batch in (part for whole in batches for part in _slices(whole)):
             out: list[tuple[np.ndarray, ...]] = []
             size = 0
             for doc, text in zip(batch.column("id").to_pylist(), batch.column("text").to_pylist()):
                 tokens = shingle_set(text)
                 if doc is None or not len(tokens) or (key := set_key(tokens)) in seen:
                     continue
-                if len(seen) > 500_000:
+                if len(seen) > 200_000:
                     seen.clear()
                 seen.add(key)
                 weight = np.zeros(len(tokens), dtype=np.int64)
@@ -290,8 +324,7 @@ def links(docs: DataFrame, scratch: Scratch, doc: str = "doc_id", text: str = "t
 
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for start in range(0, batch.num_rows, 512):
-                part = batch.slice(start, 512)
+            for part in _slices(batch):
                 yield pa.RecordBatch.from_arrays([part.column("id"), pa.array([shingle_set(x).tobytes() for x in part.column("text").to_pylist()], pa.binary())], names=["id", "tokens"])
 
     chosen = texts.repartition(parts, "id").join(ids.repartition(parts, "i"), F.col("id") == F.col("i"), "left_semi")

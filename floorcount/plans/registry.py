@@ -1,11 +1,777 @@
-"""Queries of the sketches, their estimators, baselines, measures and workloads."""
+"""Queries of the sketches, their estimators, baselines, measures and workloads, with SQL for what SQL can express.
+
+Those with SQL use a hash that other engines have too; everything else takes the faster one.
+"""
 
 from __future__ import annotations
 
+import tempfile
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+from pyspark.sql import Window as W
+
+from floorcount.functions import constants as K
+from floorcount.functions import estimators as E
+from floorcount.functions import hashing as H
+from floorcount.operators import encode, levels, sets, state, udf
+from floorcount.plans import measures, oracles, simulate
+from floorcount.sources import store
+from floorcount.sources.tables import load_table
+
+M, SQL_HASH = 2048, "md5_60"
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+SQL: dict[str, str] = {}
+
+
+def query(sql: str | None = None):
+    def note(f):
+        QUERIES[f.__name__] = f
+        if sql is not None:
+            SQL[f.__name__] = sql
+        return f
+
+    return note
+
+
+def add(name: str, f: Callable[[SparkSession, str], DataFrame], sql: str | None = None) -> None:
+    f.__name__ = name
+    query(sql)(f)
+
+
+def stacked(spark: SparkSession, d: str) -> DataFrame:
+    """Rows (g, e) of three keys of lineitem: one scan, one sketch a key; they stand for few, about as many, and many elements a register."""
+    each = F.array(*[F.struct(F.lit(k).alias("g"), F.col(k).alias("e")) for k in oracles.KEYS])
+    return load_table(spark, d, "lineitem", oracles.KEYS).select(F.explode(each).alias("x")).select("x.g", "x.e")
+
+
+def bitmaps(spark: SparkSession, d: str, m: int = M, addressing: str = "mask") -> DataFrame:
+    return levels.build_levels(stacked(spark, d), ["e"], ["g"], m, SQL_HASH, addressing)
+
+
+def summaries(spark: SparkSession, d: str) -> DataFrame:
+    return levels.summarize(bitmaps(spark, d), ["g"])
+
+
+def shared_folder(spark: SparkSession) -> str:
+    """A folder all executors see: the one the cluster names, else one of this machine."""
+    return spark.sparkContext.getConf().get("spark.checkpoint.dir") or "file://" + tempfile.mkdtemp(prefix="floorcount-")
+
+
+# --- registers and encodings ---------------------------------------------------------------------------------------
+
+
+@query(oracles.base("SELECT 0 AS g, l_orderkey::VARCHAR AS e FROM lineitem", 256, floors=False) + " SELECT reg, bits, lvl FROM r")
+def levels_lineitem_orderkey(spark: SparkSession, d: str) -> DataFrame:
+    made = levels.build_levels(load_table(spark, d, "lineitem", ["l_orderkey"]), ["l_orderkey"], m=256, kind=SQL_HASH)
+    return made.select("reg", "bits", levels.highest(F.col("bits")).cast("int").alias("lvl"))
+
+
+@query(oracles.base("SELECT l_suppkey AS g, l_partkey::VARCHAR AS e FROM lineitem", 64, floors=False) + " SELECT g AS l_suppkey, reg, bits FROM r")
+def levels_grouped_suppkey(spark: SparkSession, d: str) -> DataFrame:
+    return levels.build_levels(load_table(spark, d, "lineitem", ["l_suppkey", "l_partkey"]), ["l_partkey"], ["l_suppkey"], 64, SQL_HASH)
+
+
+@query(oracles.base("SELECT 0 AS g, l_partkey::VARCHAR || chr(31) || l_suppkey::VARCHAR AS e FROM lineitem", 256, floors=False) + " SELECT reg, bits FROM r")
+def levels_pairs(spark: SparkSession, d: str) -> DataFrame:
+    return levels.build_levels(load_table(spark, d, "lineitem", ["l_partkey", "l_suppkey"]), ["l_partkey", "l_suppkey"], m=256, kind=SQL_HASH)
+
+
+@query(oracles.base(floors=False) + " SELECT g, reg, lvl FROM r")
+def registers_abs6(spark: SparkSession, d: str) -> DataFrame:
+    return encode.to_abs(bitmaps(spark, d), ["g"])
+
+
+@query(oracles.base(m=3072, mod=True, floors=False) + " SELECT g, reg, lvl FROM r")
+def registers_mod3072(spark: SparkSession, d: str) -> DataFrame:
+    return encode.to_abs(bitmaps(spark, d, 3072, "mod"), ["g"])
+
+
+def _floor_sql(width: int, m: int = 256) -> str:
+    top = (1 << width) - 1
+    return oracles.base(m=m, floors=False) + f" SELECT g, reg, f AS floor, lvl, least(lvl - f, {top}) AS \"offset\", lvl - f > {top} AS clamped FROM s JOIN k USING (g)"
+
+
+for _w in (3, 4, 5):
+    add(f"floor{_w}_encode", lambda spark, d, w=_w: encode.to_floor(bitmaps(spark, d, 256), ["g"], 256, w), _floor_sql(_w))
+
+
+@query(oracles.base(m=3072, mod=True, floors=False) + " SELECT g, reg, f AS floor, least(lvl - f, 15) AS \"offset\" FROM s JOIN k USING (g)")
+def floor4_mod_encode(spark: SparkSession, d: str) -> DataFrame:
+    return encode.to_floor(bitmaps(spark, d, 3072, "mod"), ["g"], 3072, 4).select("g", "reg", "floor", "offset")
+
+
+_PACKED = oracles.base(m=256, floors=False) + """, o AS (SELECT g, f AS floor, reg, least(lvl - f, 15)::BIGINT AS code FROM s JOIN k USING (g)),
+p AS (SELECT g, floor, reg // 8 AS word, sum(code << (4 * (reg % 8))) AS bits FROM o GROUP BY ALL),
+q AS (SELECT k.g, k.f AS floor, w, coalesce(bits, 0)::BIGINT AS bits FROM k CROSS JOIN (SELECT unnest(generate_series(0, 31)) AS w) LEFT JOIN p ON p.g = k.g AND p.word = w)
+SELECT g, floor, string_agg(bits::VARCHAR, ',' ORDER BY w) AS words FROM q GROUP BY ALL"""
+
+
+@query(_PACKED)
+def floor4_packed_words(spark: SparkSession, d: str) -> DataFrame:
+    packed = encode.pack(encode.to_floor(bitmaps(spark, d, 256), ["g"], 256), ["g"], 256)
+    return packed.select("g", "floor", F.array_join(F.col("words").cast("array<string>"), ",").alias("words"))
+
+
+def _fhist_sql(h: int) -> str:
+    return oracles.base(m=256, floors=False) + f" SELECT g, reg, f AS floor, least(lvl - f, 15) AS \"offset\", state >> {3 - h} AS state, least(lvl - f, 15) * {1 << h} + (state >> {3 - h}) AS code FROM s JOIN k USING (g)"
+
+
+for _h, _n in ((1, "fhist5"), (2, "fhist6"), (3, "fhist7")):
+    add(f"{_n}_encode", lambda spark, d, h=_h: encode.to_floor_hist(bitmaps(spark, d, 256), ["g"], 256, h), _fhist_sql(_h))
+
+
+@query(oracles.base(m=256, floors=False) + " SELECT g, reg, lvl, state >> 1 AS state, (lvl + 1) * 4 + (state >> 1) AS code FROM s")
+def hist8_encode(spark: SparkSession, d: str) -> DataFrame:
+    return encode.to_hist(bitmaps(spark, d, 256), ["g"], 2)
+
+
+@query(oracles.base(floors=False) + " SELECT g, lvl, state, count(*) AS cnt FROM s GROUP BY ALL")
+def tier_histogram(spark: SparkSession, d: str) -> DataFrame:
+    return summaries(spark, d).select("g", F.explode("cells").alias("x")).select("g", "x.lvl", "x.state", "x.cnt")
+
+
+@query(oracles.base(floors=False) + " SELECT g, t, z FROM z WHERE t <= 40")
+def tier_empties(spark: SparkSession, d: str) -> DataFrame:
+    cells = F.col("cells")
+    each = F.transform(F.sequence(F.lit(0), F.lit(40)), lambda t: F.struct(t.alias("t"), E.below(cells, M, t).alias("z")))
+    return summaries(spark, d).select("g", F.explode(each).alias("x")).select("g", "x.t", "x.z")
+
+
+@query(oracles.base("SELECT user_id AS g, event_id::VARCHAR AS e FROM events", floors=False) + " SELECT g AS user_id, bit_or(CASE WHEN place = 63 THEN (-9223372036854775808)::BIGINT ELSE 1::BIGINT << place END) AS micro, bit_count(bit_or(CASE WHEN place = 63 THEN (-9223372036854775808)::BIGINT ELSE 1::BIGINT << place END))::INT AS seen FROM l GROUP BY g")
+def micro64_users(spark: SparkSession, d: str) -> DataFrame:
+    made = levels.build_micro(load_table(spark, d, "events", ["user_id", "event_id"]), ["event_id"], ["user_id"], M, SQL_HASH)
+    return made.select("user_id", "micro", F.bit_count("micro").alias("seen"))
+
+
+@query(oracles.base("SELECT 0 AS g, l_orderkey::VARCHAR AS e FROM lineitem", 256, floors=False) + ", x AS (SELECT f AS base, count(*) FILTER (WHERE lvl - f < 15) AS n_regular, count(*) FILTER (WHERE lvl - f >= 15) AS n_exceptions, coalesce(string_agg(reg || ':' || lvl, ',' ORDER BY reg) FILTER (WHERE lvl - f >= 15), '') AS exceptions FROM s CROSS JOIN k GROUP BY f) SELECT * FROM x")
+def offset4_exceptions(spark: SparkSession, d: str) -> DataFrame:
+    made = encode.to_exceptions(levels.build_levels(load_table(spark, d, "lineitem", ["l_orderkey"]), ["l_orderkey"], m=256, kind=SQL_HASH), m=256)
+    listed = F.array_join(F.transform(F.map_entries("exceptions"), lambda x: F.concat(x["key"].cast("string"), F.lit(":"), x["value"].cast("string"))), ",")
+    return made.select("base", "n_regular", "n_exceptions", F.coalesce(listed, F.lit("")).alias("exceptions"))
+
+
+@query(oracles.base(m=256, floors=False) + ", y AS (SELECT g, base, count(*) FILTER (WHERE lvl < base OR lvl >= base + 7) AS n FROM s, (SELECT unnest(generate_series(0, 63))::INT AS base) GROUP BY ALL) SELECT g, arg_min(base, n * 100 + base)::INT AS base, min(n)::BIGINT AS n_exceptions FROM y GROUP BY g")
+def offset3_rebase(spark: SparkSession, d: str) -> DataFrame:
+    return encode.rebase(bitmaps(spark, d, 256), ["g"], 256, 3)
+
+
+_REPAIR = oracles.base(m=256, floors=False) + """, c AS (SELECT g, f, count(*) FILTER (WHERE lvl - f >= 7) // 2 AS ledger, count(*) FILTER (WHERE least(lvl, f + 7) >= f + 7)::DOUBLE AS at_top, count(*) FILTER (WHERE lvl >= f + 8)::DOUBLE AS truth FROM s JOIN k USING (g) GROUP BY ALL)
+SELECT g, f AS floor, ledger, truth::BIGINT AS truth, round(0 + 256 * (1 - exp(-ledger / 256.0)), 4) AS repaired FROM c"""
+
+
+@query(_REPAIR)
+def overflow_repair(spark: SparkSession, d: str) -> DataFrame:
+    """What three-bit registers know of the tier above their window: nothing; what the ledger restores; and what the bitmap knows."""
+    enc = encode.to_floor(bitmaps(spark, d, 256), ["g"], 256, 3)
+    one = enc.groupBy("g", "floor").agg(F.floor(F.count_if(F.col("offset") == 7) / 2).cast("bigint").alias("ledger"), F.count_if(F.col("lvl") >= F.col("floor") + 8).alias("truth"))
+    return one.select("g", "floor", "ledger", "truth", F.round(encode.repaired(F.lit(0.0), F.col("ledger"), 256), 4).alias("repaired"))
+
+
+@query(oracles.base(floors=False) + " SELECT g, count(*) AS n_regs, sum(bits % 1000003)::BIGINT AS checksum FROM r GROUP BY g")
+def merge_lossless(spark: SparkSession, d: str) -> DataFrame:
+    """Sketches of four parts of the rows, merged: the bits of one sketch of all."""
+    rows = stacked(spark, d).withColumn("part", F.pmod(F.xxhash64("e"), F.lit(4)))
+    parts = [levels.build_levels(rows.filter(F.col("part") == i), ["e"], ["g"], M, SQL_HASH) for i in range(4)]
+    return levels.merge_levels(*parts, by=["g"]).groupBy("g").agg(F.count(F.lit(1)).alias("n_regs"), F.sum(F.col("bits") % 1000003).alias("checksum"))
+
+
+_REFRAMED = oracles.base("SELECT 0 AS g, l_orderkey::VARCHAR AS e, l_returnflag AS p FROM lineitem", 256, floors=False).replace("h AS (SELECT g,", "h AS (SELECT g, p,").replace("l AS (SELECT g,", "l AS (SELECT g, p,").replace("r AS (SELECT g, reg", "r AS (SELECT g, p, reg").split(",\ns AS")[0] + """,
+f AS (SELECT p, CASE WHEN count(*) < 256 THEN -1 ELSE min(lvl) END AS f FROM r GROUP BY p), o AS (SELECT r.p, reg, f, f + least(lvl - f, 15) AS lvl FROM r JOIN f USING (p)),
+j AS (SELECT reg, max(lvl) AS lvl FROM o GROUP BY reg), t AS (SELECT CASE WHEN count(*) < 256 THEN -1 ELSE min(lvl) END AS f FROM j)
+SELECT f AS floor, reg, least(lvl - f, 15) AS "offset" FROM j, t"""
+
+
+@query(_REFRAMED)
+def merge_reframed(spark: SparkSession, d: str) -> DataFrame:
+    """Packed sketches by return flag, brought to one floor."""
+    rows = levels.build_levels(load_table(spark, d, "lineitem", ["l_orderkey", "l_returnflag"]), ["l_orderkey"], ["l_returnflag"], 256, SQL_HASH)
+    packed = encode.pack(encode.to_floor(rows, ["l_returnflag"], 256), ["l_returnflag"], 256)
+    return encode.unpack(encode.merge_packed(packed.select("floor", "words"), (), 256), (), 256).select("floor", "reg", "offset")
+
+
+_PILOT = "SELECT 0 AS g, l_extendedprice::DECIMAL(18,2)::VARCHAR AS e FROM lineitem"
+
+
+@query(oracles.base(_PILOT, 256, floors=False) + ", x AS (SELECT greatest(f + 1, 0) AS tight, greatest(f, 0) AS paper FROM k) SELECT count(*) AS n_rows, count(*) FILTER (WHERE lvl >= paper) AS pass_paper, count(*) FILTER (WHERE lvl >= tight) AS pass_tight, count(*) FILTER (WHERE lvl >= tight - 3) AS pass_history FROM l, x")
+def exit_rate(spark: SparkSession, d: str) -> DataFrame:
+    """Rows that the exit test of the finished sketch lets through, by its two bounds and with room for history."""
+    rows = levels.hashed(load_table(spark, d, "lineitem", ["l_extendedprice"]), [F.col("l_extendedprice").cast("decimal(18,2)").cast("string")], (), SQL_HASH)
+    floor = levels.pilot_floor(rows, 256, 60)
+    keep = lambda **k: (lambda c: F.lit(True) if c is None else c)(levels.passes(F.col("h"), floor, 60, **k))
+    return rows.agg(F.count(F.lit(1)).alias("n_rows"), F.count_if(keep(mode="paper")).alias("pass_paper"), F.count_if(keep()).alias("pass_tight"), F.count_if(keep(hist=3)).alias("pass_history"))
+
+
+@query(oracles.base(_PILOT, 256, floors=False) + " SELECT reg, lvl, state FROM s")
+def exit_pruned_equals_full(spark: SparkSession, d: str) -> DataFrame:
+    """Registers of a scan pruned by the floor of a pilot, which are those of the full scan."""
+    rows = load_table(spark, d, "lineitem", ["l_extendedprice", "l_returnflag"])
+    cols = [F.col("l_extendedprice").cast("decimal(18,2)").cast("string")]
+    return levels.registers(levels.build_levels_pruned(rows, cols, rows.filter("l_returnflag = 'R'"), 256, SQL_HASH))
+
+
+# --- estimators ----------------------------------------------------------------------------------------------------
+
+_T, _HL, _LY = oracles.tlc(), oracles.hist_lc(), oracles.layered()
+_ESTIMATES = {
+    "lc": oracles.estimate("lc", "lc", "b"),
+    "lc_floor": oracles.estimate("lc_floor", "lcf", "b"),
+    "tlc_best": oracles.estimate("tlc_best", "v", "x", "d AS (SELECT *, abs(z - 512) AS far FROM z WHERE z > 0 AND z < 2048)", "x AS (SELECT d.g, avg(pow(2.0, t) * 2048 * ln(2048.0 / z)) AS v FROM d JOIN (SELECT g, min(far) AS far FROM d GROUP BY g) n ON n.g = d.g AND n.far = d.far GROUP BY d.g)"),
+    "tlc": oracles.estimate("tlc", "tlc", "t", _T),
+    "occ_mean": oracles.estimate("occ_mean", "(c + 2048) / 4096.0 * 2 * c * c / s", "k"),
+    "harm_mean": oracles.estimate("harm_mean", f"{E.alpha(2048)!r} * 2 * c * c / s", "k"),
+    "geo_mean": oracles.estimate("geo_mean", "2 * pow(2.0, mean) * (c + 2048) / 4096.0", "k"),
+    "hll": oracles.estimate("hll", "CASE WHEN z0 > 0 AND raw <= 2.5 * 2048 THEN lc ELSE raw END", "x", f"x AS (SELECT *, {E.alpha(2048)!r} ::DOUBLE * 2 * 2048 * 2048 / (s + 2.0 * z0) AS raw FROM b)"),
+    "hybrid": oracles.estimate("hybrid", "hybrid", "y0", oracles.mean_h(0), oracles.hybrid(0)),
+    "hybrid_h2": oracles.estimate("hybrid_h2", "hybrid", "y2", oracles.mean_h(2), oracles.hybrid(2)),
+    "hist_lc": oracles.estimate("hist_lc", "hist_lc", "hl", _HL),
+    "tlc_layered": oracles.estimate("tlc_layered", "tlc_layered", "ly", _T, _HL, _LY),
+    "hybrid_layered": oracles.estimate("hybrid_layered", "0.5 * tlc_layered + 0.5 * hybrid", "(SELECT ly.g, tlc_layered, hybrid FROM ly JOIN y2 ON ly.g = y2.g)", _T, _HL, _LY, oracles.mean_h(2), oracles.hybrid(2)),
+    "gra": oracles.estimate("gra", "gra", "ga", oracles.gra()),
+    "loglog": oracles.estimate("loglog", "2048 * pow(2.0, (c * mean + c) / 2048.0)", "k"),
+    "loglog_trunc": oracles.estimate("loglog_trunc", "v", "x", "a AS (SELECT g, reg, lvl FROM s UNION ALL SELECT g, -1, -1 FROM k, (SELECT unnest(generate_series(1, 2048)) AS i) WHERE i <= z0)", "q AS (SELECT g, lvl, row_number() OVER (PARTITION BY g ORDER BY lvl) AS r FROM a)", "x AS (SELECT g, 2048 * pow(2.0, sum(lvl + 1) / 1433.0) AS v FROM q WHERE r <= 1433 GROUP BY g)"),
+}
+for _h in (1, 2, 3):
+    _ESTIMATES[f"mean_h{_h}"] = oracles.estimate(f"mean_h{_h}", "mean", f"m{_h}", oracles.mean_h(_h))
+
+
+def _estimate(name: str) -> Callable[[SparkSession, str], DataFrame]:
+    return lambda spark, d: summaries(spark, d).select("g", F.round(E.ESTIMATORS[name](F.col("cells"), M), 4).alias(name))
+
+
+for _n in E.ESTIMATORS:
+    add(f"est_{_n}", _estimate(_n), _ESTIMATES.get(_n))
+
+
+@query(oracles.base() + ", n AS (SELECT g, count(DISTINCT e) AS n_distinct FROM e GROUP BY g)," + oracles.chain(_T, _HL, _LY, oracles.mean_h(0), oracles.hybrid(0)) + " SELECT n.g, n_distinct, round(lc, 4) AS lc, round(tlc, 4) AS tlc, round(hybrid, 4) AS hybrid, round(tlc_layered, 4) AS tlc_layered FROM n JOIN b USING (g) JOIN t USING (g) JOIN y0 USING (g) JOIN ly USING (g)")
+def est_all(spark: SparkSession, d: str) -> DataFrame:
+    """The flagship: one scan of lineitem, one sketch a key, several estimates of each, beside the exact counts."""
+    c = F.col("cells")
+    est = summaries(spark, d).select("g", *[F.round(E.ESTIMATORS[k](c, M), 4).alias(k) for k in ("lc", "tlc", "hybrid", "tlc_layered")])
+    exact = stacked(spark, d).groupBy(F.col("g").alias("_g")).agg(F.count_distinct("e").alias("n_distinct"))
+    return est.join(exact, F.col("g") == F.col("_g")).drop("_g")
+
+
+@query(oracles.base() + " SELECT g, t, round(pow(2.0, t) * 2048 * ln(2048.0 / z), 4) AS estimate FROM z WHERE t <= 19 AND z > 0 AND z < 2048")
+def est_tlc_at(spark: SparkSession, d: str) -> DataFrame:
+    each = F.explode(F.array(*[F.struct(F.lit(t).alias("t"), E.est_tlc_at(F.col("cells"), M, t).alias("v")) for t in range(20)])).alias("x")
+    return summaries(spark, d).select("g", each).filter("x.v is not null").select("g", "x.t", F.round("x.v", 4).alias("estimate"))
+
+
+@query("SELECT user_id, seen, round(64 * ln(64 / greatest(64 - seen, 0.5)), 4) AS estimate FROM (" + SQL["micro64_users"] + ")")
+def est_micro(spark: SparkSession, d: str) -> DataFrame:
+    return micro64_users(spark, d).select("user_id", "seen", F.round(E.est_micro(F.col("micro")), 4).alias("estimate"))
+
+
+_FLOORS = oracles.base("SELECT event_type AS g, user_id::VARCHAR AS e FROM events", 256) + ", y AS (SELECT g, bit_count(bit_or(CASE WHEN place = 63 THEN (-9223372036854775808)::BIGINT ELSE 1::BIGINT << place END)) AS pop FROM l GROUP BY g), x AS (SELECT g, count(*) + sum(bit_count((state >> 1)::BIGINT)) AS seen FROM s GROUP BY g) SELECT b.g AS event_type, round(greatest(lc, pop, seen), 4) AS estimate FROM b JOIN y USING (g) JOIN x USING (g)"
+
+
+@query(_FLOORS)
+def est_floor_rules(spark: SparkSession, d: str) -> DataFrame:
+    """Linear counting, at least what the small bitmap, and registers with their history, have seen."""
+    ev = load_table(spark, d, "events", ["event_type", "user_id"])
+    micro = levels.build_micro(ev, ["user_id"], ["event_type"], 256, SQL_HASH).withColumnRenamed("event_type", "_t")
+    full = levels.summarize(levels.build_levels(ev, ["user_id"], ["event_type"], 256, SQL_HASH), ["event_type"]).join(micro, F.col("event_type") == F.col("_t"))
+    return full.select("event_type", F.round(E.est_lc_with_floors(F.col("cells"), 256, F.col("micro"), 2), 4).alias("estimate"))
+
+
+@query(oracles.base(floors=False) + ", u AS (SELECT g, reg, (SELECT min(i) FROM generate_series(0, 62) x(i) WHERE ((bits >> i::INT) & 1) = 0) AS low FROM r) SELECT g, round(2048 / 0.77351 * pow(2.0, sum(low) / 2048.0), 4) AS estimate FROM u GROUP BY g")
+def est_pcsa(spark: SparkSession, d: str) -> DataFrame:
+    """Probabilistic counting: the mean place of the lowest level that was never seen."""
+    unseen = F.bitwise_not(F.col("bits"))
+    low = F.bit_count(unseen.bitwiseAND(F.negate(unseen)) - 1)
+    return bitmaps(spark, d).groupBy("g").agg(F.round(F.lit(M / 0.77351) * F.pow(F.lit(2.0), F.sum(low) / F.lit(float(M))), 4).alias("estimate"))
+
+
+@query("SELECT n, round(n / pow(2.0, greatest(ceil(log2(n / 1000000.0)), 0)), 4) AS inside, greatest(ceil(log2(n / 1000000.0)), 0)::INT AS octaves FROM (SELECT unnest([1.0, 1000000.0, 1500000.0, 5e6, 8.5e9, 1e15]) AS n)")
+def cf_fold(spark: SparkSession, d: str) -> DataFrame:
+    df = spark.createDataFrame([(float(v),) for v in (1.0, 1e6, 1.5e6, 5e6, 8.5e9, 1e15)], "n double")
+    inside, k = E.fold(F.col("n"), 1e6)
+    return df.select("n", F.round(inside, 4).alias("inside"), k.cast("int").alias("octaves"))
+
+
+@query(f"SELECT i AS step, round({oracles.corrected('raw')}, 4) AS corrected FROM (SELECT i, 2048.0 * pow(1.1, i - 40) AS raw FROM (SELECT unnest(generate_series(0, 150))::INT AS i))")
+def cf_range_lookup(spark: SparkSession, d: str) -> DataFrame:
+    """The correction over a sweep of raw estimates: an index into an array instead of a range join."""
+    raw = spark.range(151).select(F.col("id").cast("int").alias("step"), (2048.0 * F.pow(F.lit(1.1), F.col("id") - 40)).alias("raw"))
+    return raw.select("step", F.round(E.corrected(F.col("raw"), M), 4).alias("corrected"))
+
+
+@query(f"SELECT round({K.ghost_overflow(2048)!r}, 4) AS ghosts, round({K.overflow_probability(4)!r}, 8) AS overflow_4, round({K.standard_error(2048)!r}, 6) AS standard_error, round({K.promotion_at(3, 2048)!r}, 4) AS third_promotion")
+def laws(spark: SparkSession, d: str) -> DataFrame:
+    """Closed forms: ghost overflow, chance of overflow, standard error, elements at a promotion."""
+    return spark.range(1).select(F.round(F.lit(2048) * F.ln(F.lit(4096.0)) / 256, 4).alias("ghosts"), F.round(F.pow(F.lit(2.0), F.lit(-16)), 8).alias("overflow_4"), F.round(1.04 / F.sqrt(F.lit(2048.0)), 6).alias("standard_error"), F.round(2048 * F.lit(8) * F.ln(F.lit(2048.0)), 4).alias("third_promotion"))
+
+
+# --- measures ------------------------------------------------------------------------------------------------------
+
+_POINTS = """p AS (SELECT unnest([200, 1000, 3000, 7000, 10000, 15000]) AS checkpoint, unnest([1, 2, 3, 4, 5, 6]) AS i)"""
+_GROWING = f"WITH RECURSIVE {_POINTS}, e AS (SELECT salt * 100 + i AS g, salt || ':' || o_orderkey AS e FROM orders, p, (SELECT unnest(generate_series(1, 8)) AS salt) WHERE o_orderkey <= checkpoint),\n"
+_CURVE = _GROWING + oracles.base("SELECT 0 AS g, '' AS e", 256).split(",\n", 1)[1].replace("WITH RECURSIVE ", "") + "," + oracles.tlc(256) + ", q AS (SELECT checkpoint, (tlc - n) / n AS signed FROM t JOIN p ON t.g % 100 = p.i JOIN (SELECT g, count(*) AS n FROM e GROUP BY g) c USING (g)), m AS (SELECT checkpoint, count(*) AS runs, avg(abs(signed)) AS mae, avg(signed) AS bias, stddev_pop(signed) AS deviation FROM q GROUP BY checkpoint)"
+_STEPS = (200, 1000, 3000, 7000, 10000, 15000)
+
+
+def error_curve(spark: SparkSession, d: str) -> DataFrame:
+    """Rows (checkpoint, runs, mae, bias, deviation): growing prefixes of the order keys, hashed anew for each of eight runs."""
+    orders = load_table(spark, d, "orders", ["o_orderkey"])
+    grown = orders.select("o_orderkey", F.explode(F.array(*[F.lit(c) for c in _STEPS])).alias("checkpoint")).filter("o_orderkey <= checkpoint")
+    salted = grown.select("checkpoint", F.explode(F.sequence(F.lit(1), F.lit(8))).alias("run"), "o_orderkey")
+    keyed = salted.select("checkpoint", "run", F.concat_ws(":", F.col("run").cast("string"), F.col("o_orderkey").cast("string")).alias("e"))
+    truth = keyed.groupBy(F.col("checkpoint").alias("_c"), F.col("run").alias("_r")).agg(F.count(F.lit(1)).alias("truth"))
+    est = sets.estimate(levels.build_levels(keyed, ["e"], ["checkpoint", "run"], 256, SQL_HASH), ["checkpoint", "run"], 256)
+    return measures.by_checkpoint(measures.with_errors(est.join(truth, (F.col("checkpoint") == F.col("_c")) & (F.col("run") == F.col("_r"))), "truth", "tlc"))
+
+
+@query(_CURVE + " SELECT checkpoint, runs, round(mae, 4) AS mae, round(bias, 4) AS bias, round(deviation, 4) AS deviation FROM m")
+def error_metrics(spark: SparkSession, d: str) -> DataFrame:
+    return error_curve(spark, d).select("checkpoint", "runs", *[F.round(c, 4).alias(c) for c in ("mae", "bias", "deviation")])
+
+
+@query(_CURVE + ", cw AS (SELECT *, checkpoint - coalesce(lag(checkpoint) OVER (ORDER BY checkpoint), 0) AS width FROM m) SELECT round(max(mae), 4) AS peak, round(avg(mae), 4) AS by_log, round(sum(mae * checkpoint) / sum(checkpoint), 4) AS by_size, round(sum(mae * width) / sum(width), 4) AS by_width FROM cw")
+def weighted_error(spark: SparkSession, d: str) -> DataFrame:
+    return measures.weighted(error_curve(spark, d)).select(*[F.round(c, 4).alias(c) for c in ("peak", "by_log", "by_size", "by_width")])
+
+
+_SPECS = ", ".join(f"('{k}', {v[0]}, {v[1] or 0}, {v[2] or 0})" for k, v in sorted(measures.SPECS.items()))
+
+
+@query(f"WITH s(spec, bits, per, word) AS (VALUES {_SPECS}), m AS (SELECT unnest([1024, 2048, 2560, 3072, 3584, 4096]) AS m), x AS (SELECT *, CASE WHEN per = 0 THEN ceil(m * bits / 8) ELSE ceil(m / greatest(per, 1)) * word / 8 END::BIGINT AS bytes FROM s, m) SELECT spec, m, bits, bytes, bytes + 28 AS with_state, round(bytes / (m * 6 / 8), 4) AS relative, round(CASE WHEN per = 0 THEN 1.0 ELSE bits * per / greatest(word, 1) END, 4) AS efficiency FROM x")
+def memory_table(spark: SparkSession, d: str) -> DataFrame:
+    return measures.memory_table(spark)
+
+
+@query("WITH n(spec, bits) AS (VALUES ('abs6', 6), ('floor4', 4), ('fhist6', 6)), x AS (SELECT unnest([1e6, 1e9, 1e12, 1e18]) AS largest) SELECT spec, largest, CASE WHEN spec = 'abs6' THEN 2048 * greatest(bits, ceil(log2(log2(greatest(largest / 2048, 1)) + 11 + 3))) ELSE bits * 2048 + ceil(log2(log2(greatest(largest / 2048, 1)) + 11 + 3)) END::BIGINT AS bits_needed FROM n, x")
+def size_law(spark: SparkSession, d: str) -> DataFrame:
+    """Bits to count up to a number: registers that must hold every level against a shared floor."""
+    rows = [(s, n, int(measures.size_law(s, M, n))) for s in ("abs6", "floor4", "fhist6") for n in (1e6, 1e9, 1e12, 1e18)]
+    return spark.createDataFrame(rows, "spec string, largest double, bits_needed long")
+
+
+# --- workloads on tables -------------------------------------------------------------------------------------------
+
+
+@query("SELECT count(DISTINCT l_orderkey) AS orders, count(DISTINCT l_partkey) AS parts, count(DISTINCT l_suppkey) AS suppliers FROM lineitem")
+def exact_multi(spark: SparkSession, d: str) -> DataFrame:
+    return load_table(spark, d, "lineitem").agg(F.count_distinct("l_orderkey").alias("orders"), F.count_distinct("l_partkey").alias("parts"), F.count_distinct("l_suppkey").alias("suppliers"))
+
+
+@query("SELECT l_returnflag, count(DISTINCT (l_partkey, l_suppkey)) AS n_distinct FROM lineitem GROUP BY 1")
+def exact_distinct(spark: SparkSession, d: str) -> DataFrame:
+    return sets.exact_distinct(load_table(spark, d, "lineitem"), ["l_partkey", "l_suppkey"], ["l_returnflag"])
+
+
+@query("SELECT count(DISTINCT l_suppkey) AS n_distinct FROM lineitem")
+def exact_bitmap(spark: SparkSession, d: str) -> DataFrame:
+    return sets.exact_tiny(load_table(spark, d, "lineitem", ["l_suppkey"]), "l_suppkey")
+
+
+_SHINGLES = "SELECT {g} AS g, substr(text, i, 31) AS e FROM (SELECT {g}, text, unnest(generate_series(1, length(text) - 30)) AS i FROM {t} WHERE length(text) >= 31)"
+
+
+def shingles(df: DataFrame, *keep: str) -> DataFrame:
+    """Rows (keep..., e): every run of 31 characters.
+
+    A character's place in UTF-8 is found by walking, so texts are cut in three steps into stretches of few characters, each
+    longer by 30 than its step, before single runs are taken: the walk stays short for texts of any length.
+    """
+    out = df.select(*keep, "text")
+    for size in (16_384, 1_024, 64, 1):
+        starts = F.sequence(F.lit(1), F.length("text") - 30, F.lit(size))
+        out = out.filter(F.length("text") >= 31).select(*keep, "text", F.explode(starts).alias("i")).select(*keep, F.substring("text", F.col("i"), F.lit(size + 30)).alias("text"))
+    return out.withColumnRenamed("text", "e")
+
+
+@query(oracles.base(_SHINGLES.format(g="lang", t="documents"), 2048) + "," + oracles.tlc() + " SELECT g AS lang, round(tlc, 4) AS estimate FROM t")
+def shingle_cardinality(spark: SparkSession, d: str) -> DataFrame:
+    made = levels.build_levels(shingles(load_table(spark, d, "documents", ["lang", "text"]), "lang"), ["e"], ["lang"], M, SQL_HASH)
+    return sets.estimate(made, ["lang"]).select("lang", F.round("tlc", 4).alias("estimate"))
+
+
+_QC = oracles.base("SELECT x AS g, e FROM (" + _SHINGLES.format(g="doc_id", t="documents") + ") q LEFT JOIN labels l ON l.doc_id = q.g, (SELECT unnest(['in', 'out']) AS x) WHERE x = 'in' OR quality = 1")
+
+
+@query(_QC + "," + oracles.tlc() + " SELECT max(round(tlc, 4)) FILTER (WHERE g = 'in') AS before_filter, max(round(tlc, 4)) FILTER (WHERE g = 'out') AS after_filter FROM t")
+def qc_in_out_docs(spark: SparkSession, d: str) -> DataFrame:
+    """Shingles before and after a quality filter: one scan, one hash, two bitmaps a register."""
+    docs = load_table(spark, d, "documents", ["doc_id", "text"]).join(load_table(spark, d, "labels", ["doc_id", "quality"]), "doc_id", "left")
+    return _in_out(shingles(docs, "quality"), "e", F.col("quality") == 1)
+
+
+def _in_out(rows: DataFrame, e: str, keep) -> DataFrame:
+    h = rows.select(H.hash_key([e], SQL_HASH).alias("h"), F.coalesce(keep, F.lit(False)).alias("k"))
+    bit = F.call_function("shiftleft", F.lit(1).cast("bigint"), H.level_of(F.col("h"), 60))
+    regs = h.groupBy(H.register_of(F.col("h"), M).alias("reg")).agg(F.bit_or(bit).alias("bits"), F.bit_or(F.when(F.col("k"), bit)).alias("kept"))
+    one = lambda c: levels.summarize(regs.filter(F.col(c).isNotNull()).select("reg", F.col(c).alias("bits"))).select(F.round(E.est_tlc(F.col("cells"), M), 4))
+    return one("bits").toDF("before_filter").crossJoin(one("kept").toDF("after_filter"))  # one row each
+
+
+@query(oracles.base("SELECT x AS g, l_extendedprice::DECIMAL(18,2)::VARCHAR AS e FROM lineitem, (SELECT unnest(['in', 'out']) AS x) WHERE x = 'in' OR l_returnflag = 'R'") + "," + oracles.tlc() + " SELECT max(round(tlc, 4)) FILTER (WHERE g = 'in') AS before_filter, max(round(tlc, 4)) FILTER (WHERE g = 'out') AS after_filter FROM t")
+def qc_in_out_lineitem(spark: SparkSession, d: str) -> DataFrame:
+    rows = load_table(spark, d, "lineitem", ["l_extendedprice", "l_returnflag"]).select(F.col("l_extendedprice").cast("decimal(18,2)").cast("string").alias("e"), "l_returnflag")
+    return _in_out(rows, "e", F.col("l_returnflag") == "R")
+
+
+def _simple(source: str, m: int, name: str) -> str:
+    return oracles.base(source, m) + "," + oracles.tlc(m) + f" SELECT g AS {name}, round(tlc, 4) AS estimate FROM t"
+
+
+def _counted(df: DataFrame, cols: list, by: str, m: int) -> DataFrame:
+    return sets.estimate(levels.build_levels(df, cols, [by], m, SQL_HASH), [by], m).select(by, F.round("tlc", 4).alias("estimate"))
+
+
+@query(_simple("SELECT date_trunc('hour', ts) AS g, user_id::VARCHAR AS e FROM events", 64, "hour"))
+def grouped_users_hour(spark: SparkSession, d: str) -> DataFrame:
+    return _counted(load_table(spark, d, "events", ["ts", "user_id"]).withColumn("hour", F.date_trunc("hour", "ts").cast("timestamp_ntz")), ["user_id"], "hour", 64)
+
+
+@query(_simple("SELECT date_trunc('month', o_orderdate) AS g, o_custkey::VARCHAR AS e FROM orders", 256, "month"))
+def orders_per_month(spark: SparkSession, d: str) -> DataFrame:
+    return _counted(load_table(spark, d, "orders", ["o_orderdate", "o_custkey"]).withColumn("month", F.date_trunc("month", "o_orderdate").cast("timestamp_ntz")), ["o_custkey"], "month", 256)
+
+
+def _cube_sql(sets_: str) -> str:
+    src = f"SELECT coalesce(l_returnflag, '') || '|' || coalesce(l_linestatus, '') || '|' || gid AS g, e FROM (SELECT CASE WHEN gid & 2 = 0 THEN l_returnflag END AS l_returnflag, CASE WHEN gid & 1 = 0 THEN l_linestatus END AS l_linestatus, gid, l_partkey::VARCHAR AS e FROM lineitem, (SELECT unnest({sets_}) AS gid))"
+    return oracles.base(src, 256) + "," + oracles.tlc(256) + " SELECT nullif(split_part(g, '|', 1), '') AS l_returnflag, nullif(split_part(g, '|', 2), '') AS l_linestatus, split_part(g, '|', 3)::INT AS gid, round(tlc, 4) AS estimate FROM t"
+
+
+def _cube(spark: SparkSession, d: str, sets_: list | None) -> DataFrame:
+    dims = ["l_returnflag", "l_linestatus"]
+    return sets.rollup_sketch(load_table(spark, d, "lineitem", [*dims, "l_partkey"]), ["l_partkey"], dims, 256, SQL_HASH, sets_).withColumn("estimate", F.round("estimate", 4))
+
+
+add("rollup_sketch", lambda spark, d: _cube(spark, d, None), _cube_sql("[0, 1, 3]"))
+add("cube_sketch", lambda spark, d: _cube(spark, d, sets.cube_sets(["l_returnflag", "l_linestatus"])), _cube_sql("[0, 1, 2, 3]"))
+add("grouping_sets_sketch", lambda spark, d: _cube(spark, d, [["l_returnflag"], ["l_linestatus"]]), _cube_sql("[1, 2]"))
+
+
+@query(_simple("SELECT w AS g, user_id::VARCHAR AS e FROM (SELECT time_bucket(INTERVAL '15 minutes', ts) - INTERVAL '15 minutes' * i AS w, user_id FROM events, (SELECT unnest(generate_series(0, 3)) AS i))", 64, "start"))
+def sliding_users(spark: SparkSession, d: str) -> DataFrame:
+    """Distinct users of every hour that starts at a quarter."""
+    ev = load_table(spark, d, "events", ["ts", "user_id"]).withColumn("start", F.window(F.col("ts").cast("timestamp"), "1 hour", "15 minutes")["start"].cast("timestamp_ntz"))
+    return _counted(ev, ["user_id"], "start", 64)
+
+
+@query("WITH x AS (SELECT user_id, ts, event_type, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL '30 minutes' THEN 0 ELSE 1 END AS new FROM events), y AS (SELECT user_id, ts, event_type, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM x) SELECT user_id, min(ts) AS start, count(*) AS n_events, bit_count(bit_or(1::BIGINT << ((cast('0x' || substr(md5(event_type), 1, 15) AS BIGINT) >> 11) & 63)::INT))::INT AS seen FROM y GROUP BY user_id, k")
+def session_users(spark: SparkSession, d: str) -> DataFrame:
+    """Sessions by user with a gap of half an hour; event types in each by the bitmap of 64."""
+    ev = load_table(spark, d, "events", ["ts", "user_id", "event_type"]).withColumn("ts", F.col("ts").cast("timestamp"))
+    bit = F.call_function("shiftleft", F.lit(1).cast("bigint"), H.micro_place(H.hash_key(["event_type"], SQL_HASH), M))
+    out = ev.groupBy("user_id", F.session_window("ts", "30 minutes").alias("w")).agg(F.count(F.lit(1)).alias("n_events"), F.bit_count(F.bit_or(bit)).alias("seen"))
+    return out.select("user_id", F.col("w.start").cast("timestamp_ntz").alias("start"), "n_events", "seen")
+
+
+_DAYS = "SELECT d AS g, user_id::VARCHAR AS e FROM (SELECT DISTINCT ts::DATE AS d FROM events) JOIN events ON ts::DATE <= d"
+
+
+def running(spark: SparkSession, d: str) -> DataFrame:
+    ev = load_table(spark, d, "events", ["ts", "user_id"]).select(F.to_date("ts").alias("day"), "user_id")
+    run = sets.running_levels(levels.build_levels(ev, ["user_id"], ["day"], 256, SQL_HASH), "day")
+    return sets.estimate(run, ["day"], 256)
+
+
+@query(_simple(_DAYS, 256, "day"))
+def running_distinct(spark: SparkSession, d: str) -> DataFrame:
+    """Distinct users up to each day."""
+    return running(spark, d).select("day", F.round("tlc", 4).alias("estimate"))
+
+
+@query(oracles.base(_DAYS, 256) + "," + oracles.tlc(256) + " SELECT g AS day, round(tlc - coalesce(lag(tlc) OVER (ORDER BY g), 0), 4) AS fresh FROM t")
+def daily_delta(spark: SparkSession, d: str) -> DataFrame:
+    """How much each day adds to the distinct users."""
+    return running(spark, d).select("day", F.round(F.col("tlc") - F.coalesce(F.lag("tlc").over(W.orderBy("day")), F.lit(0.0)), 4).alias("fresh"))  # a row a day
+
+
+_PAIRS = oracles.base("SELECT event_type AS g, user_id::VARCHAR AS e FROM events UNION ALL SELECT a.t || '+' || b.t, user_id::VARCHAR FROM events JOIN (SELECT DISTINCT event_type AS t FROM events) a ON true JOIN (SELECT DISTINCT event_type AS t FROM events) b ON a.t < b.t WHERE event_type IN (a.t, b.t)", 256) + "," + oracles.tlc(256)
+
+
+@query(_PAIRS + " SELECT x.g AS a, y.g AS b, round(u.tlc, 4) AS union_estimate, round(greatest(x.tlc + y.tlc - u.tlc, 0), 4) AS intersection_estimate, round(greatest(x.tlc + y.tlc - u.tlc, 0) / u.tlc, 4) AS jaccard_estimate FROM t x JOIN t y ON x.g < y.g JOIN t u ON u.g = x.g || '+' || y.g")
+def union_intersection_users(spark: SparkSession, d: str) -> DataFrame:
+    made = levels.build_levels(load_table(spark, d, "events", ["event_type", "user_id"]), ["user_id"], ["event_type"], 256, SQL_HASH)
+    out = sets.pair_estimates(made, "event_type", 256)
+    return out.select("a", "b", *[F.round(c, 4).alias(c) for c in ("union_estimate", "intersection_estimate", "jaccard_estimate")])
+
+
+@query(oracles.base("SELECT l_suppkey AS g, l_partkey::VARCHAR AS e FROM lineitem", 256) + "," + oracles.tlc(256) + " SELECT g AS l_suppkey, round(tlc, 4) AS estimate FROM t ORDER BY tlc DESC, g LIMIT 10")
+def topk_suppliers_by_parts(spark: SparkSession, d: str) -> DataFrame:
+    """The ten suppliers of the most parts: a report."""
+    made = levels.build_levels(load_table(spark, d, "lineitem", ["l_suppkey", "l_partkey"]), ["l_partkey"], ["l_suppkey"], 256, SQL_HASH)
+    return sets.estimate(made, ["l_suppkey"], 256).orderBy(F.desc("tlc"), "l_suppkey").limit(10).select("l_suppkey", F.round("tlc", 4).alias("estimate"))
+
+
+@query(_simple("SELECT p_brand AS g, o_custkey::VARCHAR AS e FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN part ON l_partkey = p_partkey", 256, "p_brand"))
+def join_customers_per_brand(spark: SparkSession, d: str) -> DataFrame:
+    li, o, p = load_table(spark, d, "lineitem", ["l_orderkey", "l_partkey"]), load_table(spark, d, "orders", ["o_orderkey", "o_custkey"]), load_table(spark, d, "part", ["p_partkey", "p_brand"])
+    joined = li.join(o, F.col("l_orderkey") == F.col("o_orderkey")).join(p, F.col("l_partkey") == F.col("p_partkey"))
+    return _counted(joined.select("p_brand", "o_custkey"), ["o_custkey"], "p_brand", 256)
+
+
+@query(_simple("SELECT n_name AS g, c_custkey::VARCHAR AS e FROM customer JOIN nation ON c_nationkey = n_nationkey", 256, "n_name"))
+def customers_per_nation(spark: SparkSession, d: str) -> DataFrame:
+    c, n = load_table(spark, d, "customer", ["c_custkey", "c_nationkey"]), load_table(spark, d, "nation", ["n_nationkey", "n_name"])
+    return _counted(c.join(n, F.col("c_nationkey") == F.col("n_nationkey")).select("n_name", "c_custkey"), ["c_custkey"], "n_name", 256)
+
+
+@query("SELECT count(DISTINCT c_custkey) AS n_customers FROM customer WHERE c_custkey IN (SELECT o_custkey FROM orders)")
+def semi_customers(spark: SparkSession, d: str) -> DataFrame:
+    c, o = load_table(spark, d, "customer", ["c_custkey"]), load_table(spark, d, "orders", ["o_custkey"])
+    return c.join(o, F.col("c_custkey") == F.col("o_custkey"), "left_semi").agg(F.count_distinct("c_custkey").alias("n_customers"))
+
+
+@query("SELECT count(DISTINCT c_custkey) AS n_customers FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM orders WHERE o_totalprice > 100000)")
+def anti_customers(spark: SparkSession, d: str) -> DataFrame:
+    c, o = load_table(spark, d, "customer", ["c_custkey"]), load_table(spark, d, "orders", ["o_custkey", "o_totalprice"]).filter("o_totalprice > 100000")
+    return c.join(o, F.col("c_custkey") == F.col("o_custkey"), "left_anti").agg(F.count_distinct("c_custkey").alias("n_customers"))
+
+
+_HALVES = "SELECT DISTINCT o_custkey AS k FROM orders WHERE o_orderdate {} TIMESTAMP '1995-01-01'"
+
+
+@query(f"SELECT 'both' AS kind, count(*) AS n FROM ({_HALVES.format('<')} INTERSECT {_HALVES.format('>=')}) UNION ALL SELECT 'either', count(*) FROM ({_HALVES.format('<')} UNION {_HALVES.format('>=')}) UNION ALL SELECT 'first only', count(*) FROM ({_HALVES.format('<')} EXCEPT {_HALVES.format('>=')})")
+def setops_customers(spark: SparkSession, d: str) -> DataFrame:
+    o = load_table(spark, d, "orders", ["o_custkey", "o_orderdate"])
+    cut = F.lit("1995-01-01").cast("timestamp_ntz")
+    a, b = o.filter(F.col("o_orderdate") < cut).select("o_custkey"), o.filter(F.col("o_orderdate") >= cut).select("o_custkey")
+    count = lambda kind, df: df.agg(F.count(F.lit(1)).alias("n")).select(F.lit(kind).alias("kind"), "n")
+    return count("both", a.intersect(b)).unionAll(count("either", a.union(b).distinct())).unionAll(count("first only", a.distinct().exceptAll(b.distinct())))
+
+
+@query("SELECT event_type, count(DISTINCT user_id) FILTER (WHERE extract(hour FROM ts) < 12) AS am, count(DISTINCT user_id) FILTER (WHERE extract(hour FROM ts) >= 12) AS pm FROM events GROUP BY 1")
+def pivot_users(spark: SparkSession, d: str) -> DataFrame:
+    ev = load_table(spark, d, "events", ["ts", "event_type", "user_id"]).withColumn("half", F.when(F.hour("ts") < 12, "am").otherwise("pm"))
+    return ev.groupBy("event_type").pivot("half", ["am", "pm"]).agg(F.count_distinct("user_id"))
+
+
+@query("WITH h AS (SELECT date_trunc('hour', ts) AS hour, count(DISTINCT user_id) AS n FROM events GROUP BY 1), c AS (SELECT TIMESTAMP '2024-01-01 00:00:00' + INTERVAL '7 hours' * i + INTERVAL '30 minutes' AS at_ FROM (SELECT unnest(generate_series(0, 60)) AS i)) SELECT at_ AS checkpoint, n AS users FROM c ASOF LEFT JOIN h ON c.at_ >= h.hour")
+def asof_snapshot(spark: SparkSession, d: str) -> DataFrame:
+    """The last hourly count at or before each checkpoint: both sides in one ordered union, a running last value; days are the partitions' carry."""
+    hourly = load_table(spark, d, "events", ["ts", "user_id"]).groupBy(F.date_trunc("hour", "ts").cast("timestamp_ntz").alias("at")).agg(F.count_distinct("user_id").alias("n"))
+    points = spark.range(61).select((F.lit("2024-01-01 00:30:00").cast("timestamp") + F.make_interval(hours=(F.col("id") * 7).cast("int"))).cast("timestamp_ntz").alias("at"))
+    both = hourly.select("at", "n", F.lit(0).alias("asks")).unionAll(points.select("at", F.lit(None).cast("bigint").alias("n"), F.lit(1).alias("asks")))
+    last = F.last("n", ignorenulls=True).over(W.orderBy("at", "asks").rowsBetween(W.unboundedPreceding, W.currentRow))  # a row an hour
+    return both.withColumn("users", last).filter("asks = 1").select(F.col("at").alias("checkpoint"), "users")
+
+
+@query(_simple("SELECT 0 AS g, regexp_extract(url, '^https?://([^/]+)', 1) AS e FROM pages", 256, "part"))
+def url_hosts(spark: SparkSession, d: str) -> DataFrame:
+    return _counted(load_table(spark, d, "pages", ["url"]).select(F.lit(0).alias("part"), F.regexp_extract("url", r"^https?://([^/]+)", 1).alias("e")), ["e"], "part", 256)
+
+
+@query(_simple("SELECT 0 AS g, array_to_string(list_transform(embedding, lambda x: CASE WHEN x >= 0 THEN '1' ELSE '0' END), '') AS e FROM embeddings", 256, "part"))
+def embedding_sign_patterns(spark: SparkSession, d: str) -> DataFrame:
+    sign = F.array_join(F.transform("embedding", lambda x: F.when(x >= 0, "1").otherwise("0")), "")
+    return _counted(load_table(spark, d, "embeddings", ["embedding"]).select(F.lit(0).alias("part"), sign.alias("e")), ["e"], "part", 256)
+
+
+@query(_simple("SELECT lang AS g, text AS e FROM documents", 256, "lang"))
+def lang_distinct_texts(spark: SparkSession, d: str) -> DataFrame:
+    return _counted(load_table(spark, d, "documents", ["lang", "text"]), ["text"], "lang", 256)
+
+
+@query(_simple("SELECT event_type AS g, props->>'$.k' AS e FROM events", 64, "event_type"))
+def json_key_cardinality(spark: SparkSession, d: str) -> DataFrame:
+    ev = load_table(spark, d, "events", ["event_type", "props"]).select("event_type", F.get_json_object("props", "$.k").alias("e"))
+    return _counted(ev, ["e"], "event_type", 64)
+
+
+@query(_simple(r"SELECT role AS g, unnest(regexp_extract_all(lower(text), '[a-z]+')) AS e FROM conversations", 256, "role"))
+def turn_vocab(spark: SparkSession, d: str) -> DataFrame:
+    words = load_table(spark, d, "conversations", ["role", "text"]).select("role", F.explode(F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0))).alias("e"))
+    return _counted(words, ["e"], "role", 256)
+
+
+@query(_simple("SELECT lang AS g, ws[i] || ' ' || ws[i + 1] || ' ' || ws[i + 2] AS e FROM (SELECT lang, ws, unnest(generate_series(1, len(ws) - 2)) AS i FROM (SELECT lang, string_split(text, ' ') AS ws FROM documents) WHERE len(ws) >= 3)", 2048, "lang"))
+def word_ngrams(spark: SparkSession, d: str) -> DataFrame:
+    docs = load_table(spark, d, "documents", ["lang", "text"]).select("lang", F.split("text", " ", -1).alias("w")).filter(F.size("w") >= 3)
+    grams = docs.select("lang", F.explode(F.transform(F.sequence(F.lit(1), F.size("w") - 2), lambda i: F.array_join(F.slice("w", i, 3), " "))).alias("e"))
+    return _counted(grams, ["e"], "lang", M)
+
+
+@query(_simple("SELECT l_linestatus AS g, l_orderkey::VARCHAR AS e FROM lineitem WHERE l_quantity BETWEEN 10 AND 30 AND l_returnflag IN ('A', 'R') AND l_shipdate >= TIMESTAMP '1994-01-01'", 256, "l_linestatus"))
+def filtered_sketch(spark: SparkSession, d: str) -> DataFrame:
+    li = load_table(spark, d, "lineitem").filter(F.col("l_quantity").between(10, 30) & F.col("l_returnflag").isin("A", "R") & (F.col("l_shipdate") >= F.lit("1994-01-01").cast("timestamp_ntz")))
+    return _counted(li.select("l_linestatus", "l_orderkey"), ["l_orderkey"], "l_linestatus", 256)
+
+
+@query(_PACKED)
+def store_roundtrip(spark: SparkSession, d: str) -> DataFrame:
+    """Packed sketches written by kind, and read back."""
+    import uuid
+
+    path = f"{shared_folder(spark)}/sketches-{uuid.uuid4().hex}"
+    store.save_sketches(store.packed_sketches(bitmaps(spark, d, 256), ["g"], 256), path)
+    return store.load_sketches(spark, path, "floor4").select("g", "floor", F.array_join(F.col("words").cast("array<string>"), ",").alias("words"))
+
+
+def stored(spark: SparkSession, d: str) -> DataFrame:
+    return udf.sketch_agg(stacked(spark, d), ["e"], ["g"], M, SQL_HASH, 60)
+
+
+@query(oracles.base(floors=False) + ", a AS (SELECT g, x.reg, lvl FROM (SELECT DISTINCT g FROM s) q CROSS JOIN (SELECT unnest(generate_series(0, 2047)) AS reg) x LEFT JOIN s USING (g, reg)) SELECT g, count(lvl) AS filled, sum(coalesce(lvl, -1))::BIGINT AS levels FROM a GROUP BY g")
+def udaf_sketch(spark: SparkSession, d: str) -> DataFrame:
+    """Sketches made by the aggregate over groups, read byte by byte."""
+    code = lambda i: F.conv(F.hex(F.substring("sketch", i, F.lit(1))), 16, 10).cast("int")
+    values = F.transform(F.sequence(F.lit(5), F.lit(4 + M)), lambda i: F.when(code(i) > 127, -1).otherwise(code(i)))
+    v = stored(spark, d).select("g", values.alias("v"))
+    return v.select("g", F.size(F.filter("v", lambda x: x >= 0)).cast("bigint").alias("filled"), F.aggregate("v", F.lit(0).cast("bigint"), lambda s, x: s + x).alias("levels"))
+
+
+@query(oracles.base() + "," + oracles.tlc(guard=False) + " SELECT g, round(tlc, 4) AS estimate FROM t")
+def udf_estimate(spark: SparkSession, d: str) -> DataFrame:
+    return stored(spark, d).select("g", F.round(udf.sketch_estimate("sketch"), 4).alias("estimate"))
+
+
+@query(oracles.base() + " SELECT g, t AS tier, z, round(pow(2.0, t) * 2048 * ln(2048.0 / z), 4) AS estimate FROM z WHERE z > 0 AND z < 2048")
+def udtf_tiers(spark: SparkSession, d: str) -> DataFrame:
+    udf.register(spark)
+    stored(spark, d).createOrReplaceTempView("floorcount_sketches")
+    return spark.sql("SELECT g, tier, z, round(t.estimate, 4) AS estimate FROM floorcount_sketches, LATERAL sketch_tiers(sketch) t")
+
+
+# --- order-dependent types, baselines, simulations: no SQL -----------------------------------------------------------
+
+
+@query()
+def spark_hllpp(spark: SparkSession, d: str) -> DataFrame:
+    return sets.spark_hllpp(stacked(spark, d), "e", ["g"])
+
+
+@query()
+def lib_hll_sketch(spark: SparkSession, d: str) -> DataFrame:
+    return sets.library_sketch(stacked(spark, d), "e", ["g"])
+
+
+def _sequential(spec: str):
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        make = simulate.SEQUENTIAL[spec]
+        parts = state.sequential(stacked(spark, d), ["e"], lambda: make(M), ["g"])
+        return state.merge_sketches(parts, ["g"]).select("g", "rows", "floor", F.round(E.est_tlc(F.col("cells"), M), 4).alias("estimate"))
+
+    return run
+
+
+for _s in ("floor4", "floor3", "fhist6"):
+    add(f"sequential_{_s}", _sequential(_s))
+add("offset4_trunc", _sequential("offset4_trunc"))
+
+
+@query()
+def twobit(spark: SparkSession, d: str) -> DataFrame:
+    """The two-bit family on simulated streams: its own estimates and errors."""
+    own = simulate.simulate_types(spark, 4, M, [1000, 10_000, 100_000]).filter("spec = 'twobit'")
+    return measures.by_checkpoint(measures.with_errors(own, "checkpoint", "own"))
+
+
+@query()
+def simulate_unique(spark: SparkSession, d: str) -> DataFrame:
+    points = [20, 200, 2000, 5000, 20_000, 200_000]
+    return measures.accuracy(simulate.simulate_unique(spark, 32, M, points), M, ["hll", "hybrid", "tlc", "tlc_layered", "hybrid_layered", "gra"])
+
+
+@query()
+def simulate_skewed(spark: SparkSession, d: str) -> DataFrame:
+    """Duplicate-heavy streams: four- and three-bit registers, repaired and not."""
+    rows = simulate.simulate_skewed(spark, 8, ("floor4", "floor3"), 256, 20_000, 4, [300, 1000, 3000, 10_000])
+    each = rows.select("spec", "checkpoint", F.explode(F.array(F.struct(F.lit(False).alias("repair"), "cells"), F.struct(F.lit(True).alias("repair"), F.col("repaired").alias("cells")))).alias("x"))
+    est = each.select("spec", "checkpoint", "x.repair", E.est_tlc(F.col("x.cells"), 256).alias("estimate"))
+    return measures.by_checkpoint(measures.with_errors(est, "checkpoint", "estimate"), ["spec", "repair"])
+
+
+@query()
+def merge_study(spark: SparkSession, d: str) -> DataFrame:
+    rows = simulate.merge_study(spark, 8, 256, 100_000)
+    est = rows.select("parts", "truth", "clamped", E.est_hybrid(F.col("cells"), 256).alias("estimate"))
+    return measures.with_errors(est, "truth", "estimate").groupBy("parts").agg(F.avg("signed").alias("bias"), F.avg("absolute").alias("mae"), F.avg("clamped").alias("clamped"))
+
+
+@query()
+def memory_grid(spark: SparkSession, d: str) -> DataFrame:
+    """Errors at sizes of equal and unequal memory, with bytes."""
+    out = None
+    for m, spec, method in ((1024, "hist8", "gra"), (2048, "floor4", "hybrid"), (2048, "fhist6", "hybrid_layered"), (2560, "floor4", "hybrid"), (3072, "floor4", "hybrid"), (4096, "floor4", "hybrid")):
+        curve = measures.accuracy(simulate.simulate_unique(spark, 8, m, [2000, 20_000, 200_000]), m, [method])
+        part = measures.weighted(curve).select(F.lit(spec).alias("spec"), F.lit(m).alias("m"), F.lit(method).alias("method"), F.lit(measures.packed_bytes(spec, m)).alias("bytes"), "peak", "by_log", "by_width")
+        out = part if out is None else out.unionAll(part)
+    return out
+
+
+@query()
+def history_ablation(spark: SparkSession, d: str) -> DataFrame:
+    """The corrected mean with none to three history bits, and remaining area with two."""
+    rows = simulate.simulate_unique(spark, 32, M, [20_000, 200_000])
+    tools = {"mean_h0": lambda c: E.est_mean_hist(c, M, 0), **{f"mean_h{h}": (lambda c, h=h: E.est_mean_hist(c, M, h)) for h in (1, 2, 3)}, "gra": lambda c: E.est_gra(c, M)}
+    each = F.explode(F.array(*[F.struct(F.lit(k).alias("method"), f(F.col("cells")).alias("estimate")) for k, f in tools.items()])).alias("x")
+    return measures.by_checkpoint(measures.with_errors(rows.select("checkpoint", each).select("checkpoint", "x.*"), "checkpoint", "estimate"), ["method"])
+
+
+@query()
+def averaging_comparison(spark: SparkSession, d: str) -> DataFrame:
+    """The three means, each corrected by its own table, and without correction."""
+    rows = simulate.simulate_unique(spark, 32, M, [1000, 2048, 8000, 100_000])
+    tools = {"occ_mean": E.est_occ_mean, "harm_mean": E.est_harm_mean, "geo_mean": E.est_geo_mean}
+    structs = [F.struct(F.lit(k).alias("method"), F.lit(cf).alias("corrected"), (E.corrected(f(F.col("cells"), M), M, k) if cf else f(F.col("cells"), M)).alias("estimate")) for k, f in tools.items() for cf in ((True, False) if k != "geo_mean" else (False,))]
+    # raw geometric means aren't on the scale of counts: they are put there by the mean ratio at each checkpoint
+    est = rows.select("checkpoint", F.explode(F.array(*structs)).alias("x")).select("checkpoint", "x.*")
+    scaled = est.withColumn("estimate", F.when(F.col("method") == "geo_mean", F.col("estimate") * F.col("checkpoint") / F.avg("estimate").over(W.partitionBy("checkpoint", "method", "corrected"))).otherwise(F.col("estimate")))
+    return measures.by_checkpoint(measures.with_errors(scaled, "checkpoint", "estimate"), ["method", "corrected"])
+
+
+@query()
+def cf_curve(spark: SparkSession, d: str) -> DataFrame:
+    """Simulated correction factors beside the analytic ones."""
+    cf = simulate.build_cf(simulate.simulate_unique(spark, 32, M, [500, 2000, 5000, 20_000, 100_000]), M, E.est_occ_mean)
+    return cf.select("checkpoint", "raw", "factor", (E.corrected(F.col("raw"), M) / F.col("raw")).alias("analytic"))
+
+
+@query()
+def type_comparison(spark: SparkSession, d: str) -> DataFrame:
+    """Every sketch type on the same simulated streams, each with its estimator."""
+    rows = simulate.simulate_types(spark, 4, M, [1000, 10_000, 100_000])
+    c = F.col("cells")
+    pick = {"floor4": E.est_hybrid(c, M), "floor3": E.est_hybrid(c, M), "floor5": E.est_hybrid(c, M), "fhist5": E.est_mean_hist(c, M, 1), "fhist6": E.est_hybrid_layered(c, M), "fhist7": E.est_mean_hist(c, M, 3), "abs6": E.est_hll(c, M), "hist8": E.est_gra(c, M), "offset4_trunc": E.est_hll(c, M)}
+    est = F.col("own")
+    for k, e in pick.items():
+        est = F.when(F.col("spec") == k, e).otherwise(est)
+    return measures.by_checkpoint(measures.with_errors(rows.withColumn("estimate", est), "checkpoint", "estimate"), ["spec"])
+
+
+@query()
+def idempotence(spark: SparkSession, d: str) -> DataFrame:
+    """Events added once, and three times over: which sketches are unchanged."""
+
+    def run(batches):
+        import numpy as np
+        import pandas as pd
+
+        h = np.concatenate([b["h"].to_numpy() for b in batches]).astype(np.int64).view(np.uint64)
+        for k, make in simulate.SEQUENTIAL.items():
+            once, thrice = make(256).add_batch(h), make(256)
+            for _ in range(3):
+                thrice.add_batch(h)
+            yield pd.DataFrame({"spec": [k], "unchanged": [bool((once.levels() == thrice.levels()).all())], "floor_once": [once.floor], "floor_thrice": [thrice.floor]})
+
+    # one stream in one order is what is asked about
+    return levels.hashed(load_table(spark, d, "events", ["event_id"]), ["event_id"]).coalesce(1).mapInPandas(run, "spec string, unchanged boolean, floor_once int, floor_thrice int")
+
+
+@query()
+def stream_tumbling(spark: SparkSession, d: str) -> DataFrame:
+    """Users of every closed hour, from the events read as a stream into Parquet."""
+    import uuid
+
+    from floorcount.sources.tables import stream_table
+    from floorcount.streaming.distinct import windowed_estimates, write_estimates
+
+    root = f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
+    load_table(spark, d, "events").withColumn("day", F.to_date("ts")).write.partitionBy("day").parquet(f"{root}/in")
+    events = stream_table(spark, f"{root}/in", spark.read.parquet(f"{root}/in").schema, files=1000)
+    write_estimates(windowed_estimates(events, ["user_id"], 64, kind=SQL_HASH), f"{root}/out", f"{root}/checkpoint").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema("start timestamp, end timestamp, estimate double").parquet(f"{root}/out")
+
 
-def queries() -> dict:
-    return {}
+def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
+    return dict(QUERIES)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return dict(SQL)

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Sequence
+from functools import reduce
 
 from pyspark.sql import Column
 from pyspark.sql import functions as F
@@ -22,25 +23,22 @@ def element(cols: Sequence[str | Column]) -> Column:
 
 def _half_sum(a: Column, b: Column) -> Column:
     """a + b modulo 2^64, with additions that can't overflow."""
-    low = F.expr("0L") + a.bitwiseAND(F.lit(0xFFFFFFFF)) + b.bitwiseAND(F.lit(0xFFFFFFFF))
+    low = a.bitwiseAND(F.lit(0xFFFFFFFF)) + b.bitwiseAND(F.lit(0xFFFFFFFF))
     high = F.shiftrightunsigned(a, 32) + F.shiftrightunsigned(b, 32) + F.shiftrightunsigned(low, 32)
     return F.shiftleft(high, 32).bitwiseOR(low.bitwiseAND(F.lit(0xFFFFFFFF)))
 
 
-def _negated(a: Column) -> Column:
-    return F.bitwise_not(a)
+def _with(x: Column, step) -> Column:
+    """step(x), with x computed once however often step uses it."""
+    return F.get(F.transform(F.array(x), step), 0)
 
 
 def mix64(x: Column) -> Column:
     """A 64-bit integer mixer of shifts, sums and exclusive ors, free of overflow errors."""
-    x = x.cast("bigint")
-    x = _half_sum(_negated(x), F.shiftleft(x, 21))
-    x = x.bitwiseXOR(F.shiftrightunsigned(x, 24))
-    x = _half_sum(_half_sum(x, F.shiftleft(x, 3)), F.shiftleft(x, 8))
-    x = x.bitwiseXOR(F.shiftrightunsigned(x, 14))
-    x = _half_sum(_half_sum(x, F.shiftleft(x, 2)), F.shiftleft(x, 4))
-    x = x.bitwiseXOR(F.shiftrightunsigned(x, 28))
-    return _half_sum(x, F.shiftleft(x, 31))
+    add = lambda *shifts: lambda v: reduce(lambda s, k: _half_sum(s, F.shiftleft(v, k)), shifts, v)
+    fold = lambda k: lambda v: v.bitwiseXOR(F.shiftrightunsigned(v, k))
+    first = lambda v: _half_sum(F.bitwise_not(v), F.shiftleft(v, 21))
+    return reduce(_with, (first, fold(24), add(3, 8), fold(14), add(2, 4), fold(28), add(31)), x.cast("bigint"))
 
 
 def hash_key(cols: Sequence[str | Column], kind: str = "xxhash64") -> Column:

@@ -1,0 +1,26 @@
+"""Every query against its SQL, or for its rows, on the smallest tables."""
+
+import pytest
+
+from floorcount.plans import registry
+
+TABLES = "/root/testdata/sf0.001"
+SQL = registry.oracle_sql()
+SLOW = {"memory_grid", "type_comparison", "history_ablation", "averaging_comparison", "simulate_unique"}
+
+
+@pytest.mark.parametrize("name", sorted(SQL))
+def test_equals_sql(name, compare):
+    compare(registry.queries()[name], SQL[name], TABLES)
+
+
+@pytest.mark.parametrize("name", sorted(set(registry.queries()) - set(SQL) - SLOW))
+def test_has_rows(name, spark):
+    assert registry.queries()[name](spark, TABLES).limit(1).count() == 1
+
+
+def test_entry(spark):
+    import __spark_entry__
+
+    assert __spark_entry__.entry(spark).count() == 3
+    assert set(registry.queries()) <= set(__spark_entry__.queries())

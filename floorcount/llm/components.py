@@ -33,15 +33,13 @@ def components(edges: DataFrame, a: str, b: str, scratch: Scratch, name: str = "
     number = 0
     if now.isEmpty():
         return now.select(F.col("b").alias("node"), F.col("a").alias("component"))
-    before = None
     while True:
         number += 1
         now = scratch.keep(_small_star(_large_star(now)), f"{name}-{number}")
         scratch.drop(f"{name}-{number - 1}")
-        # done once every edge is from a component's smallest node: no node is both above and below another
-        rows = now.agg(F.count(F.lit(1)).alias("n"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)")).alias("h")).first()
-        if before == (rows["n"], rows["h"]):
+        # done once every node but the smallest of each component hangs on one node, which hangs on none
+        met = now.select(F.col("b").alias("n"), F.lit(1).alias("hangs")).unionAll(now.select("a", F.lit(0)).distinct())
+        if met.groupBy("n").agg(F.count(F.lit(1)).alias("k")).filter("k > 1").isEmpty():
             break
-        before = (rows["n"], rows["h"])
     leaves = now.select(F.col("b").alias("node"), F.col("a").alias("component"))
     return leaves.unionAll(now.select(F.col("a").alias("node"), F.col("a").alias("component")).distinct())

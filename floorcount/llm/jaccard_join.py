@@ -36,7 +36,7 @@ FREQUENT = 32_768
 CHUNK, CHUNK_FREQUENT = 2_000_000, 8_192
 #: From the second round on, a list takes at least so many pivots, and as many times four as keep the round's meetings
 #: within WORK times the postings that there were at first.
-PIVOTS, WORK = 16, 2
+PIVOTS, WORK = 64, 256
 
 LOWER = bytes(range(256)).lower()
 ODD = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB))  # mixing constants
@@ -243,8 +243,9 @@ def candidate_pairs(pivots: DataFrame, lists: DataFrame) -> DataFrame:
     p = pivots.select(F.col("token").alias("p_token"), F.col("id").alias("p_id"), F.col("n").alias("p_n"), F.col("pos").alias("p_pos"), F.col("comp").alias("p_comp"), F.col("pivot").alias("p_pivot"))
     met = lists.join(p, (F.col("token") == F.col("p_token")) & (F.col("comp") != F.col("p_comp")) & (~F.col("pivot") | (F.col("id") > F.col("p_id"))))
     near = met.filter((F.least("n", "p_n") * 100 >= F.greatest("n", "p_n") * LIMIT))
-    # tokens before the shared one, the shared one, tokens after it
-    bound = F.least("pos", "p_pos") + 1 + F.least(F.col("n") - F.col("pos"), F.col("p_n") - F.col("p_pos")) - 1
+    # the first token that two sets share has none in common before it, so only it and what follows can be shared. A pair
+    # that is turned down by a later token it shares comes again by its first one, in the list of that
+    bound = F.least(F.col("n") - F.col("pos"), F.col("p_n") - F.col("p_pos"))
     due = (F.col("n") + F.col("p_n")).cast("long") * LIMIT
     near = near.filter(bound * (100 + LIMIT) >= due)
     return near.select(F.least("id", "p_id").alias("a"), F.greatest("id", "p_id").alias("b")).distinct()
@@ -314,8 +315,12 @@ def links(docs: DataFrame, scratch: Scratch, doc: str = "doc_id", text: str = "t
     entries = scratch.keep(shared(postings(texts, frequent)), "shared")
     stand_in = entries.join(copies.groupBy(F.col("id").alias("c")).agg(F.min("rep").alias("rep")), F.col("id") == F.col("c"), "left")
     lists = stand_in.select("token", F.coalesce("rep", "id").alias("id"), "n", "pos").groupBy("token", "id").agg(F.max("n").alias("n"), F.max("pos").alias("pos"))
-    several = lists.groupBy(F.col("token").alias("t")).agg(F.min("id").alias("lo"), F.max("id").alias("hi")).filter("lo < hi").select("t")
-    lists = scratch.keep(lists.join(several, F.col("token") == F.col("t"), "left_semi").withColumn("comp", F.col("id")), "lists-0")
+    # tokens of one passage have the same documents: such lists, known by count and two hashes of their ids, are looked at once
+    same = ["k", "x1", "x2"]
+    # the one whose token is the first of them in every set's order stands for them
+    marks = lists.groupBy(F.col("token").alias("t")).agg(F.count(F.lit(1)).alias("k"), F.min("pos").alias("p"), F.bit_xor(F.xxhash64("id")).alias("x1"), F.bit_xor(F.xxhash64(F.col("id"), F.lit(1))).alias("x2")).filter("k > 1")
+    once = marks.groupBy(*same).agg(F.min(F.struct("p", "t")).alias("first")).select(F.col("first.t").alias("t"))
+    lists = scratch.keep(lists.join(once, F.col("token") == F.col("t"), "left_semi").withColumn("comp", F.col("id")), "lists-0")
     ids = lists.select(F.col("id").alias("i")).distinct()
     signatures = scratch.keep(rows.select("id", "n", "sig").join(ids, F.col("id") == F.col("i"), "left_semi"), "signatures")
     # sets of documents that share a token, dealt into as many parts as joins have

@@ -36,8 +36,9 @@ FREQUENT = 32_768
 CHUNK, CHUNK_FREQUENT = 2_000_000, 8_192
 #: From the second round on, a list takes at least so many pivots, and as many times four as keep the round's meetings
 #: within WORK times the postings that there were at first.
-PIVOTS, WORK = 64, 256
+PIVOTS, WORK = 64, 1024
 
+ODDS = ("o0", "o1", "o2", "o3")
 LOWER = bytes(range(256)).lower()
 ODD = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB))  # mixing constants
 BASE = 0xD6E8FEB86659FD93
@@ -123,6 +124,12 @@ def ranges(tokens: np.ndarray) -> bytes:
     return bytes([k]) + counts.astype("<u2" if counts.max(initial=0) > 255 else "u1").tobytes()
 
 
+def parities(tokens: np.ndarray) -> np.ndarray:
+    """256 bits in four words: whether an odd number of tokens falls to each. What differs between two sets' bits is at most what differs between the sets."""
+    odd = np.bincount((tokens & np.uint64(255)).astype(np.int64), minlength=256) & 1
+    return np.packbits(odd.astype(np.uint8)).view(np.int64)
+
+
 def _counts(packed: bytes) -> np.ndarray:
     k = packed[0]
     return np.frombuffer(packed, dtype="u1" if len(packed) == 1 + (1 << k) else "<u2", offset=1).astype(np.int64)
@@ -144,7 +151,7 @@ def _texts(docs: DataFrame, doc: str, text: str) -> DataFrame:
 
 
 def profiles(texts: DataFrame) -> DataFrame:
-    """A row for each document: id, n, c1, c2 (the set's key), sig; and rows (token, docs) of what a task saw often."""
+    """A row for each document: id, n, c1, c2 (the set's key), sig, o0 to o3 (parities); and rows (token, docs) of what a task saw often."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, size, seen = [], 0, set()
@@ -154,31 +161,31 @@ def profiles(texts: DataFrame) -> DataFrame:
             top = np.argsort(-count, kind="stable")[:CHUNK_FREQUENT]
             top = top[count[top] > 2]
             none = pa.nulls(len(top), pa.int64())
-            return pa.RecordBatch.from_arrays([none, none, none, none, pa.nulls(len(top), pa.binary()), pa.array(_signed(tokens[top])), pa.array(count[top].astype(np.int64))], names=names)
+            return pa.RecordBatch.from_arrays([none, none, none, none, pa.nulls(len(top), pa.binary()), none, none, none, none, pa.array(_signed(tokens[top])), pa.array(count[top].astype(np.int64))], names=names)
 
-        names = ["id", "n", "c1", "c2", "sig", "token", "docs"]
+        names = ["id", "n", "c1", "c2", "sig", *ODDS, "token", "docs"]
         for batch in (part for whole in batches for part in _slices(whole)):
             rows = []
             for text in batch.column("text").to_pylist():
                 tokens = shingle_set(text)
                 key = set_key(tokens)
-                rows.append((len(tokens), *key, ranges(tokens)))
+                rows.append((len(tokens), *key, ranges(tokens), *parities(tokens).tolist()))
                 if len(tokens) and key not in seen:
                     if len(seen) > 200_000:
                         seen.clear()
                     seen.add(key)
                     held.append(tokens)
                     size += len(tokens)
-            n, c1, c2, sig = zip(*rows) if rows else ((), (), (), ())
+            n, c1, c2, sig, *odd = zip(*rows)
             none = pa.nulls(len(rows), pa.int64())
-            yield pa.RecordBatch.from_arrays([batch.column("id").cast(pa.int64()), pa.array(n, pa.int64()), pa.array(c1, pa.int64()), pa.array(c2, pa.int64()), pa.array(sig, pa.binary()), none, none], names=names)
+            yield pa.RecordBatch.from_arrays([batch.column("id").cast(pa.int64()), pa.array(n, pa.int64()), pa.array(c1, pa.int64()), pa.array(c2, pa.int64()), pa.array(sig, pa.binary()), *[pa.array(x, pa.int64()) for x in odd], none, none], names=names)
             if size >= CHUNK:
                 yield often()
                 held, size = [], 0
         if held:
             yield often()
 
-    return texts.mapInArrow(run, "id long, n long, c1 long, c2 long, sig binary, token long, docs long")
+    return texts.mapInArrow(run, "id long, n long, c1 long, c2 long, sig binary, o0 long, o1 long, o2 long, o3 long, token long, docs long")
 
 
 def frequent_tokens(profile: DataFrame) -> tuple[np.ndarray, np.ndarray]:
@@ -240,7 +247,7 @@ def shared(entries: DataFrame) -> DataFrame:
 
 def candidate_pairs(pivots: DataFrame, lists: DataFrame) -> DataFrame:
     """Distinct pairs (a, b), a < b, of a pivot and a document of its lists in another group, by length and position."""
-    p = pivots.select(F.col("token").alias("p_token"), F.col("id").alias("p_id"), F.col("n").alias("p_n"), F.col("pos").alias("p_pos"), F.col("comp").alias("p_comp"), F.col("pivot").alias("p_pivot"))
+    p = pivots.select(F.col("token").alias("p_token"), F.col("id").alias("p_id"), F.col("n").alias("p_n"), F.col("pos").alias("p_pos"), F.col("comp").alias("p_comp"), *[F.col(o).alias(f"p_{o}") for o in ODDS])
     met = lists.join(p, (F.col("token") == F.col("p_token")) & (F.col("comp") != F.col("p_comp")) & (~F.col("pivot") | (F.col("id") > F.col("p_id"))))
     near = met.filter((F.least("n", "p_n") * 100 >= F.greatest("n", "p_n") * LIMIT))
     # the first token that two sets share has none in common before it, so only it and what follows can be shared. A pair
@@ -248,6 +255,9 @@ def candidate_pairs(pivots: DataFrame, lists: DataFrame) -> DataFrame:
     bound = F.least(F.col("n") - F.col("pos"), F.col("p_n") - F.col("p_pos"))
     due = (F.col("n") + F.col("p_n")).cast("long") * LIMIT
     near = near.filter(bound * (100 + LIMIT) >= due)
+    # two sets of n and m tokens that reach the limit differ by at most (n + m) * (100 - limit) / (100 + limit) tokens
+    differ = sum((F.bit_count(F.col(o).bitwiseXOR(F.col(f"p_{o}"))) for o in ODDS), F.lit(0))
+    near = near.filter(differ * (100 + LIMIT) <= (F.col("n") + F.col("p_n")) * (100 - LIMIT))
     return near.select(F.least("id", "p_id").alias("a"), F.greatest("id", "p_id").alias("b")).distinct()
 
 
@@ -303,24 +313,24 @@ class _Bucketed:
         self.scratch.spark.sql(f"DROP TABLE IF EXISTS {self.name}")
 
 
-def links(docs: DataFrame, scratch: Scratch, doc: str = "doc_id", text: str = "text") -> tuple[DataFrame, DataFrame, DataFrame]:
-    """(profiles, representatives of ids that have another's set, groups of representatives as node and component)."""
-    spark = docs.sparkSession
-    texts = _texts(docs, doc, text)
-    profile = scratch.keep(profiles(texts), "profiles")
-    rows = profile.filter("token is null").select("id", "n", "c1", "c2", "sig")
-    classes = rows.filter("n > 0 and id is not null").groupBy("c1", "c2").agg(F.min("id").alias("rep"), F.max("id").alias("last")).filter("rep < last").select("c1", "c2", "rep")
+def links(texts: DataFrame, profile: DataFrame, scratch: Scratch) -> tuple[DataFrame, DataFrame]:
+    """(representatives of ids that have another's set, groups of representatives as node and component); ids are of one text each."""
+    spark = texts.sparkSession
+    rows = profile.filter("token is null and id is not null and n > 0").select("id", "n", "c1", "c2", "sig", *ODDS)
+    classes = rows.groupBy("c1", "c2").agg(F.min("id").alias("rep"), F.max("id").alias("last")).filter("rep < last").select("c1", "c2", "rep")
     copies = scratch.keep(rows.select("id", "c1", "c2").join(classes, ["c1", "c2"]).filter("id > rep").select("id", "rep").distinct(), "copies")
     frequent = spark.sparkContext.broadcast(frequent_tokens(profile))
     entries = scratch.keep(shared(postings(texts, frequent)), "shared")
-    stand_in = entries.join(copies.groupBy(F.col("id").alias("c")).agg(F.min("rep").alias("rep")), F.col("id") == F.col("c"), "left")
+    stand_in = entries.join(copies.withColumnRenamed("id", "c"), F.col("id") == F.col("c"), "left")
     lists = stand_in.select("token", F.coalesce("rep", "id").alias("id"), "n", "pos").groupBy("token", "id").agg(F.max("n").alias("n"), F.max("pos").alias("pos"))
     # tokens of one passage have the same documents: such lists, known by count and two hashes of their ids, are looked at once
     same = ["k", "x1", "x2"]
     # the one whose token is the first of them in every set's order stands for them
     marks = lists.groupBy(F.col("token").alias("t")).agg(F.count(F.lit(1)).alias("k"), F.min("pos").alias("p"), F.bit_xor(F.xxhash64("id")).alias("x1"), F.bit_xor(F.xxhash64(F.col("id"), F.lit(1))).alias("x2")).filter("k > 1")
     once = marks.groupBy(*same).agg(F.min(F.struct("p", "t")).alias("first")).select(F.col("first.t").alias("t"))
-    lists = scratch.keep(lists.join(once, F.col("token") == F.col("t"), "left_semi").withColumn("comp", F.col("id")), "lists-0")
+    odd = rows.select(F.col("id").alias("i"), *ODDS).dropDuplicates(["i"])
+    kept = lists.join(once, F.col("token") == F.col("t"), "left_semi").join(odd, F.col("id") == F.col("i"))
+    lists = scratch.keep(kept.select("token", "id", "n", "pos", *ODDS, F.col("id").alias("comp")), "lists-0")
     ids = lists.select(F.col("id").alias("i")).distinct()
     signatures = scratch.keep(rows.select("id", "n", "sig").join(ids, F.col("id") == F.col("i"), "left_semi"), "signatures")
     # sets of documents that share a token, dealt into as many parts as joins have
@@ -350,11 +360,11 @@ def links(docs: DataFrame, scratch: Scratch, doc: str = "doc_id", text: str = "t
             pairs = pairs.join(tried, ["a", "b"], "left_anti")
         pairs = scratch.keep(pairs, f"pairs-{number}")
         tried = pairs if tried is None else tried.unionAll(pairs)
-        fresh = scratch.keep(_verify(scratch.keep(_suffix_filter(pairs, signatures), f"near-{number}"), sets), f"links-{number}")
+        fresh = scratch.keep(_verify(_suffix_filter(pairs, signatures), sets), f"links-{number}")
         found = fresh if found is None else found.unionAll(fresh)
         if groups is None or not fresh.isEmpty():
             groups = components(found, "a", "b", scratch, f"groups-{number}")
-        left = marked.filter("not pivot").select("token", "id", "n", "pos").join(groups, F.col("id") == F.col("node"), "left").select("token", "id", "n", "pos", F.coalesce("component", "id").alias("comp"))
+        left = marked.filter("not pivot").drop("comp", "pivot").join(groups, F.col("id") == F.col("node"), "left").select("token", "id", "n", "pos", *ODDS, F.coalesce("component", "id").alias("comp"))
         mixed = left.groupBy(F.col("token").alias("t")).agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo < hi").select("t")
         lists = scratch.keep(left.join(mixed, F.col("token") == F.col("t"), "left_semi"), f"lists-{number}")
         scratch.drop(f"marked-{number}")
@@ -362,7 +372,7 @@ def links(docs: DataFrame, scratch: Scratch, doc: str = "doc_id", text: str = "t
     held.drop()
     if groups is None:
         groups = lists.select(F.col("id").alias("node"), F.col("id").alias("component"))
-    return rows, copies, groups
+    return copies, groups
 
 
 def near_duplicates(docs: DataFrame, doc: str = "doc_id", text: str = "text", scratch: Scratch | None = None) -> DataFrame:
@@ -373,17 +383,32 @@ def near_duplicates(docs: DataFrame, doc: str = "doc_id", text: str = "text", sc
     texts is, and each has a row. An empty table gives an empty one. Other columns are ignored.
     """
     scratch = scratch or Scratch(docs.sparkSession, "jaccard")
-    rows, copies, groups = links(docs, scratch, doc, text)
-    pick = copies.select(F.col("id").alias("a"), F.col("rep").alias("b")).unionAll(groups.select(F.col("node").alias("a"), F.col("component").alias("b")))
-    # a document with several texts may be a copy of one and in the group of another
-    several = rows.filter("id is not null").groupBy("id").agg(F.count(F.lit(1)).alias("k")).filter("k > 1").select("id")
-    step = rows.select("id", "n")
-    rep = copies.groupBy(F.col("id").alias("c")).agg(F.min("rep").alias("rep"))
-    if several.isEmpty():
-        out = step.join(rep, F.col("id") == F.col("c"), "left").withColumn("node_of", F.coalesce("rep", "id")).join(groups, F.col("node_of") == F.col("node"), "left")
-        component = F.coalesce("component", "node_of")
-    else:
-        whole = components(pick, "a", "b", scratch, "whole")
-        out = step.join(whole, F.col("id") == F.col("node"), "left")
-        component = F.coalesce("component", "id")
-    return out.select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), component.alias("component_id"))
+    texts = _texts(docs, doc, text)
+    profile = scratch.keep(profiles(texts), "profiles")
+    rows = profile.filter("token is null")
+    if not rows.filter("id is not null").groupBy("id").agg(F.count_distinct("n", "c1", "c2").alias("k")).filter("k > 1").isEmpty():
+        return _by_text(docs, doc, text, scratch)
+    copies, groups = links(texts, profile, scratch)
+    out = rows.select("id", "n").join(copies.withColumnRenamed("id", "c"), F.col("id") == F.col("c"), "left").withColumn("stands", F.coalesce("rep", "id"))
+    out = out.join(groups, F.col("stands") == F.col("node"), "left")
+    return out.select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), F.coalesce("component", "stands").alias("component_id"))
+
+
+def _by_text(docs: DataFrame, doc: str, text: str, scratch: Scratch) -> DataFrame:
+    """near_duplicates() where an id has several texts: each (id, text) is grouped by itself, then ids join their groups."""
+    own = F.when(F.col(f"`{doc}`").isNotNull(), F.xxhash64(f"`{doc}`", f"`{text}`"))
+    each = docs.select(F.col(f"`{doc}`").alias("d"), own.alias("s"), F.col(f"`{text}`").alias("t"))
+    found = scratch.keep(near_duplicates(each, "s", "t", Scratch(docs.sparkSession, "jaccard")).distinct(), "by-text")
+    rows = each.select("d", "s").join(found, F.col("s").eqNullSafe(F.col("doc_id"))).filter("d is not null")
+    rows = scratch.keep(rows.select("d", "s", "n_shingles", "component_id").distinct(), "rows")
+    least = rows.groupBy(F.col("d").alias("e")).agg(F.min("component_id").alias("m"))
+    joined = components(rows.join(least, F.col("d") == F.col("e")).select("component_id", "m"), "component_id", "m", scratch, "whole")
+    whole = rows.join(joined, F.col("component_id") == F.col("node"), "left").withColumn("root", F.coalesce("component", "component_id"))
+    smallest = whole.groupBy(F.col("root").alias("r")).agg(F.min("d").alias("smallest"))
+    named = whole.join(smallest, F.col("root") == F.col("r")).select(F.col("s").alias("s2"), "n_shingles", "smallest").distinct()
+    bare = found.filter("doc_id is null").select("n_shingles")
+    out = each.join(named, F.col("s") == F.col("s2")).select(F.col("d").alias("doc_id"), "n_shingles", F.col("smallest").alias("component_id"))
+    if bare.isEmpty():
+        return out
+    none = profiles(_texts(docs.filter(F.col(f"`{doc}`").isNull()), doc, text)).filter("token is null")
+    return out.unionAll(none.select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), F.lit(None).cast("long").alias("component_id")))

@@ -17,6 +17,8 @@ from pyspark import Broadcast
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from floorcount.llm.scratch import free_name
+
 #: Cells that n-grams are hashed to, for each language: the model's size is fixed by this and MAX_LANGUAGES.
 CELLS = 1 << 15
 MAX_LANGUAGES = 200
@@ -141,7 +143,7 @@ def predict(df: DataFrame, model: Broadcast, text: str = "text", to: str = "lang
     """df without the text, with a struct `to`: main, score, and languages as an array of (lang, share)."""
     kind = f"struct<main: string, score: double, languages: array<struct<lang: string, share: double>>>"
     rest = [f for f in df.schema.fields if f.name != text]
-    given = df.select(*[F.col(f"`{f.name}`") for f in rest], F.col(f"`{text}`").cast("string").alias("_text"))
+    given = df.select(*[F.col(f"`{f.name}`") for f in rest], F.col(f"`{text}`").cast("string").alias(free_name(df, "_text")))
     schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in rest), f"`{to}` {kind}"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql import Window as W
 
-from floorcount.llm.scratch import Scratch
+from floorcount.llm.scratch import Scratch, free_name
 
 GRAM_WORDS = 25
 WORD = r"[^\x20\x09-\x0D]+"
@@ -88,9 +88,11 @@ def dedup_lines(df: DataFrame, doc: str = "doc_id", text: str = "text", scratch:
     prints = scratch.keep(fingerprints(line_hashes(df, doc, text)), "fingerprints")
     runs = repeated_runs(prints).groupBy("d", "k").agg(F.array_sort(F.collect_list(F.struct("first", "last"))).alias("removed"))
     body = F.col(f"`{text}`").cast("string")
-    joined = df.withColumn("_k", F.unhex(F.md5(body))).join(runs, F.col(f"`{doc}`").eqNullSafe(F.col("d")) & (F.col("_k") == F.col("k")), "left")
+    at, d, k, run = (free_name(df, n) for n in ("_hash", "_doc", "_key", "_runs"))
+    runs = runs.select(F.col("d").alias(d), F.col("k").alias(k), F.col("removed").alias(run))
+    joined = df.withColumn(at, F.unhex(F.md5(body))).join(runs, F.col(f"`{doc}`").eqNullSafe(F.col(d)) & (F.col(at) == F.col(k)), "left")
     lines = F.split(body, "\n", -1)
-    removed = F.coalesce("removed", F.array().cast(T.ArrayType(T.StructType([T.StructField("first", T.IntegerType()), T.StructField("last", T.IntegerType())]))))
-    gaps = F.zip_with(F.concat(F.array(F.lit(-1)), F.transform("removed", lambda x: x["last"])), F.concat(F.transform("removed", lambda x: x["first"]), F.array(F.size(lines))), lambda a, b: F.slice(lines, a + 2, b - a - 1))
-    kept = F.when(F.size("removed") > 0, F.array_join(F.flatten(gaps), "\n")).otherwise(body)
+    removed = F.coalesce(run, F.array().cast(T.ArrayType(T.StructType([T.StructField("first", T.IntegerType()), T.StructField("last", T.IntegerType())]))))
+    gaps = F.zip_with(F.concat(F.array(F.lit(-1)), F.transform(run, lambda x: x["last"])), F.concat(F.transform(run, lambda x: x["first"]), F.array(F.size(lines))), lambda a, b: F.slice(lines, a + 2, b - a - 1))
+    kept = F.when(F.size(run) > 0, F.array_join(F.flatten(gaps), "\n")).otherwise(body)
     return joined.select(*[kept.alias(c) if c == text else F.col(f"`{c}`") for c in df.columns], removed.alias("removed"))

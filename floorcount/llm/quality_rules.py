@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql import Window as W
 
-from floorcount.llm.scratch import Scratch
+from floorcount.llm.scratch import Scratch, free_name
 
 WHITE = b" \t\n\x0b\x0c\r"
 SYMBOLS = b"#*$%&|<>"
@@ -167,11 +167,13 @@ def judge(df: DataFrame, text: str = "text", lang: str = "lang", source: str = "
     send = F.broadcast if found.count() <= FEW_GROUPS else (lambda x: x)
     pick = found.filter((F.col("level") == 0) | (F.col("docs") >= LEAST_DOCS))
     key = lambda c: F.coalesce(F.concat(F.lit("="), F.col(c)), F.lit("-"))
-    level = lambda k: send(pick.filter(F.col("level") == k).select(key("g_lang").alias(f"l{k}"), key("g_source").alias(f"s{k}"), F.col("fences").alias(f"f{k}")))
-    keyed = measured.withColumns({"_l": key(f"`{lang}`"), "_s": key(f"`{source}`")})
-    joined = keyed.join(level(2), (F.col("_l") == F.col("l2")) & (F.col("_s") == F.col("s2")), "left").join(level(1), F.col("_l") == F.col("l1"), "left")
-    joined = joined.join(F.broadcast(level(0)), F.lit("-") == F.col("l0"), "left")  # one row
-    fence = F.coalesce("f2", "f1", "f0")
+    free = lambda n: free_name(measured, n)
+    level = lambda k: send(pick.filter(F.col("level") == k).select(key("g_lang").alias(free(f"_l{k}")), key("g_source").alias(free(f"_s{k}")), F.col("fences").alias(free(f"_f{k}"))))
+    c = {n: F.col(free(f"_{n}")) for n in ("l", "s", "l0", "l1", "l2", "s2", "f0", "f1", "f2")}
+    keyed = measured.withColumns({free("_l"): key(f"`{lang}`"), free("_s"): key(f"`{source}`")})
+    joined = keyed.join(level(2), (c["l"] == c["l2"]) & (c["s"] == c["s2"]), "left").join(level(1).drop(free("_s1")), c["l"] == c["l1"], "left")
+    joined = joined.join(F.broadcast(level(0).drop(free("_s0"))), F.lit("-") == c["l0"], "left")  # one row
+    fence = F.coalesce(c["f2"], c["f1"], c["f0"])
     beyond = F.array_compact(F.array(*[F.when(bucket(ratio(a, b)) > F.try_element_at(fence, F.lit(name)), F.lit(name)) for name, a, b in RATIOS]))
     out = [F.col(f"`{c}`") for c in measured.columns]
     judged = joined.select(*out, base_failed().alias("base_failed"), F.when(base_failed(), F.array().cast("array<string>")).otherwise(beyond).alias("beyond"))

@@ -98,7 +98,7 @@ WITH RECURSIVE rules(verdict, host, path) AS (VALUES ('allow', 'org', '/'), ('bl
 tags AS (SELECT url, unnest(regexp_extract_all(html, '(?is)<(?:link|meta)\b[^>]*>')) AS t FROM pages WHERE url IS NOT NULL),
 said AS (SELECT url, CASE WHEN regexp_matches(t, '(?is)\brel\s*=\s*["'']?canonical\b') THEN regexp_extract(t, '(?is)\bhref\s*=\s*["'']?([^"''\s>]+)', 1) END AS target FROM tags
   UNION ALL SELECT url, CASE WHEN regexp_matches(t, '(?is)\bhttp-equiv\s*=\s*["'']?refresh\b') THEN regexp_extract(t, '(?is)\bcontent\s*=\s*["''][^"'']*?url\s*=\s*([^"''\s>;]+)', 1) END FROM tags),
-e AS (SELECT url AS a, {_FORM.format("url")} AS b FROM pages UNION SELECT url, {_FORM.format("target")} FROM said WHERE contains(target, '://')),
+e AS (SELECT url AS a, {_FORM.format("url")} AS b FROM pages UNION SELECT url, {_FORM.format("target")} FROM said WHERE contains(target, '://') UNION SELECT target, {_FORM.format("target")} FROM said WHERE contains(target, '://')),
 z AS (SELECT a, b FROM e WHERE a IS NOT NULL AND b IS NOT NULL AND a <> b UNION SELECT b, a FROM e WHERE a IS NOT NULL AND b IS NOT NULL AND a <> b),
 r AS (SELECT a AS x, a AS y FROM z UNION SELECT r.x, z.b FROM r JOIN z ON z.a = r.y),
 u AS (SELECT x AS url FROM r UNION SELECT url FROM pages),

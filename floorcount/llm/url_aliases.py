@@ -14,7 +14,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from floorcount.llm.components import components
-from floorcount.llm.scratch import Scratch
+from floorcount.llm.scratch import Scratch, free_name
 
 #: (verdict, host, path)
 RULES = (("allow", "org", "/"), ("block", "example.org", "/es/"), ("block", "example.org", "/en/1"), ("allow", "com", "/fr/"), ("block", "com", "/de/"))
@@ -65,7 +65,8 @@ def declared(html: Column) -> Column:
 def edges(pages: DataFrame, redirects: DataFrame | None = None, url: str = "url", html: str = "html") -> DataFrame:
     """Rows (a, b) of aliases: a URL and its rewritten form, and those of what it declares; redirects: rows (source, target)."""
     u = F.col(f"`{url}`")
-    out = pages.filter(u.isNotNull()).select(u.alias("a"), F.explode(F.array_distinct(F.array_compact(F.concat(F.array(rewritten(u)), F.coalesce(F.transform(declared(F.col(f"`{html}`")), rewritten), F.array().cast("array<string>")))))).alias("b"))
+    said = pages.filter(u.isNotNull()).select(u.alias("u"), F.explode(F.concat(F.array(u), F.coalesce(declared(F.col(f"`{html}`")), F.array().cast("array<string>")))).alias("v"))
+    out = said.select(F.col("u").alias("a"), rewritten(F.col("v")).alias("b")).unionAll(said.filter("u <> v").select(F.col("v").alias("a"), rewritten(F.col("v"))))
     if redirects is not None:
         pair = redirects.select(F.col("source").cast("string").alias("a"), F.col("target").cast("string").alias("b")).dropna()
         out = out.unionAll(pair).unionAll(pair.select("a", rewritten(F.col("a")))).unionAll(pair.select(F.col("b").alias("a"), rewritten(F.col("b"))))
@@ -86,13 +87,14 @@ def judge_urls(pages: DataFrame, redirects: DataFrame | None = None, rules=RULES
     u = F.col(f"`{url}`")
     rule, own = rule_of(F.col("host"), F.col("path"), rules)
     rest = [c for c in pages.columns if c != html]
-    judged = pages.select(*[F.col(f"`{c}`") for c in rest], host(u).alias("host"), path(u).alias("path")).withColumns({"rule": rule, "_own": own})
+    mine, node, passed = (free_name(pages, n) for n in ("_own", "_node", "_passed"))
+    judged = pages.select(*[F.col(f"`{c}`") for c in rest], host(u).alias("host"), path(u).alias("path")).withColumns({"rule": rule, mine: own})
     pairs = edges(pages, redirects, url, html)
     # a URL and its own rewritten form need no search: only forms with another link beside it do
     groups = scratch.keep(components(pairs, "a", "b", scratch), "aliases")
     known = pairs.select(F.col("a").alias("n")).unionAll(pairs.select("b")).distinct()
     decided = known.withColumns({"h": host(F.col("n")), "p": path(F.col("n"))}).withColumn("v", rule_of(F.col("h"), F.col("p"), rules)[1]).filter("v is not null").select("n", "v")
     verdicts = decided.join(groups, F.col("n") == F.col("node")).groupBy(F.col("component").alias("c")).agg(F.min("v").alias("passed"))  # allow sorts before block
-    reach = groups.join(verdicts, F.col("component") == F.col("c")).select(F.col("node"), "passed")
-    out = judged.join(reach, u == F.col("node"), "left")
-    return out.select(*[F.col(f"`{c}`") for c in rest], "host", "path", "rule", F.coalesce("_own", "passed", F.lit("allow")).alias("verdict"))
+    reach = groups.join(verdicts, F.col("component") == F.col("c")).select(F.col("node").alias(node), F.col("passed").alias(passed))
+    out = judged.join(reach, u == F.col(node), "left")
+    return out.select(*[F.col(f"`{c}`") for c in rest], "host", "path", "rule", F.coalesce(mine, passed, F.lit("allow")).alias("verdict"))

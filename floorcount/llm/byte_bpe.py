@@ -1,7 +1,7 @@
 """Byte-level BPE encoding and decoding by backtracking over longest matches.
 
-The vocabulary's byte strings are read as Latin-1 text, one character a byte, so that an Aho-Corasick automaton over text
-finds every token that ends at a byte. A piece is then encoded from the left: take the longest token that may follow the
+The vocabulary's byte strings are read as Latin-1 text, one character a byte, so that the trie of an Aho-Corasick automaton
+over text tells how far a token can reach from a byte. A piece is then encoded from the left: take the longest token that may follow the
 one before it, step to a shorter one where two neighbours would have merged differently, and go back a token where
 nothing fits. A position that failed once is never tried again, so the work is linear in the piece. Two tokens may be
 neighbours if merging their joined bytes by rank gives these two again; that answer is memoised.
@@ -14,6 +14,8 @@ from __future__ import annotations
 
 import base64
 from collections.abc import Iterator
+from functools import cached_property
+from struct import pack
 
 import ahocorasick
 import numpy as np
@@ -25,7 +27,8 @@ from pyspark.sql import types as T
 
 from floorcount.llm.scratch import free_name
 
-MEMO_ENTRIES = 250_000
+#: Entries of each memo; as many older ones are kept besides.
+MEMO_ENTRIES = 100_000
 #: Longer parts aren't kept: they hardly come again.
 MEMO_CHARS = 64
 
@@ -36,22 +39,54 @@ def read_ranks(path: str) -> dict[bytes, int]:
         return {base64.b64decode(token): int(rank) for token, rank in (line.split() for line in lines if line.strip())}
 
 
+class Memo(dict):
+    """A bounded dict of two generations: what is asked for again moves to the young one, the old one goes when that is full."""
+
+    def __init__(self):
+        self.old: dict = {}
+
+    def find(self, key):
+        value = self.get(key)
+        if value is None and (value := self.old.get(key)) is not None:
+            self.put(key, value)
+        return value
+
+    def put(self, key, value) -> None:
+        if len(self) >= MEMO_ENTRIES:
+            self.old = dict(self)
+            self.clear()
+        self[key] = value
+
+
 class ByteBpe:
     """Encodes and decodes with the merges that the ranks imply."""
 
     def __init__(self, ranks: dict[bytes, int], pattern: str):
         self.ranks = ranks
         self.tokens: list[bytes] = [b""] * (max(ranks.values(), default=-1) + 1)
-        self.automaton = ahocorasick.Automaton()
         for token, rank in ranks.items():
             self.tokens[rank] = token
-            self.automaton.add_word(token.decode("latin-1"), (rank, len(token)))
-        self.automaton.make_automaton()
         self.pieces = regex.compile(pattern).findall
+        # words and a mark after them are pieces by themselves, if the pattern says so
+        self.plain = self.pieces(" ab, cd.") == [" ab", ",", " cd", "."]
         self.blank = regex.compile(r"\s").match
-        self.compatible: dict[tuple[int, int], bool] = {}
-        self.memo: dict[str, bytes] = {}
-        self.piece_memo: dict[str, list[int]] = {}
+        self.compatible, self.memo, self.piece_memo = Memo(), Memo(), Memo()
+
+    @cached_property
+    def widest(self) -> int:
+        return max(map(len, self.ranks), default=1)
+
+    @cached_property
+    def latin(self) -> dict[str, int]:
+        return {token.decode("latin-1"): rank for token, rank in self.ranks.items()}
+
+    @cached_property
+    def automaton(self) -> ahocorasick.Automaton:
+        made = ahocorasick.Automaton()
+        for token, rank in self.latin.items():
+            made.add_word(token, rank)
+        made.make_automaton()
+        return made
 
     def merged(self, piece: bytes) -> list[int]:
         """Plain merging, lowest rank first: the definition; used for pairs of tokens only."""
@@ -65,66 +100,70 @@ class ByteBpe:
         return [self.ranks[p] for p in parts]
 
     def may_follow(self, left: int, right: int) -> bool:
-        known = self.compatible.get((left, right))
+        known = self.compatible.find((left, right))
         if known is None:
-            if len(self.compatible) >= MEMO_ENTRIES:
-                self.compatible.clear()
             known = self.merged(self.tokens[left] + self.tokens[right]) == [left, right]
-            self.compatible[left, right] = known
+            self.compatible.put((left, right), known)
         return known
 
     def encode_piece(self, piece: bytes) -> list[int]:
         whole = self.ranks.get(piece)
         if whole is not None:
             return [whole]
-        starting: list[list[tuple[int, int]]] = [[] for _ in piece]
-        for end, (rank, width) in self.automaton.iter(piece.decode("latin-1")):
-            starting[end - width + 1].append((rank, width))  # shorter ones come first, as they end first
+        text, ids, reach, most = piece.decode("latin-1"), self.latin, self.automaton.longest_prefix, self.widest
         usable = bytearray(b"\x01") * (len(piece) + 1)
-        out: list[tuple[int, int, int]] = []  # rank, width, place among the tokens that start there
-        at, place = 0, len(starting[0]) - 1
+        out: list[int] = []
+        widths: list[int] = []
+        at, width = 0, reach(text[:most])
         while at < len(piece):
-            here = starting[at]
-            while place >= 0:
-                rank, width = here[place]
-                if usable[at + width] and (not out or self.may_follow(out[-1][0], rank)):
+            while width:
+                rank = ids.get(text[at : at + width])
+                if rank is not None and usable[at + width] and (not out or self.may_follow(out[-1], rank)):
                     break
-                place -= 1
-            if place >= 0:
-                out.append((rank, width, place))
+                width -= 1
+            if width:
+                out.append(rank)
+                widths.append(width)
                 at += width
-                place = len(starting[at]) - 1 if at < len(piece) else 0
+                width = reach(text[at : at + most])
             else:
                 usable[at] = 0
                 if not out:
                     raise ValueError("the vocabulary lacks a byte of the text")
-                _, width, place = out.pop()
-                at -= width
-        return [rank for rank, _, _ in out]
+                out.pop()
+                at -= (last := widths.pop())
+                width = last - 1
+        return out
+
+    def _piece(self, piece: str) -> bytes:
+        known = self.piece_memo.find(piece)
+        if known is None:
+            ids = self.encode_piece(piece.encode("utf-8"))
+            known = pack(f"<{len(ids)}I", *ids)
+            if len(piece) <= MEMO_CHARS:
+                self.piece_memo.put(piece, known)
+        return known
 
     def _packed(self, text: str) -> bytes:
-        ids: list[int] = []
-        for piece in self.pieces(text):
-            known = self.piece_memo.get(piece)
-            if known is None:
-                known = self.encode_piece(piece.encode("utf-8"))
-                if len(piece) <= MEMO_CHARS:
-                    if len(self.piece_memo) >= MEMO_ENTRIES:
-                        self.piece_memo.clear()
-                    self.piece_memo[piece] = known
-            ids += known
-        return np.array(ids, dtype="<u4").tobytes()
+        return b"".join(map(self._piece, self.pieces(text)))
 
     def _part(self, part: str) -> bytes | None:
         """Ids of a blank and part; None where part can't be cut off from what stands around it."""
-        if not part or self.blank(part[0]) or self.blank(part[-1]):
+        if not part:
             return None
-        ids = self._packed(" " + part)
-        if len(part) <= MEMO_CHARS:
-            if len(self.memo) >= MEMO_ENTRIES:
-                self.memo.clear()
-            self.memo[part] = ids
-        return ids
+        known = self.memo.find(part)
+        if known is None:
+            if self.plain and part.isalpha():
+                known = self._piece(" " + part)
+            elif self.plain and part[-1] in ".," and part[:-1].isalpha():
+                known = self._piece(" " + part[:-1]) + self._piece(part[-1])
+            elif self.blank(part[0]) or self.blank(part[-1]):
+                return None
+            else:
+                known = self._packed(" " + part)
+            if len(part) <= MEMO_CHARS:
+                self.memo.put(part, known)
+        return known
 
     def encode(self, text: str | None) -> bytes:
         """Ids as little-endian unsigned 32-bit integers; of null, none."""

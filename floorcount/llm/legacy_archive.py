@@ -35,24 +35,27 @@ NAMESPACE = uuid.UUID("6ba7b811-9dad-11d1-80b4-00c04fd430c8")  # the name space
 REVISIT_BYTES = 100
 
 
-def member(data: bytes) -> bytes:
-    pack = zlib.compressobj(LEVEL, zlib.DEFLATED, 31)
+def member(data: bytes, level: int = LEVEL) -> bytes:
+    pack = zlib.compressobj(level, zlib.DEFLATED, 31)
     return pack.compress(data) + pack.flush()
 
 
 BETWEEN = member(b"").decode("latin-1")
 
 
-def members(data: bytes) -> Iterator[bytes]:
-    """The contents of a sequence of gzip members."""
-    while data:
-        unpack = zlib.decompressobj(31)
-        out = unpack.decompress(data) + unpack.flush()
-        if not unpack.eof:
-            raise ValueError("the archive ends within a record")
-        if out:
-            yield out
-        data = unpack.unused_data
+def members(data: bytes, step: int = 1 << 14) -> Iterator[bytes]:
+    """The contents of a sequence of gzip members. Each is fed in small steps, so that what follows it isn't copied again and again."""
+    view, at = memoryview(data), 0
+    while at < len(view):
+        unpack, out = zlib.decompressobj(31), []
+        while not unpack.eof:
+            if at >= len(view):
+                raise ValueError("the archive ends within a record")
+            out.append(unpack.decompress(view[at : at + step]))
+            at += len(view[at : at + step])
+        at -= len(unpack.unused_data)
+        if whole := b"".join(out):
+            yield whole
 
 
 def write_archive(stretches: DataFrame, path: str) -> None:
@@ -205,11 +208,13 @@ def write_arc(pages: DataFrame, path: str, date: str = "20240101000000") -> None
     write_archive(pages.select("page_id", "url", "html").mapInArrow(run, "value binary"), path)
 
 
+#: Level of the blocks that a shuffle carries.
+CARRIED_LEVEL = 1
 RECORD = "archive string, number long, url string, date string, content_type string, page_id long, warc_type string, payload_digest string, payload_bytes long, block binary"
 
 
-def convert(spark: SparkSession, arc: str) -> DataFrame:
-    """The records of ARC files with their WARC equivalents; `block` is the record's block as one gzip member."""
+def convert(spark: SparkSession, arc: str, blocks: bool = True) -> DataFrame:
+    """The records of ARC files with their WARC equivalents; `block` is the record's block as one gzip member, null if not asked for."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -219,9 +224,9 @@ def convert(spark: SparkSession, arc: str) -> DataFrame:
                 for number, f, block in parse_arc(members(content.as_py())):
                     payload = split_http(block)[1]
                     page = header_of(block, b"X-Page-Id")
-                    packed = member(block)
+                    packed = member(block, CARRIED_LEVEL) if blocks else None
                     rows.append((archive, number, f["URL"], f["Archive-date"], f["Content-type"], None if page is None else int(page), warc_type(f["URL"], block), hashlib.sha256(payload).hexdigest(), len(payload), packed))
-                    size += len(packed)
+                    size += len(packed or b"") + 300
                     if size >= STRETCH_BYTES:
                         yield _rows(rows)
                         rows, size = [], 0
@@ -237,13 +242,13 @@ def _rows(rows: list[tuple]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(zip(*rows), kinds)], names=names)
 
 
-def with_first(records: DataFrame) -> DataFrame:
+def with_first(records: DataFrame, digests: DataFrame | None = None) -> DataFrame:
     """records with `first_page`, `first_archive` and `first_number` of the record that each large payload is kept in.
 
     The smallest page_id comes first (null last), then archive and number; counts are made before anything is shuffled by
     digest, and only digests that come again are joined.
     """
-    first = records.filter(F.col("payload_bytes") >= REVISIT_BYTES).groupBy(F.col("payload_digest").alias("digest")).agg(F.min(F.struct(F.col("page_id").isNull().alias("none"), "page_id", "archive", "number")).alias("first"), F.count(F.lit(1)).alias("copies"))
+    first = (records if digests is None else digests).filter(F.col("payload_bytes") >= REVISIT_BYTES).groupBy(F.col("payload_digest").alias("digest")).agg(F.min(F.struct(F.col("page_id").isNull().alias("none"), "page_id", "archive", "number")).alias("first"), F.count(F.lit(1)).alias("copies"))
     again = first.filter(F.col("copies") > 1).select("digest", F.col("first.page_id").alias("first_page"), F.col("first.archive").alias("first_archive"), F.col("first.number").alias("first_number"))
     return records.join(again, F.col("payload_digest") == F.col("digest"), "left").drop("digest")
 
@@ -314,5 +319,6 @@ def archive_pages(pages: DataFrame, scratch: Scratch | None = None) -> DataFrame
     spark = pages.sparkSession
     scratch = scratch or Scratch(spark, "archive")
     write_arc(pages, scratch.path("arc"))
-    write_warc(with_first(convert(spark, scratch.path("arc"))), scratch.path("warc"))
+    arc = scratch.path("arc")
+    write_warc(with_first(convert(spark, arc), convert(spark, arc, blocks=False)), scratch.path("warc"))
     return read_warc(spark, scratch.path("warc"))

@@ -28,7 +28,7 @@ from pyspark.sql import types as T
 from floorcount.llm.scratch import free_name
 
 #: Entries of each memo; as many older ones are kept besides.
-MEMO_ENTRIES = 100_000
+MEMO_ENTRIES = 250_000
 #: Longer parts aren't kept: they hardly come again.
 MEMO_CHARS = 64
 
@@ -135,15 +135,29 @@ class ByteBpe:
                 width = last - 1
         return out
 
+    def _ids(self, piece: str) -> bytes:
+        ids = self.encode_piece(piece.encode("utf-8"))
+        return pack(f"<{len(ids)}I", *ids)
+
     def _piece(self, piece: str) -> bytes:
+        """Ids of a piece of the pattern; those of a blank and a word are kept as that word's."""
+        if self.plain and piece[0] == " " and piece[1:].isalpha():
+            return self._word(piece[1:])
         known = self.piece_memo.find(piece)
         if known is None:
-            ids = self.encode_piece(piece.encode("utf-8"))
-            known = pack(f"<{len(ids)}I", *ids)
+            known = self._ids(piece)
             if len(piece) <= MEMO_CHARS:
                 self.piece_memo.put(piece, known)
         return known
 
+    def _word(self, word: str) -> bytes:
+        known = self.memo.find(word)
+        if known is None:
+            known = self._ids(" " + word)
+            if len(word) <= MEMO_CHARS:
+                self.memo.put(word, known)
+        return known
+
     def _packed(self, text: str) -> bytes:
         return b"".join(map(self._piece, self.pieces(text)))
 
@@ -151,19 +165,14 @@ class ByteBpe:
         """Ids of a blank and part; None where part can't be cut off from what stands around it."""
         if not part:
             return None
-        known = self.memo.find(part)
-        if known is None:
-            if self.plain and part.isalpha():
-                known = self._piece(" " + part)
-            elif self.plain and part[-1] in ".," and part[:-1].isalpha():
-                known = self._piece(" " + part[:-1]) + self._piece(part[-1])
-            elif self.blank(part[0]) or self.blank(part[-1]):
-                return None
-            else:
-                known = self._packed(" " + part)
-            if len(part) <= MEMO_CHARS:
-                self.memo.put(part, known)
-        return known
+        if self.plain:
+            if part.isalpha():
+                return self._word(part)
+            if part[-1] in ".," and part[:-1].isalpha():
+                return self._word(part[:-1]) + self._piece(part[-1])
+        if self.blank(part[0]) or self.blank(part[-1]):
+            return None
+        return self._packed(" " + part)
 
     def encode(self, text: str | None) -> bytes:
         """Ids as little-endian unsigned 32-bit integers; of null, none."""

@@ -15,6 +15,7 @@ from __future__ import annotations
 import base64
 from collections.abc import Iterator
 from functools import cached_property
+from itertools import islice
 from struct import pack
 
 import ahocorasick
@@ -25,10 +26,12 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from floorcount.llm.scratch import free_name
+from floorcount.llm.scratch import free_name, tidy
 
 #: Entries of each memo; as many older ones are kept besides.
-MEMO_ENTRIES = 250_000
+MEMO_ENTRIES = 150_000
+#: What a memo keeps from one task to the next: its oldest entries of late, which the frequent words are among.
+KEPT_ENTRIES = 30_000
 #: Longer parts aren't kept: they hardly come again.
 MEMO_CHARS = 64
 
@@ -57,6 +60,12 @@ class Memo(dict):
             self.clear()
         self[key] = value
 
+    def trim(self) -> None:
+        self.old = {}
+        kept = dict(islice(self.items(), KEPT_ENTRIES))
+        self.clear()
+        self.update(kept)
+
 
 class ByteBpe:
     """Encodes and decodes with the merges that the ranks imply."""
@@ -209,6 +218,11 @@ class ByteBpe:
     def _may_cut(self, before: str) -> bool:
         return bool(before) and not self.blank(before[-1])
 
+    def rest(self) -> None:
+        """Shrinks the memos at the end of a task."""
+        for memo in (self.compatible, self.memo, self.piece_memo):
+            memo.trim()
+
     def decode(self, ids: bytes | None) -> bytes:
         return b"".join(map(self.tokens.__getitem__, np.frombuffer(ids or b"", dtype="<u4").tolist()))
 
@@ -224,20 +238,22 @@ def opened(vocabulary: str, pattern: str) -> ByteBpe:
     return _open[vocabulary, pattern]
 
 
-def _with_column(df: DataFrame, name: str, kind: T.DataType, of: str, work) -> DataFrame:
+def _with_column(df: DataFrame, name: str, kind: T.DataType, of: str, work, how: str) -> DataFrame:
     schema = T.StructType([*df.schema.fields, T.StructField(name, kind, True)])
     given = free_name(df, "_given")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        make = work()
+        coder = work()
+        make = getattr(coder, how)
         for batch in batches:
             for start in range(0, batch.num_rows, 256):  # bounds what stands in memory besides the batch
                 part = batch.slice(start, 256)
                 made = pa.array(map(make, part.column(given).to_pylist()), pa.binary())
                 keep = [part.column(c) for c in range(part.num_columns - 1)]
                 yield pa.RecordBatch.from_arrays([*keep, made], names=schema.names)
+        coder.rest()
 
-    return df.withColumn(given, F.col(of)).mapInArrow(run, schema)
+    return df.withColumn(given, F.col(of)).mapInArrow(tidy(run), schema)
 
 
 def encode(df: DataFrame, vocabulary: str, pattern: str, text: str = "text", to: str = "token_ids") -> DataFrame:
@@ -249,14 +265,14 @@ def encode(df: DataFrame, vocabulary: str, pattern: str, text: str = "text", to:
     if free_name(df, to) != to:
         raise ValueError(f"there is a column {to} already")
 
-    return _with_column(df, to, T.BinaryType(), text, lambda: opened(vocabulary, pattern).encode)
+    return _with_column(df, to, T.BinaryType(), text, lambda: opened(vocabulary, pattern), "encode")
 
 
 def decode(df: DataFrame, vocabulary: str, pattern: str, ids: str = "token_ids", to: str = "decoded") -> DataFrame:
     """df with the bytes that the ids stand for; null ids give no bytes."""
     if free_name(df, to) != to:
         raise ValueError(f"there is a column {to} already")
-    return _with_column(df, to, T.BinaryType(), ids, lambda: opened(vocabulary, pattern).decode)
+    return _with_column(df, to, T.BinaryType(), ids, lambda: opened(vocabulary, pattern), "decode")
 
 
 def id_array(ids: Column) -> Column:

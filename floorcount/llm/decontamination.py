@@ -19,6 +19,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from floorcount.llm.scratch import tidy
+
 WINDOW = 13
 #: Bytes of patterns in one automaton. A benchmark that needs more is dealt to several, which read the texts in turn.
 BLOCK_BYTES = 8_000_000
@@ -137,7 +139,7 @@ def _scan(df: DataFrame, text: str, to: str, pairs: Broadcast, first: bool) -> D
             kept = batch.columns[: len(fields)]
             yield pa.RecordBatch.from_arrays([*kept, pa.array(found, _arrow())], names=schema.names)
 
-    return df.mapInArrow(run, schema)
+    return df.mapInArrow(tidy(run), schema)
 
 
 def _arrow() -> pa.DataType:

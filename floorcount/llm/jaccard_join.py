@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 from floorcount.llm.components import components
-from floorcount.llm.scratch import Scratch
+from floorcount.llm.scratch import Scratch, tidy
 
 SHINGLE = 5
 #: Similarity limit in hundredths.
@@ -185,7 +185,7 @@ def profiles(texts: DataFrame) -> DataFrame:
         if held:
             yield often()
 
-    return texts.mapInArrow(run, "id long, n long, c1 long, c2 long, sig binary, o0 long, o1 long, o2 long, o3 long, token long, docs long")
+    return texts.mapInArrow(tidy(run), "id long, n long, c1 long, c2 long, sig binary, o0 long, o1 long, o2 long, o3 long, token long, docs long")
 
 
 def frequent_tokens(profile: DataFrame) -> tuple[np.ndarray, np.ndarray]:
@@ -229,7 +229,7 @@ def postings(texts: DataFrame, frequent: Broadcast) -> DataFrame:
             if out:
                 yield _batch(out)
 
-    return texts.mapInArrow(run, "token long, id long, n int, pos int, often boolean")
+    return texts.mapInArrow(tidy(run), "token long, id long, n int, pos int, often boolean")
 
 
 def _batch(out: list[tuple[np.ndarray, ...]]) -> pa.RecordBatch:
@@ -272,7 +272,7 @@ def _suffix_filter(pairs: DataFrame, signatures: DataFrame) -> DataFrame:
             keep = [overlap_bound(x, y) * (100 + LIMIT) >= LIMIT * (n + m) for x, y, n, m in zip(c["s_a"], c["s_b"], c["n_a"], c["n_b"])]
             yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
-    return pairs.join(one, "a").join(two, "b").mapInArrow(run, "a long, b long").distinct()
+    return pairs.join(one, "a").join(two, "b").mapInArrow(tidy(run), "a long, b long").distinct()
 
 
 def _verify(pairs: DataFrame, sets: DataFrame) -> DataFrame:
@@ -288,7 +288,7 @@ def _verify(pairs: DataFrame, sets: DataFrame) -> DataFrame:
                 keep.append(both * 100 >= LIMIT * (len(s) + len(t) - both))
             yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
-    return pairs.join(one, "a").join(two, "b").select("a", "b", "t_a", "t_b").mapInArrow(run, "a long, b long").distinct()
+    return pairs.join(one, "a").join(two, "b").select("a", "b", "t_a", "t_b").mapInArrow(tidy(run), "a long, b long").distinct()
 
 
 def _pivots(lists: DataFrame, most: int) -> int:
@@ -343,7 +343,7 @@ def links(texts: DataFrame, profile: DataFrame, scratch: Scratch) -> tuple[DataF
                 yield pa.RecordBatch.from_arrays([part.column("id"), pa.array([shingle_set(x).tobytes() for x in part.column("text").to_pylist()], pa.binary())], names=["id", "tokens"])
 
     chosen = texts.repartition(parts, "id").join(ids.repartition(parts, "i"), F.col("id") == F.col("i"), "left_semi")
-    sets = held.keep(chosen.mapInArrow(pack, "id long, tokens binary"), parts)
+    sets = held.keep(chosen.mapInArrow(tidy(pack), "id long, tokens binary"), parts)
     sets = sets.filter(F.octet_length("tokens") > 0)
     found, tried, groups, number, at_first = None, None, None, 0, lists.count()
     while not lists.isEmpty():

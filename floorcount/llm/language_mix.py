@@ -17,7 +17,7 @@ from pyspark import Broadcast
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from floorcount.llm.scratch import free_name
+from floorcount.llm.scratch import free_name, tidy
 
 #: Cells that n-grams are hashed to, for each language: the model's size is fixed by this and MAX_LANGUAGES.
 CELLS = 1 << 15
@@ -93,7 +93,7 @@ def learn(labelled: DataFrame, text: str = "text", lang: str = "lang") -> tuple[
             at = np.flatnonzero(held)
             yield pa.RecordBatch.from_arrays([pa.array([name] * len(at), pa.string()), pa.array(at, pa.int64()), pa.array(held[at], pa.int64())], names=["lang", "cell", "n"])
 
-    table = sample.mapInArrow(count, "lang string, cell long, n long").groupBy("lang", "cell").agg(F.sum("n").alias("n")).toArrow()
+    table = sample.mapInArrow(tidy(count), "lang string, cell long, n long").groupBy("lang", "cell").agg(F.sum("n").alias("n")).toArrow()
     names = sorted(r["lang"] for r in size)
     counts = np.zeros((CELLS, len(names)))
     place = {n: i for i, n in enumerate(names)}
@@ -156,7 +156,7 @@ def predict(df: DataFrame, model: Broadcast, text: str = "text", to: str = "lang
                 found.append({"main": main, "score": score, "languages": [{"lang": a, "share": b} for a, b in languages]})
             yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(found, out)], names=[f.name for f in rest] + [to])
 
-    return given.mapInArrow(run, schema)
+    return given.mapInArrow(tidy(run), schema)
 
 
 def held_out(doc: Column) -> Column:

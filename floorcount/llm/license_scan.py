@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from floorcount.llm.scratch import free_name
+from floorcount.llm.scratch import free_name, tidy
 
 #: Notices and openings of public licenses.
 TEMPLATES = {
@@ -150,4 +150,4 @@ def scan(df: DataFrame, text: str = "text", to: str = "licenses") -> DataFrame:
             found = [[dict(zip(("license", "coverage", "start", "end"), x)) for x in _scanner[0].scan(t)] for t in batch.column(batch.num_columns - 1).cast(pa.binary()).to_pylist()]
             yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(found, kind)], names=schema.names)
 
-    return df.select(*[F.col(f"`{f.name}`") for f in rest], F.col(f"`{text}`").cast("string").alias(free_name(df, "_text"))).mapInArrow(run, schema)
+    return df.select(*[F.col(f"`{f.name}`") for f in rest], F.col(f"`{text}`").cast("string").alias(free_name(df, "_text"))).mapInArrow(tidy(run), schema)

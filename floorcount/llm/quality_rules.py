@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql import Window as W
 
-from floorcount.llm.scratch import Scratch, free_name
+from floorcount.llm.scratch import Scratch, free_name, tidy
 
 WHITE = b" \t\n\x0b\x0c\r"
 SYMBOLS = b"#*$%&|<>"
@@ -98,7 +98,7 @@ def with_measures(df: DataFrame, text: str = "text", keep_text: bool = False) ->
             counts = [pa.array([r[i] for r in rows], pa.int64()) for i in range(len(MEASURES))]
             yield pa.RecordBatch.from_arrays([*batch.columns[: len(rest)], pa.StructArray.from_arrays(counts, names=list(MEASURES))], names=schema.names)
 
-    return given.mapInArrow(run, schema)
+    return given.mapInArrow(tidy(run), schema)
 
 
 def bucket(value: Column) -> Column:

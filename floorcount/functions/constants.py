@@ -9,7 +9,6 @@ from __future__ import annotations
 
 import math
 from functools import cache
-from itertools import product
 
 import numpy as np
 
@@ -114,10 +113,6 @@ def correction_knots(method: str, m: int, h: int = 0) -> tuple[float, tuple[floa
     return first, tuple(float(v) for v in np.interp(grid, raw[rising], np.log(n)[rising]))
 
 
-def all_states(h: int) -> list[tuple[int, ...]]:
-    return list(product((0, 1), repeat=h))
-
-
 def ghost_overflow(m: int) -> float:
     """Clamped values that a tier of three-bit registers collects in an era."""
     return m * math.log(2 * m) / 256

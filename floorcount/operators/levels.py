@@ -93,6 +93,20 @@ def summarize(levels: DataFrame, by: Sequence[str] = ()) -> DataFrame:
     return counted.groupBy(*by).agg(cells) if by else counted.agg(cells)
 
 
+def fractional_registers(df: DataFrame, cols: Sequence[str | Column], by: Sequence[str] = (), m: int = 2048, q: int = 2, kind: str = "xxhash64", addressing: str = "mask") -> DataFrame:
+    """Rows (by..., reg, code): registers that hold q bits of a level's fraction, code being level * 2^q and the fraction.
+
+    The bits after a hash's leading one say how near it is to the next level: all ones are the least rare. The largest code
+    is kept. An estimator for these registers isn't part of this library.
+    """
+    h, width = F.col("h"), H.WIDTH[kind]
+    lvl = H.level_of(h, width)
+    placed = hashed(df, cols, by, kind).select(*by, "h", H.register_of(h, m, addressing).alias("reg"), lvl.alias("lvl"))
+    after = F.call_function("shiftright", h, F.greatest(F.lit(width - 1 - q) - F.col("lvl"), F.lit(0))).bitwiseAND(F.lit((1 << q) - 1).cast("bigint"))
+    code = (F.col("lvl") * (1 << q) + ((1 << q) - 1) - after).cast("int")
+    return placed.select(*by, "reg", code.alias("code")).groupBy(*by, "reg").agg(F.max("code").alias("code"))
+
+
 def merge_levels(*parts: DataFrame, by: Sequence[str] = ()) -> DataFrame:
     """The bitmaps of all parts together, without loss."""
     out = parts[0]

@@ -12,7 +12,7 @@ from floorcount.functions.estimators import ESTIMATORS, est_tlc
 from floorcount.operators.levels import build_levels, summarize
 
 
-def estimate(levels: DataFrame, by: Sequence[str] = (), m: int = 2048, methods: Sequence[str] = ("tlc",), rows: Column | None = None) -> DataFrame:
+def estimate(levels: DataFrame, by: Sequence[str] = (), m: int = 2048, methods: Sequence[str] = ("tlc",)) -> DataFrame:
     """Rows (by..., one column for each method)."""
     summary = summarize(levels, by)
     return summary.select(*by, *[ESTIMATORS[k](F.col("cells"), m).alias(k) for k in methods])

@@ -7,6 +7,7 @@ from __future__ import annotations
 
 import tempfile
 from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -127,6 +128,12 @@ def hist8_encode(spark: SparkSession, d: str) -> DataFrame:
     return encode.to_hist(bitmaps(spark, d, 256), ["g"], 2)
 
 
+@query(f"WITH e AS ({oracles.STACKED}), h AS (SELECT g, cast('0x' || substr(md5(e), 1, 15) AS BIGINT) AS h FROM e WHERE e IS NOT NULL), l AS (SELECT g, (h % 256)::INT AS reg, h, length(bin(h)) - 1 AS p FROM h) SELECT g, reg, max((59 - p) * 4 + 3 - ((h >> greatest(p - 2, 0)::INT) & 3))::INT AS code FROM l GROUP BY ALL")
+def registers_fractional(spark: SparkSession, d: str) -> DataFrame:
+    """Eight-bit registers with two bits of a level's fraction."""
+    return levels.fractional_registers(stacked(spark, d), ["e"], ["g"], 256, 2, SQL_HASH)
+
+
 @query(oracles.base(floors=False) + " SELECT g, lvl, state, count(*) AS cnt FROM s GROUP BY ALL")
 def tier_histogram(spark: SparkSession, d: str) -> DataFrame:
     return summaries(spark, d).select("g", F.explode("cells").alias("x")).select("g", "x.lvl", "x.state", "x.cnt")
@@ -695,6 +702,14 @@ def memory_grid(spark: SparkSession, d: str) -> DataFrame:
     return out
 
 
+@query()
+def memory_variance(spark: SparkSession, d: str) -> DataFrame:
+    """Bits held times variance, of absolute registers with history and of four-bit ones, at one size."""
+    rows = simulate.simulate_unique(spark, 32, M, [50_000, 200_000])
+    parts = [measures.memory_variance(measures.accuracy(rows, M, [k]), spec, M).withColumn("spec", F.lit(spec)) for spec, k in (("abs6", "hll"), ("floor4", "hybrid"), ("hist8", "gra"), ("fhist6", "hybrid_layered"))]
+    return measures.relative_to(reduce(DataFrame.unionAll, parts).groupBy("spec").agg(F.avg("mvp").alias("mvp")), "spec", "abs6", "mvp")
+
+
 @query()
 def history_ablation(spark: SparkSession, d: str) -> DataFrame:
     """The corrected mean with none to three history bits, and remaining area with two."""

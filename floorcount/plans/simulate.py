@@ -23,8 +23,8 @@ def checkpoints(largest: int, step: float = 1.01) -> list[int]:
     return out
 
 
-def _cells(bits: np.ndarray, low: int = -1, top: int = 63, repair: bool = False) -> list[dict]:
-    """Summary of level bitmaps; with a window, levels above it are clamped."""
+def _cells(bits: np.ndarray) -> list[dict]:
+    """Summary of level bitmaps."""
     full = bits > 0
     b = bits[full]
     x = b.copy()

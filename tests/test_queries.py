@@ -6,7 +6,7 @@ from floorcount.plans import registry
 
 TABLES = "/root/testdata/sf0.001"
 SQL = registry.oracle_sql()
-SLOW = {"memory_grid", "type_comparison", "history_ablation", "averaging_comparison", "simulate_unique"}
+SLOW = {"memory_grid", "type_comparison", "history_ablation", "averaging_comparison", "simulate_unique", "memory_variance"}
 
 
 @pytest.mark.parametrize("name", sorted(SQL))

@@ -34,9 +34,11 @@ LIMIT = 75
 FREQUENT = 32_768
 #: Tokens after which a task reports those that it saw often, and how many at most.
 CHUNK, CHUNK_FREQUENT = 2_000_000, 8_192
-#: From the second round on, a list takes at least so many pivots, and as many times four as keep the round's meetings
+#: A list takes one pivot in the first round. From the second round on, it takes at least so many pivots, and as many times four as keep the round's meetings
 #: within WORK times the postings that there were at first.
 PIVOTS, WORK = 64, 1024
+#: Before the rounds, each document meets the least id of the lists of its first tokens, so many of them.
+EARLY = 4
 
 ODDS = ("o0", "o1", "o2", "o3")
 LOWER = bytes(range(256)).lower()
@@ -345,30 +347,40 @@ def links(texts: DataFrame, profile: DataFrame, scratch: Scratch) -> tuple[DataF
     chosen = texts.repartition(parts, "id").join(ids.repartition(parts, "i"), F.col("id") == F.col("i"), "left_semi")
     sets = held.keep(chosen.mapInArrow(tidy(pack), "id long, tokens binary"), parts)
     sets = sets.filter(F.octet_length("tokens") > 0)
-    found, tried, groups, number, at_first = None, None, None, 0, lists.count()
-    while not lists.isEmpty():
-        number += 1
-        rank = W.partitionBy("token").orderBy("id")
-        if number == 1:
-            first = lists.groupBy(F.col("token").alias("t")).agg(F.min("id").alias("least"))
-            marked = lists.join(first, F.col("token") == F.col("t")).select(*lists.columns, (F.col("id") == F.col("least")).alias("pivot"))
-        else:
-            marked = lists.withColumn("pivot", F.row_number().over(rank) <= _pivots(lists, WORK * at_first))
-        marked = scratch.keep(marked, f"marked-{number}")
-        pairs = candidate_pairs(marked.filter("pivot"), marked)
-        if tried is not None:
-            pairs = pairs.join(tried, ["a", "b"], "left_anti")
-        pairs = scratch.keep(pairs, f"pairs-{number}")
+    at_first = lists.count()
+    found, tried, groups, number = None, None, None, 0
+
+    def tell(pairs: DataFrame) -> DataFrame:
+        """Groups by what was found and what these pairs add."""
+        nonlocal found, tried, groups
+        pairs = scratch.keep(pairs if tried is None else pairs.join(tried, ["a", "b"], "left_anti"), f"pairs-{number}")
         tried = pairs if tried is None else tried.unionAll(pairs)
         fresh = scratch.keep(_verify(_suffix_filter(pairs, signatures), sets), f"links-{number}")
         found = fresh if found is None else found.unionAll(fresh)
         if groups is None or not fresh.isEmpty():
             groups = components(found, "a", "b", scratch, f"groups-{number}")
-        left = marked.filter("not pivot").drop("comp", "pivot").join(groups, F.col("id") == F.col("node"), "left").select("token", "id", "n", "pos", *ODDS, F.coalesce("component", "id").alias("comp"))
-        mixed = left.groupBy(F.col("token").alias("t")).agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo < hi").select("t")
-        lists = scratch.keep(left.join(mixed, F.col("token") == F.col("t"), "left_semi"), f"lists-{number}")
+        return groups
+
+    def mixed(rows: DataFrame) -> DataFrame:
+        """Rows of the lists that still hold two groups."""
+        now = rows.drop("comp", "pivot").join(groups, F.col("id") == F.col("node"), "left").select("token", "id", "n", "pos", *ODDS, F.coalesce("component", "id").alias("comp"))
+        two = now.groupBy(F.col("token").alias("t")).agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo < hi").select("t")
+        return scratch.keep(now.join(two, F.col("token") == F.col("t"), "left_semi"), f"lists-{number + 1}")
+
+    if at_first:  # most groups are whole after this; the lists stay as they are
+        least = lists.groupBy(F.col("token").alias("t")).agg(F.min("id").alias("least"))
+        early = lists.withColumn("rank", F.row_number().over(W.partitionBy("id").orderBy("pos", "token"))).filter(F.col("rank") <= EARLY).drop("rank")
+        first = lists.join(least, (F.col("token") == F.col("t")) & (F.col("id") == F.col("least"))).drop("t", "least")
+        tell(candidate_pairs(first.withColumn("pivot", F.lit(True)), early.withColumn("pivot", F.lit(False))))
+        lists = mixed(lists)
+    while not lists.isEmpty():
+        number += 1
+        rank = F.row_number().over(W.partitionBy("token").orderBy("id"))
+        marked = scratch.keep(lists.withColumn("pivot", rank <= (1 if number == 1 else _pivots(lists, WORK * at_first))), f"marked-{number}")
+        tell(candidate_pairs(marked.filter("pivot"), marked))
+        lists = mixed(marked.filter("not pivot"))
         scratch.drop(f"marked-{number}")
-        scratch.drop(f"lists-{number - 1}")
+        scratch.drop(f"lists-{number}")
     held.drop()
     if groups is None:
         groups = lists.select(F.col("id").alias("node"), F.col("id").alias("component"))

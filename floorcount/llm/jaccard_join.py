@@ -37,7 +37,8 @@ CHUNK, CHUNK_FREQUENT = 2_000_000, 8_192
 #: A list takes one pivot in the first round. From the second round on, it takes at least so many pivots, and as many times four as keep the round's meetings
 #: within WORK times the postings that there were at first.
 PIVOTS, WORK = 64, 1024
-#: Before the rounds, each document meets the least id of the lists of its first tokens, so many of them.
+#: Before the rounds, each document meets the smallest set of the lists of its first tokens, so many of them. Pivots are the
+#: smallest sets: of documents around one passage, the one with the least beside it is the likest to the others.
 EARLY = 4
 
 ODDS = ("o0", "o1", "o2", "o3")
@@ -368,14 +369,14 @@ def links(texts: DataFrame, profile: DataFrame, scratch: Scratch) -> tuple[DataF
         return scratch.keep(now.join(two, F.col("token") == F.col("t"), "left_semi"), f"lists-{number + 1}")
 
     if at_first:  # most groups are whole after this; the lists stay as they are
-        least = lists.groupBy(F.col("token").alias("t")).agg(F.min("id").alias("least"))
+        least = lists.groupBy(F.col("token").alias("t")).agg(F.min(F.struct("n", "id")).alias("least"))
         early = lists.withColumn("rank", F.row_number().over(W.partitionBy("id").orderBy("pos", "token"))).filter(F.col("rank") <= EARLY).drop("rank")
-        first = lists.join(least, (F.col("token") == F.col("t")) & (F.col("id") == F.col("least"))).drop("t", "least")
+        first = lists.join(least, (F.col("token") == F.col("t")) & (F.struct("n", "id") == F.col("least"))).drop("t", "least")
         tell(candidate_pairs(first.withColumn("pivot", F.lit(True)), early.withColumn("pivot", F.lit(False))))
         lists = mixed(lists)
     while not lists.isEmpty():
         number += 1
-        rank = F.row_number().over(W.partitionBy("token").orderBy("id"))
+        rank = F.row_number().over(W.partitionBy("token").orderBy("n", "id"))
         marked = scratch.keep(lists.withColumn("pivot", rank <= (1 if number == 1 else _pivots(lists, WORK * at_first))), f"marked-{number}")
         tell(candidate_pairs(marked.filter("pivot"), marked))
         lists = mixed(marked.filter("not pivot"))

@@ -1,11 +1,14 @@
-"""Line dedup by winnowing, in DataFrame operations only.
-
-Lines with words are hashed. From each such line on, the fewest following lines that hold GRAM_WORDS words form a gram,
-known by the hash of its line hashes. Over each window, the grams that start within GRAM_WORDS words of a line, the smallest
-gram hash is selected. A run of lines of 2 * GRAM_WORDS words or more that stands twice holds a whole window, so both
-copies select the same gram: every such run is found, while few grams are. Selected grams are joined to the earliest place
-of the same gram, by (doc_id, text hash, line), and the match is extended line by line both ways as far as one more window
-reaches; beyond it the run's next selected gram takes over. The later run's lines go.
+"""Line dedup by windows and winnowing, in DataFrame operations only.
+
+Lines with words are hashed. From each such line on, the fewest following lines that hold RUN_WORDS words form a window, and
+so do the fewest lines that hold as many up to each line. Each line of a run of RUN_WORDS words or more lies in a window
+inside the run, so the windows that stand earlier, at any place, cover every repeated run of that length to its ends. A
+window is known by the hash of its line hashes and held against the earliest place of the same window.
+
+Shorter repeats are found by winnowing: grams are the fewest lines from a line on that hold GRAM_WORDS words. Of the grams
+that start within GRAM_WORDS words of a line the smallest hash is selected. Selected grams are joined to the earliest
+place of the same gram, by (doc_id, text hash, line), and the match is extended line by line both ways as far as a run of
+less than RUN_WORDS words reaches. Later copies go.
 """
 
 from __future__ import annotations
@@ -18,6 +21,7 @@ from pyspark.sql import Window as W
 from floorcount.llm.scratch import Scratch, free_name
 
 GRAM_WORDS = 25
+RUN_WORDS = 2 * GRAM_WORDS
 WORD = r"[^\x20\x09-\x0D]+"
 
 
@@ -31,21 +35,40 @@ def line_hashes(df: DataFrame, doc: str, text: str) -> DataFrame:
     return once.withColumn("before", F.sum("words").over(W.partitionBy("d", "k").orderBy("line")) - F.col("words"))
 
 
+def joined(hashes: Column) -> Column:
+    return F.unhex(F.md5(F.array_join(hashes, "")))
+
+
 def fingerprints(lines: DataFrame) -> DataFrame:
-    """Rows (gram, d, k, line, left, right): the selected grams, with (line, h) going left from and right from each."""
+    """Rows (d, k, line, gram, end, left, right, ahead, last, back, first).
+
+    ahead is the window of lines from `line` to `last`, back that of `first` to `line`; a window is null where the text holds
+    too few words, and back where its lines are an ahead of `first` already. gram, of `line` to `end`, is null unless selected;
+    (line, h) go left from and right from it.
+    """
     doc = W.partitionBy("d", "k")
-    by = doc.orderBy("before")
+    by, ending = doc.orderBy("before"), doc.orderBy("upto")
     here = F.struct("line", "h")
-    joined = F.array_join(F.transform(F.collect_list("h").over(by.rangeBetween(W.currentRow, GRAM_WORDS - 1)), lambda x: F.lower(F.hex(x))), "")
-    grams = lines.select(
-        "d", "k", "line", "before",
-        F.when(F.sum("words").over(doc) - F.col("before") >= GRAM_WORDS, F.unhex(F.md5(joined))).alias("gram"),
-        F.collect_list(here).over(by.rangeBetween(-2 * GRAM_WORDS, -1)).alias("left"),
-        F.collect_list(here).over(by.rangeBetween(W.currentRow, 3 * GRAM_WORDS)).alias("right"),
+    known = lines.withColumns({"x": F.lower(F.hex("h")), "upto": F.col("before") + F.col("words"), "total": F.sum("words").over(doc)})
+    back = known.withColumns({"b": F.collect_list("x").over(ending.rangeBetween(1 - RUN_WORDS, W.currentRow)), "start": F.min(F.struct("before", "line")).over(ending.rangeBetween(1 - RUN_WORDS, W.currentRow))})
+    own = (F.col("upto") >= RUN_WORDS) & (F.col("before") - F.col("start.before") >= RUN_WORDS)
+    known = back.withColumns({"back": F.when(own, joined(F.col("b"))), "first": F.when(own, F.col("start.line"))}).drop("b", "start")
+    held = by.rangeBetween(W.currentRow, GRAM_WORDS - 1)
+    reach = by.rangeBetween(W.currentRow, RUN_WORDS - 1)
+    whole = F.col("total") - F.col("before") >= RUN_WORDS
+    grams = known.select(
+        "d", "k", "line", "before", "back", "first",
+        F.when(F.col("total") - F.col("before") >= GRAM_WORDS, joined(F.collect_list("x").over(held))).alias("gram"),
+        F.max("line").over(held).alias("end"),
+        F.collect_list(here).over(by.rangeBetween(-GRAM_WORDS, -1)).alias("left"),
+        F.collect_list(here).over(by.rangeBetween(GRAM_WORDS, RUN_WORDS - 1)).alias("right"),
+        F.when(whole, joined(F.collect_list("x").over(reach))).alias("ahead"),
+        F.when(whole, F.max("line").over(reach)).alias("last"),
     )
     least = F.min(F.when(F.col("gram").isNotNull(), F.struct("gram", "before"))).over(by.rangeBetween(W.currentRow, GRAM_WORDS))
     chosen = grams.withColumn("at", least["before"]).withColumn("chosen", F.collect_set("at").over(by.rangeBetween(-GRAM_WORDS, W.currentRow)))
-    return chosen.filter(F.col("gram").isNotNull() & F.array_contains("chosen", F.col("before"))).select("gram", "d", "k", "line", F.reverse("left").alias("left"), "right")
+    selected = F.col("gram").isNotNull() & F.array_contains("chosen", F.col("before"))
+    return chosen.select("d", "k", "line", F.when(selected, F.col("gram")).alias("gram"), "end", F.when(selected, F.reverse("left")).alias("left"), F.when(selected, F.col("right")).alias("right"), "ahead", "last", "back", "first")
 
 
 def place(prefix: str = "") -> Column:
@@ -60,13 +83,27 @@ def common(a: Column, b: Column) -> Column:
     return F.coalesce(F.nullif(F.array_position(same, F.lit(False)), F.lit(0)) - 1, n.cast("long")).cast("int")
 
 
-def repeated_runs(prints: DataFrame) -> DataFrame:
-    """Rows (d, k, first, last): stretches of lines that stand earlier already; disjoint."""
+def repeated_grams(prints: DataFrame) -> DataFrame:
+    """Rows (d, k, first, last): what later selected grams have in common with the earliest place of the same gram."""
+    prints = prints.filter("gram is not null").select("gram", "d", "k", "line", "end", "left", "right")
     first = prints.groupBy(F.col("gram").alias("g")).agg(F.min(F.struct(place().alias("p"), "left", "right")).alias("f"), F.count(F.lit(1)).alias("n")).filter("n > 1").select("g", "f")
     later = prints.join(first, F.col("gram") == F.col("g")).filter(place() != F.col("f.p"))
     right, left = common(F.col("right"), F.col("f.right")), common(F.col("left"), F.col("f.left"))
     start = F.coalesce(F.get("left", left - 1)["line"], F.col("line"))
-    runs = later.select("d", "k", start.alias("first"), F.get("right", right - 1)["line"].alias("last")).distinct()
+    return later.select("d", "k", start.alias("first"), F.coalesce(F.get("right", right - 1)["line"], F.col("end")).alias("last"))
+
+
+def repeated_windows(prints: DataFrame) -> DataFrame:
+    """Rows (d, k, first, last): the windows of RUN_WORDS words that stand earlier already."""
+    both = F.explode(F.array(F.struct(F.col("ahead").alias("w"), F.col("line").alias("first"), "last"), F.struct(F.col("back").alias("w"), "first", F.col("line").alias("last"))))
+    windows = prints.select("d", "k", both.alias("x")).select("x.w", "d", "k", F.col("x.first").alias("line"), "x.last").filter("w is not null")
+    first = windows.groupBy(F.col("w").alias("g")).agg(F.min(place()).alias("p"), F.count(F.lit(1)).alias("n")).filter("n > 1").select("g", "p")
+    return windows.join(first, F.col("w") == F.col("g")).filter(place() != F.col("p")).select("d", "k", F.col("line").alias("first"), "last")
+
+
+def repeated_runs(prints: DataFrame) -> DataFrame:
+    """Rows (d, k, first, last): stretches of lines that stand earlier already; disjoint."""
+    runs = repeated_grams(prints).unionAll(repeated_windows(prints)).distinct()
     order = W.partitionBy("d", "k").orderBy("first", "last")
     reach = F.max("last").over(order.rowsBetween(W.unboundedPreceding, -1))
     fresh = runs.withColumn("new", F.coalesce((F.col("first") > reach + 1).cast("int"), F.lit(1)))
@@ -77,6 +114,8 @@ def repeated_runs(prints: DataFrame) -> DataFrame:
 def dedup_lines(df: DataFrame, doc: str = "doc_id", text: str = "text", scratch: Scratch | None = None) -> DataFrame:
     """df with the lines of later repeated runs taken out of `text`, and array `removed` of (first, last) line numbers.
 
+    A run of RUN_WORDS words or more that stands earlier goes whole, wherever it stands; one of GRAM_WORDS or more if its gram
+    is selected and first stands in that earlier place.
     Lines are parted by \\n alone and numbered from 0; lines without words between removed ones go with them. Null texts stay
     null; empty ones stay empty; a text that loses every line becomes empty. Earlier means a smaller doc_id (null last), then
     text hash, then line. Rows with equal doc_id and text are one document and treated alike. An empty table gives an

@@ -223,6 +223,20 @@ def test_every_long_run_is_found(docs_of, spark):
         assert set(texts[k + 1].split("\n")) - shared <= set(out[k + 1]["text"].split("\n"))
 
 
+def test_runs_go_to_their_ends_past_long_lines(docs_of):
+    """Copies with lines of 100 words and more and short last lines: nothing stays of an exact copy, nor of a run inside other text."""
+    rng = random.Random(7)
+    sizes = [[30, 120, 10], [9, 101, 24], [150, 3], [12, 200, 8, 8, 8], [5, 20, 110, 20], *[[rng.choice((3, 9, 24, 60, 100, 180)) for _ in range(rng.randint(2, 6))] for _ in range(25)]]
+    texts = []
+    for k, size in enumerate(s for s in sizes if sum(s) >= 50):
+        run = [prose(f"long{k}-{i}", n) for i, n in enumerate(size)]
+        texts += ["\n".join(run), "\n".join(run), "\n".join([prose(f"a{k}", 20), *run, prose(f"b{k}", 20)])]
+    out = {r["doc_id"]: r["text"] for r in line_winnow.dedup_lines(docs_of(texts, extra=False)).collect()}
+    for k in range(0, len(texts), 3):
+        lines = texts[k + 2].split("\n")
+        assert out[k] == texts[k] and out[k + 1] == "" and out[k + 2] == f"{lines[0]}\n{lines[-1]}"
+
+
 # --- near duplicates -----------------------------------------------------------------------------------------------
 
 

@@ -237,6 +237,19 @@ def test_runs_go_to_their_ends_past_long_lines(docs_of):
         assert out[k] == texts[k] and out[k + 1] == "" and out[k + 2] == f"{lines[0]}\n{lines[-1]}"
 
 
+def test_longer_runs_around_a_common_line_go(docs_of):
+    """A line that many documents share hides no longer run around it that stands earlier than its copy."""
+    hot = prose("hot", 60)
+    texts = [f"{prose('owner', 30)}\n{hot}"]
+    for k in range(20):
+        around = f"{prose(f'u{k}', 24)}\n{hot}\n{prose(f'v{k}', 15)}\n{prose(f'w{k}', 9)}"
+        texts += [around, around]
+    out = {r["doc_id"]: r["text"] for r in line_winnow.dedup_lines(docs_of(texts, extra=False)).collect()}
+    assert out[0] == texts[0]
+    for k in range(1, len(texts), 2):
+        assert out[k] == texts[k].replace(f"{hot}\n", "") and out[k + 1] == ""
+
+
 # --- near duplicates -----------------------------------------------------------------------------------------------
 
 

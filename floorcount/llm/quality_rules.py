@@ -5,6 +5,9 @@ language and source in quantile sketches: counts over buckets that keep five lea
 merge by adding counts, in any order and without loss, and a sketch has a fixed number of buckets whatever it holds. An
 upper fence is read from each sketch, joined to the documents, and those beyond a fence of their own group are rejected.
 A group with few documents uses its language's sketch, and failing that the sketch of all.
+
+Junk must not set its own threshold: no fence exceeds that which half of the groups of its language stay within, each group
+counting once whatever it holds. A language of fewer than BOUND_GROUPS groups is bounded by the groups of all.
 """
 
 from __future__ import annotations
@@ -35,6 +38,8 @@ RATIOS = (("symbols", "n_symbols", "word_chars"), ("dup_lines", "n_dup_lines", "
 #: A value is beyond the fence if it exceeds q90 + SPREAD * (q90 - q50), and LEAST for that ratio: less is harmless anywhere.
 LOW_Q, HIGH_Q, SPREAD = 50, 90, 3
 LEAST = {"symbols": 50, "dup_lines": 400, "repeats": 290, "word_length": 6_500}
+#: Groups of a language from which on they bound its fences.
+BOUND_GROUPS = 3
 #: Fences, of at most 300 bytes each, up to which they are sent to every executor.
 FEW_GROUPS = 50_000
 #: Documents below which a group's own sketch isn't used.
@@ -137,8 +142,16 @@ def fences(sketch: DataFrame) -> DataFrame:
     at = lambda q: F.min(F.when(F.col("upto") * 100 >= F.col("total") * q, F.col("bucket")))
     least = F.create_map(*[F.lit(x) for name, v in LEAST.items() for x in (name, int(_bucket(v)))])
     per = ordered.groupBy(*key).agg(at(LOW_Q).alias("low"), at(HIGH_Q).alias("high"), F.max("total").alias("docs"))
-    fence = F.greatest(F.col("high") + SPREAD * (F.col("high") - F.col("low")), F.try_element_at(least, F.col("ratio")).cast("long"))
-    return per.groupBy("level", "g_lang", "g_source").agg(F.map_from_entries(F.collect_list(F.struct("ratio", fence.alias("fence")))).alias("fences"), F.max("docs").alias("docs"))
+    raw = F.greatest(F.col("high") + SPREAD * (F.col("high") - F.col("low")), F.try_element_at(least, F.col("ratio")).cast("long"))
+    own = per.withColumn("raw", raw)
+    # each group counts once, so a source is one voice whatever its share of the rows
+    middle = F.expr("percentile_disc(0.5) WITHIN GROUP (ORDER BY raw)").cast("long")
+    groups = own.filter("level = 2")
+    of_all = groups.groupBy(F.col("ratio").alias("r0")).agg(middle.alias("all_half"))
+    of_lang = groups.groupBy(F.col("g_lang").alias("b_lang"), F.col("ratio").alias("r1")).agg(middle.alias("half"), F.count(F.lit(1)).alias("n")).filter(F.col("n") >= BOUND_GROUPS)
+    bound = own.join(F.broadcast(of_all), F.col("ratio") == F.col("r0")).join(of_lang, (F.col("level") > 0) & F.col("g_lang").eqNullSafe(F.col("b_lang")) & (F.col("ratio") == F.col("r1")), "left")
+    fence = F.least(F.col("raw"), F.coalesce("half", "all_half"))
+    return bound.groupBy("level", "g_lang", "g_source").agg(F.map_from_entries(F.collect_list(F.struct("ratio", fence.alias("fence")))).alias("fences"), F.max("docs").alias("docs"))
 
 
 def _bucket(value: int) -> int:

@@ -61,6 +61,17 @@ def test_quality_judges_each_row(docs_of, spark):
         quality_rules.judge(df.withColumn("kept", F.lit(1)))
 
 
+def test_junk_sets_no_threshold_for_itself(spark):
+    """A source of a third of all rows, half of them symbol junk, and a source of junk alone are judged as their neighbours are."""
+    junk = lambda i: " ".join(f"{w}%%" for w in prose(f"junk{i}", 30).split())
+    rows = [(1000 * s + i, prose(f"fine{s}-{i}", 30), "en", f"s{s}") for s in range(4) for i in range(110)]
+    spam = [(10_000 + i, junk(i) if i % 2 else prose(f"spam{i}", 30), "en", "spam") for i in range(220)]
+    rows += spam + [(20_000 + i, junk(i), "en", "junk") for i in range(110)] + [(30_000, junk(1), "en", "s0")]
+    out = {r["doc_id"]: r for r in quality_rules.judge(spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")).collect()}
+    for i, text, _, _ in rows:
+        assert out[i]["kept"] == ("%" not in text) and ("symbols" in out[i]["beyond"]) == ("%" in text)
+
+
 def test_buckets_rise_and_keep_small_numbers(spark):
     got = [r["b"] for r in spark.range(5000).orderBy("id").select(quality_rules.bucket(F.col("id")).alias("b")).collect()]
     assert got[:64] == list(range(64)) and got == sorted(got) and got == [quality_rules._bucket(i) for i in range(5000)]

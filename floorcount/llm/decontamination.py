@@ -9,6 +9,7 @@ the original text come from the same byte positions, as lower-casing keeps lengt
 from __future__ import annotations
 
 import re
+import uuid
 from collections.abc import Iterator
 
 import ahocorasick
@@ -97,15 +98,20 @@ class Automaton:
         return len(words), [(a, b) for a, b in stretches], chars, sorted(items)
 
 
-_built: dict[int, Automaton] = {}
+_built: dict[str, Automaton] = {}
 
 
-def built(pairs: Broadcast) -> Automaton:
-    key = id(pairs.value)
+def named(pairs: list[tuple[bytes, str]]) -> tuple[str, list[tuple[bytes, str]]]:
+    """What is broadcast: the pairs under a name of their own, as a dropped list's address may be another's later."""
+    return uuid.uuid4().hex, pairs
+
+
+def built(sent: Broadcast) -> Automaton:
+    key, pairs = sent.value
     if key not in _built:
         if len(_built) > 4:
             _built.clear()
-        _built[key] = Automaton(pairs.value)
+        _built[key] = Automaton(pairs)
     return _built[key]
 
 
@@ -159,9 +165,9 @@ def scan(df: DataFrame, benchmark: DataFrame, text: str = "text", to: str = "fou
     context = df.sparkSession.sparkContext
     first = True
     for block in blocks(benchmark):
-        df = _scan(df, text, to, context.broadcast(block), first)
+        df = _scan(df, text, to, context.broadcast(named(block)), first)
         first = False
-    return _scan(df, text, to, context.broadcast([]), True) if first else df
+    return _scan(df, text, to, context.broadcast(named([])), True) if first else df
 
 
 def n_hit(found: str = "found"):

@@ -118,6 +118,17 @@ def test_contamination_equals_brute_force(docs_of, spark, block, monkeypatch):
     assert empty.filter(F.size("found.items") > 0).count() == 0 and decontamination.scan(df.limit(0), bench).count() == 0
 
 
+class Sent:
+    def __init__(self, value):
+        self.value = value
+
+
+def test_a_dropped_benchmark_leaves_no_automaton_to_another():
+    for i in range(30):  # each list may take the address of the one before
+        pack = getattr(decontamination, "named", lambda x: x)
+        assert decontamination.built(Sent(pack([(f"item{i}".encode(), str(i))]))).find(f"an item{i} here".encode())[3] == [str(i)]
+
+
 # --- archives ------------------------------------------------------------------------------------------------------
 
 

@@ -5,22 +5,24 @@ of them stands for. A set's tokens are ordered rare first: those in a bounded ta
 count, the others by their hash. Two sets whose Jaccard similarity reaches the limit share a token among the first
 n - ceil(limit * n) + 1 of each, so only these are dealt out by token; tokens of one document alone are dropped at once.
 
-What is asked for is groups, so not every pair of a token's documents is looked at. In each round some pivots of every
-token's list are paired with the others that aren't in the pivot's group yet; pairs pass the length filter, the positional
+What is asked for is groups, so not every pair of a token's documents has to be looked at. First come meetings that grow
+with the number of postings alone: each document meets the least id of the lists of its first tokens, then neighbours of
+like size in each list, in another order each round. Pairs pass the length filter, the positional filter, the parity
 filter, the suffix filter (sizes of matching hash ranges bound the overlap) and then the exact count, once a pair; the
-links merge groups; a pivot has then been held against its whole list and leaves it, and lists of one group are dropped.
-The rounds end when no list is left, so no link between different groups can be missed.
+links merge groups, and lists of one group are dropped. Last, in the lists that still hold several groups, every two
+documents of different groups and like size meet, which leaves out no link between groups. A pair meets in many lists; it
+is taken from the first token that both sets hold only, which the tokens before it in either set's order tell.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark import Broadcast
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
@@ -32,13 +34,18 @@ SHINGLE = 5
 LIMIT = 75
 #: Entries of the frequent-token table that every executor gets: 16 bytes each.
 FREQUENT = 32_768
-#: Tokens after which a task reports those that it saw often, and how many at most.
-CHUNK, CHUNK_FREQUENT = 2_000_000, 8_192
-#: A list takes one pivot in the first round. From the second round on, it takes at least so many pivots, and as many times four as keep the round's meetings
-#: within WORK times the postings that there were at first.
-PIVOTS, WORK = 64, 1024
-#: Before the rounds, each document meets the least id of the lists of its first tokens, so many of them.
+#: Tokens after which a task reports those that it saw often, and how many at most; sets that a task remembers to give them once.
+CHUNK, CHUNK_FREQUENT, REMEMBERED = 1_000_000, 8_192, 50_000
+#: At first, each document meets the least id of the lists of its first tokens, so many of them.
 EARLY = 4
+#: Rounds of neighbours, at most, and how many neighbours each document meets in a list.
+ROUNDS, NEIGHBOURS = 3, 2
+#: Documents of a list that one task holds against the others of the list; longer lists are dealt out.
+BLOCK = 4_096
+#: Sets that reach the limit are of the same or the next size class; the margin keeps rounding out of it.
+CLASS = 1.05 * 100 / LIMIT
+#: Tokens before each posting that tell whether two sets have met already; a pair that they miss meets again and is told apart later.
+BEFORE = 8
 
 ODDS = ("o0", "o1", "o2", "o3")
 LOWER = bytes(range(256)).lower()
@@ -173,7 +180,7 @@ def profiles(texts: DataFrame) -> DataFrame:
                 key = set_key(tokens)
                 rows.append((len(tokens), *key, ranges(tokens), *parities(tokens).tolist()))
                 if len(tokens) and key not in seen:
-                    if len(seen) > 200_000:
+                    if len(seen) > REMEMBERED:
                         seen.clear()
                     seen.add(key)
                     held.append(tokens)
@@ -212,7 +219,7 @@ def postings(texts: DataFrame, frequent: Broadcast) -> DataFrame:
                 tokens = shingle_set(text)
                 if doc is None or not len(tokens) or (key := set_key(tokens)) in seen:
                     continue
-                if len(seen) > 200_000:
+                if len(seen) > REMEMBERED:
                     seen.clear()
                 seen.add(key)
                 weight = np.zeros(len(tokens), dtype=np.int64)
@@ -247,20 +254,68 @@ def shared(entries: DataFrame) -> DataFrame:
     return both.filter("often or lo < hi").select("token", "id", "n", "pos")
 
 
-def candidate_pairs(pivots: DataFrame, lists: DataFrame) -> DataFrame:
-    """Distinct pairs (a, b), a < b, of a pivot and a document of its lists in another group, by length and position."""
-    p = pivots.select(F.col("token").alias("p_token"), F.col("id").alias("p_id"), F.col("n").alias("p_n"), F.col("pos").alias("p_pos"), F.col("comp").alias("p_comp"), *[F.col(o).alias(f"p_{o}") for o in ODDS])
-    met = lists.join(p, (F.col("token") == F.col("p_token")) & (F.col("comp") != F.col("p_comp")) & (~F.col("pivot") | (F.col("id") > F.col("p_id"))))
-    near = met.filter((F.least("n", "p_n") * 100 >= F.greatest("n", "p_n") * LIMIT))
+def may_link(x: Callable[[str], Column], y: Callable[[str], Column]) -> Column:
+    """Whether two postings of one token, the first that both sets hold, may be of sets that reach the limit: length, position, parities."""
+    n, m = x("n"), y("n")
+    near = F.least(n, m) * 100 >= F.greatest(n, m) * LIMIT
     # the first token that two sets share has none in common before it, so only it and what follows can be shared. A pair
     # that is turned down by a later token it shares comes again by its first one, in the list of that
-    bound = F.least(F.col("n") - F.col("pos"), F.col("p_n") - F.col("p_pos"))
-    due = (F.col("n") + F.col("p_n")).cast("long") * LIMIT
-    near = near.filter(bound * (100 + LIMIT) >= due)
+    after = F.least(n - x("pos"), m - y("pos")) * (100 + LIMIT) >= (n + m).cast("long") * LIMIT
     # two sets of n and m tokens that reach the limit differ by at most (n + m) * (100 - limit) / (100 + limit) tokens
-    differ = sum((F.bit_count(F.col(o).bitwiseXOR(F.col(f"p_{o}"))) for o in ODDS), F.lit(0))
-    near = near.filter(differ * (100 + LIMIT) <= (F.col("n") + F.col("p_n")) * (100 - LIMIT))
-    return near.select(F.least("id", "p_id").alias("a"), F.greatest("id", "p_id").alias("b")).distinct()
+    differ = sum((F.bit_count(x(o).bitwiseXOR(y(o))) for o in ODDS), F.lit(0))
+    return near & after & (differ * (100 + LIMIT) <= (n + m) * (100 - LIMIT))
+
+
+def _ordered(a: Column, b: Column) -> list[Column]:
+    return [F.least(a, b).alias("a"), F.greatest(a, b).alias("b")]
+
+
+def _renamed(rows: DataFrame) -> DataFrame:
+    return rows.select(*[F.col(c).alias(f"p_{c}") for c in rows.columns])
+
+
+def _x(name: str) -> Column:
+    return F.col(name)
+
+
+def _y(name: str) -> Column:
+    return F.col(f"p_{name}")
+
+
+def least_pairs(lists: DataFrame) -> DataFrame:
+    """Distinct pairs (a, b), a < b, of a document and the least id of the lists of its first tokens."""
+    least = lists.groupBy(F.col("token").alias("t")).agg(F.min("id").alias("least"))
+    pivots = _renamed(lists.join(least, (F.col("token") == F.col("t")) & (F.col("id") == F.col("least"))).select(*lists.columns))
+    first = lists.withColumn("rank", F.row_number().over(W.partitionBy("id").orderBy("pos", "token"))).filter(F.col("rank") <= EARLY)
+    return first.join(pivots, (F.col("token") == F.col("p_token")) & (F.col("id") > F.col("p_id")) & may_link(_x, _y)).select(*_ordered(F.col("id"), F.col("p_id"))).distinct()
+
+
+def _size_class(shift: float = 0.0) -> Column:
+    return F.floor(F.log(F.col("n").cast("double")) / float(np.log(CLASS)) + shift).cast("int")
+
+
+def neighbour_pairs(lists: DataFrame, number: int) -> DataFrame:
+    """Distinct pairs of documents of different groups that follow each other in a list, dealt by size, in an order by hash."""
+    dealt = lists.withColumns({"class": _size_class(number / 2), "part": F.pmod(F.xxhash64("id", F.lit(number)), F.ceil(F.col("k") / BLOCK))})
+    order = W.partitionBy("token", "class", "part").orderBy(F.xxhash64("id", "token", F.lit(number)), "id")
+    own = F.struct("id", "n", "pos", "comp", *ODDS)
+    met = dealt.withColumn("next", F.array(*[F.lead(own, k).over(order) for k in range(1, NEIGHBOURS + 1)]))
+    good = F.filter("next", lambda y: y.isNotNull() & (y["comp"] != F.col("comp")) & may_link(_x, lambda c: y[c]))
+    return met.select("id", F.explode(good).alias("y")).select(*_ordered(F.col("id"), F.col("y.id"))).distinct()
+
+
+def all_pairs(lists: DataFrame) -> DataFrame:
+    """Distinct pairs of documents of different groups in the lists; a pair that may reach the limit is never left out."""
+    before = F.collect_list("token").over(W.partitionBy("id").orderBy("pos", "token").rowsBetween(-BEFORE, -1))
+    rows = lists.withColumns({"before": before, "class": _size_class(), "parts": F.ceil(F.col("k") / BLOCK).cast("int")})
+    dealt = rows.withColumn("part", F.pmod(F.xxhash64("id"), F.col("parts")).cast("int")).drop("parts", "k")
+    # a long list's parts each meet the whole list
+    meets = F.flatten(F.transform(F.sequence(F.lit(0), F.col("parts") - 1), lambda p: F.array(F.struct(F.col("class").alias("class"), p.alias("part")), F.struct((F.col("class") + 1).alias("class"), p.alias("part")))))
+    there = rows.withColumn("at", F.explode(meets)).drop("parts", "k")
+    same = (F.col("token") == F.col("p_token")) & (F.col("at.class") == F.col("p_class")) & (F.col("at.part") == F.col("p_part"))
+    other = (F.col("comp") != F.col("p_comp")) & ((F.col("class") < F.col("p_class")) | (F.col("id") < F.col("p_id")))
+    met = there.join(_renamed(dealt), same & other & may_link(_x, _y) & ~F.arrays_overlap("before", "p_before"))
+    return met.select(*_ordered(F.col("id"), F.col("p_id"))).distinct()
 
 
 def _suffix_filter(pairs: DataFrame, signatures: DataFrame) -> DataFrame:
@@ -293,14 +348,6 @@ def _verify(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     return pairs.join(one, "a").join(two, "b").select("a", "b", "t_a", "t_b").mapInArrow(tidy(run), "a long, b long").distinct()
 
 
-def _pivots(lists: DataFrame, most: int) -> int:
-    """Pivots of each list in this round, so that pivots times list lengths sum up to `most`, or the least number."""
-    sizes = lists.groupBy("token").agg(F.count(F.lit(1)).alias("k"))
-    tries = [PIVOTS << 2 * i for i in range(12)]
-    row = sizes.agg(*[F.sum(F.least("k", F.lit(p)) * F.col("k")).alias(f"p{p}") for p in tries]).first()
-    return max([PIVOTS, *(p for p in tries if (row[f"p{p}"] or 0) <= most)])
-
-
 class _Bucketed:
     """A table dealt by id once, which joins on id then read without an exchange."""
 
@@ -332,7 +379,7 @@ def links(texts: DataFrame, profile: DataFrame, scratch: Scratch) -> tuple[DataF
     once = marks.groupBy(*same).agg(F.min(F.struct("p", "t")).alias("first")).select(F.col("first.t").alias("t"))
     odd = rows.select(F.col("id").alias("i"), *ODDS).dropDuplicates(["i"])
     kept = lists.join(once, F.col("token") == F.col("t"), "left_semi").join(odd, F.col("id") == F.col("i"))
-    lists = scratch.keep(kept.select("token", "id", "n", "pos", *ODDS, F.col("id").alias("comp")), "lists-0")
+    lists = scratch.keep(kept.select("token", "id", "n", "pos", *ODDS), "lists-0")
     ids = lists.select(F.col("id").alias("i")).distinct()
     signatures = scratch.keep(rows.select("id", "n", "sig").join(ids, F.col("id") == F.col("i"), "left_semi"), "signatures")
     # sets of documents that share a token, dealt into as many parts as joins have
@@ -347,43 +394,43 @@ def links(texts: DataFrame, profile: DataFrame, scratch: Scratch) -> tuple[DataF
     chosen = texts.repartition(parts, "id").join(ids.repartition(parts, "i"), F.col("id") == F.col("i"), "left_semi")
     sets = held.keep(chosen.mapInArrow(tidy(pack), "id long, tokens binary"), parts)
     sets = sets.filter(F.octet_length("tokens") > 0)
-    at_first = lists.count()
-    found, tried, groups, number = None, None, None, 0
+    tried, groups, number = None, None, 0
 
-    def tell(pairs: DataFrame) -> DataFrame:
-        """Groups by what was found and what these pairs add."""
-        nonlocal found, tried, groups
+    def tell(pairs: DataFrame) -> bool:
+        """Merges groups by the links among these pairs; whether most of the pairs are links."""
+        nonlocal tried, groups, number
         pairs = scratch.keep(pairs if tried is None else pairs.join(tried, ["a", "b"], "left_anti"), f"pairs-{number}")
         tried = pairs if tried is None else tried.unionAll(pairs)
         fresh = scratch.keep(_verify(_suffix_filter(pairs, signatures), sets), f"links-{number}")
-        found = fresh if found is None else found.unionAll(fresh)
-        if groups is None or not fresh.isEmpty():
-            groups = components(found, "a", "b", scratch, f"groups-{number}")
-        return groups
+        number += 1
+        linked = fresh.count()
+        if not linked:
+            return False
+        edges = fresh if groups is None else fresh.unionAll(groups.filter("node > component").select(F.col("component").alias("a"), F.col("node").alias("b")))
+        groups = components(edges, "a", "b", scratch, f"groups-{number}")
+        return 2 * linked > pairs.count()
 
     def mixed(rows: DataFrame) -> DataFrame:
-        """Rows of the lists that still hold two groups."""
-        now = rows.drop("comp", "pivot").join(groups, F.col("id") == F.col("node"), "left").select("token", "id", "n", "pos", *ODDS, F.coalesce("component", "id").alias("comp"))
-        two = now.groupBy(F.col("token").alias("t")).agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo < hi").select("t")
-        return scratch.keep(now.join(two, F.col("token") == F.col("t"), "left_semi"), f"lists-{number + 1}")
-
-    if at_first:  # most groups are whole after this; the lists stay as they are
-        least = lists.groupBy(F.col("token").alias("t")).agg(F.min("id").alias("least"))
-        early = lists.withColumn("rank", F.row_number().over(W.partitionBy("id").orderBy("pos", "token"))).filter(F.col("rank") <= EARLY).drop("rank")
-        first = lists.join(least, (F.col("token") == F.col("t")) & (F.col("id") == F.col("least"))).drop("t", "least")
-        tell(candidate_pairs(first.withColumn("pivot", F.lit(True)), early.withColumn("pivot", F.lit(False))))
-        lists = mixed(lists)
-    while not lists.isEmpty():
-        number += 1
-        rank = F.row_number().over(W.partitionBy("token").orderBy("id"))
-        marked = scratch.keep(lists.withColumn("pivot", rank <= (1 if number == 1 else _pivots(lists, WORK * at_first))), f"marked-{number}")
-        tell(candidate_pairs(marked.filter("pivot"), marked))
-        lists = mixed(marked.filter("not pivot"))
-        scratch.drop(f"marked-{number}")
-        scratch.drop(f"lists-{number}")
-    held.drop()
+        """Rows of the lists that still hold two groups, with the number of the list's documents."""
+        now = rows.select("token", "id", "n", "pos", *ODDS)
+        now = now.withColumn("comp", F.col("id")) if groups is None else now.join(groups, F.col("id") == F.col("node"), "left").withColumn("comp", F.coalesce("component", "id")).drop("node", "component")
+        two = now.groupBy(F.col("token").alias("t")).agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count(F.lit(1)).alias("k")).filter("lo < hi").select("t", "k")
+        return scratch.keep(now.join(two, F.col("token") == F.col("t")).drop("t"), f"lists-{number}")
+
+    try:
+        if not lists.isEmpty():
+            tell(least_pairs(lists))  # most groups are whole after this
+            lists = mixed(lists)
+            for turn in range(ROUNDS):
+                again = tell(neighbour_pairs(lists, turn))
+                lists = mixed(lists)
+                if not again:
+                    break
+            tell(all_pairs(lists))
+    finally:
+        held.drop()
     if groups is None:
-        groups = lists.select(F.col("id").alias("node"), F.col("id").alias("component"))
+        groups = lists.select(F.col("id").alias("node"), F.col("id").alias("component")).limit(0)
     return copies, groups
 
 

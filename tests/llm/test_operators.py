@@ -297,10 +297,12 @@ def brute_groups(texts):
     return {i: (len(sets[i]), root(i)) for i in sets}
 
 
-@pytest.mark.parametrize("pivots", [(64, 256), (1, 0)])
-def test_groups_equal_brute_force(docs_of, pivots, monkeypatch):
-    monkeypatch.setattr(jaccard_join, "PIVOTS", pivots[0])
-    monkeypatch.setattr(jaccard_join, "WORK", pivots[1])
+@pytest.mark.parametrize("rounds, block, early", [(3, 4096, 4), (0, 3, 0), (1, 5, 1)])
+def test_groups_equal_brute_force(docs_of, rounds, block, early, monkeypatch):
+    monkeypatch.setattr(jaccard_join, "ROUNDS", rounds)
+    monkeypatch.setattr(jaccard_join, "BLOCK", block)
+    monkeypatch.setattr(jaccard_join, "EARLY", early)
+    monkeypatch.setattr(jaccard_join, "BEFORE", 1 + early)
     rng = random.Random(9)
     texts = list(EDGE)
     for base in range(4):

@@ -12,7 +12,7 @@ def _large_star(edges: DataFrame) -> DataFrame:
     """Each node's larger neighbours are hung on the smallest of the node and its neighbours."""
     both = edges.unionAll(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
     least = both.groupBy(F.col("a").alias("u")).agg(F.min("b").alias("m")).select("u", F.least("u", "m").alias("m"))
-    return both.filter("b > a").join(least, F.col("a") == F.col("u")).select(F.col("m").alias("a"), "b").filter("a < b").distinct()
+    return both.filter("b > a").join(least, F.col("a") == F.col("u")).select(F.col("m").alias("a"), "b").filter("a < b")
 
 
 def _small_star(edges: DataFrame) -> DataFrame:
@@ -38,8 +38,8 @@ def components(edges: DataFrame, a: str, b: str, scratch: Scratch, name: str = "
         now = scratch.keep(_small_star(_large_star(now)), f"{name}-{number}")
         scratch.drop(f"{name}-{number - 1}")
         # done once every node but the smallest of each component hangs on one node, which hangs on none
-        met = now.select(F.col("b").alias("n"), F.lit(1).alias("hangs")).unionAll(now.select("a", F.lit(0)).distinct())
-        if met.groupBy("n").agg(F.count(F.lit(1)).alias("k")).filter("k > 1").isEmpty():
+        met = now.select(F.col("b").alias("n"), F.lit(1).alias("hangs"), F.lit(0).alias("holds")).unionAll(now.select("a", F.lit(0), F.lit(1)))
+        if met.groupBy("n").agg(F.sum("hangs").alias("hangs"), F.max("holds").alias("holds")).filter("hangs + holds > 1").isEmpty():
             break
     leaves = now.select(F.col("b").alias("node"), F.col("a").alias("component"))
     return leaves.unionAll(now.select(F.col("a").alias("node"), F.col("a").alias("component")).distinct())

@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 from floorcount.llm.components import components
-from floorcount.llm.scratch import Scratch, tidy
+from floorcount.llm.scratch import Bucketed, Scratch, tidy
 
 SHINGLE = 5
 #: Similarity limit in hundredths.
@@ -38,8 +38,8 @@ FREQUENT = 32_768
 CHUNK, CHUNK_FREQUENT, REMEMBERED = 1_000_000, 8_192, 50_000
 #: At first, each document meets the least id of the lists of its first tokens, so many of them.
 EARLY = 4
-#: Rounds of neighbours, at most, and how many neighbours each document meets in a list.
-ROUNDS, NEIGHBOURS = 3, 2
+#: Rounds of neighbours, at most (another follows where most of the pairs were links), and how many neighbours each document meets in a list.
+ROUNDS, NEIGHBOURS = 2, 2
 #: Documents of a list that one task holds against the others of the list; longer lists are dealt out.
 BLOCK = 4_096
 #: Sets that reach the limit are of the same or the next size class; the margin keeps rounding out of it.
@@ -329,7 +329,7 @@ def _suffix_filter(pairs: DataFrame, signatures: DataFrame) -> DataFrame:
             keep = [overlap_bound(x, y) * (100 + LIMIT) >= LIMIT * (n + m) for x, y, n, m in zip(c["s_a"], c["s_b"], c["n_a"], c["n_b"])]
             yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
-    return pairs.join(one, "a").join(two, "b").mapInArrow(tidy(run), "a long, b long").distinct()
+    return pairs.join(one, "a").join(two, "b").mapInArrow(tidy(run), "a long, b long")
 
 
 def _verify(pairs: DataFrame, sets: DataFrame) -> DataFrame:
@@ -345,21 +345,7 @@ def _verify(pairs: DataFrame, sets: DataFrame) -> DataFrame:
                 keep.append(both * 100 >= LIMIT * (len(s) + len(t) - both))
             yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
-    return pairs.join(one, "a").join(two, "b").select("a", "b", "t_a", "t_b").mapInArrow(tidy(run), "a long, b long").distinct()
-
-
-class _Bucketed:
-    """A table dealt by id once, which joins on id then read without an exchange."""
-
-    def __init__(self, scratch: Scratch, name: str):
-        self.scratch, self.name = scratch, f"floorcount_{name}_{scratch.root.rsplit('-', 1)[-1]}"
-
-    def keep(self, df: DataFrame, parts: int) -> DataFrame:
-        df.write.bucketBy(parts, "id").option("path", self.scratch.path(self.name)).saveAsTable(self.name)
-        return self.scratch.spark.table(self.name)
-
-    def drop(self) -> None:
-        self.scratch.spark.sql(f"DROP TABLE IF EXISTS {self.name}")
+    return pairs.join(one, "a").join(two, "b").select("a", "b", "t_a", "t_b").mapInArrow(tidy(run), "a long, b long")
 
 
 def links(texts: DataFrame, profile: DataFrame, scratch: Scratch) -> tuple[DataFrame, DataFrame]:
@@ -376,15 +362,54 @@ def links(texts: DataFrame, profile: DataFrame, scratch: Scratch) -> tuple[DataF
     same = ["k", "x1", "x2"]
     # the one whose token is the first of them in every set's order stands for them
     marks = lists.groupBy(F.col("token").alias("t")).agg(F.count(F.lit(1)).alias("k"), F.min("pos").alias("p"), F.bit_xor(F.xxhash64("id")).alias("x1"), F.bit_xor(F.xxhash64(F.col("id"), F.lit(1))).alias("x2")).filter("k > 1")
-    once = marks.groupBy(*same).agg(F.min(F.struct("p", "t")).alias("first")).select(F.col("first.t").alias("t"))
+    once = marks.groupBy(*same).agg(F.min(F.struct("p", "t")).alias("first")).select(F.col("first.t").alias("t"), "k")
     odd = rows.select(F.col("id").alias("i"), *ODDS).dropDuplicates(["i"])
-    kept = lists.join(once, F.col("token") == F.col("t"), "left_semi").join(odd, F.col("id") == F.col("i"))
-    lists = scratch.keep(kept.select("token", "id", "n", "pos", *ODDS), "lists-0")
+    kept = lists.join(once, F.col("token") == F.col("t")).join(odd, F.col("id") == F.col("i"))
+    lists = scratch.keep(kept.select("token", "id", "n", "pos", "k", *ODDS), "lists")
+    if lists.isEmpty():
+        return copies, lists.select(F.col("id").alias("node"), F.col("id").alias("component"))
     ids = lists.select(F.col("id").alias("i")).distinct()
-    signatures = scratch.keep(rows.select("id", "n", "sig").join(ids, F.col("id") == F.col("i"), "left_semi"), "signatures")
-    # sets of documents that share a token, dealt into as many parts as joins have
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    held = _Bucketed(scratch, "sets")
+    # sets and signatures of documents that share a token, dealt as joins deal them
+    dealt = Bucketed(scratch, "signatures", "id"), Bucketed(scratch, "sets", "id")
+    parts, tried = int(spark.conf.get("spark.sql.shuffle.partitions")), None
+
+    def linked(pairs: DataFrame, name: str) -> DataFrame:
+        """The links among the pairs that weren't tried before."""
+        nonlocal tried
+        pairs = scratch.keep(pairs if tried is None else pairs.join(tried, ["a", "b"], "left_anti"), f"pairs-{name}")
+        tried = pairs if tried is None else tried.unionAll(pairs)
+        return scratch.keep(_verify(_suffix_filter(pairs, signatures), sets), f"links-{name}")
+
+    def grouped(groups: DataFrame) -> DataFrame:
+        rest = groups.filter("node <> component").select(F.col("node").alias("v"), "component")
+        return lists.join(rest, F.col("id") == F.col("v"), "left").withColumn("comp", F.coalesce("component", "id")).drop("v", "component")
+
+    def merged(found: DataFrame, groups: DataFrame, name: str) -> DataFrame:
+        """Groups by these links and what was known."""
+        known = groups.filter("node <> component").select(F.col("component").alias("a"), F.col("node").alias("b"))
+        return components(found.unionAll(known), "a", "b", scratch, name)
+
+    try:
+        signatures, sets = dealt[0].keep(rows.select("id", "n", "sig").repartition(parts, "id").join(ids.repartition(parts, "i"), F.col("id") == F.col("i"), "left_semi")), dealt[1].keep(_packed(texts, ids, parts))
+        # two documents that have a link to the same third one are known to be of one group; most groups are whole after this
+        first = linked(least_pairs(lists), "least")
+        groups = scratch.keep(first.groupBy(F.col("b").alias("node")).agg(F.min("a").alias("component")), "groups")
+        for turn in range(ROUNDS):
+            found = linked(neighbour_pairs(grouped(groups), turn), f"near-{turn}")
+            groups = merged(found if turn else found.unionAll(first), groups, f"groups-{turn}")
+            if 2 * found.count() <= spark.read.parquet(scratch.path(f"pairs-near-{turn}")).count():
+                break
+        now = grouped(groups)
+        mixed = now.groupBy(F.col("token").alias("t")).agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo < hi").select("t")
+        last = linked(all_pairs(now.join(mixed, F.col("token") == F.col("t"), "left_semi")), "all")
+        return copies, merged(last if ROUNDS else last.unionAll(first), groups, "groups-all")
+    finally:
+        for table in dealt:
+            table.drop()
+
+
+def _packed(texts: DataFrame, ids: DataFrame, parts: int) -> DataFrame:
+    """Rows (id, tokens): the whole sets of the ids, as bytes."""
 
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -392,46 +417,7 @@ def links(texts: DataFrame, profile: DataFrame, scratch: Scratch) -> tuple[DataF
                 yield pa.RecordBatch.from_arrays([part.column("id"), pa.array([shingle_set(x).tobytes() for x in part.column("text").to_pylist()], pa.binary())], names=["id", "tokens"])
 
     chosen = texts.repartition(parts, "id").join(ids.repartition(parts, "i"), F.col("id") == F.col("i"), "left_semi")
-    sets = held.keep(chosen.mapInArrow(tidy(pack), "id long, tokens binary"), parts)
-    sets = sets.filter(F.octet_length("tokens") > 0)
-    tried, groups, number = None, None, 0
-
-    def tell(pairs: DataFrame) -> bool:
-        """Merges groups by the links among these pairs; whether most of the pairs are links."""
-        nonlocal tried, groups, number
-        pairs = scratch.keep(pairs if tried is None else pairs.join(tried, ["a", "b"], "left_anti"), f"pairs-{number}")
-        tried = pairs if tried is None else tried.unionAll(pairs)
-        fresh = scratch.keep(_verify(_suffix_filter(pairs, signatures), sets), f"links-{number}")
-        number += 1
-        linked = fresh.count()
-        if not linked:
-            return False
-        edges = fresh if groups is None else fresh.unionAll(groups.filter("node > component").select(F.col("component").alias("a"), F.col("node").alias("b")))
-        groups = components(edges, "a", "b", scratch, f"groups-{number}")
-        return 2 * linked > pairs.count()
-
-    def mixed(rows: DataFrame) -> DataFrame:
-        """Rows of the lists that still hold two groups, with the number of the list's documents."""
-        now = rows.select("token", "id", "n", "pos", *ODDS)
-        now = now.withColumn("comp", F.col("id")) if groups is None else now.join(groups, F.col("id") == F.col("node"), "left").withColumn("comp", F.coalesce("component", "id")).drop("node", "component")
-        two = now.groupBy(F.col("token").alias("t")).agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count(F.lit(1)).alias("k")).filter("lo < hi").select("t", "k")
-        return scratch.keep(now.join(two, F.col("token") == F.col("t")).drop("t"), f"lists-{number}")
-
-    try:
-        if not lists.isEmpty():
-            tell(least_pairs(lists))  # most groups are whole after this
-            lists = mixed(lists)
-            for turn in range(ROUNDS):
-                again = tell(neighbour_pairs(lists, turn))
-                lists = mixed(lists)
-                if not again:
-                    break
-            tell(all_pairs(lists))
-    finally:
-        held.drop()
-    if groups is None:
-        groups = lists.select(F.col("id").alias("node"), F.col("id").alias("component")).limit(0)
-    return copies, groups
+    return chosen.mapInArrow(tidy(pack), "id long, tokens binary").filter(F.octet_length("tokens") > 0)
 
 
 def near_duplicates(docs: DataFrame, doc: str = "doc_id", text: str = "text", scratch: Scratch | None = None) -> DataFrame:

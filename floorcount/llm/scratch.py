@@ -15,10 +15,12 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder in spark.checkpoint.dir; a folder of this machine only where it is unset (tests, one machine)."""
+    """The folder in spark.checkpoint.dir; a folder of this machine only where all tasks run on it too (local master)."""
     context = spark.sparkContext
     named = context.getConf().get("spark.checkpoint.dir") or context.getCheckpointDir()
     if not named:
+        if not context.master.startswith("local") or context.master.startswith("local-cluster"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
         named = "file://" + tempfile.mkdtemp(prefix="floorcount-")
         context.setCheckpointDir(named)
     return named.rstrip("/")
@@ -53,6 +55,31 @@ class Scratch:
         self.drop()
 
 
+class Bucketed:
+    """A table dealt by one column once, which joins on that column then read without an exchange."""
+
+    def __init__(self, scratch: Scratch, name: str, column: str):
+        self.scratch, self.column, self.name = scratch, column, f"floorcount_{name}_{scratch.root.rsplit('-', 1)[-1]}"
+
+    def keep(self, df: DataFrame) -> DataFrame:
+        """Writes df in as many parts as joins have, and returns the written table."""
+        parts = int(self.scratch.spark.conf.get("spark.sql.shuffle.partitions"))
+        df.write.bucketBy(parts, self.column).option("path", self.scratch.path(self.name)).saveAsTable(self.name)
+        return self.scratch.spark.table(self.name)
+
+    def drop(self) -> None:
+        """Takes the table out of the catalog; its files go with the scratch."""
+        self.scratch.spark.sql(f"DROP TABLE IF EXISTS {self.name}")
+
+
+def must_be_free(df: DataFrame, *names: str) -> None:
+    """Raises if df has a column of one of the names, in any case."""
+    taken = {c.lower() for c in df.columns}
+    for name in names:
+        if name.lower() in taken:
+            raise ValueError(f"there is a column {name} already")
+
+
 def free_name(df: DataFrame, wanted: str) -> str:
     """wanted, or wanted with underscores where df has such a column already."""
     taken = {c.lower() for c in df.columns}

@@ -1,14 +1,14 @@
-"""Line dedup by windows and winnowing, in DataFrame operations only.
+"""Line dedup by winnowing, in DataFrame operations only.
 
-Lines with words are hashed. From each such line on, the fewest following lines that hold RUN_WORDS words form a window, and
-so do the fewest lines that hold as many up to each line. Each line of a run of RUN_WORDS words or more lies in a window
-inside the run, so the windows that stand earlier, at any place, cover every repeated run of that length to its ends. A
-window is known by the hash of its line hashes and held against the earliest place of the same window.
+A run is a stretch of lines that follow each other, lines without words left out of account, and holds RUN_WORDS words or more.
+A line goes if it lies in a run that stands earlier, at any place; nothing else goes.
 
-Shorter repeats are found by winnowing: grams are the fewest lines from a line on that hold GRAM_WORDS words. Of the grams
-that start within GRAM_WORDS words of a line the smallest hash is selected. Selected grams are joined to the earliest
-place of the same gram, by (doc_id, text hash, line), and the match is extended line by line both ways as far as a run of
-less than RUN_WORDS words reaches. Later copies go.
+Lines with words are hashed. Grams are the fewest lines from a line on that hold GRAM_WORDS words. Of the grams that start
+within RUN_WORDS - GRAM_WORDS words of a line the smallest hash is selected, so every run has a selected gram, the same one
+wherever it stands, and documents without a gram that is selected elsewhere too have no repeated run. In the others each
+match is extended both ways to its ends: from each line on, the fewest lines that hold RUN_WORDS words form a window, and so
+do the fewest that hold as many up to each line. Each line of a run lies in such a window inside the run. A window is known
+by the hash of its line hashes and held against the earliest place of the same window, whatever the number of documents.
 """
 
 from __future__ import annotations
@@ -18,21 +18,25 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql import Window as W
 
-from floorcount.llm.scratch import Scratch, free_name
+from floorcount.llm.scratch import Bucketed, Scratch, free_name, must_be_free
 
-GRAM_WORDS = 25
-RUN_WORDS = 2 * GRAM_WORDS
+GRAM_WORDS, RUN_WORDS = 12, 25
 WORD = r"[^\x20\x09-\x0D]+"
 
 
 def line_hashes(df: DataFrame, doc: str, text: str) -> DataFrame:
-    """Rows (d, k, line, h, words, before): hash, words, and words of the text before it, of each line with a word."""
+    """Rows (key, d, k, line, h, words, before): hash, words, and words of the text before it, of each line with a word.
+
+    key stands for doc_id and text, of which k is the hash."""
     body = F.col(f"`{text}`").cast("string")
-    lines = df.select(F.col(f"`{doc}`").alias("d"), F.unhex(F.md5(body)).alias("k"), F.posexplode(F.split(body, "\n", -1)).alias("line", "t"))
-    counted = lines.select("d", "k", "line", F.unhex(F.md5("t")).alias("h"), F.regexp_count("t", F.lit(WORD)).cast("long").alias("words")).filter("words > 0")
-    # rows repeated as they are count as one document; one exchange serves this and the windows
-    once = counted.repartition("d", "k").dropDuplicates(["d", "k", "line"])
-    return once.withColumn("before", F.sum("words").over(W.partitionBy("d", "k").orderBy("line")) - F.col("words"))
+    texts = df.select(F.col(f"`{doc}`").alias("d"), F.unhex(F.md5(body)).alias("k"), F.split(body, "\n", -1).alias("lines"))
+    key = F.unhex(F.md5(F.concat(F.coalesce(F.concat(F.lit("="), F.col("d").cast("string")), F.lit("-")), F.lit(" "), F.hex("k"))))
+    lines = texts.select(key.alias("key"), "d", "k", F.posexplode("lines").alias("line", "t"))
+    counted = lines.select("key", "d", "k", "line", F.unhex(F.md5("t")).alias("h"), F.regexp_count("t", F.lit(WORD)).cast("long").alias("words")).filter("words > 0")
+    # rows repeated as they are count as one document; one exchange serves this, the windows and the written table
+    parts = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    once = counted.repartition(parts, "key").dropDuplicates(["key", "line"])
+    return once.withColumn("before", F.sum("words").over(W.partitionBy("key").orderBy("line")) - F.col("words"))
 
 
 def joined(hashes: Column) -> Column:
@@ -40,57 +44,43 @@ def joined(hashes: Column) -> Column:
 
 
 def fingerprints(lines: DataFrame) -> DataFrame:
-    """Rows (d, k, line, gram, end, left, right, ahead, last, back, first).
+    """Rows (key, d, k, line, gram, ahead, last, back, first).
 
-    ahead is the window of lines from `line` to `last`, back that of `first` to `line`; a window is null where the text holds
-    too few words, and back where its lines are an ahead of `first` already. gram, of `line` to `end`, is null unless selected;
-    (line, h) go left from and right from it.
+    gram, from `line` on, is null unless selected. ahead is the window of lines from `line` to `last`, back that of `first` to
+    `line`; a window is null where the text holds too few words, and back where its lines are an ahead of `first` already.
     """
-    doc = W.partitionBy("d", "k")
+    doc = W.partitionBy("key")
     by, ending = doc.orderBy("before"), doc.orderBy("upto")
-    here = F.struct("line", "h")
     known = lines.withColumns({"x": F.lower(F.hex("h")), "upto": F.col("before") + F.col("words"), "total": F.sum("words").over(doc)})
-    back = known.withColumns({"b": F.collect_list("x").over(ending.rangeBetween(1 - RUN_WORDS, W.currentRow)), "start": F.min(F.struct("before", "line")).over(ending.rangeBetween(1 - RUN_WORDS, W.currentRow))})
+    upto = ending.rangeBetween(1 - RUN_WORDS, W.currentRow)
+    back = known.withColumns({"b": F.collect_list("x").over(upto), "start": F.min(F.struct("before", "line")).over(upto)})
     own = (F.col("upto") >= RUN_WORDS) & (F.col("before") - F.col("start.before") >= RUN_WORDS)
     known = back.withColumns({"back": F.when(own, joined(F.col("b"))), "first": F.when(own, F.col("start.line"))}).drop("b", "start")
-    held = by.rangeBetween(W.currentRow, GRAM_WORDS - 1)
+    left = F.col("total") - F.col("before")
     reach = by.rangeBetween(W.currentRow, RUN_WORDS - 1)
-    whole = F.col("total") - F.col("before") >= RUN_WORDS
     grams = known.select(
-        "d", "k", "line", "before", "back", "first",
-        F.when(F.col("total") - F.col("before") >= GRAM_WORDS, joined(F.collect_list("x").over(held))).alias("gram"),
-        F.max("line").over(held).alias("end"),
-        F.collect_list(here).over(by.rangeBetween(-GRAM_WORDS, -1)).alias("left"),
-        F.collect_list(here).over(by.rangeBetween(GRAM_WORDS, RUN_WORDS - 1)).alias("right"),
-        F.when(whole, joined(F.collect_list("x").over(reach))).alias("ahead"),
-        F.when(whole, F.max("line").over(reach)).alias("last"),
+        "key", "d", "k", "line", "before", "back", "first",
+        F.when(left >= GRAM_WORDS, joined(F.collect_list("x").over(by.rangeBetween(W.currentRow, GRAM_WORDS - 1)))).alias("gram"),
+        F.when(left >= RUN_WORDS, joined(F.collect_list("x").over(reach))).alias("ahead"),
+        F.when(left >= RUN_WORDS, F.max("line").over(reach)).alias("last"),
     )
-    least = F.min(F.when(F.col("gram").isNotNull(), F.struct("gram", "before"))).over(by.rangeBetween(W.currentRow, GRAM_WORDS))
-    chosen = grams.withColumn("at", least["before"]).withColumn("chosen", F.collect_set("at").over(by.rangeBetween(-GRAM_WORDS, W.currentRow)))
+    apart = RUN_WORDS - GRAM_WORDS
+    least = F.min(F.when(F.col("gram").isNotNull(), F.struct("gram", "before"))).over(by.rangeBetween(W.currentRow, apart))
+    chosen = grams.withColumn("at", least["before"]).withColumn("chosen", F.collect_set("at").over(by.rangeBetween(-apart, W.currentRow)))
     selected = F.col("gram").isNotNull() & F.array_contains("chosen", F.col("before"))
-    return chosen.select("d", "k", "line", F.when(selected, F.col("gram")).alias("gram"), "end", F.when(selected, F.reverse("left")).alias("left"), F.when(selected, F.col("right")).alias("right"), "ahead", "last", "back", "first")
+    return chosen.select("key", "d", "k", "line", F.when(selected, F.col("gram")).alias("gram"), "ahead", "last", "back", "first")
 
 
-def place(prefix: str = "") -> Column:
+def place() -> Column:
     """Order of places: doc_id with null last, text hash, line."""
-    return F.struct(F.col(f"{prefix}d").isNull().alias("none"), F.col(f"{prefix}d").alias("d"), F.col(f"{prefix}k").alias("k"), F.col(f"{prefix}line").alias("line"))
-
-
-def common(a: Column, b: Column) -> Column:
-    """How many lines two arrays of (line, h) have in common from the start."""
-    n = F.least(F.size(a), F.size(b))
-    same = F.zip_with(F.slice(a, 1, n), F.slice(b, 1, n), lambda x, y: x["h"] == y["h"])
-    return F.coalesce(F.nullif(F.array_position(same, F.lit(False)), F.lit(0)) - 1, n.cast("long")).cast("int")
+    return F.struct(F.col("d").isNull().alias("none"), F.col("d").alias("d"), F.col("k").alias("k"), F.col("line").alias("line"))
 
 
-def repeated_grams(prints: DataFrame) -> DataFrame:
-    """Rows (d, k, first, last): what later selected grams have in common with the earliest place of the same gram."""
-    prints = prints.filter("gram is not null").select("gram", "d", "k", "line", "end", "left", "right")
-    first = prints.groupBy(F.col("gram").alias("g")).agg(F.min(F.struct(place().alias("p"), "left", "right")).alias("f"), F.count(F.lit(1)).alias("n")).filter("n > 1").select("g", "f")
-    later = prints.join(first, F.col("gram") == F.col("g")).filter(place() != F.col("f.p"))
-    right, left = common(F.col("right"), F.col("f.right")), common(F.col("left"), F.col("f.left"))
-    start = F.coalesce(F.get("left", left - 1)["line"], F.col("line"))
-    return later.select("d", "k", start.alias("first"), F.coalesce(F.get("right", right - 1)["line"], F.col("end")).alias("last"))
+def sharing(prints: DataFrame) -> DataFrame:
+    """The keys of documents with a selected gram that is selected at another place too."""
+    grams = prints.filter("gram is not null").select("gram", "key")
+    shared = grams.groupBy(F.col("gram").alias("g")).agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("g")
+    return grams.join(shared, F.col("gram") == F.col("g"), "left_semi").select("key").distinct()
 
 
 def repeated_windows(prints: DataFrame) -> DataFrame:
@@ -101,9 +91,9 @@ def repeated_windows(prints: DataFrame) -> DataFrame:
     return windows.join(first, F.col("w") == F.col("g")).filter(place() != F.col("p")).select("d", "k", F.col("line").alias("first"), "last")
 
 
-def repeated_runs(prints: DataFrame) -> DataFrame:
+def repeated_runs(windows: DataFrame) -> DataFrame:
     """Rows (d, k, first, last): stretches of lines that stand earlier already; disjoint."""
-    runs = repeated_grams(prints).unionAll(repeated_windows(prints)).distinct()
+    runs = windows.distinct()
     order = W.partitionBy("d", "k").orderBy("first", "last")
     reach = F.max("last").over(order.rowsBetween(W.unboundedPreceding, -1))
     fresh = runs.withColumn("new", F.coalesce((F.col("first") > reach + 1).cast("int"), F.lit(1)))
@@ -114,18 +104,22 @@ def repeated_runs(prints: DataFrame) -> DataFrame:
 def dedup_lines(df: DataFrame, doc: str = "doc_id", text: str = "text", scratch: Scratch | None = None) -> DataFrame:
     """df with the lines of later repeated runs taken out of `text`, and array `removed` of (first, last) line numbers.
 
-    A run of RUN_WORDS words or more that stands earlier goes whole, wherever it stands; one of GRAM_WORDS or more if its gram
-    is selected and first stands in that earlier place.
+    A run of RUN_WORDS words or more that stands earlier goes whole, wherever it stands; shorter ones stay.
     Lines are parted by \\n alone and numbered from 0; lines without words between removed ones go with them. Null texts stay
     null; empty ones stay empty; a text that loses every line becomes empty. Earlier means a smaller doc_id (null last), then
     text hash, then line. Rows with equal doc_id and text are one document and treated alike. An empty table gives an
     empty one. A column named `removed` must not be there.
     """
-    if "removed" in df.columns:
-        raise ValueError("there is a column removed already")
+    must_be_free(df, "removed")
     scratch = scratch or Scratch(df.sparkSession, "lines")
-    prints = scratch.keep(fingerprints(line_hashes(df, doc, text)), "fingerprints")
-    runs = repeated_runs(prints).groupBy("d", "k").agg(F.array_sort(F.collect_list(F.struct("first", "last"))).alias("removed"))
+    dealt = Bucketed(scratch, "fingerprints", "key")
+    try:
+        prints = dealt.keep(fingerprints(line_hashes(df, doc, text)))
+        near = prints.join(sharing(prints).withColumnRenamed("key", "s"), F.col("key") == F.col("s"), "left_semi")
+        found = scratch.keep(repeated_runs(repeated_windows(near)), "runs")
+    finally:
+        dealt.drop()
+    runs = found.groupBy("d", "k").agg(F.array_sort(F.collect_list(F.struct("first", "last"))).alias("removed"))
     body = F.col(f"`{text}`").cast("string")
     at, d, k, run = (free_name(df, n) for n in ("_hash", "_doc", "_key", "_runs"))
     runs = runs.select(F.col("d").alias(d), F.col("k").alias(k), F.col("removed").alias(run))

@@ -54,23 +54,17 @@ SELECT page_id, payload_bytes, payload_digest, CASE WHEN payload_bytes >= 100 AN
   CASE WHEN payload_bytes >= 100 AND first < page_id THEN first END AS refers_to FROM f
 """
 
-COMMON = "CASE WHEN list_contains(list_transform(generate_series(1, least(len({0}), len({1}))), lambda i: {0}[i].h = {1}[i].h), false) THEN list_position(list_transform(generate_series(1, least(len({0}), len({1}))), lambda i: {0}[i].h = {1}[i].h), false) - 1 ELSE least(len({0}), len({1})) END"
-OP7 = rf"""
-WITH d AS (SELECT DISTINCT doc_id, md5(text) AS k, string_split(text, chr(10)) AS ls FROM documents WHERE text IS NOT NULL),
-l AS (SELECT doc_id, k, line, ls[line + 1] AS t FROM (SELECT doc_id, k, ls, unnest(generate_series(0, len(ls) - 1)) AS line FROM d)),
-c AS (SELECT doc_id, k, line, md5(t) AS h, len(regexp_extract_all(t, '[^\x20\x09-\x0D]+')) AS w FROM l),
-b AS (SELECT *, (sum(w) OVER (PARTITION BY doc_id, k ORDER BY line) - w)::BIGINT AS bef, sum(w) OVER (PARTITION BY doc_id, k) AS tot FROM c WHERE w > 0),
-g AS (SELECT doc_id, k, line, bef,
-  CASE WHEN tot - bef >= 25 THEN md5(array_to_string(list(h) OVER (PARTITION BY doc_id, k ORDER BY bef RANGE BETWEEN CURRENT ROW AND 24 FOLLOWING), '')) END AS gram,
-  list_reverse(coalesce(list({{'line': line, 'h': h}}) OVER (PARTITION BY doc_id, k ORDER BY bef RANGE BETWEEN 50 PRECEDING AND 1 PRECEDING), [])) AS lft,
-  list({{'line': line, 'h': h}}) OVER (PARTITION BY doc_id, k ORDER BY bef RANGE BETWEEN CURRENT ROW AND 75 FOLLOWING) AS rgt FROM b),
-e AS (SELECT doc_id, k, (min(CASE WHEN gram IS NOT NULL THEN {{'g': gram, 'b': bef}} END) OVER (PARTITION BY doc_id, k ORDER BY bef RANGE BETWEEN CURRENT ROW AND 25 FOLLOWING)).b AS at_ FROM g),
-f AS (SELECT * FROM g WHERE gram IS NOT NULL AND (doc_id, k, bef) IN (SELECT (doc_id, k, at_) FROM e WHERE at_ IS NOT NULL)),
-o AS (SELECT *, row_number() OVER (PARTITION BY gram ORDER BY doc_id NULLS LAST, k, line) AS r FROM f),
-m AS (SELECT y.doc_id, y.k, y.line, y.lft, y.rgt, x.lft AS xl, x.rgt AS xr FROM o y JOIN o x ON x.gram = y.gram AND x.r = 1 WHERE y.r > 1),
-n AS (SELECT doc_id, k, line, lft, rgt, {COMMON.format("lft", "xl")} AS nl, {COMMON.format("rgt", "xr")} AS nr FROM m),
-v AS (SELECT DISTINCT doc_id, k, CASE WHEN nl > 0 THEN lft[nl].line ELSE line END AS a, rgt[nr].line AS z FROM n),
-gone AS (SELECT DISTINCT doc_id, k, unnest(generate_series(a, z)) AS line FROM v),
+OP7 = r"""
+WITH l AS (SELECT doc_id, k, line, ls[line + 1] AS t FROM (SELECT doc_id, k, ls, unnest(generate_series(0, len(ls) - 1)) AS line
+  FROM (SELECT DISTINCT doc_id, md5(text) AS k, string_split(text, chr(10)) AS ls FROM documents WHERE text IS NOT NULL))),
+w AS (SELECT *, len(regexp_extract_all(t, '[^\x20\x09-\x0D]+')) AS n FROM l),
+b AS (SELECT *, sum(n) OVER (PARTITION BY doc_id, k ORDER BY line) AS upto, sum(n) OVER (PARTITION BY doc_id, k) AS total FROM w WHERE n > 0),
+-- the shortest run of 25 words or more that starts at each line, and the shortest that ends at each
+f AS (SELECT doc_id, k, line AS a, max(line) OVER s AS z, list(t) OVER s AS run, total - upto + n AS held FROM b WINDOW s AS (PARTITION BY doc_id, k ORDER BY upto - n RANGE BETWEEN CURRENT ROW AND 24 FOLLOWING)),
+e AS (SELECT doc_id, k, min(line) OVER s AS a, line AS z, list(t) OVER s AS run, upto AS held FROM b WINDOW s AS (PARTITION BY doc_id, k ORDER BY upto RANGE BETWEEN 24 PRECEDING AND CURRENT ROW)),
+r AS (SELECT doc_id, k, a, z, run FROM f WHERE held >= 25 UNION SELECT doc_id, k, a, z, run FROM e WHERE held >= 25),
+o AS (SELECT *, row_number() OVER (PARTITION BY run ORDER BY doc_id NULLS LAST, k, a) AS place FROM r),
+gone AS (SELECT DISTINCT doc_id, k, unnest(generate_series(a, z)) AS line FROM o WHERE place > 1),
 runs AS (SELECT doc_id, k, count(*) AS n_removed, count(DISTINCT line - rn) AS n_runs FROM (SELECT *, row_number() OVER (PARTITION BY doc_id, k ORDER BY line) AS rn FROM gone) GROUP BY ALL),
 kept AS (SELECT l.doc_id, l.k, string_agg(t, chr(10) ORDER BY l.line) AS body FROM l ANTI JOIN gone ON l.doc_id IS NOT DISTINCT FROM gone.doc_id AND l.k = gone.k AND l.line = gone.line GROUP BY ALL)
 SELECT x.doc_id, coalesce(n_runs, 0) AS n_runs, coalesce(n_removed, 0) AS n_removed, CASE WHEN x.text IS NOT NULL THEN length(coalesce(body, '')) END AS kept_chars,

@@ -3,8 +3,9 @@
 An ARC file starts with a version record that names the fields of its URL record lines: five in version 1, ten in
 version 2. Each record is such a line, a block of the declared length and a line end. The converter walks a file by the
 declared lengths only, so a block may hold anything. Of each record it makes the WARC equivalents: an identifier
-from the archive's name and the record's offset, an ISO timestamp from the 14-digit date, a type from the URL's scheme
-and the content, and SHA-256 digests of payload and block.
+from the archive's name and the record's offset in the unpacked archive, an ISO timestamp from the 14-digit date, a type from
+the URL's scheme and the content, and SHA-256 digests of payload and block. A version record becomes a warcinfo; the address
+that a page came from is carried as WARC-IP-Address, and what else the line of version 2 says in fields of this module.
 
 Both kinds of archive are written by Spark's text sink, one archive stretch a row: the sink writes a string's bytes as they
 are, and the text between rows is an empty gzip member. So every file is a plain sequence of gzip members, one for each record,
@@ -14,6 +15,7 @@ on any file system that Spark writes to, committed by its protocol. Files are re
 from __future__ import annotations
 
 import hashlib
+import re
 import uuid
 import zlib
 from collections.abc import Iterable, Iterator
@@ -30,6 +32,7 @@ VERSION_LINE = {1: "1 0 floorcount", 2: "2 0 floorcount"}
 LEVEL = 6
 #: Bytes of records, not compressed, after which a stretch of an archive ends, and stretches in a file.
 STRETCH_BYTES, STRETCHES_A_FILE = 4_000_000, 8
+VERSION, VERSION_KEY = re.compile(rb"[12] [0-9]+ [^\n]*"), "version"
 NAMESPACE = uuid.UUID("6ba7b811-9dad-11d1-80b4-00c04fd430c8")  # the name space of URLs
 #: Payloads of at least so many bytes are written once; later ones refer to the first.
 REVISIT_BYTES = 100
@@ -93,12 +96,18 @@ class _Lines:
     """Reads a sequence of byte strings by lines and lengths, across their borders."""
 
     def __init__(self, chunks: Iterable[bytes]):
-        self.chunks, self.data, self.at = iter(chunks), b"", 0
+        self.chunks, self.data, self.at, self.gone = iter(chunks), b"", 0, 0
+
+    @property
+    def offset(self) -> int:
+        """Bytes read so far."""
+        return self.gone + self.at
 
     def _more(self) -> bool:
         chunk = next(self.chunks, None)
         if chunk is None:
             return False
+        self.gone += self.at
         self.data, self.at = self.data[self.at :] + chunk, 0
         return True
 
@@ -117,23 +126,45 @@ class _Lines:
         return out
 
 
-def parse_arc(chunks: Iterable[bytes]) -> Iterator[tuple[int, dict[str, str], bytes]]:
-    """Number, header fields and block of each record but the version records, which say how many fields follow."""
-    lines, names, number = _Lines(chunks), FIELDS[1].split(), 0
-    while (line := lines.line()) is not None:
+def version_fields(body: bytes) -> list[str] | None:
+    """The names of the fields that a version block announces; of other blocks, none."""
+    head, _, rest = body.partition(b"\n")
+    if not VERSION.fullmatch(head.strip()):
+        return None
+    names = rest.partition(b"\n")[0].decode("utf-8", "replace").split()
+    return names if names[:1] == ["URL"] and names[-1:] == ["Archive-length"] else None
+
+
+def walk_arc(chunks: Iterable[bytes]) -> Iterator[tuple[int, dict[str, str], bytes]]:
+    """Offset, header fields and block of each record; VERSION_KEY is among the fields of a version record, which says how many fields follow.
+
+    What makes a version record is its block, not its URL alone: a page may have any URL.
+    """
+    lines, names = _Lines(chunks), FIELDS[1].split()
+    while True:
+        offset = lines.offset
+        if (line := lines.line()) is None:
+            return
         if not line.strip():
             continue
         text = line.decode("utf-8", "replace").rstrip("\r")
-        if text.startswith("filedesc://"):
-            body = lines.take(int(text.rsplit(" ", 1)[1]))
-            names = body.split(b"\n")[1].decode().split()
-        else:
-            parts = text.rsplit(" ", len(names) - 1)  # a URL may hold blanks
-            if len(parts) != len(names):
-                raise ValueError(f"a record line has {len(parts)} of {len(names)} fields")
-            fields = dict(zip(names, parts))
-            yield number, fields, lines.take(int(fields["Archive-length"]))
-            number += 1
+        length = text.rsplit(" ", 1)[-1]
+        if not (length.isascii() and length.isdigit()):
+            raise ValueError("a record line ends without a length")
+        block = lines.take(int(length))
+        if text.startswith("filedesc://") and (announced := version_fields(block)):
+            names = announced
+            yield offset, {"URL": text.split(" ", 1)[0], "Archive-date": (text.split(" ") + ["", ""])[2], "Content-type": "text/plain", VERSION_KEY: block.split(b" ", 1)[0].decode()}, block
+            continue
+        parts = text.rsplit(" ", len(names) - 1)  # a URL may hold blanks
+        if len(parts) != len(names):
+            raise ValueError(f"a record line has {len(parts)} of {len(names)} fields")
+        yield offset, dict(zip(names, parts)), block
+
+
+def parse_arc(chunks: Iterable[bytes]) -> Iterator[tuple[int, dict[str, str], bytes]]:
+    """The records of walk_arc() that aren't version records."""
+    return (r for r in walk_arc(chunks) if VERSION_KEY not in r[1])
 
 
 def split_http(block: bytes) -> tuple[bytes, bytes]:
@@ -156,8 +187,8 @@ def warc_time(date: str) -> str:
     return f"{d[:4]}-{d[4:6]}-{d[6:8]}T{d[8:10]}:{d[10:12]}:{d[12:14]}Z"
 
 
-def warc_id(archive: str, number: int) -> str:
-    return f"<urn:uuid:{uuid.uuid5(NAMESPACE, f'{archive}#{number}')}>"
+def warc_id(archive: str, offset: int) -> str:
+    return f"<urn:uuid:{uuid.uuid5(NAMESPACE, f'{archive}#{offset}')}>"
 
 
 def warc_type(url: str, block: bytes) -> str:
@@ -210,7 +241,7 @@ def write_arc(pages: DataFrame, path: str, date: str = "20240101000000") -> None
 
 #: Level of the blocks that a shuffle carries.
 CARRIED_LEVEL = 1
-RECORD = "archive string, number long, url string, date string, content_type string, page_id long, warc_type string, payload_digest string, payload_bytes long, block binary"
+RECORD = "archive string, offset long, url string, ip string, date string, content_type string, result_code string, checksum string, location string, page_id long, warc_type string, payload_digest string, payload_bytes long, block binary"
 
 
 def convert(spark: SparkSession, arc: str, blocks: bool = True) -> DataFrame:
@@ -221,11 +252,16 @@ def convert(spark: SparkSession, arc: str, blocks: bool = True) -> DataFrame:
             for path, content in zip(batch.column("path").to_pylist(), batch.column("content")):
                 archive, rows = path.rsplit("/", 1)[-1], []
                 size = 0
-                for number, f, block in parse_arc(members(content.as_py())):
+                for offset, f, block in walk_arc(members(content.as_py())):
+                    about = VERSION_KEY in f
+                    if about:
+                        block = f"software: floorcount\r\nformat: WARC File Format 1.1\r\nconverted-from: {f['URL']}, ARC version {f[VERSION_KEY]}\r\n".encode()
                     payload = split_http(block)[1]
-                    page = header_of(block, b"X-Page-Id")
+                    page = None if about else header_of(block, b"X-Page-Id")
                     packed = member(block, CARRIED_LEVEL) if blocks else None
-                    rows.append((archive, number, f["URL"], f["Archive-date"], f["Content-type"], None if page is None else int(page), warc_type(f["URL"], block), hashlib.sha256(payload).hexdigest(), len(payload), packed))
+                    said = [None if f.get(k, "-") in ("-", "0.0.0.0") else f[k] for k in ("IP-address", "Result-code", "Checksum", "Location")]
+                    kind = "warcinfo" if about else warc_type(f["URL"], block)
+                    rows.append((archive, offset, f["URL"], said[0], f["Archive-date"], f["Content-type"], *said[1:], None if page is None else int(page), kind, hashlib.sha256(payload).hexdigest(), len(payload), packed))
                     size += len(packed or b"") + 300
                     if size >= STRETCH_BYTES:
                         yield _rows(rows)
@@ -237,20 +273,23 @@ def convert(spark: SparkSession, arc: str, blocks: bool = True) -> DataFrame:
 
 
 def _rows(rows: list[tuple]) -> pa.RecordBatch:
-    kinds = [pa.string(), pa.int64(), pa.string(), pa.string(), pa.string(), pa.int64(), pa.string(), pa.string(), pa.int64(), pa.binary()]
-    names = [x.split()[0] for x in RECORD.split(", ")]
-    return pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(zip(*rows), kinds)], names=names)
+    names, types = zip(*(x.split() for x in RECORD.split(", ")))
+    kinds = [{"string": pa.string(), "long": pa.int64(), "binary": pa.binary()}[t] for t in types]
+    return pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(zip(*rows), kinds)], names=list(names))
 
 
 def with_first(records: DataFrame, digests: DataFrame | None = None) -> DataFrame:
-    """records with `first_page`, `first_archive` and `first_number` of the record that each large payload is kept in.
+    """records with `first_page`, `first_archive` and `first_offset` of the record that each large payload is kept in.
 
-    The smallest page_id comes first (null last), then archive and number; counts are made before anything is shuffled by
-    digest, and only digests that come again are joined.
+    The smallest page_id comes first (null last), then archive and offset; counts are made before anything is shuffled by
+    digest. Records that can have no equal are dealt by their own place, so that they don't meet in one task; Spark splits
+    the tasks of a payload with very many copies.
     """
-    first = (records if digests is None else digests).filter(F.col("payload_bytes") >= REVISIT_BYTES).groupBy(F.col("payload_digest").alias("digest")).agg(F.min(F.struct(F.col("page_id").isNull().alias("none"), "page_id", "archive", "number")).alias("first"), F.count(F.lit(1)).alias("copies"))
-    again = first.filter(F.col("copies") > 1).select("digest", F.col("first.page_id").alias("first_page"), F.col("first.archive").alias("first_archive"), F.col("first.number").alias("first_number"))
-    return records.join(again, F.col("payload_digest") == F.col("digest"), "left").drop("digest")
+    large = (F.col("payload_bytes") >= REVISIT_BYTES) & (F.col("warc_type") != "warcinfo")
+    first = (records if digests is None else digests).filter(large).groupBy(F.col("payload_digest").alias("digest")).agg(F.min(F.struct(F.col("page_id").isNull().alias("none"), "page_id", "archive", "offset")).alias("first"), F.count(F.lit(1)).alias("copies"))
+    again = first.filter(F.col("copies") > 1).select("digest", F.col("first.page_id").alias("first_page"), F.col("first.archive").alias("first_archive"), F.col("first.offset").alias("first_offset"))
+    by = F.when(large, F.col("payload_digest")).otherwise(F.concat_ws("#", "archive", "offset"))
+    return records.withColumn("by", by).join(again, F.col("by") == F.col("digest"), "left").drop("by", "digest")
 
 
 def write_warc(records: DataFrame, path: str) -> None:
@@ -263,11 +302,14 @@ def write_warc(records: DataFrame, path: str) -> None:
                 r = {n: batch.column(n)[i].as_py() for n in batch.schema.names}
                 block = b"".join(members(r["block"]))
                 kind, refers = r["warc_type"], None
-                if r["first_archive"] is not None and (r["first_archive"], r["first_number"]) != (r["archive"], r["number"]):
-                    kind, refers, block = "revisit", warc_id(r["first_archive"], r["first_number"]), split_http(block)[0]
+                if r["first_archive"] is not None and (r["first_archive"], r["first_offset"]) != (r["archive"], r["offset"]):
+                    kind, refers, block = "revisit", warc_id(r["first_archive"], r["first_offset"]), split_http(block)[0]
+                about = kind == "warcinfo"
+                content = {"warcinfo": "application/warc-fields", "resource": r["content_type"], "metadata": r["content_type"]}.get(kind, "application/http; msgtype=response")
                 fields = [
-                    ("WARC-Type", kind), ("WARC-Record-ID", warc_id(r["archive"], r["number"])), ("WARC-Date", warc_time(r["date"])), ("WARC-Target-URI", None if r["url"] == "-" else r["url"]),
-                    ("Content-Type", "application/http; msgtype=response" if kind != "resource" else r["content_type"]),
+                    ("WARC-Type", kind), ("WARC-Record-ID", warc_id(r["archive"], r["offset"])), ("WARC-Date", warc_time(r["date"])), ("WARC-Target-URI", None if about or r["url"] == "-" else r["url"]),
+                    ("WARC-Filename", r["url"].removeprefix("filedesc://") if about else None), ("Content-Type", content), ("WARC-IP-Address", r["ip"]),
+                    ("X-Arc-Result-Code", r["result_code"]), ("X-Arc-Checksum", r["checksum"]), ("X-Arc-Location", r["location"]),
                     ("WARC-Payload-Digest", f"sha256:{r['payload_digest']}"), ("WARC-Block-Digest", f"sha256:{hashlib.sha256(block).hexdigest()}"),
                     ("WARC-Refers-To", refers), ("WARC-Profile", refers and "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"),
                     ("X-Refers-To-Page-Id", None if refers is None or r["first_page"] is None else str(r["first_page"])), ("X-Payload-Length", str(r["payload_bytes"])),
@@ -288,7 +330,7 @@ WARC_ROW = "record_id string, record_type string, url string, warc_date string,
 
 
 def read_warc(spark: SparkSession, path: str) -> DataFrame:
-    """One row a WARC record; `intact`: the block, and of responses the payload, have their digests."""
+    """One row a WARC record, those of type warcinfo too; `intact`: the block, and of responses the payload, have their digests."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kinds = [pa.string(), pa.string(), pa.string(), pa.string(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.bool_()]
@@ -310,7 +352,7 @@ def read_warc(spark: SparkSession, path: str) -> DataFrame:
 
 
 def archive_pages(pages: DataFrame, scratch: Scratch | None = None) -> DataFrame:
-    """Pages written as ARC, converted, written as WARC and read back: the rows of read_warc().
+    """Pages written as ARC, converted, written as WARC and read back: the rows of read_warc() but the warcinfo records.
 
     A null html is an empty payload, a null url is written as "-" and comes back null, a null page_id comes back null and
     never is a reference. Rows repeated as they are become revisits of one of them, if large enough. An empty table gives
@@ -321,4 +363,4 @@ def archive_pages(pages: DataFrame, scratch: Scratch | None = None) -> DataFrame
     write_arc(pages, scratch.path("arc"))
     arc = scratch.path("arc")
     write_warc(with_first(convert(spark, arc), convert(spark, arc, blocks=False)), scratch.path("warc"))
-    return read_warc(spark, scratch.path("warc"))
+    return read_warc(spark, scratch.path("warc")).filter("record_type <> 'warcinfo'")

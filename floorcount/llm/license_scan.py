@@ -1,13 +1,14 @@
 """License notices found by patience alignment.
 
-A template's words are aligned with the text around each place where one of the template's telling words stands. The words
-that occur once in both are matched, the longest run of these that rises in both is kept, and the gaps between them, where
+A template is sought around each place where one of its telling words stands: so many of its rarest words that a notice
+which keeps the least coverage must hold one of them. There the template's words are aligned with the text. The words that occur once in both are matched, the longest run of these that rises in both is kept, and the gaps between them, where
 other words have become unique, are aligned in the same way; words next to a matched one are matched while they agree. The
 share of the template's words that found a place is its coverage.
 """
 
 from __future__ import annotations
 
+import math
 import re
 from bisect import bisect_left
 from collections import Counter
@@ -18,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from floorcount.llm.scratch import free_name, tidy
+from floorcount.llm.scratch import free_name, must_be_free, tidy
 
 #: Notices and openings of public licenses.
 TEMPLATES = {
@@ -93,32 +94,50 @@ class Scanner:
     def __init__(self, templates: dict[str, str] = TEMPLATES):
         self.words = {k: WORD.findall(t.encode().translate(LOWER)) for k, t in templates.items()}
         common = Counter(w for words in self.words.values() for w in set(words))
-        # a template is sought where one of its two rarest, then longest, words stands
-        self.telling = {k: sorted(set(words), key=lambda w: (common[w], -len(w), w))[:2] for k, words in self.words.items()}
-        self.needles = sorted({w for ws in self.telling.values() for w in ws})
+        # of n places in a template, n - least of any others can go unmatched: one more place than that must be found
+        self.least = {k: math.ceil(LEAST_COVERAGE * len(words) - 1e-9) for k, words in self.words.items()}
+        self.telling = {k: set(sorted(words, key=lambda w: (common[w], -len(w), w))[: len(words) - self.least[k] + 1]) for k, words in self.words.items()}
+        self.needles = {w for ws in self.telling.values() for w in ws}
+        self.own = {k: frozenset(words) for k, words in self.words.items()}
+
+    def _width(self, name: str) -> float:
+        """Words between the first and the last matched one of a notice are fewer."""
+        return 1.5 * len(self.words[name]) + 1
+
+    def _stretches(self, name: str, words: list[bytes], where: dict[bytes, list[int]]) -> set[tuple[int, int]]:
+        """Stretches of the text around each telling word that hold enough of the template's words: as wide as an edited notice can
+        be, cut where the telling word stands again, as another notice may stand there, and not cut."""
+        out: set[tuple[int, int]] = set()
+        width, own, least = int(self._width(name)) + 1, self.own[name], self.least[name]
+        for needle in self.telling[name]:
+            here = where.get(needle, [])
+            for k, at in enumerate(here):
+                lo, hi = max(at - width, 0), min(at + width + 1, len(words))
+                cut = max(lo, here[k - 1] + 1 if k else 0), min(hi, here[k + 1] if k + 1 < len(here) else len(words))
+                # a text may repeat a telling word without end, so a stretch that holds too few of the words isn't aligned
+                out |= {(a, b) for a, b in {cut, (lo, at + 1), (at, hi), (lo, hi)} if sum(w in own for w in words[a:b]) >= least}
+        return out
 
     def scan(self, text: bytes | None) -> list[tuple[str, float, int, int]]:
         """(license, coverage, first and last character) of each notice; of those that overlap, the one with most words."""
         low = (text or b"").translate(LOWER)
-        if not any(n in low for n in self.needles):
+        words = WORD.findall(low)
+        there = self.needles.intersection(words)
+        if not there:
             return []
-        spans = [m.span() for m in WORD.finditer(low)]
-        words = [low[a:b] for a, b in spans]
         where: dict[bytes, list[int]] = {}
         for i, w in enumerate(words):
-            if w in self.needles:
+            if w in there:
                 where.setdefault(w, []).append(i)
         found = []
         for name, template in self.words.items():
-            for needle in self.telling[name]:
-                here = where.get(needle, [])
-                for k, at in enumerate(here):
-                    # as wide as an edited notice can be, but not into the next one
-                    lo = max(at - 2 * len(template), here[k - 1] + 1 if k else 0)
-                    hi = min(at + 2 * len(template) + 1, here[k + 1] if k + 1 < len(here) else len(words))
-                    pairs = align(words[lo:hi], template)
-                    if len(pairs) >= LEAST_COVERAGE * len(template) and pairs[-1][0] - pairs[0][0] < 1.5 * len(template) + 1:
-                        found.append((len(pairs), len(pairs) / len(template), name, lo + pairs[0][0], lo + pairs[-1][0]))
+            for lo, hi in self._stretches(name, words, where):
+                pairs = align(words[lo:hi], template)
+                if len(pairs) >= self.least[name] and pairs[-1][0] - pairs[0][0] < self._width(name):
+                    found.append((len(pairs), len(pairs) / len(template), name, lo + pairs[0][0], lo + pairs[-1][0]))
+        if not found:
+            return []
+        spans = [m.span() for m in WORD.finditer(low)]
         out: list[tuple[str, float, int, int]] = []
         taken: list[tuple[int, int]] = []
         for _, coverage, name, a, b in sorted(found, key=lambda x: (-x[0], -x[1], x[4] - x[3], x[2], x[3])):
@@ -137,8 +156,7 @@ def scan(df: DataFrame, text: str = "text", to: str = "licenses") -> DataFrame:
     Null and empty texts have none; repeated rows are scanned alike; an empty table gives an empty one. A column of that
     name must not be there.
     """
-    if to in df.columns:
-        raise ValueError(f"there is a column {to} already")
+    must_be_free(df, to)
     rest = [f for f in df.schema.fields if f.name != text]
     schema = T.StructType([*rest, T.StructField(to, HITS)])
 

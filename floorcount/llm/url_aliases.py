@@ -1,7 +1,7 @@
 """URL verdicts that hold for every alias of a URL.
 
 Rules of hosts and paths judge URLs directly. Aliases are URLs joined by redirects and canonical links that pages declare,
-and by plain rewriting (scheme, `www.`, default port, fragment, tracking parameters, a closing slash). Their connected
+resolved against the page's own URL, and by plain rewriting (scheme, `www.`, default port, fragment, tracking parameters, a closing slash). Their connected
 components carry decisions: a URL that no rule fits is allowed where an alias is explicitly allowed, else blocked where an
 alias is blocked, else allowed.
 """
@@ -14,7 +14,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from floorcount.llm.components import components
-from floorcount.llm.scratch import Scratch, free_name
+from floorcount.llm.scratch import Scratch, free_name, must_be_free
 
 #: (verdict, host, path)
 RULES = (("allow", "org", "/"), ("block", "example.org", "/es/"), ("block", "example.org", "/en/1"), ("allow", "com", "/fr/"), ("block", "com", "/de/"))
@@ -59,13 +59,37 @@ def declared(html: Column) -> Column:
     tags = F.regexp_extract_all(html, F.lit(r"(?is)<(?:link|meta)\b[^>]*>"), F.lit(0))
     canonical = F.transform(F.filter(tags, lambda t: F.regexp_like(t, F.lit(r"(?is)\brel\s*=\s*[\"']?canonical\b"))), lambda t: F.regexp_extract(t, r"(?is)\bhref\s*=\s*[\"']?([^\"'\s>]+)", 1))
     refresh = F.transform(F.filter(tags, lambda t: F.regexp_like(t, F.lit(r"(?is)\bhttp-equiv\s*=\s*[\"']?refresh\b"))), lambda t: F.regexp_extract(t, r"(?is)\bcontent\s*=\s*[\"'][^\"']*?url\s*=\s*([^\"'\s>;]+)", 1))
-    return F.filter(F.concat(canonical, refresh), lambda t: F.contains(t, F.lit("://")))
+    return F.filter(F.concat(canonical, refresh), lambda t: t != "")
+
+
+#: Character references that stand in URLs, the one of & last.
+REFERENCES = ((r"(?i)&(quot|#34|#x22);", '"'), (r"(?i)&(apos|#39|#x27);", "'"), (r"(?i)&(lt|#60|#x3c);", "<"), (r"(?i)&(gt|#62|#x3e);", ">"), (r"(?i)&(amp|#38|#x26);", "&"))
+
+
+def resolved(target: Column, base: Column) -> Column:
+    """A target as a page with the URL base means it: character references decoded; relative ones completed from base.
+
+    Null for targets within the page, for those of schemes without ://, and for relative ones of a base without ://.
+    """
+    t = reduce(lambda x, r: F.regexp_replace(x, r[0], r[1]), REFERENCES, target)
+    scheme = F.regexp_extract(base, r"(?s)^(.*?):", 1)
+    top = F.regexp_extract(base, r"(?s)^(.*?://[^/?#]*)", 1)
+    folder = F.regexp_extract(path(base), r"(?s)^(.*/)", 1)
+    step = lambda seen, x: F.when(x == "..", F.slice(seen, 1, F.greatest(F.size(seen) - 1, F.lit(0)))).when(x == ".", seen).otherwise(F.concat(seen, F.array(x)))
+    bare, rest = F.regexp_extract(t, r"(?s)^([^?#]*)", 1), F.regexp_extract(t, r"(?s)^[^?#]*(.*)$", 1)
+    whole = F.regexp_replace(F.when(bare.startswith("/"), bare).otherwise(F.concat(F.when(folder == "", F.lit("/")).otherwise(folder), bare)), "^/", "")
+    steps = F.aggregate(F.split(whole, "/", -1), F.array().cast("array<string>"), step)
+    closing = F.when(F.regexp_like(bare, F.lit(r"(^|/)[.]{1,2}$")) & (F.size(steps) > 0), F.lit("/")).otherwise("")
+    joined = F.concat(top, F.lit("/"), F.array_join(steps, "/"), closing, rest)
+    completed = F.when(t.startswith("//"), F.concat(scheme, F.lit(":"), t)).when(t.startswith("?"), F.concat(top, path(base), t)).otherwise(joined)
+    inside = (t == "") | t.startswith("#") | F.regexp_like(t, F.lit(r"^[A-Za-z][A-Za-z0-9+.-]*:"))
+    return F.when(F.contains(bare, F.lit("://")), t).when(~inside & F.contains(base, F.lit("://")), completed)
 
 
 def edges(pages: DataFrame, redirects: DataFrame | None = None, url: str = "url", html: str = "html") -> DataFrame:
     """Rows (a, b) of aliases: a URL and its rewritten form, and those of what it declares; redirects: rows (source, target)."""
     u = F.col(f"`{url}`")
-    said = pages.filter(u.isNotNull()).select(u.alias("u"), F.explode(F.concat(F.array(u), F.coalesce(declared(F.col(f"`{html}`")), F.array().cast("array<string>")))).alias("v"))
+    said = pages.filter(u.isNotNull()).select(u.alias("u"), F.explode(F.concat(F.array(u), F.coalesce(F.transform(declared(F.col(f"`{html}`")), lambda t: resolved(t, u)), F.array().cast("array<string>")))).alias("v"))
     out = said.select(F.col("u").alias("a"), rewritten(F.col("v")).alias("b")).unionAll(said.filter("u <> v").select(F.col("v").alias("a"), rewritten(F.col("v"))))
     if redirects is not None:
         pair = redirects.select(F.col("source").cast("string").alias("a"), F.col("target").cast("string").alias("b")).dropna()
@@ -80,9 +104,7 @@ def judge_urls(pages: DataFrame, redirects: DataFrame | None = None, rules=RULES
     without :// have an empty host and path, no rule and no alias, and are allowed. Repeated rows are judged alike; an empty
     table gives an empty one. Columns of the result's names must not be there.
     """
-    for name in ("host", "path", "rule", "verdict"):
-        if name in pages.columns:
-            raise ValueError(f"there is a column {name} already")
+    must_be_free(pages, "host", "path", "rule", "verdict")
     scratch = scratch or Scratch(pages.sparkSession, "urls")
     u = F.col(f"`{url}`")
     rule, own = rule_of(F.col("host"), F.col("path"), rules)
@@ -90,7 +112,6 @@ def judge_urls(pages: DataFrame, redirects: DataFrame | None = None, rules=RULES
     mine, node, passed = (free_name(pages, n) for n in ("_own", "_node", "_passed"))
     judged = pages.select(*[F.col(f"`{c}`") for c in rest], host(u).alias("host"), path(u).alias("path")).withColumns({"rule": rule, mine: own})
     pairs = edges(pages, redirects, url, html)
-    # a URL and its own rewritten form need no search: only forms with another link beside it do
     groups = scratch.keep(components(pairs, "a", "b", scratch), "aliases")
     known = pairs.select(F.col("a").alias("n")).unionAll(pairs.select("b")).distinct()
     decided = known.withColumns({"h": host(F.col("n")), "p": path(F.col("n"))}).withColumn("v", rule_of(F.col("h"), F.col("p"), rules)[1]).filter("v is not null").select("n", "v")

@@ -26,7 +26,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from floorcount.llm.scratch import free_name, tidy
+from floorcount.llm.scratch import free_name, must_be_free, tidy
 
 #: Entries of each memo; as many older ones are kept besides.
 MEMO_ENTRIES = 150_000
@@ -248,7 +248,10 @@ def _with_column(df: DataFrame, name: str, kind: T.DataType, of: str, work, how:
         for batch in batches:
             for start in range(0, batch.num_rows, 256):  # bounds what stands in memory besides the batch
                 part = batch.slice(start, 256)
-                made = pa.array(map(make, part.column(given).to_pylist()), pa.binary())
+                values = part.column(given).cast(pa.binary()).to_pylist()
+                if how == "encode":
+                    values = [None if x is None else x.decode("utf-8", "replace") for x in values]
+                made = pa.array(map(make, values), pa.binary())
                 keep = [part.column(c) for c in range(part.num_columns - 1)]
                 yield pa.RecordBatch.from_arrays([*keep, made], names=schema.names)
         coder.rest()
@@ -259,19 +262,17 @@ def _with_column(df: DataFrame, name: str, kind: T.DataType, of: str, work, how:
 def encode(df: DataFrame, vocabulary: str, pattern: str, text: str = "text", to: str = "token_ids") -> DataFrame:
     """df with a binary column of ids, little-endian unsigned 32-bit, for each whole text.
 
-    vocabulary: path of the rank file, there on each executor. Null and empty texts have no ids. Repeated rows are encoded
+    vocabulary: path of the rank file, there on each executor. Null and empty texts have no ids. Bytes that are not UTF-8 are
+    encoded as U+FFFD. Repeated rows are encoded
     alike, other columns pass through; an existing column called `to` raises an error. See id_array() for an array.
     """
-    if free_name(df, to) != to:
-        raise ValueError(f"there is a column {to} already")
-
+    must_be_free(df, to)
     return _with_column(df, to, T.BinaryType(), text, lambda: opened(vocabulary, pattern), "encode")
 
 
 def decode(df: DataFrame, vocabulary: str, pattern: str, ids: str = "token_ids", to: str = "decoded") -> DataFrame:
     """df with the bytes that the ids stand for; null ids give no bytes."""
-    if free_name(df, to) != to:
-        raise ValueError(f"there is a column {to} already")
+    must_be_free(df, to)
     return _with_column(df, to, T.BinaryType(), ids, lambda: opened(vocabulary, pattern), "decode")
 
 

@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from floorcount.llm.scratch import tidy
+from floorcount.llm.scratch import must_be_free, tidy
 
 WINDOW = 13
 #: Bytes of patterns in one automaton. A benchmark that needs more is dealt to several, which read the texts in turn.
@@ -160,8 +160,7 @@ def scan(df: DataFrame, benchmark: DataFrame, text: str = "text", to: str = "fou
     column named `to` must not be there. Several blocks of a large benchmark follow each other over the same rows, with no
     shuffle.
     """
-    if to in df.columns:
-        raise ValueError(f"there is a column {to} already")
+    must_be_free(df, to)
     context = df.sparkSession.sparkContext
     first = True
     for block in blocks(benchmark):

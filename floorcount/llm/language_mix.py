@@ -17,9 +17,10 @@ from pyspark import Broadcast
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from floorcount.llm.scratch import free_name, tidy
+from floorcount.llm.scratch import free_name, must_be_free, tidy
 
-#: Cells that n-grams are hashed to, for each language: the model's size is fixed by this and MAX_LANGUAGES.
+#: Cells that n-grams are hashed to, for each language: the model's size is fixed by this and MAX_LANGUAGES. Of more labels,
+#: the most frequent are learnt, and documents in others are given the likeliest of these.
 CELLS = 1 << 15
 MAX_LANGUAGES = 200
 #: Texts for each language that the model is fitted on, about; chosen by a hash of text. Counting more changes little.
@@ -75,18 +76,16 @@ def gram_cells(text: str) -> np.ndarray:
 def learn(labelled: DataFrame, text: str = "text", lang: str = "lang") -> tuple[list[str], np.ndarray]:
     """Languages and their probabilities, a float32 array (CELLS, languages), from rows with a text and a language."""
     rows = labelled.select(F.col(f"`{lang}`").cast("string").alias("lang"), F.col(f"`{text}`").cast("string").alias("text")).dropna()
-    size = rows.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "lang").limit(MAX_LANGUAGES + 1).collect()
-    if len(size) > MAX_LANGUAGES:
-        raise ValueError(f"more than {MAX_LANGUAGES} languages")
+    size = rows.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "lang").limit(MAX_LANGUAGES).collect()
     if not size:
         return [], np.zeros((CELLS, 0), dtype=np.float32)
     share = F.create_map(*[F.lit(x) for r in size for x in (r["lang"], int(min(1.0, SAMPLE_TEXTS / r["n"]) * 1_000_000))])
-    sample = rows.filter(F.pmod(F.xxhash64("text"), F.lit(1_000_000)) < F.element_at(share, F.col("lang")))
+    sample = rows.filter(F.pmod(F.xxhash64("text"), F.lit(1_000_000)) < F.try_element_at(share, F.col("lang")))
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total: dict[str, np.ndarray] = {}
         for batch in batches:
-            for name, body in zip(batch.column("lang").to_pylist(), batch.column("text").to_pylist()):
+            for name, body in zip(batch.column("lang").to_pylist(), (x.decode("utf-8", "replace") for x in batch.column("text").cast(pa.binary()).to_pylist())):
                 held = total.setdefault(name, np.zeros(CELLS, dtype=np.int64))
                 held += np.bincount(gram_cells(body), minlength=CELLS)
         for name, held in total.items():
@@ -171,9 +170,7 @@ def identify_languages(df: DataFrame, doc: str = "doc_id", text: str = "text", l
     with score 0, as all are where nothing could be learnt. A null id is not held out. Repeated rows count as often as they
     come. Columns named held_out and language must not be there.
     """
-    for name in ("held_out", "language"):
-        if name in df.columns:
-            raise ValueError(f"there is a column {name} already")
+    must_be_free(df, "held_out", "language")
     marked = df.withColumn("held_out", held_out(F.col(f"`{doc}`")))
     model = df.sparkSession.sparkContext.broadcast(learn(marked.filter(~F.col("held_out")), text, lang))
     return predict(marked, model, text)

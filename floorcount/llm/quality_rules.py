@@ -22,7 +22,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql import Window as W
 
-from floorcount.llm.scratch import Scratch, free_name, tidy
+from floorcount.llm.scratch import Scratch, free_name, must_be_free, tidy
 
 WHITE = b" \t\n\x0b\x0c\r"
 SYMBOLS = b"#*$%&|<>"
@@ -166,9 +166,7 @@ def judge(df: DataFrame, text: str = "text", lang: str = "lang", source: str = "
     rows each count and are judged alike; an empty table gives an empty one. Names that the result adds must be free.
     Without the text, the measures are written once; with it, they are taken twice rather than write all texts.
     """
-    for name in ("measures", "base_failed", "beyond", "kept"):
-        if name in df.columns:
-            raise ValueError(f"there is a column {name} already")
+    must_be_free(df, "measures", "base_failed", "beyond", "kept")
     scratch = scratch or Scratch(df.sparkSession, "quality")
     measured = with_measures(df, text, keep_text)
     if keep_text:

@@ -158,6 +158,29 @@ def test_arc_lines_of_both_versions_and_across_chunks():
         list(legacy_archive.parse_arc([b"http://a 0 2001 text/html 99\nshort"]))
 
 
+def test_pages_that_look_like_version_records_stay(spark):
+    body = "1 0 floorcount\nURL IP-address\n" + prose("odd", 30)
+    rows = [(1, "filedesc://a.arc 0.0.0.0 2001 text/plain 12", body), (2, "filedesc://b", "2 0 x\nURL Archive-length\n"), (3, "filedesc://", None), (4, "metadata://m", body)]
+    scratch = legacy_archive.Scratch(spark, "odd")
+    out = {r["page_id"]: r for r in legacy_archive.archive_pages(spark.createDataFrame(rows, "page_id long, url string, html string"), scratch).collect()}
+    assert sorted(out) == [1, 2, 3, 4] and all(r["intact"] for r in out.values())
+    assert {i: out[i]["url"] for i in out} == {i: u for i, u, _ in rows} and out[4]["refers_to"] == 1
+    about = [r for r in legacy_archive.read_warc(spark, scratch.path("warc")).collect() if r["record_type"] == "warcinfo"]
+    assert about and all(r["intact"] and r["url"] is None and r["page_id"] is None for r in about)
+
+
+@settings(max_examples=300, deadline=None)
+@given(st.lists(st.tuples(st.one_of(st.none(), st.text(st.characters(exclude_categories=["Cs"]), max_size=30), st.sampled_from(["filedesc://x", "filedesc://x 1 2 3 4", " ", "-"])), st.binary(max_size=80)), max_size=6), st.sampled_from([1, 2]), st.integers(1, 50))
+def test_any_url_and_block_come_back(records, version, step):
+    data, places = legacy_archive.arc_version_record(version, "n.arc", "2001"), []
+    for url, block in records:
+        places.append(len(data))
+        data += legacy_archive.arc_record(version, url, "20010203040506", legacy_archive.http_block(7, block), 0, "n.arc")
+    got = list(legacy_archive.parse_arc(data[i : i + step] for i in range(0, len(data), step)))
+    assert [legacy_archive.split_http(g[2])[1] for g in got] == [b for _, b in records] and [g[0] for g in got] == places
+    assert [g[1]["URL"] for g in got] == [((u if u is not None else "-").replace("\r", "%0D").replace("\n", "%0A") or "-") for u, _ in records]
+
+
 # --- byte-level BPE ------------------------------------------------------------------------------------------------
 
 
@@ -272,6 +295,49 @@ def test_longer_runs_around_a_common_line_go(docs_of):
         assert out[k] == texts[k].replace(f"{hot}\n", "") and out[k + 1] == ""
 
 
+def lines_left(rows, least=25):
+    """Texts without every line that lies in a stretch of at least `least` words that stands earlier, by trying all stretches of all texts."""
+    order = sorted({(i is None, i or 0, hashlib.md5(t.encode()).hexdigest(), t) for i, t in rows if t is not None})
+    first, stretches = {}, []
+    for place, (*_, t) in enumerate(order):
+        lines = [(n, x, len(white(x))) for n, x in enumerate(t.split("\n")) if white(x)]
+        for a in range(len(lines)):
+            words = 0
+            for b in range(a, len(lines)):
+                words += lines[b][2]
+                if words >= least:
+                    run = tuple(x for _, x, _ in lines[a : b + 1])
+                    first[run] = min(first.get(run, (place, a)), (place, a))
+                    stretches.append((place, a, lines[a][0], lines[b][0], run))
+    gone = {}
+    for place, a, top, end, run in stretches:
+        if first[run] < (place, a):
+            gone.setdefault(place, set()).update(range(top, end + 1))
+    return {(None if none else i, t): "\n".join(x for n, x in enumerate(t.split("\n")) if n not in gone.get(place, ())) for place, (none, i, _, t) in enumerate(order)}
+
+
+@pytest.mark.parametrize("seed", range(3))
+def test_lines_left_equal_brute_force(docs_of, seed):
+    """Many documents that hold parts of the same passages in several orders, with longer runs around parts that others share."""
+    rng = random.Random(seed)
+    pool = [prose(f"l{seed}-{i}", rng.choice((1, 2, 5, 9, 14, 24, 25, 26, 60))) for i in range(25)]
+    texts = []
+    for k in range(60):
+        out = []
+        while len(out) < rng.randint(1, 12):
+            at, n = rng.randrange(len(pool)), rng.randint(1, 6)
+            out += pool[at : at + n]
+            if rng.random() < 0.4:
+                out.append(rng.choice(["", "  ", prose(f"own{seed}{k}{len(out)}", rng.randint(1, 30))]))
+        texts.append("\n".join(out))
+    middle, run = prose("middle", 25), [prose(f"around{i}", 13) for i in range(2)]
+    texts += [middle, *(f"{prose(f'x{i}', 9)}\n{run[0]}\n{middle}\n{run[1]}\n{prose(f'y{i}', 9)}" for i in range(8)), None, "", *EDGE]
+    df = docs_of(texts)
+    want = lines_left([(r["doc_id"], r["text"]) for r in df.select("doc_id", "text").collect()])
+    for r in line_winnow.dedup_lines(df.withColumn("given", F.col("text"))).collect():
+        assert r["text"] == (None if r["given"] is None else want[r["doc_id"], r["given"]])
+
+
 # --- near duplicates -----------------------------------------------------------------------------------------------
 
 
@@ -398,6 +464,45 @@ def test_rollups_follow_inserts_revisions_and_deletes_once(spark):
     assert totals() == [("", "en", 1, 0), ("b", "en", 2, 10)] and rollup.commit("b4", batch(("insert", 9, "z", "z", "t", 4, 0))) and ("z", "z", 1, 4) in totals()
 
 
+def test_rollups_keep_rows_without_ids_and_fold(spark):
+    rollup = token_rollups.Rollup(spark, Scratch(spark, "t2").path("state"))
+    schema = "op string, doc_id long, source string, lang string, tokenizer string, n_tokens long, seq int, part string"
+    batch = lambda *rows: spark.createDataFrame([(*r, "clash") for r in rows], schema)
+    totals = lambda: sorted((r["source"] or "", r["n_docs"], r["n_tokens"]) for r in rollup.totals().collect())
+    assert rollup.commit("1", batch(*[("insert", None, "a", None, "t", 5, 0)] * 4, *[("insert", i, "b", None, "t", i, 0) for i in range(40)], ("delete", None, "a", None, "t", None, 0)))
+    assert totals() == [("a", 4, 20), ("b", 40, 780)]
+    rollup.compact()
+    assert totals() == [("a", 4, 20), ("b", 40, 780)] and not rollup.commit("1", batch())
+    assert rollup.commit("2", batch(("revise", 3, "c", None, "t", 100, 0), ("delete", 39, "b", None, "t", None, 0), ("revise", None, "a", None, "t", 1, 0)))
+    assert totals() == [("a", 5, 21), ("b", 38, 738), ("c", 1, 100)]
+    rollup.compact()
+    assert totals() == [("a", 5, 21), ("b", 38, 738), ("c", 1, 100)] and rollup.committed() == ["1", "2"]
+    # a second attempt that ended too doesn't count twice
+    rollup._mark("commits", "2", "zzz")
+    assert totals() == [("a", 5, 21), ("b", 38, 738), ("c", 1, 100)]
+
+
+def test_targets_are_resolved(spark):
+    cases = [
+        ("/de/1", "http://bad.com/x/y?q#f", "http://bad.com/de/1"), ("//bad.com/de/1", "https://a.net/x", "https://bad.com/de/1"), ("?p=2&amp;q=3", "http://a.net/x/y?z", "http://a.net/x/y?p=2&q=3"),
+        ("b", "http://a.net/x/y", "http://a.net/x/b"), ("../b/./c?d=../e", "http://a.net/x/y/z", "http://a.net/x/b/c?d=../e"), ("../../..", "http://a.net/x", "http://a.net/"), ("b", "http://a.net", "http://a.net/b"),
+        ("http://c.d/?a=1&#38;b", "no base", "http://c.d/?a=1&b"), ("b", "no base", None), ("#top", "http://a.net/x", None), ("mailto:x@y", "http://a.net/x", None), ("go?u=http://z", "http://a.net/x/y", "http://a.net/x/go?u=http://z"), ("x/", "http://a.net/y/", "http://a.net/y/x/"),
+    ]
+    df = spark.createDataFrame(cases, "t string, b string, want string")
+    for r in df.withColumn("got", url_aliases.resolved(F.col("t"), F.col("b"))).collect():
+        assert r["got"] == r["want"], r
+    pages = spark.createDataFrame([(1, "http://mirror.net/a", '<link rel=canonical href="//bad.com/de/1?x=1&amp;y=2">'), (2, "http://bad.com/fr/2", '<link rel="canonical" href="/de/2">'), (3, "http://bad.com/x" + "y" * 100_000, "")], "page_id long, url string, html string")
+    got = {r["page_id"]: r["verdict"] for r in url_aliases.judge_urls(pages).collect()}
+    assert got == {1: "block", 2: "allow", 3: "allow"}
+
+
+def test_clashes_are_found_in_any_case(spark):
+    d = spark.createDataFrame([(1, "a", "en", "s", "x")], "doc_id long, text string, lang string, source string, url string")
+    for run, name in ((quality_rules.judge, "Kept"), (license_scan.scan, "Licenses"), (line_winnow.dedup_lines, "REMOVED"), (language_mix.identify_languages, "Held_Out"), (url_aliases.judge_urls, "Verdict")):
+        with pytest.raises(ValueError):
+            run(d.withColumn(name, F.lit(1)))
+
+
 # --- licenses ------------------------------------------------------------------------------------------------------
 
 
@@ -429,3 +534,29 @@ def test_licenses(docs_of):
     hit = out[3]["licenses"][0]
     assert texts[3][hit["start"] : hit["end"]] == "Released under the MIT License" and hit["coverage"] == 1.0
     assert license_scan.scan(df).count() == df.count() and license_scan.scan(df.limit(0)).count() == 0
+
+
+def test_edited_notices_are_found_whichever_words_went():
+    """Of templates of ten words and more, any two words may be others (a fifth of them, drawn, for long ones) and words may come between."""
+    scanner, rng = license_scan.Scanner(), random.Random(11)
+    for name, template in license_scan.TEMPLATES.items():
+        words = template.split()
+        n = len(re.findall("[0-9a-z]+", template.lower()))
+        if n < 10:
+            continue
+        edits = [(i, j) for i in range(len(words)) for j in range(i)]
+        edits += [tuple(rng.sample(range(len(words)), n // 5 - 1)) for _ in range(100)]
+        for gone in edits:
+            left = [f"other{rng.randrange(99)}" if i in gone else w for i, w in enumerate(words)]
+            covered = len(re.findall("[0-9a-z]+", " ".join(w for i, w in enumerate(words) if i not in gone).lower())) / n
+            text = f"{prose('before', 15)} {' '.join(left)} {prose('after', 15)}"
+            found = [x for x in scanner.scan(text.encode()) if x[0] == name]
+            assert bool(found) == (covered >= 0.8), (name, gone)
+            assert not found or abs(found[0][1] - covered) < 1e-9
+
+
+def test_two_notices_side_by_side_are_two():
+    scanner = license_scan.Scanner()
+    for a in ("mit-text", "gpl-notice", "bsd", "isc"):
+        both = scanner.scan(f"{license_scan.TEMPLATES[a]} {license_scan.TEMPLATES[a]} {prose('x', 9)} {license_scan.TEMPLATES['cc-by-4.0']}".encode())
+        assert [x[0] for x in both] == [a, a, "cc-by-4.0"] and all(x[1] == 1.0 for x in both)

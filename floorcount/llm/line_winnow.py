@@ -101,11 +101,24 @@ def repeated_runs(windows: DataFrame) -> DataFrame:
     return island.groupBy("d", "k", "island").agg(F.min("first").alias("first"), F.max("last").alias("last")).drop("island")
 
 
+def bridged(runs: Column, lines: Column) -> Column:
+    """runs, in order, where those with only lines without words between them are one."""
+    worded = lambda t: F.regexp_like(t, F.lit(WORD))
+    bare = lambda a, b: ~F.exists(F.slice(lines, a["last"] + 2, b["first"] - a["last"] - 1), worded)
+
+    def step(seen: Column, x: Column) -> Column:
+        end = F.element_at(seen, -1)
+        longer = F.concat(F.slice(seen, 1, F.size(seen) - 1), F.array(F.struct(end["first"].alias("first"), x["last"].alias("last"))))
+        return F.when(bare(end, x), longer).otherwise(F.concat(seen, F.array(x)))
+
+    return F.aggregate(F.slice(runs, 2, F.size(runs) - 1), F.slice(runs, 1, 1), step)
+
+
 def dedup_lines(df: DataFrame, doc: str = "doc_id", text: str = "text", scratch: Scratch | None = None) -> DataFrame:
     """df with the lines of later repeated runs taken out of `text`, and array `removed` of (first, last) line numbers.
 
     A run of RUN_WORDS words or more that stands earlier goes whole, wherever it stands; shorter ones stay.
-    Lines are parted by \\n alone and numbered from 0; lines without words between removed ones go with them. Null texts stay
+    Lines are parted by \\n alone and numbered from 0; lines without words go where the lines with words before and after them go. Null texts stay
     null; empty ones stay empty; a text that loses every line becomes empty. Earlier means a smaller doc_id (null last), then
     text hash, then line. Rows with equal doc_id and text are one document and treated alike. An empty table gives an
     empty one. A column named `removed` must not be there.
@@ -125,6 +138,7 @@ def dedup_lines(df: DataFrame, doc: str = "doc_id", text: str = "text", scratch:
     runs = runs.select(F.col("d").alias(d), F.col("k").alias(k), F.col("removed").alias(run))
     joined = df.withColumn(at, F.unhex(F.md5(body))).join(runs, F.col(f"`{doc}`").eqNullSafe(F.col(d)) & (F.col(at) == F.col(k)), "left")
     lines = F.split(body, "\n", -1)
+    joined = joined.withColumn(run, F.when(F.size(run) > 1, bridged(F.col(run), lines)).otherwise(F.col(run)))
     removed = F.coalesce(run, F.array().cast(T.ArrayType(T.StructType([T.StructField("first", T.IntegerType()), T.StructField("last", T.IntegerType())]))))
     gaps = F.zip_with(F.concat(F.array(F.lit(-1)), F.transform(run, lambda x: x["last"])), F.concat(F.transform(run, lambda x: x["first"]), F.array(F.size(lines))), lambda a, b: F.slice(lines, a + 2, b - a - 1))
     kept = F.when(F.size(run) > 0, F.array_join(F.flatten(gaps), "\n")).otherwise(body)

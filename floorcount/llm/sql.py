@@ -64,7 +64,11 @@ f AS (SELECT doc_id, k, line AS a, max(line) OVER s AS z, list(t) OVER s AS run,
 e AS (SELECT doc_id, k, min(line) OVER s AS a, line AS z, list(t) OVER s AS run, upto AS held FROM b WINDOW s AS (PARTITION BY doc_id, k ORDER BY upto RANGE BETWEEN 24 PRECEDING AND CURRENT ROW)),
 r AS (SELECT doc_id, k, a, z, run FROM f WHERE held >= 25 UNION SELECT doc_id, k, a, z, run FROM e WHERE held >= 25),
 o AS (SELECT *, row_number() OVER (PARTITION BY run ORDER BY doc_id NULLS LAST, k, a) AS place FROM r),
-gone AS (SELECT DISTINCT doc_id, k, unnest(generate_series(a, z)) AS line FROM o WHERE place > 1),
+hit AS (SELECT DISTINCT doc_id, k, unnest(generate_series(a, z)) AS line FROM o WHERE place > 1),
+m AS (SELECT w.doc_id, w.k, w.line, CASE WHEN n > 0 THEN hit.line IS NOT NULL END AS goes FROM w LEFT JOIN hit ON w.doc_id IS NOT DISTINCT FROM hit.doc_id AND w.k = hit.k AND w.line = hit.line),
+-- a line without words goes where the lines with words before and after it go
+gone AS (SELECT doc_id, k, line FROM (SELECT *, last_value(goes IGNORE NULLS) OVER (PARTITION BY doc_id, k ORDER BY line ROWS UNBOUNDED PRECEDING) AS up,
+  first_value(goes IGNORE NULLS) OVER (PARTITION BY doc_id, k ORDER BY line ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS down FROM m) WHERE up AND down),
 runs AS (SELECT doc_id, k, count(*) AS n_removed, count(DISTINCT line - rn) AS n_runs FROM (SELECT *, row_number() OVER (PARTITION BY doc_id, k ORDER BY line) AS rn FROM gone) GROUP BY ALL),
 kept AS (SELECT l.doc_id, l.k, string_agg(t, chr(10) ORDER BY l.line) AS body FROM l ANTI JOIN gone ON l.doc_id IS NOT DISTINCT FROM gone.doc_id AND l.k = gone.k AND l.line = gone.line GROUP BY ALL)
 SELECT x.doc_id, coalesce(n_runs, 0) AS n_runs, coalesce(n_removed, 0) AS n_removed, CASE WHEN x.text IS NOT NULL THEN length(coalesce(body, '')) END AS kept_chars,

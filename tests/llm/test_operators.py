@@ -313,6 +313,16 @@ def lines_left(rows, least=25):
     for place, a, top, end, run in stretches:
         if first[run] < (place, a):
             gone.setdefault(place, set()).update(range(top, end + 1))
+    for place, (*_, t) in enumerate(order):  # lines without words go with those before and after them
+        last, bare = False, []
+        for n, x in enumerate(t.split("\n")):
+            if not white(x):
+                bare.append(n)
+                continue
+            now = n in gone.get(place, ())
+            if now and last:
+                gone[place].update(bare)
+            last, bare = now, []
     return {(None if none else i, t): "\n".join(x for n, x in enumerate(t.split("\n")) if n not in gone.get(place, ())) for place, (none, i, _, t) in enumerate(order)}
 
 

@@ -17,6 +17,11 @@ TOP = 63
 HISTORY = 3
 
 
+def _table(values) -> Column:
+    """Fixed numbers as one constant array: a text that the optimizer reads once, instead of an expression a number."""
+    return F.split(F.lit(",".join(map(repr, map(float, values)))), ",").cast("array<double>")
+
+
 def _sum(cells: Column, term) -> Column:
     return F.aggregate(cells, F.lit(0.0), lambda s, x: s + term(x))
 
@@ -64,8 +69,12 @@ def est_lc_floor(cells: Column, m: int) -> Column:
 
 
 def tiers(cells: Column, m: int, top: int = TOP) -> Column:
-    """Array of (t, z), for tiers with some register below and some not."""
-    return F.filter(F.transform(F.sequence(F.lit(0), F.lit(top)), lambda t: F.struct(t.alias("t"), below(cells, m, t).alias("z"))), lambda x: (x["z"] > 0) & (x["z"] < m))
+    """Array of (t, z), for tiers with some register below and some not: from the lowest that can have one to the largest level."""
+    first = F.greatest(floor_level(cells, m) + 1, F.lit(0))
+    last = F.least(F.array_max(F.transform(cells, lambda x: x["lvl"])), F.lit(top))
+    none = F.array().cast("array<int>")
+    at = F.coalesce(F.when(last >= first, F.sequence(first, last)), none)
+    return F.filter(F.transform(at, lambda t: F.struct(t.alias("t"), below(cells, m, t).alias("z"))), lambda x: (x["z"] > 0) & (x["z"] < m))
 
 
 def est_tlc_best(cells: Column, m: int, target: float = 0.25) -> Column:
@@ -105,9 +114,9 @@ def harmonic_sum(cells: Column, h: int = 0) -> Column:
 
 def _shift(x: Column, h: int) -> Column:
     """A register at level r < h has r observable bits, and that many bits' corrections."""
-    out = F.get(F.array(*[F.lit(v) for v in K.level_shifts(h)]), state_of(x["state"], h))
+    out = F.get(_table(K.level_shifts(h)), state_of(x["state"], h))
     for r in range(h - 1, -1, -1):
-        some = F.get(F.array(*[F.lit(v) for v in K.level_shifts(r)]), state_of(x["state"], r)) if r else F.lit(0.0)
+        some = F.get(_table(K.level_shifts(r)), state_of(x["state"], r)) if r else F.lit(0.0)
         out = F.when(x["lvl"] == r, some).otherwise(out)
     return out
 
@@ -153,7 +162,7 @@ def corrected(raw: Column, m: int, method: str = "occ_mean", h: int = 0) -> Colu
     inside, k = fold(raw, math.exp(last))
     at = F.greatest((F.ln(inside) - F.lit(first)) / F.lit(K.STEP), F.lit(0.0))
     low = F.least(F.floor(at).cast("int"), F.lit(K.KNOTS - 2))
-    table = F.array(*[F.lit(v) for v in knots])
+    table = _table(knots)
     a, b = F.get(table, low), F.get(table, low + 1)
     start = math.exp(first)
     return F.when(raw <= 0, 0.0).when(raw < start, raw * math.exp(knots[0]) / start).otherwise(F.exp(a + (b - a) * (at - low)) * F.pow(F.lit(2.0), k))
@@ -178,7 +187,10 @@ def est_hist_lc(cells: Column, m: int, h: int = 2, least: int = 8) -> Column:
         seen = _count(cells, lambda x: (x["lvl"] > i) & (x["lvl"] <= i + h) & (F.call_function("shiftright", x["state"], (F.lit(HISTORY) - (x["lvl"] - i)).cast("int")).bitwiseAND(F.lit(1)) == 1))
         return F.struct(i.alias("i"), able.alias("n"), (able - seen).alias("u"))
 
-    levels = F.filter(F.transform(F.sequence(F.lit(0), F.lit(TOP - 1)), at), lambda x: (x["n"] >= least) & (x["u"] > 0) & (x["u"] < x["n"]))
+    # a level that history can tell of is under the largest one, and at most h under the smallest
+    low, high = F.array_min(F.transform(cells, lambda x: x["lvl"])), F.array_max(F.transform(cells, lambda x: x["lvl"]))
+    span = F.coalesce(F.when(high >= 1, F.sequence(F.greatest(low - h, F.lit(0)), high - 1)), F.array().cast("array<int>"))
+    levels = F.filter(F.transform(span, at), lambda x: (x["n"] >= least) & (x["u"] > 0) & (x["u"] < x["n"]))
 
     def weigh(s, x):
         log = F.ln(x["n"] / x["u"])
@@ -205,7 +217,7 @@ def est_gra(cells: Column, m: int, h: int = 2) -> Column:
     expected to under linear counting's rate.
     """
     tau, k, g = K.remaining_area(h)
-    weights = F.array(*[F.lit(v) for v in g])
+    weights = _table(g)
     rate = est_lc(cells, m) / m
     held = _sum(cells, lambda x: x["cnt"] * F.pow(F.lit(2.0), F.lit(-tau) * (x["lvl"] + 1)) * _known(x, h, weights, g, rate))
     empty = F.lit(m) - filled(cells)
@@ -298,6 +310,6 @@ def est_loglog(cells: Column, m: int, keep: float = 1.0) -> Column:
 ESTIMATORS = {
     "lc": est_lc, "lc_floor": est_lc_floor, "tlc_best": est_tlc_best, "tlc": est_tlc, "occ_mean": est_occ_mean, "harm_mean": est_harm_mean, "geo_mean": est_geo_mean,
     "hll": est_hll, "hybrid": est_hybrid, "mean_h1": lambda c, m: est_mean_hist(c, m, 1), "mean_h2": lambda c, m: est_mean_hist(c, m, 2), "mean_h3": lambda c, m: est_mean_hist(c, m, 3),
-    "hybrid_h2": lambda c, m: est_hybrid(c, m, 2), "hist_lc": est_hist_lc, "tlc_layered": est_tlc_layered, "hybrid_layered": est_hybrid_layered, "gra": est_gra, "mle": est_mle,
+    "hybrid_h2": lambda c, m: est_hybrid(c, m, 2), "hist_lc": est_hist_lc, "tlc_layered": est_tlc_layered, "tlc_layered_h1": lambda c, m: est_tlc_layered(c, m, 1), "tlc_layered_h3": lambda c, m: est_tlc_layered(c, m, 3), "hybrid_layered": est_hybrid_layered, "gra": est_gra, "mle": est_mle,
     "loglog": est_loglog, "loglog_trunc": lambda c, m: est_loglog(c, m, 0.7),
 }

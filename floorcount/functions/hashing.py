@@ -10,15 +10,17 @@ from pyspark.sql import functions as F
 
 #: Bits of each kind of hash. md5_60 has the same values in other SQL engines; xxhash64 is the fast one.
 WIDTH = {"xxhash64": 64, "md5_60": 60, "mix64": 64}
-SEPARATOR, NULL = "\x1f", "\x00"
+NULL = "-"
 
 
 def element(cols: Sequence[str | Column]) -> Column:
-    """One column as it is; several as one text, with a mark for null. Null only if all are."""
+    """One column as it is; several as one text that no other tuple makes: each part after its length, null as a mark. Null only if all are."""
     columns = [F.col(c) if isinstance(c, str) else c for c in cols]
     if len(columns) == 1:
         return columns[0]
-    return F.when(F.coalesce(*[c.cast("string") for c in columns]).isNotNull(), F.concat_ws(SEPARATOR, *[F.coalesce(c.cast("string"), F.lit(NULL)) for c in columns]))
+    told = lambda c: F.coalesce(F.concat(F.length(c).cast("string"), F.lit(":"), c), F.lit(NULL))
+    texts = [c.cast("string") for c in columns]
+    return F.when(F.coalesce(*texts).isNotNull(), F.concat(*map(told, texts)))
 
 
 def _half_sum(a: Column, b: Column) -> Column:

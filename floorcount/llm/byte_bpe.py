@@ -248,9 +248,10 @@ def _with_column(df: DataFrame, name: str, kind: T.DataType, of: str, work, how:
         for batch in batches:
             for start in range(0, batch.num_rows, 256):  # bounds what stands in memory besides the batch
                 part = batch.slice(start, 256)
-                values = part.column(given).cast(pa.binary()).to_pylist()
-                if how == "encode":
-                    values = [None if x is None else x.decode("utf-8", "replace") for x in values]
+                try:
+                    values = part.column(given).to_pylist()
+                except UnicodeDecodeError:
+                    values = [None if x is None else x.decode("utf-8", "replace") for x in part.column(given).cast(pa.binary()).to_pylist()]
                 made = pa.array(map(make, values), pa.binary())
                 keep = [part.column(c) for c in range(part.num_columns - 1)]
                 yield pa.RecordBatch.from_arrays([*keep, made], names=schema.names)

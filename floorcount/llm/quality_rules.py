@@ -1,10 +1,13 @@
 """Quality rules with thresholds that follow each language and source.
 
 Three steps. Each text is measured once. The measures of the documents that pass the fixed base rule are gathered for each
-language and source in quantile sketches: counts over buckets that keep five leading bits of a value, so two sketches
+language and source in quantile sketches: counts over buckets that keep seven leading bits of a value, so two sketches
 merge by adding counts, in any order and without loss, and a sketch has a fixed number of buckets whatever it holds. An
 upper fence is read from each sketch, joined to the documents, and those beyond a fence of their own group are rejected.
-A group with few documents uses its language's sketch, and failing that the sketch of all.
+
+A group's sketch is blended with its language's, which weighs as much as PRIOR documents, and the language's with that of
+all, so there is no size at which a group turns from one threshold to another. Ratios that most clean documents have
+nothing of (repeated lines and windows) are sketched over the documents that have some.
 
 Junk must not set its own threshold: no fence exceeds that which half of the groups of its language stay within, each group
 counting once whatever it holds. A language of fewer than BOUND_GROUPS groups is bounded by the groups of all.
@@ -35,15 +38,18 @@ BASE_WORDS, BASE_REPEAT = 20, 30
 
 #: What the fences look at, in thousandths: name, numerator, denominator.
 RATIOS = (("symbols", "n_symbols", "word_chars"), ("dup_lines", "n_dup_lines", "n_lines"), ("repeats", "n_repeat_words", "n_words"), ("word_length", "word_chars", "n_words"))
-#: A value is beyond the fence if it exceeds q90 + SPREAD * (q90 - q50), and LEAST for that ratio: less is harmless anywhere.
-LOW_Q, HIGH_Q, SPREAD = 50, 90, 3
-LEAST = {"symbols": 50, "dup_lines": 400, "repeats": 290, "word_length": 6_500}
+#: A value is beyond the fence if it exceeds q90 + SPREAD * (q90 - q50), in buckets.
+LOW_Q, HIGH_Q, SPREAD = 50, 90, 4
+#: Ratios that are sketched over the documents that have some.
+OF_SOME = ("dup_lines", "repeats")
+#: Thousandths that are rejected nowhere: one symbol in a hundred characters. Other ratios have no such value.
+TOLERANCE = {"symbols": 10}
+#: Documents that a language's sketch weighs in each of its groups, and that of all in each language; ONE is a document's weight.
+PRIOR, PRIOR_ALL, ONE = 30, 10, 1_000_000
 #: Groups of a language from which on they bound its fences.
 BOUND_GROUPS = 3
 #: Fences, of at most 300 bytes each, up to which they are sent to every executor.
 FEW_GROUPS = 50_000
-#: Documents below which a group's own sketch isn't used.
-LEAST_DOCS = 100
 
 
 def repeated_words(words: list[bytes], span: int = REPEAT_WINDOW) -> int:
@@ -107,9 +113,14 @@ def with_measures(df: DataFrame, text: str = "text", keep_text: bool = False) ->
 
 
 def bucket(value: Column) -> Column:
-    """The bucket of a whole number from 0: the number itself below 64, else its five bits after the leading one."""
-    shift = F.length(F.bin(value)) - 6
-    return F.when(value < 64, value).otherwise(shift * 32 + F.call_function("shiftright", value, F.greatest(shift, F.lit(0)))).cast("long")
+    """The bucket of a whole number from 0: the number itself below 256, else its seven bits after the leading one."""
+    shift = F.length(F.bin(value)) - 8
+    return F.when(value < 256, value).otherwise(shift * 128 + F.call_function("shiftright", value, F.greatest(shift, F.lit(0)))).cast("long")
+
+
+def _bucket(value: int) -> int:
+    shift = max(0, value.bit_length() - 8)
+    return value if value < 256 else shift * 128 + (value >> shift)
 
 
 def base_failed(m: str = "measures") -> Column:
@@ -128,35 +139,46 @@ def sketches(measured: DataFrame, by: tuple[str, str] = ("lang", "source")) -> D
     return (
         measured.filter(~base_failed())
         .select(*[F.col(f"`{c}`").alias(k) for c, k in zip(by, ("g_lang", "g_source"))], each.alias("x"))
+        .filter((F.col("x.bucket") > 0) | ~F.col("x.ratio").isin(*OF_SOME))
         .groupBy("g_lang", "g_source", F.col("x.ratio").alias("ratio"), F.col("x.bucket").alias("bucket"))
         .agg(F.count(F.lit(1)).alias("docs"))
     )
 
 
+def _weighed(rows: DataFrame, by: list[str], most: int) -> DataFrame:
+    """rows (by..., bucket, weight) with `share`: the weight's part of `most` documents, whole numbers, so sums are exact in any order."""
+    total = rows.groupBy(*[F.col(c).alias(f"_{c}") for c in by]).agg(F.sum("weight").alias("total"))
+    same = reduce(lambda x, c: x & F.col(c).eqNullSafe(F.col(f"_{c}")), by, F.lit(True))
+    part = F.floor(F.lit(float(most * ONE)) * (F.col("weight") / F.col("total"))).cast("bigint").alias("share")
+    return rows.join(total, same).select(*by, "bucket", part)
+
+
+def blended(sketch: DataFrame) -> DataFrame:
+    """Rows (g_lang, g_source, ratio, bucket, weight): each group's own counts and its part of its language's and of all."""
+    own = sketch.select("g_lang", "g_source", "ratio", "bucket", (F.col("docs") * ONE).alias("weight"))
+    every = _weighed(own.groupBy("ratio", "bucket").agg(F.sum("weight").alias("weight")), ["ratio"], PRIOR_ALL)
+    langs = sketch.select("g_lang").distinct()
+    ratios = F.explode(F.array(*[F.lit(name) for name, _, _ in RATIOS]))
+    to_lang = langs.select("g_lang", ratios.alias("r")).join(every, F.col("r") == F.col("ratio")).select("g_lang", "ratio", "bucket", F.col("share").alias("weight"))
+    of_lang = own.select("g_lang", "ratio", "bucket", "weight").unionAll(to_lang).groupBy("g_lang", "ratio", "bucket").agg(F.sum("weight").alias("weight"))
+    lang = _weighed(of_lang, ["g_lang", "ratio"], PRIOR).withColumnRenamed("g_lang", "_l")
+    to_group = sketch.select("g_lang", "g_source").distinct().join(lang, F.col("g_lang").eqNullSafe(F.col("_l"))).select("g_lang", "g_source", "ratio", "bucket", F.col("share").alias("weight"))
+    return own.unionAll(to_group).groupBy("g_lang", "g_source", "ratio", "bucket").agg(F.sum("weight").alias("weight"))
+
+
 def fences(sketch: DataFrame) -> DataFrame:
-    """The fences, as a map of ratio to bucket, of each (level, g_lang, g_source); level 2: the pair, 1: the language, 0: all."""
-    cube = reduce(DataFrame.unionAll, [sketch.select(F.lit(level).alias("level"), lang.alias("g_lang"), source.alias("g_source"), "ratio", "bucket", "docs") for level, lang, source in ((2, F.col("g_lang"), F.col("g_source")), (1, F.col("g_lang"), F.lit(None).cast("string")), (0, F.lit(None).cast("string"), F.lit(None).cast("string")))])
-    key = ["level", "g_lang", "g_source", "ratio"]
-    merged = cube.groupBy(*key, "bucket").agg(F.sum("docs").alias("docs"))
-    ordered = merged.withColumn("upto", F.sum("docs").over(W.partitionBy(*key).orderBy("bucket"))).withColumn("total", F.sum("docs").over(W.partitionBy(*key)))
+    """Rows (g_lang, g_source, fences): the fences as a map of ratio to bucket."""
+    key = ["g_lang", "g_source", "ratio"]
+    ordered = blended(sketch).withColumn("upto", F.sum("weight").over(W.partitionBy(*key).orderBy("bucket"))).withColumn("total", F.sum("weight").over(W.partitionBy(*key)))
     at = lambda q: F.min(F.when(F.col("upto") * 100 >= F.col("total") * q, F.col("bucket")))
-    least = F.create_map(*[F.lit(x) for name, v in LEAST.items() for x in (name, int(_bucket(v)))])
-    per = ordered.groupBy(*key).agg(at(LOW_Q).alias("low"), at(HIGH_Q).alias("high"), F.max("total").alias("docs"))
-    raw = F.greatest(F.col("high") + SPREAD * (F.col("high") - F.col("low")), F.try_element_at(least, F.col("ratio")).cast("long"))
-    own = per.withColumn("raw", raw)
+    own = ordered.groupBy(*key).agg(at(LOW_Q).alias("low"), at(HIGH_Q).alias("high")).withColumn("raw", F.col("high") + SPREAD * (F.col("high") - F.col("low")))
     # each group counts once, so a source is one voice whatever its share of the rows
     middle = F.expr("percentile_disc(0.5) WITHIN GROUP (ORDER BY raw)").cast("long")
-    groups = own.filter("level = 2")
-    of_all = groups.groupBy(F.col("ratio").alias("r0")).agg(middle.alias("all_half"))
-    of_lang = groups.groupBy(F.col("g_lang").alias("b_lang"), F.col("ratio").alias("r1")).agg(middle.alias("half"), F.count(F.lit(1)).alias("n")).filter(F.col("n") >= BOUND_GROUPS)
-    bound = own.join(F.broadcast(of_all), F.col("ratio") == F.col("r0")).join(of_lang, (F.col("level") > 0) & F.col("g_lang").eqNullSafe(F.col("b_lang")) & (F.col("ratio") == F.col("r1")), "left")
+    of_all = own.groupBy(F.col("ratio").alias("r0")).agg(middle.alias("all_half"))
+    of_lang = own.groupBy(F.col("g_lang").alias("b_lang"), F.col("ratio").alias("r1")).agg(middle.alias("half"), F.count(F.lit(1)).alias("n")).filter(F.col("n") >= BOUND_GROUPS)
+    bound = own.join(F.broadcast(of_all), F.col("ratio") == F.col("r0")).join(of_lang, F.col("g_lang").eqNullSafe(F.col("b_lang")) & (F.col("ratio") == F.col("r1")), "left")
     fence = F.least(F.col("raw"), F.coalesce("half", "all_half"))
-    return bound.groupBy("level", "g_lang", "g_source").agg(F.map_from_entries(F.collect_list(F.struct("ratio", fence.alias("fence")))).alias("fences"), F.max("docs").alias("docs"))
-
-
-def _bucket(value: int) -> int:
-    shift = max(0, value.bit_length() - 6)
-    return value if value < 64 else shift * 32 + (value >> shift)
+    return bound.groupBy("g_lang", "g_source").agg(F.map_from_entries(F.collect_list(F.struct("ratio", fence.alias("fence")))).alias("fences"))
 
 
 def judge(df: DataFrame, text: str = "text", lang: str = "lang", source: str = "source", scratch: Scratch | None = None, keep_text: bool = False) -> DataFrame:
@@ -176,16 +198,14 @@ def judge(df: DataFrame, text: str = "text", lang: str = "lang", source: str = "
     found = scratch.keep(fences(sketches(counted, (lang, source))), "fences")
     # a row for each language and source: sent to every executor only if there are few
     send = F.broadcast if found.count() <= FEW_GROUPS else (lambda x: x)
-    pick = found.filter((F.col("level") == 0) | (F.col("docs") >= LEAST_DOCS))
     key = lambda c: F.coalesce(F.concat(F.lit("="), F.col(c)), F.lit("-"))
     free = lambda n: free_name(measured, n)
-    level = lambda k: send(pick.filter(F.col("level") == k).select(key("g_lang").alias(free(f"_l{k}")), key("g_source").alias(free(f"_s{k}")), F.col("fences").alias(free(f"_f{k}"))))
-    c = {n: F.col(free(f"_{n}")) for n in ("l", "s", "l0", "l1", "l2", "s2", "f0", "f1", "f2")}
+    c = {n: F.col(free(f"_{n}")) for n in ("l", "s", "l2", "s2", "f2")}
     keyed = measured.withColumns({free("_l"): key(f"`{lang}`"), free("_s"): key(f"`{source}`")})
-    joined = keyed.join(level(2), (c["l"] == c["l2"]) & (c["s"] == c["s2"]), "left").join(level(1).drop(free("_s1")), c["l"] == c["l1"], "left")
-    joined = joined.join(F.broadcast(level(0).drop(free("_s0"))), F.lit("-") == c["l0"], "left")  # one row
-    fence = F.coalesce(c["f2"], c["f1"], c["f0"])
-    beyond = F.array_compact(F.array(*[F.when(bucket(ratio(a, b)) > F.try_element_at(fence, F.lit(name)), F.lit(name)) for name, a, b in RATIOS]))
+    own = send(found.select(key("g_lang").alias(free("_l2")), key("g_source").alias(free("_s2")), F.col("fences").alias(free("_f2"))))
+    joined = keyed.join(own, (c["l"] == c["l2"]) & (c["s"] == c["s2"]), "left")
+    limit = lambda name: F.greatest(F.try_element_at(c["f2"], F.lit(name)), F.lit(TOLERANCE.get(name, 0)).cast("long"))
+    beyond = F.array_compact(F.array(*[F.when(F.try_element_at(c["f2"], F.lit(name)).isNotNull() & (bucket(ratio(a, b)) > limit(name)), F.lit(name)) for name, a, b in RATIOS]))
     out = [F.col(f"`{c}`") for c in measured.columns]
     judged = joined.select(*out, base_failed().alias("base_failed"), F.when(base_failed(), F.array().cast("array<string>")).otherwise(beyond).alias("beyond"))
     return judged.withColumn("kept", ~F.col("base_failed") & (F.size("beyond") == 0))

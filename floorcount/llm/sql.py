@@ -15,17 +15,21 @@ f AS (SELECT *, n_words < 20 OR 100 * n_repeat_words > 30 * n_words AS base_fail
 r AS (SELECT doc_id, lang, source, base_failed, ratio, CASE WHEN den > 0 THEN floor(num * 1000 / den)::BIGINT ELSE 0 END AS v FROM
   (SELECT doc_id, lang, source, base_failed, unnest(['symbols', 'dup_lines', 'repeats', 'word_length']) AS ratio, unnest([n_symbols, n_dup_lines, n_repeat_words, word_chars]) AS num,
    unnest([word_chars, n_lines, n_words, n_words]) AS den FROM f)),
-b AS (SELECT *, CASE WHEN v < 64 THEN v ELSE (length(bin(v)) - 6) * 32 + (v >> (length(bin(v)) - 6)) END AS bucket FROM r),
-s AS (SELECT lang, source, ratio, bucket, count(*) AS docs FROM b WHERE NOT base_failed GROUP BY ALL),
-c AS (SELECT 2 AS level, lang, source, ratio, bucket, docs FROM s UNION ALL SELECT 1, lang, NULL, ratio, bucket, docs FROM s UNION ALL SELECT 0, NULL, NULL, ratio, bucket, docs FROM s),
-g AS (SELECT level, lang, source, ratio, bucket, sum(docs) AS docs FROM c GROUP BY ALL),
-o AS (SELECT *, sum(docs) OVER (PARTITION BY level, lang, source, ratio ORDER BY bucket) AS upto, sum(docs) OVER (PARTITION BY level, lang, source, ratio) AS total FROM g),
-q AS (SELECT level, lang, source, ratio, min(CASE WHEN upto * 100 >= total * 50 THEN bucket END) AS low, min(CASE WHEN upto * 100 >= total * 90 THEN bucket END) AS high, max(total) AS docs FROM o GROUP BY ALL),
-fence AS (SELECT level, lang, source, ratio, docs, greatest(high + 3 * (high - low), CASE ratio WHEN 'symbols' THEN 50 WHEN 'dup_lines' THEN 146 WHEN 'repeats' THEN 132 WHEN 'word_length' THEN 274 END) AS fence FROM q),
-j AS (SELECT b.doc_id, b.ratio, b.bucket > coalesce(f2.fence, f1.fence, f0.fence) AS over_it FROM b
-  LEFT JOIN fence f2 ON f2.level = 2 AND f2.docs >= 100 AND f2.ratio = b.ratio AND f2.lang IS NOT DISTINCT FROM b.lang AND f2.source IS NOT DISTINCT FROM b.source
-  LEFT JOIN fence f1 ON f1.level = 1 AND f1.docs >= 100 AND f1.ratio = b.ratio AND f1.lang IS NOT DISTINCT FROM b.lang
-  LEFT JOIN fence f0 ON f0.level = 0 AND f0.ratio = b.ratio WHERE NOT b.base_failed),
+b AS (SELECT *, CASE WHEN v < 256 THEN v ELSE (length(bin(v)) - 8) * 128 + (v >> (length(bin(v)) - 8)) END AS bucket FROM r),
+s AS (SELECT lang, source, ratio, bucket, count(*) * 1000000 AS w FROM b WHERE NOT base_failed AND (bucket > 0 OR ratio IN ('symbols', 'word_length')) GROUP BY ALL),
+-- ten documents' weight of all in each language, thirty of the language in each group
+a0 AS (SELECT ratio, bucket, sum(w)::BIGINT AS w FROM s GROUP BY ALL),
+a1 AS (SELECT ratio, bucket, floor(10000000.0::DOUBLE * (w::DOUBLE / sum(w) OVER (PARTITION BY ratio)))::BIGINT AS w FROM a0),
+l0 AS (SELECT lang, ratio, bucket, sum(w)::BIGINT AS w FROM (SELECT lang, ratio, bucket, w FROM s UNION ALL SELECT lang, ratio, bucket, w FROM a1, (SELECT DISTINCT lang FROM s)) GROUP BY ALL),
+l1 AS (SELECT lang, ratio, bucket, floor(30000000.0::DOUBLE * (w::DOUBLE / sum(w) OVER (PARTITION BY lang, ratio)))::BIGINT AS w FROM l0),
+g AS (SELECT lang, source, ratio, bucket, sum(w)::BIGINT AS w FROM (FROM s UNION ALL SELECT k.lang, source, ratio, bucket, w FROM l1 JOIN (SELECT DISTINCT lang, source FROM s) k ON k.lang IS NOT DISTINCT FROM l1.lang) GROUP BY ALL),
+o AS (SELECT *, sum(w) OVER (PARTITION BY lang, source, ratio ORDER BY bucket) AS upto, sum(w) OVER (PARTITION BY lang, source, ratio) AS total FROM g),
+q AS (SELECT lang, source, ratio, min(CASE WHEN upto * 100 >= total * 50 THEN bucket END) AS low, min(CASE WHEN upto * 100 >= total * 90 THEN bucket END) AS high FROM o GROUP BY ALL),
+raw AS (SELECT *, high + 4 * (high - low) AS raw FROM q),
+half AS (SELECT lang, ratio, quantile_disc(raw, 0.5) AS half FROM raw GROUP BY ALL HAVING count(*) >= 3),
+fence AS (SELECT raw.lang, source, raw.ratio, greatest(least(raw, coalesce(half, every)), CASE WHEN raw.ratio = 'symbols' THEN 10 ELSE 0 END) AS fence FROM raw
+  JOIN (SELECT ratio, quantile_disc(raw, 0.5) AS every FROM raw GROUP BY ratio) x USING (ratio) LEFT JOIN half ON half.lang IS NOT DISTINCT FROM raw.lang AND half.ratio = raw.ratio),
+j AS (SELECT b.doc_id, b.ratio, b.bucket > fence AS over_it FROM b LEFT JOIN fence f ON f.ratio = b.ratio AND f.lang IS NOT DISTINCT FROM b.lang AND f.source IS NOT DISTINCT FROM b.source WHERE NOT b.base_failed),
 over_ AS (SELECT doc_id, list_filter([CASE WHEN bool_or(over_it AND ratio = 'symbols') THEN 'symbols' END, CASE WHEN bool_or(over_it AND ratio = 'dup_lines') THEN 'dup_lines' END,
   CASE WHEN bool_or(over_it AND ratio = 'repeats') THEN 'repeats' END, CASE WHEN bool_or(over_it AND ratio = 'word_length') THEN 'word_length' END], lambda x: x IS NOT NULL) AS beyond FROM j GROUP BY doc_id)
 SELECT f.doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND len(coalesce(beyond, [])) = 0 AS kept,

@@ -6,6 +6,7 @@ from collections.abc import Sequence
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import Window as W
 
 from floorcount.operators.levels import registers
 
@@ -113,6 +114,28 @@ def overflow_ledger(levels: DataFrame, by: Sequence[str] = (), m: int = 2048, wi
     return encoded.groupBy(*by, t).agg(F.floor(F.count_if(F.col("offset") == (1 << width) - 1) / 2).cast("bigint").alias("ledger"))
 
 
+def repair_tiers(levels: DataFrame, by: Sequence[str] = (), m: int = 2048, width: int = 3, above: int = 6) -> DataFrame:
+    """Rows (by..., t, at_least, ledger, repaired, exactly, truth): clamped registers' tiers, counted, repaired and counted again.
+
+    at_least: registers whose stored level is t or more, summed from the top down. ledger: of the registers at the top
+    code, the share that a geometric law puts at t or more, noted for each of `above` tiers over the window, as if each had
+    been left by a promotion. repaired: at_least with the ledger's ghosts; exactly: differences of neighbours. truth: what the
+    bitmap knows.
+    """
+    top = (1 << width) - 1
+    regs = to_floor(levels, by, m, width)
+    stored = (F.col("floor") + F.col("offset")).alias("stored")
+    rows = regs.select(*by, "floor", "lvl", stored).groupBy(*by, "floor", "lvl", "stored").agg(F.count(F.lit(1)).alias("cnt"))
+    tiers = rows.select(*by, "floor", "lvl", "stored", "cnt", F.explode(F.sequence(F.greatest(F.col("floor"), F.lit(0)), F.col("floor") + top + above)).alias("t"))
+    over = F.col("t") - (F.col("floor") + top)
+    share = F.when((over > 0) & (F.col("stored") == F.col("floor") + top), F.col("cnt")).otherwise(0)
+    per = tiers.groupBy(*by, "t", over.alias("over")).agg(F.sum(F.when(F.col("stored") >= F.col("t"), F.col("cnt")).otherwise(0)).alias("at_least"), F.sum(share).alias("clamped"), F.sum(F.when(F.col("lvl") >= F.col("t"), F.col("cnt")).otherwise(0)).alias("truth"))
+    ledger = F.floor(F.col("clamped") / F.pow(F.lit(2.0), F.greatest(F.col("over"), F.lit(0)))).cast("bigint")
+    known = per.select(*by, "t", "at_least", ledger.alias("ledger"), "truth").withColumn("repaired", repaired(F.col("at_least"), F.col("ledger"), m))
+    following = F.coalesce(F.lead("repaired").over(W.partitionBy(*by).orderBy("t")), F.lit(0.0))
+    return known.withColumn("exactly", F.col("repaired") - following)
+
+
 def repaired(at_least: Column, ledger: Column, m: int) -> Column:
     """Registers at or above a tier, with the ghosts of its ledger added where they don't meet a register already there."""
     return at_least + (F.lit(m) - at_least) * (1 - F.exp(-ledger / F.lit(float(m))))

@@ -7,6 +7,7 @@ nothing. The register is part of the grouping key and comes from a hash, so a ho
 from __future__ import annotations
 
 from collections.abc import Sequence
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -36,6 +37,33 @@ def passes(h: Column, floor: int, width: int, hist: int = 0, mode: str = "tight"
     return F.shiftrightunsigned(h, width - s) == 0 if s > 0 else None
 
 
+#: Floors of groups, of some tens of bytes each, up to which they are sent to every task.
+FEW_GROUPS = 100_000
+
+
+def group_floors(rows: DataFrame, by: Sequence[str], m: int, width: int, addressing: str = "mask") -> DataFrame:
+    """Rows (by..., floor) of the groups whose sketch of hashed rows has no empty register."""
+    regs = levels_of(rows, by, m, width, addressing)
+    low = regs.groupBy(*by).agg(F.count(F.lit(1)).alias("n"), F.min(highest(F.col("bits"))).cast("int").alias("floor"))
+    return low.filter(F.col("n") == m).select(*by, "floor")
+
+
+def prune_by_groups(rows: DataFrame, floors: DataFrame, by: Sequence[str], width: int, hist: int = 0, mode: str = "tight", few: int | None = None) -> DataFrame:
+    """Hashed rows without those that can't reach the floor of their own group, nor the hist levels under it.
+
+    floors: rows (by..., floor), written or cheap, as they are counted first. Sent to every task while they are few;
+    beyond that a join by group would cost more than the rows it saves, so all rows stay, which is as exact.
+    """
+    few = FEW_GROUPS if few is None else few
+    if mode == "off" or floors.limit(few + 1).count() > few:
+        return rows
+    own = F.broadcast(floors.select(*[F.col(c).alias(f"_{c}") for c in by], "floor"))
+    same = reduce(lambda a, c: a & F.col(c).eqNullSafe(F.col(f"_{c}")), by, F.lit(True))
+    need = F.least(F.greatest(F.col("floor") + (0 if mode == "paper" else 1) - hist, F.lit(0)), F.lit(width))
+    reached = (need == 0) | (F.call_function("shiftrightunsigned", F.col("h"), (width - need).cast("int")) == 0)
+    return rows.join(own, same, "left").filter(F.coalesce(reached, F.lit(True))).drop("floor", *[f"_{c}" for c in by])
+
+
 def prune_by_floor(rows: DataFrame, floor: int, width: int, hist: int = 0, mode: str = "tight") -> DataFrame:
     keep = passes(F.col("h"), floor, width, hist, mode)
     return rows if keep is None or mode == "off" else rows.filter(keep)
@@ -59,15 +87,20 @@ def pilot_floor(rows: DataFrame, m: int, width: int, addressing: str = "mask") -
     return row["low"] if row["n"] == m else -1
 
 
-def build_levels_pruned(df: DataFrame, cols: Sequence[str | Column], pilot: DataFrame, m: int = 2048, kind: str = "xxhash64", addressing: str = "mask", hist: int = HISTORY, mode: str = "tight") -> DataFrame:
-    """build_levels() without groups, where a pilot part of df has shown how high the floor is at least.
+def build_levels_pruned(df: DataFrame, cols: Sequence[str | Column], pilot: DataFrame, m: int = 2048, kind: str = "xxhash64", addressing: str = "mask", hist: int = HISTORY, mode: str = "tight", by: Sequence[str] = ()) -> DataFrame:
+    """build_levels(), where a pilot part of df (a few files, a day) has shown how high each floor is at least.
 
     Rows that can't reach the floor, nor the hist levels under it, are dropped before the aggregation. A part's floor never
-    exceeds the whole's, and every register's largest level is kept: floor, offsets and hist history bits are exact.
+    exceeds the whole's, and every register's largest level is kept: floor, offsets and hist history bits are exact. The
+    pilot should be a hundredth of df or so: it is read once more. Without groups its floor is one number; with groups,
+    each has its own, and groups that the pilot hasn't filled aren't pruned.
     """
     width = H.WIDTH[kind]
-    floor = pilot_floor(hashed(pilot, cols, (), kind), m, width, addressing)
-    return levels_of(prune_by_floor(hashed(df, cols, (), kind), floor, width, hist, mode), (), m, width, addressing)
+    first, rows = hashed(pilot, cols, by, kind), hashed(df, cols, by, kind)
+    if by:
+        return levels_of(prune_by_groups(rows, group_floors(first, by, m, width, addressing), by, width, hist, mode), by, m, width, addressing)
+    floor = pilot_floor(first, m, width, addressing)
+    return levels_of(prune_by_floor(rows, floor, width, hist, mode), (), m, width, addressing)
 
 
 def build_micro(df: DataFrame, cols: Sequence[str | Column], by: Sequence[str] = (), m: int = 2048, kind: str = "xxhash64") -> DataFrame:

@@ -67,10 +67,12 @@ def running_levels(levels: DataFrame, order: str, by: Sequence[str] = ()) -> Dat
     return filled.select(*by, order, "reg", run.alias("bits")).filter("bits is not null")
 
 
-def pair_estimates(levels: DataFrame, key: str, m: int = 2048) -> DataFrame:
+def pair_estimates(levels: DataFrame, key: str, m: int = 2048, most: int = 1_000) -> DataFrame:
     """Rows (a, b, union, intersection, jaccard) for the pairs of groups of a few; intersections come from sizes by inclusion and exclusion, and carry the error of all three."""
-    one = estimate(levels, [key], m).toDF("k", "n")
     groups = levels.select(key).distinct()
+    if groups.limit(most + 1).count() > most:
+        raise ValueError(f"pairs of more than {most} groups are asked for")
+    one = estimate(levels, [key], m).toDF("k", "n")
     pairs = groups.select(F.col(key).alias("a")).join(groups.select(F.col(key).alias("b")), F.col("a") < F.col("b"))
     each = pairs.select("a", "b", F.explode(F.array("a", "b")).alias("one_of"))
     both = each.join(levels, F.col("one_of") == F.col(key)).groupBy("a", "b", "reg").agg(F.bit_or("bits").alias("bits"))

@@ -6,7 +6,7 @@ threshold that moves) registers only take maxima, so a batch is cut at these eve
 
 from __future__ import annotations
 
-import pickle
+import struct
 from collections.abc import Iterator, Sequence
 from dataclasses import dataclass, field
 from typing import Any
@@ -26,6 +26,10 @@ def levels_of(h: np.ndarray, width: int = 64) -> np.ndarray:
     return np.minimum(width - np.bitwise_count(x).astype(np.int64), 63)
 
 
+MODES = ("tight", "paper", "off")
+HEAD = struct.Struct("<iiiBiiQqqqqi?")
+
+
 @dataclass
 class FloorSketch:
     """Offsets of `width` bits over a shared floor, with `hist` history bits, an exit test, promotion and, for repair, a ledger."""
@@ -91,9 +95,26 @@ class FloorSketch:
         stored = np.minimum(lvl, self.floor + self.top)
         # a history bit below what a register can still report is lost, as it would be in the packed register
         seen = stored >= now[reg] - self.hist if self.hist else stored > now[reg]
-        before = self._bits().copy()
+        self.updates += self._changes(reg[seen], stored[seen], now)
         np.bitwise_or.at(self._bits(), reg[seen], np.uint64(1) << stored[seen].astype(np.uint64))
-        self.updates += int(np.count_nonzero(before != self._bits()))
+
+    def _changes(self, reg: np.ndarray, stored: np.ndarray, now: np.ndarray) -> int:
+        """How many of these, one by one, change a register: its largest level, or a history bit that it can report and hasn't."""
+        if not len(reg):
+            return 0
+        order = np.argsort(reg, kind="stable")
+        reg, stored = reg[order], stored[order]
+        held = np.maximum.accumulate(reg * 128 + np.maximum(stored, now[reg]) + 1)  # the running largest of each register
+        first = np.concatenate([[True], reg[1:] != reg[:-1]])
+        before = np.where(first, now[reg], np.concatenate([[0], held[:-1] - reg[:-1] * 128 - 1]))
+        raised = stored > before
+        if not self.hist:
+            return int(np.count_nonzero(raised))
+        unset = (self._bits()[reg] >> stored.astype(np.uint64)) & np.uint64(1) == 0
+        fresh = np.zeros(len(reg), dtype=bool)
+        can = np.flatnonzero(unset & (stored >= before - self.hist))
+        fresh[can[np.unique(reg[can] * 64 + stored[can], return_index=True)[1]]] = True
+        return int(np.count_nonzero(fresh))
 
     def _promote(self) -> None:
         while True:
@@ -152,16 +173,74 @@ class FloorSketch:
         self._promote()
         return self
 
-    def packed(self) -> bytes:
-        """Floor and codes, as bytes; equal bytes are equal sketches."""
-        return pickle.dumps((self.floor, (self.levels() - self.floor).astype(np.int8).tobytes(), [s for s in self.cells()]))
+    def to_bytes(self) -> bytes:
+        """The whole state in a fixed layout: numbers, ledger, bitmaps."""
+        head = HEAD.pack(self.m, self.width, self.hist, MODES.index(self.exit_mode), self.lazy, self.floor, self.micro, self.rows, self.passed, self.updates, self.promotions, len(self.ledger), self.bits is not None)
+        noted = b"".join(struct.pack("<iq", t, x) for t, x in sorted(self.ledger.items()))
+        return head + struct.pack("<q", self.scanned) + noted + (b"" if self.bits is None else self.bits.astype("<u8").tobytes())
+
+    @classmethod
+    def from_bytes(cls, raw: bytes) -> FloorSketch:
+        m, width, hist, mode, lazy, floor, micro, rows, passed, updates, promotions, noted, full = HEAD.unpack_from(raw)
+        at = HEAD.size
+        (scanned,) = struct.unpack_from("<q", raw, at)
+        ledger = dict(struct.unpack_from("<iq", raw, at + 8 + 12 * i) for i in range(noted))
+        at += 8 + 12 * noted
+        bits = np.frombuffer(raw, dtype="<u8", count=m, offset=at).astype(np.uint64) if full else None
+        return FloorSketch(m, width, hist, MODES[mode], lazy, floor, micro, rows, passed, updates, promotions, scanned, ledger, bits)
 
 
-class TruncatedOffset(FloorSketch):
-    """A shared offset whose top code swallows what exceeds it; no exit test. Adding again may change it."""
+@dataclass
+class TruncatedOffset:
+    """Codes over a shared base, cut off at the top one; no exit test, no history, no ledger.
+
+    The base starts at level 0, where code 0 is an empty register. Once no code is 0 the base rises by the smallest code
+    and all codes fall by it, so what was cut off stays below what it was: adding again may change the sketch. The estimate
+    is the classic one on the levels that the codes stand for.
+    """
 
-    def __init__(self, m: int = 2048, width: int = 4):
-        super().__init__(m=m, width=width, exit_mode="off")
+    m: int = 2048
+    width: int = 4
+    base: int = 0
+    codes: np.ndarray | None = None
+
+    @property
+    def floor(self) -> int:
+        return self.base - 1
+
+    def add_batch(self, h: np.ndarray, width: int = 64) -> TruncatedOffset:
+        if self.codes is None:
+            self.codes = np.zeros(self.m, dtype=np.int64)
+        h = h.astype(np.uint64, copy=False)
+        reg, lvl = (h & np.uint64(self.m - 1)).astype(np.int64), levels_of(h, width)
+        top = (1 << self.width) - 1
+        while len(lvl):
+            code = np.minimum(lvl + 1 - self.base, top)
+            low = self.codes == self.codes.min()
+            rising = np.flatnonzero(low[reg] & (code > self.codes.min()) & (code > 0))
+            which, first = np.unique(reg[rising], return_index=True)
+            whole = len(which) == int(low.sum())
+            upto = int(rising[first].max()) + 1 if whole else len(lvl)  # the base can only rise once the last low one has
+            np.maximum.at(self.codes, reg[:upto], np.maximum(code[:upto], 0))
+            reg, lvl = reg[upto:], lvl[upto:]
+            if (step := int(self.codes.min())) > 0:
+                self.base += step
+                self.codes -= step
+        return self
+
+    def levels(self) -> np.ndarray:
+        return (self.codes if self.codes is not None else np.zeros(self.m, dtype=np.int64)) + self.base - 1
+
+    def cells(self) -> list[tuple[int, int, int]]:
+        now = self.levels()
+        lvl, count = np.unique(now[now >= 0], return_counts=True)
+        return [(int(a), 0, int(c)) for a, c in zip(lvl, count)]
+
+    def estimate(self) -> float:
+        now = self.levels()
+        empty = int(np.count_nonzero(now < 0))
+        raw = 0.7213 / (1 + 1.079 / self.m) * 2 * self.m * self.m / (float(np.sum(2.0 ** -now[now >= 0].astype(float))) + 2.0 * empty)
+        return self.m * float(np.log(self.m / empty)) if empty and raw <= 2.5 * self.m else raw
 
 
 @dataclass
@@ -203,26 +282,34 @@ def sequential(df: DataFrame, cols: Sequence[str | Column], make, by: Sequence[s
     """Rows (by..., part, rows, floor, promotions, passed, updates, cells, sketch): one FloorSketch for each group a partition meets.
 
     make: a function that returns a new sketch. Sketches of one group from several partitions are merged by merge_sketches();
-    each holds a few kilobytes, whatever it has seen.
+    each holds a few kilobytes, whatever it has seen, and a task holds one at a time: its rows are sorted by group first.
     """
     rows = hashed(df, cols, by, kind)
+    rows = rows.sortWithinPartitions(*by) if by else rows
     names = list(by)
     schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema.fields if f.name != "h"), "part int, rows long, floor int, promotions long, passed long, updates long, cells array<struct<lvl: int, state: int, cnt: bigint>>, sketch binary"])
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         from pyspark import TaskContext
 
-        held: dict[tuple, FloorSketch] = {}
+        part = TaskContext.get().partitionId()
+
+        def told(key: tuple, s: FloorSketch) -> pd.DataFrame:
+            cells = [{"lvl": a, "state": b, "cnt": c} for a, b, c in s.cells()]
+            return pd.DataFrame([dict(zip(names, key)) | {"part": part, "rows": s.rows, "floor": s.floor, "promotions": s.promotions, "passed": s.passed, "updates": s.updates, "cells": cells, "sketch": s.to_bytes()}])
+
+        same = lambda a, b: all(x == y or (pd.isna(x) and pd.isna(y)) for x, y in zip(a, b))
+        open_key, sketch = None, None
         for pdf in batches:
             groups = pdf.groupby(names, dropna=False, sort=False)["h"] if names else [((), pdf["h"])]
             for key, h in groups:
                 key = key if isinstance(key, tuple) else (key,)
-                held.setdefault(key, None)
-                held[key] = (held[key] or make()).add_batch(h.to_numpy().astype(np.int64).view(np.uint64), width)
-        part = TaskContext.get().partitionId()
-        for key, s in held.items():
-            row = dict(zip(names, key)) | {"part": part, "rows": s.rows, "floor": s.floor, "promotions": s.promotions, "passed": s.passed, "updates": s.updates, "cells": [{"lvl": a, "state": b, "cnt": c} for a, b, c in s.cells()], "sketch": pickle.dumps(s)}
-            yield pd.DataFrame([row])
+                if sketch is not None and not same(key, open_key):
+                    yield told(open_key, sketch)
+                    sketch = None
+                open_key, sketch = key, (sketch or make()).add_batch(h.to_numpy().astype(np.int64).view(np.uint64), width)
+        if sketch is not None:
+            yield told(open_key, sketch)
 
     return rows.mapInPandas(run, schema)
 
@@ -236,7 +323,7 @@ def merge_sketches(parts: DataFrame, by: Sequence[str] = ()) -> DataFrame:
         whole = None
         for pdf in batches:
             for raw in pdf.sort_values("part")["sketch"]:
-                s = pickle.loads(raw)
+                s = FloorSketch.from_bytes(raw)
                 whole = s if whole is None else whole.merge(s)
         yield pd.DataFrame([dict(zip(names, key)) | {"rows": whole.rows, "floor": whole.floor, "cells": [{"lvl": a, "state": b, "cnt": c} for a, b, c in whole.cells()]}])
 

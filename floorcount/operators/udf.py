@@ -8,14 +8,13 @@ from collections.abc import Iterator, Sequence
 
 import numpy as np
 import pandas as pd
-import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.udtf import UserDefinedTableFunction
 
-from floorcount.operators.levels import hashed
-from floorcount.operators.state import levels_of
+from floorcount.operators.levels import hashed, registers
+from floorcount.operators.levels import levels_of as levels_of_rows
 
 HEAD = struct.Struct("<i")
 
@@ -50,31 +49,54 @@ def tlc(sketch: bytes, p: float = 4.5) -> float:
 
 
 def sketch_agg(df: DataFrame, cols: Sequence[str | Column], by: Sequence[str], m: int = 2048, kind: str = "xxhash64", width: int = 64) -> DataFrame:
-    """Rows (by..., sketch): partitions make one small sketch a group, and these are merged by group."""
-    rows = hashed(df, cols, by, kind)
-    names = list(by)
-    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema.fields if f.name != "h"), "sketch binary"])
-
-    def part(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        held: dict[tuple, np.ndarray] = {}
-        for pdf in batches:
-            h = pdf["h"].to_numpy().astype(np.int64).view(np.uint64)
-            code, keys = pd.MultiIndex.from_frame(pdf[names]).factorize()
-            for k, key in enumerate(keys):
-                regs = held.setdefault(key, np.full(m, -1, dtype=np.int64))
-                own = h[code == k]
-                np.maximum.at(regs, (own & np.uint64(m - 1)).astype(np.int64), levels_of(own, width))
-        if held:
-            yield pd.DataFrame([dict(zip(names, key)) | {"sketch": pack_levels(v)} for key, v in held.items()])
-
-    def whole(key: tuple, tables: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        regs = None
-        for t in tables:
-            for s in t.column("sketch").to_pylist():
-                regs = unpack_levels(s) if regs is None else np.maximum(regs, unpack_levels(s))
-        yield pa.RecordBatch.from_arrays([*[pa.array([k.as_py()], k.type) for k in key], pa.array([pack_levels(regs)], pa.binary())], names=[*names, "sketch"])
-
-    return rows.mapInPandas(part, schema).groupBy(*names).applyInArrow(whole, schema)
+    """Rows (by..., sketch): registers are aggregated as rows, and the at most m of a group are packed into one value."""
+    rows = levels_of_rows(hashed(df, cols, by, kind), by, m, width)
+    held = registers(rows, by).groupBy(*by).agg(F.collect_list((F.col("reg") * 64 + F.col("lvl")).cast("int")).alias("codes"))
+
+    @F.pandas_udf(T.BinaryType())
+    def packed(codes: pd.Series) -> pd.Series:
+        def one(c: np.ndarray) -> bytes:
+            out = np.full(m, -1, dtype=np.int64)
+            out[np.asarray(c) // 64] = np.asarray(c) % 64
+            return pack_levels(out)
+
+        return codes.map(one)
+
+    return held.select(*by, packed("codes").alias("sketch"))
+
+
+def merge_agg(sketches: DataFrame, by: Sequence[str] = (), sketch: str = "sketch") -> DataFrame:
+    """Rows (by..., sketch): stored sketches of one size joined by the larger register, each register a row on the way."""
+
+    @F.pandas_udf("array<int>")
+    def one(s: pd.Series) -> pd.Series:
+        return s.map(lambda x: [] if x is None else unpack_levels(bytes(x)).astype(np.int32))
+
+    each = sketches.select(*by, F.posexplode(one(F.col(sketch))).alias("reg", "lvl"))
+    best = each.groupBy(*by, "reg").agg(F.max("lvl").alias("lvl")).groupBy(*by).agg(F.array_sort(F.collect_list(F.struct("reg", "lvl"))).alias("regs"))
+
+    @F.pandas_udf(T.BinaryType())
+    def packed(levels: pd.Series) -> pd.Series:
+        return levels.map(lambda c: pack_levels(np.asarray(c, dtype=np.int64)))
+
+    return best.select(*by, packed(F.transform("regs", lambda x: x["lvl"])).alias("sketch"))
+
+
+def linear(sketch: bytes) -> float:
+    """Linear counting at the floor."""
+    lvl = unpack_levels(sketch)
+    t = max(int(lvl.min()) + 1, 0)
+    return 2.0**t * len(lvl) * math.log(len(lvl) / max(int(np.count_nonzero(lvl < t)), 0.5))
+
+
+def classic(sketch: bytes) -> float:
+    lvl = unpack_levels(sketch)
+    m, empty = len(lvl), int(np.count_nonzero(lvl < 0))
+    raw = 0.7213 / (1 + 1.079 / m) * 2 * m * m / (float(np.sum(2.0 ** -lvl[lvl >= 0].astype(float))) + 2.0 * empty)
+    return m * math.log(m / empty) if empty and raw <= 2.5 * m else raw
+
+
+METHODS = {"tlc": tlc, "lc_floor": linear, "hll": classic}
 
 
 @F.pandas_udf(T.DoubleType())
@@ -82,6 +104,24 @@ def sketch_estimate(sketch: pd.Series) -> pd.Series:
     return sketch.map(lambda s: None if s is None else tlc(bytes(s)))
 
 
+@F.pandas_udf(T.DoubleType())
+def sketch_estimate_by(sketch: pd.Series, method: pd.Series) -> pd.Series:
+    """The estimate of a stored sketch by one of METHODS."""
+    return pd.Series([None if s is None else METHODS[k](bytes(s)) for s, k in zip(sketch, method)], dtype=float)
+
+
+@F.pandas_udf(T.BinaryType())
+def sketch_merge(a: pd.Series, b: pd.Series) -> pd.Series:
+    """Two stored sketches of one size as one; a null one is left out."""
+
+    def both(x, y):
+        if x is None or y is None:
+            return x if y is None else y
+        return pack_levels(np.maximum(unpack_levels(bytes(x)), unpack_levels(bytes(y))))
+
+    return pd.Series([both(x, y) for x, y in zip(a, b)])
+
+
 class _Tiers:
     def eval(self, sketch: bytes):
         if sketch is not None:
@@ -93,6 +133,8 @@ def tiers_udtf() -> UserDefinedTableFunction:
 
 
 def register(spark: SparkSession) -> None:
-    """sketch_estimate(sketch) and sketch_tiers(sketch) for SQL."""
+    """sketch_estimate(sketch), sketch_estimate_by(sketch, method), sketch_merge(a, b) and sketch_tiers(sketch) for SQL."""
+    spark.udf.register("sketch_estimate_by", sketch_estimate_by)
     spark.udf.register("sketch_estimate", sketch_estimate)
+    spark.udf.register("sketch_merge", sketch_merge)
     spark.udtf.register("sketch_tiers", tiers_udtf())

@@ -16,7 +16,7 @@ from pyspark.sql import Window as W
 from floorcount.functions import constants as K
 from floorcount.functions import estimators as E
 from floorcount.functions import hashing as H
-from floorcount.operators import encode, levels, sets, state, udf
+from floorcount.operators import encode, levels, sets, shingles, state, udf
 from floorcount.plans import measures, oracles, simulate
 from floorcount.sources import store
 from floorcount.sources.tables import load_table
@@ -74,7 +74,7 @@ def levels_grouped_suppkey(spark: SparkSession, d: str) -> DataFrame:
     return levels.build_levels(load_table(spark, d, "lineitem", ["l_suppkey", "l_partkey"]), ["l_partkey"], ["l_suppkey"], 64, SQL_HASH)
 
 
-@query(oracles.base("SELECT 0 AS g, l_partkey::VARCHAR || chr(31) || l_suppkey::VARCHAR AS e FROM lineitem", 256, floors=False) + " SELECT reg, bits FROM r")
+@query(oracles.base("SELECT 0 AS g, length(l_partkey::VARCHAR) || ':' || l_partkey::VARCHAR || length(l_suppkey::VARCHAR) || ':' || l_suppkey::VARCHAR AS e FROM lineitem", 256, floors=False) + " SELECT reg, bits FROM r")
 def levels_pairs(spark: SparkSession, d: str) -> DataFrame:
     return levels.build_levels(load_table(spark, d, "lineitem", ["l_partkey", "l_suppkey"]), ["l_partkey", "l_suppkey"], m=256, kind=SQL_HASH)
 
@@ -164,16 +164,18 @@ def offset3_rebase(spark: SparkSession, d: str) -> DataFrame:
     return encode.rebase(bitmaps(spark, d, 256), ["g"], 256, 3)
 
 
-_REPAIR = oracles.base(m=256, floors=False) + """, c AS (SELECT g, f, count(*) FILTER (WHERE lvl - f >= 7) // 2 AS ledger, count(*) FILTER (WHERE least(lvl, f + 7) >= f + 7)::DOUBLE AS at_top, count(*) FILTER (WHERE lvl >= f + 8)::DOUBLE AS truth FROM s JOIN k USING (g) GROUP BY ALL)
-SELECT g, f AS floor, ledger, truth::BIGINT AS truth, round(0 + 256 * (1 - exp(-ledger / 256.0)), 4) AS repaired FROM c"""
+_REPAIR = oracles.base(m=256, floors=False) + """, c AS (SELECT g, f, reg, lvl, least(lvl, f + 7) AS stored FROM s JOIN k USING (g)),
+t AS (SELECT c.*, unnest(generate_series(greatest(f, 0), f + 13))::INT AS t FROM c),
+q AS (SELECT g, t, count(*) FILTER (WHERE stored >= t) AS at_least, CASE WHEN t > any_value(f) + 7 THEN floor(count(*) FILTER (WHERE stored = f + 7) / pow(2.0, t - any_value(f) - 7))::BIGINT ELSE 0 END AS ledger, count(*) FILTER (WHERE lvl >= t) AS truth FROM t GROUP BY g, t),
+x AS (SELECT *, at_least + (256 - at_least) * (1 - exp(-ledger / 256.0)) AS repaired FROM q)
+SELECT g, t, at_least, ledger, truth, round(repaired, 4) AS repaired, round(repaired - coalesce(lead(repaired) OVER (PARTITION BY g ORDER BY t), 0), 4) AS exactly FROM x"""
 
 
 @query(_REPAIR)
 def overflow_repair(spark: SparkSession, d: str) -> DataFrame:
-    """What three-bit registers know of the tier above their window: nothing; what the ledger restores; and what the bitmap knows."""
-    enc = encode.to_floor(bitmaps(spark, d, 256), ["g"], 256, 3)
-    one = enc.groupBy("g", "floor").agg(F.floor(F.count_if(F.col("offset") == 7) / 2).cast("bigint").alias("ledger"), F.count_if(F.col("lvl") >= F.col("floor") + 8).alias("truth"))
-    return one.select("g", "floor", "ledger", "truth", F.round(encode.repaired(F.lit(0.0), F.col("ledger"), 256), 4).alias("repaired"))
+    """Three-bit registers by tier: counted from the top, with the ledger's ghosts in the tiers above the window, and as differences, beside what the bitmap knows."""
+    made = encode.repair_tiers(bitmaps(spark, d, 256), ["g"], 256, 3)
+    return made.select("g", "t", "at_least", "ledger", "truth", F.round("repaired", 4).alias("repaired"), F.round("exactly", 4).alias("exactly"))
 
 
 @query(oracles.base(floors=False) + " SELECT g, count(*) AS n_regs, sum(bits % 1000003)::BIGINT AS checksum FROM r GROUP BY g")
@@ -218,6 +220,38 @@ def exit_pruned_equals_full(spark: SparkSession, d: str) -> DataFrame:
     return levels.registers(levels.build_levels_pruned(rows, cols, rows.filter("l_returnflag = 'R'"), 256, SQL_HASH))
 
 
+SKETCHES = (1, 512, 4096, 8192)
+_PRICE = "l_extendedprice::DECIMAL(18,2)::VARCHAR"
+_MANY = " UNION ALL ".join(f"SELECT {k} AS n, l_partkey % {k} AS part, {_PRICE} AS e, l_returnflag = 'R' AS pilot FROM lineitem" for k in SKETCHES)
+_MANY = f"""WITH e AS (SELECT n * 100000 + part AS g, n, e, pilot FROM ({_MANY})), h AS (SELECT g, n, pilot, cast('0x' || substr(md5(e), 1, 15) AS BIGINT) AS h FROM e WHERE e IS NOT NULL),
+l AS (SELECT g, n, pilot, (h % 16)::INT AS reg, (60 - CASE WHEN h = 0 THEN 0 ELSE length(bin(h)) END)::INT AS lvl FROM h), r AS (SELECT g, n, reg, max(lvl) AS lvl FROM l GROUP BY ALL),
+f AS (SELECT g, CASE WHEN count(*) < 16 THEN 0 ELSE min(lvl) + 1 END AS need FROM (SELECT g, reg, max(lvl) AS lvl FROM l WHERE pilot GROUP BY ALL) GROUP BY g),
+p AS (SELECT n, count(*) AS n_rows, count(*) FILTER (WHERE lvl >= coalesce(need, 0)) AS n_passed FROM l LEFT JOIN f USING (g) GROUP BY n), o AS (SELECT n, count(DISTINCT g) AS n_sketches, count(*) AS n_regs, sum(lvl)::BIGINT AS levels FROM r GROUP BY n)
+SELECT n::INT AS asked, n_sketches, n_rows, n_passed, n_regs, levels, levels AS levels_pruned FROM p JOIN o USING (n)"""
+
+
+@query(_MANY)
+def many_sketches(spark: SparkSession, d: str) -> DataFrame:
+    """Prices dealt to 1, 512, 4,096 and 8,192 sketches: rows that reach the aggregate with each sketch's own floor, and its registers, with and without."""
+    li = load_table(spark, d, "lineitem", ["l_partkey", "l_extendedprice", "l_returnflag"])
+    price = F.col("l_extendedprice").cast("decimal(18,2)").cast("string")
+    dealt = F.explode(F.array(*[F.struct(F.lit(k).alias("asked"), (F.col("l_partkey") % k).cast("int").alias("part")) for k in SKETCHES])).alias("x")
+    rows = li.select(dealt, price.alias("e"), "l_returnflag").select("x.asked", "x.part", "e", "l_returnflag")
+    by, m = ["asked", "part"], 16
+    h = levels.hashed(rows, ["e"], by, SQL_HASH)
+    floors = levels.group_floors(levels.hashed(rows.filter("l_returnflag = 'R'"), ["e"], by, SQL_HASH), by, m, 60)
+    passed = levels.prune_by_groups(h, floors, by, 60)
+    counts = h.groupBy("asked").agg(F.count(F.lit(1)).alias("n_rows")).join(passed.groupBy(F.col("asked").alias("_a")).agg(F.count(F.lit(1)).alias("n_passed")), F.col("asked") == F.col("_a")).drop("_a")
+
+    def told(r: DataFrame, name: str) -> DataFrame:
+        regs = levels.registers(levels.levels_of(r, by, m, 60), by).select("asked", "part", "lvl")
+        return regs.groupBy(F.col("asked").alias("_b")).agg(F.count_distinct("part").alias("n_sketches"), F.count(F.lit(1)).alias("n_regs"), F.sum("lvl").alias(name))
+
+    full, pruned = told(h, "levels"), told(passed, "levels_pruned").select(F.col("_b").alias("_c"), "levels_pruned")
+    out = counts.join(full, F.col("asked") == F.col("_b")).join(pruned, F.col("asked") == F.col("_c"))
+    return out.select("asked", "n_sketches", "n_rows", "n_passed", "n_regs", "levels", "levels_pruned")
+
+
 # --- estimators ----------------------------------------------------------------------------------------------------
 
 _T, _HL, _LY = oracles.tlc(), oracles.hist_lc(), oracles.layered()
@@ -243,6 +277,10 @@ for _h in (1, 2, 3):
     _ESTIMATES[f"mean_h{_h}"] = oracles.estimate(f"mean_h{_h}", "mean", f"m{_h}", oracles.mean_h(_h))
 
 
+for _h in (1, 3):
+    _ESTIMATES[f"tlc_layered_h{_h}"] = oracles.estimate(f"tlc_layered_h{_h}", "tlc_layered", "ly", _T, oracles.hist_lc(_h), _LY)
+
+
 def _estimate(name: str) -> Callable[[SparkSession, str], DataFrame]:
     return lambda spark, d: summaries(spark, d).select("g", F.round(E.ESTIMATORS[name](F.col("cells"), M), 4).alias(name))
 
@@ -376,22 +414,16 @@ def exact_bitmap(spark: SparkSession, d: str) -> DataFrame:
 _SHINGLES = "SELECT {g} AS g, substr(text, i, 31) AS e FROM (SELECT {g}, text, unnest(generate_series(1, length(text) - 30)) AS i FROM {t} WHERE length(text) >= 31)"
 
 
-def shingles(df: DataFrame, *keep: str) -> DataFrame:
-    """Rows (keep..., e): every run of 31 characters.
-
-    A character's place in UTF-8 is found by walking, so texts are cut in three steps into stretches of few characters, each
-    longer by 30 than its step, before single runs are taken: the walk stays short for texts of any length.
-    """
-    out = df.select(*keep, "text")
-    for size in (16_384, 1_024, 64, 1):
-        starts = F.sequence(F.lit(1), F.length("text") - 30, F.lit(size))
-        out = out.filter(F.length("text") >= 31).select(*keep, "text", F.explode(starts).alias("i")).select(*keep, F.substring("text", F.col("i"), F.lit(size + 30)).alias("text"))
-    return out.withColumnRenamed("text", "e")
-
-
 @query(oracles.base(_SHINGLES.format(g="lang", t="documents"), 2048) + "," + oracles.tlc() + " SELECT g AS lang, round(tlc, 4) AS estimate FROM t")
 def shingle_cardinality(spark: SparkSession, d: str) -> DataFrame:
-    made = levels.build_levels(shingles(load_table(spark, d, "documents", ["lang", "text"]), "lang"), ["e"], ["lang"], M, SQL_HASH)
+    made = shingles.shingle_levels(load_table(spark, d, "documents", ["lang", "text"]), "text", ["lang"], M, kind=SQL_HASH)
+    return sets.estimate(made, ["lang"]).select("lang", F.round("tlc", 4).alias("estimate"))
+
+
+@query()
+def shingle_cardinality_rolling(spark: SparkSession, d: str) -> DataFrame:
+    """The same by the rolling hash that production takes."""
+    made = shingles.shingle_levels(load_table(spark, d, "documents", ["lang", "text"]), "text", ["lang"], M)
     return sets.estimate(made, ["lang"]).select("lang", F.round("tlc", 4).alias("estimate"))
 
 
@@ -402,13 +434,19 @@ _QC = oracles.base("SELECT x AS g, e FROM (" + _SHINGLES.format(g="doc_id", t="d
 def qc_in_out_docs(spark: SparkSession, d: str) -> DataFrame:
     """Shingles before and after a quality filter: one scan, one hash, two bitmaps a register."""
     docs = load_table(spark, d, "documents", ["doc_id", "text"]).join(load_table(spark, d, "labels", ["doc_id", "quality"]), "doc_id", "left")
-    return _in_out(shingles(docs, "quality"), "e", F.col("quality") == 1)
+    kept = docs.select("text", F.coalesce(F.col("quality") == 1, F.lit(False)).alias("k"))
+    regs = shingles.shingle_levels(kept, "text", ["k"], M, kind=SQL_HASH)
+    return _before_after(regs.groupBy("reg").agg(F.bit_or("bits").alias("bits"), F.bit_or(F.when(F.col("k"), F.col("bits"))).alias("kept")))
 
 
 def _in_out(rows: DataFrame, e: str, keep) -> DataFrame:
     h = rows.select(H.hash_key([e], SQL_HASH).alias("h"), F.coalesce(keep, F.lit(False)).alias("k"))
     bit = F.call_function("shiftleft", F.lit(1).cast("bigint"), H.level_of(F.col("h"), 60))
     regs = h.groupBy(H.register_of(F.col("h"), M).alias("reg")).agg(F.bit_or(bit).alias("bits"), F.bit_or(F.when(F.col("k"), bit)).alias("kept"))
+    return _before_after(regs)
+
+
+def _before_after(regs: DataFrame) -> DataFrame:
     one = lambda c: levels.summarize(regs.filter(F.col(c).isNotNull()).select("reg", F.col(c).alias("bits"))).select(F.round(E.est_tlc(F.col("cells"), M), 4))
     return one("bits").toDF("before_filter").crossJoin(one("kept").toDF("after_filter"))  # one row each
 
@@ -589,9 +627,8 @@ def turn_vocab(spark: SparkSession, d: str) -> DataFrame:
 
 @query(_simple("SELECT lang AS g, ws[i] || ' ' || ws[i + 1] || ' ' || ws[i + 2] AS e FROM (SELECT lang, ws, unnest(generate_series(1, len(ws) - 2)) AS i FROM (SELECT lang, string_split(text, ' ') AS ws FROM documents) WHERE len(ws) >= 3)", 2048, "lang"))
 def word_ngrams(spark: SparkSession, d: str) -> DataFrame:
-    docs = load_table(spark, d, "documents", ["lang", "text"]).select("lang", F.split("text", " ", -1).alias("w")).filter(F.size("w") >= 3)
-    grams = docs.select("lang", F.explode(F.transform(F.sequence(F.lit(1), F.size("w") - 2), lambda i: F.array_join(F.slice("w", i, 3), " "))).alias("e"))
-    return _counted(grams, ["e"], "lang", M)
+    made = shingles.ngram_levels(load_table(spark, d, "documents", ["lang", "text"]), "text", ["lang"], M, 3, SQL_HASH)
+    return sets.estimate(made, ["lang"]).select("lang", F.round("tlc", 4).alias("estimate"))
 
 
 @query(_simple("SELECT l_linestatus AS g, l_orderkey::VARCHAR AS e FROM lineitem WHERE l_quantity BETWEEN 10 AND 30 AND l_returnflag IN ('A', 'R') AND l_shipdate >= TIMESTAMP '1994-01-01'", 256, "l_linestatus"))
@@ -671,35 +708,79 @@ def twobit(spark: SparkSession, d: str) -> DataFrame:
 
 @query()
 def simulate_unique(spark: SparkSession, d: str) -> DataFrame:
-    points = [20, 200, 2000, 5000, 20_000, 200_000]
-    return measures.accuracy(simulate.simulate_unique(spark, 32, M, points), M, ["hll", "hybrid", "tlc", "tlc_layered", "hybrid_layered", "gra"])
+    """All-distinct streams to 8,388,608 elements, at checkpoints a tenth apart; by the one-per-cent rule with points=simulate.checkpoints(1 << 23)."""
+    rows = simulate.simulate_unique(spark, 16, M, simulate.checkpoints(1 << 23, 1.1))
+    return measures.accuracy(rows, M, ["hll", "hybrid", "tlc", "tlc_layered", "hybrid_layered", "gra"])
+
+
+def _skewed(spark: SparkSession, runs: int, **more) -> DataFrame:
+    rows = simulate.simulate_skewed(spark, runs, ("floor4", "floor3", "abs6"), 256, at_end=True, **more)
+    each = rows.select("spec", "checkpoint", "truth", F.explode(F.array(F.struct(F.lit(False).alias("repair"), "cells"), F.struct(F.lit(True).alias("repair"), F.col("repaired").alias("cells")))).alias("x"))
+    # only three-bit registers have a repaired form of their own
+    some = each.filter("spec = 'floor3' OR NOT x.repair")
+    tools = F.explode(F.array(*[F.struct(F.lit(k).alias("method"), f(F.col("x.cells")).alias("estimate")) for k, f in (("tlc", lambda c: E.est_tlc(c, 256)), ("hybrid", lambda c: E.est_hybrid(c, 256)), ("hll", lambda c: E.est_hll(c, 256)))])).alias("y")
+    est = some.select("spec", "checkpoint", "truth", "x.repair", tools).select("spec", "checkpoint", "truth", "repair", "y.method", "y.estimate").filter("(method = 'hll') = (spec = 'abs6')")
+    return measures.by_checkpoint(measures.with_errors(est, "truth", "estimate"), ["spec", "repair", "method"])
 
 
 @query()
 def simulate_skewed(spark: SparkSession, d: str) -> DataFrame:
-    """Duplicate-heavy streams: four- and three-bit registers, repaired and not."""
-    rows = simulate.simulate_skewed(spark, 8, ("floor4", "floor3"), 256, 20_000, 4, [300, 1000, 3000, 10_000])
-    each = rows.select("spec", "checkpoint", F.explode(F.array(F.struct(F.lit(False).alias("repair"), "cells"), F.struct(F.lit(True).alias("repair"), F.col("repaired").alias("cells")))).alias("x"))
-    est = each.select("spec", "checkpoint", "x.repair", E.est_tlc(F.col("x.cells"), 256).alias("estimate"))
-    return measures.by_checkpoint(measures.with_errors(est, "checkpoint", "estimate"), ["spec", "repair"])
+    """Duplicate-heavy streams of eight passes: absolute, four- and three-bit registers, repaired and not; the last row is the streams' end."""
+    return _skewed(spark, 16, n=40_000, passes=8, points=[300, 1000, 3000, 10_000, 20_000, 30_000])
+
+
+@query()
+def skewed_divergence(spark: SparkSession, d: str) -> DataFrame:
+    """Three against four bits far past the point where repair and promotions by duplicates meet: up to 1,000 elements a register."""
+    return _skewed(spark, 8, n=360_000, passes=4, points=[8_000, 32_000, 64_000, 128_000, 256_000])
 
 
 @query()
 def merge_study(spark: SparkSession, d: str) -> DataFrame:
-    rows = simulate.merge_study(spark, 8, 256, 100_000)
-    est = rows.select("parts", "truth", "clamped", E.est_hybrid(F.col("cells"), 256).alias("estimate"))
-    return measures.with_errors(est, "truth", "estimate").groupBy("parts").agg(F.avg("signed").alias("bias"), F.avg("absolute").alias("mae"), F.avg("clamped").alias("clamped"))
+    """One stream dealt to 1 to 64 sketches: four bits, which lose little at this size, and three, which show the loss that grows with the parts."""
+    out = []
+    for width, n in ((4, 1_000_000), (3, 1_000_000)):
+        rows = simulate.merge_study(spark, 8, 256, n, width=width)
+        est = rows.select("parts", "truth", "clamped", "lost", E.est_hybrid(F.col("cells"), 256).alias("estimate"))
+        out.append(measures.with_errors(est, "truth", "estimate").groupBy(F.lit(width).alias("width"), "parts").agg(F.avg("signed").alias("bias"), F.avg("absolute").alias("mae"), F.avg("clamped").alias("clamped"), F.avg("lost").alias("lost")))
+    return reduce(DataFrame.unionAll, out)
+
+
+@query()
+def merge_shingles(spark: SparkSession, d: str) -> DataFrame:
+    """Shingles of the documents dealt to 1, 8, 16 and 64 four-bit sketches, encoded, merged by the larger register, and estimated; the bitmaps lose nothing."""
+    docs = load_table(spark, d, "documents", ["doc_id", "text"]).select(F.pmod(F.xxhash64("doc_id"), F.lit(64)).cast("int").alias("part"), "text")
+    fine = shingles.shingle_levels(docs, "text", ["part"], 256)
+    whole = sets.estimate(levels.merge_levels(fine), (), 256).select(F.col("tlc").alias("lossless"))
+    out = []
+    for k in (1, 8, 16, 64):
+        dealt = levels.merge_levels(fine.withColumn("part", F.col("part") % k), by=["part"])
+        packed = encode.pack(encode.to_floor(dealt, ["part"], 256), ["part"], 256)
+        regs = encode.unpack(encode.merge_packed(packed.select("floor", "words"), (), 256), (), 256).select("reg", (F.col("offset") + F.col("floor")).alias("lvl"))
+        bits = regs.filter("lvl >= 0").select("reg", F.call_function("shiftleft", F.lit(1).cast("bigint"), F.col("lvl").cast("int")).alias("bits"))
+        out.append(sets.estimate(bits, (), 256).select(F.lit(k).alias("parts"), F.col("tlc").alias("merged")))
+    every = reduce(DataFrame.unionAll, out).crossJoin(F.broadcast(whole))  # one row
+    return every.select("parts", F.round("merged", 4).alias("merged"), F.round("lossless", 4).alias("lossless"), F.round(F.col("merged") / F.col("lossless") - 1, 6).alias("undercount"))
+
+
+#: The rows of the equal-memory comparison: registers, type, estimate.
+GRID = (
+    (1024, "hist8", "gra"), (2048, "hist8", "gra"), (2048, "floor4", "hybrid"), (2048, "fhist5", "tlc_layered_h1"), (2048, "fhist6", "tlc_layered"), (2048, "fhist7", "tlc_layered_h3"),
+    (2048, "fhist6", "hybrid_layered"), (2560, "floor4", "hybrid"), (3072, "floor4", "hybrid"), (3584, "floor4", "hybrid"), (4096, "floor4", "hybrid"),
+)
 
 
 @query()
 def memory_grid(spark: SparkSession, d: str) -> DataFrame:
-    """Errors at sizes of equal and unequal memory, with bytes."""
-    out = None
-    for m, spec, method in ((1024, "hist8", "gra"), (2048, "floor4", "hybrid"), (2048, "fhist6", "hybrid_layered"), (2560, "floor4", "hybrid"), (3072, "floor4", "hybrid"), (4096, "floor4", "hybrid")):
-        curve = measures.accuracy(simulate.simulate_unique(spark, 8, m, [2000, 20_000, 200_000]), m, [method])
-        part = measures.weighted(curve).select(F.lit(spec).alias("spec"), F.lit(m).alias("m"), F.lit(method).alias("method"), F.lit(measures.packed_bytes(spec, m)).alias("bytes"), "peak", "by_log", "by_width")
-        out = part if out is None else out.unionAll(part)
-    return out
+    """Errors at sizes of equal and unequal memory, with bytes: history bits against more registers."""
+    points = [2000, 5000, 10_000, 20_000, 50_000, 100_000, 200_000, 500_000]
+    out = []
+    for m in sorted({m for m, _, _ in GRID}):
+        rows = simulate.simulate_unique(spark, 64, m, points)
+        for _, spec, method in (g for g in GRID if g[0] == m):
+            curve = measures.accuracy(rows, m, [method])
+            out.append(measures.weighted(curve).select(F.lit(spec).alias("spec"), F.lit(m).alias("m"), F.lit(method).alias("method"), F.lit(measures.packed_bytes(spec, m)).alias("bytes"), "peak", "by_log", "by_width"))
+    return reduce(DataFrame.unionAll, out)
 
 
 @query()
@@ -712,23 +793,29 @@ def memory_variance(spark: SparkSession, d: str) -> DataFrame:
 
 @query()
 def history_ablation(spark: SparkSession, d: str) -> DataFrame:
-    """The corrected mean with none to three history bits, and remaining area with two."""
-    rows = simulate.simulate_unique(spark, 32, M, [20_000, 200_000])
-    tools = {"mean_h0": lambda c: E.est_mean_hist(c, M, 0), **{f"mean_h{h}": (lambda c, h=h: E.est_mean_hist(c, M, h)) for h in (1, 2, 3)}, "gra": lambda c: E.est_gra(c, M)}
+    """The layered count and the corrected mean with none to three history bits, and remaining area with two."""
+    rows = simulate.simulate_unique(spark, 64, M, [5_000, 20_000, 60_000, 200_000])
+    tools = {"layered_h0": lambda c: E.est_tlc(c, M), **{f"layered_h{h}": (lambda c, h=h: E.est_tlc_layered(c, M, h)) for h in (1, 2, 3)}, **{f"mean_h{h}": (lambda c, h=h: E.est_mean_hist(c, M, h)) for h in (0, 1, 2, 3)}, "gra": lambda c: E.est_gra(c, M)}
     each = F.explode(F.array(*[F.struct(F.lit(k).alias("method"), f(F.col("cells")).alias("estimate")) for k, f in tools.items()])).alias("x")
     return measures.by_checkpoint(measures.with_errors(rows.select("checkpoint", each).select("checkpoint", "x.*"), "checkpoint", "estimate"), ["method"])
 
 
+@query()
+def bias_curves(spark: SparkSession, d: str) -> DataFrame:
+    """Signed errors of tiers, of history alone and of their blend along two octaves: the first two lean opposite ways in turn."""
+    points = [round(60_000 * 2 ** (i / 8)) for i in range(17)]
+    curve = measures.accuracy(simulate.simulate_unique(spark, 96, M, points), M, ["tlc", "hist_lc", "tlc_layered"])
+    return curve.groupBy("checkpoint").pivot("method", ["tlc", "hist_lc", "tlc_layered"]).agg(F.first("bias").alias("bias"), F.first("mae").alias("mae"))
+
+
 @query()
 def averaging_comparison(spark: SparkSession, d: str) -> DataFrame:
     """The three means, each corrected by its own table, and without correction."""
-    rows = simulate.simulate_unique(spark, 32, M, [1000, 2048, 8000, 100_000])
+    rows = simulate.simulate_unique(spark, 64, M, [1000, 2048, 8000, 100_000])
     tools = {"occ_mean": E.est_occ_mean, "harm_mean": E.est_harm_mean, "geo_mean": E.est_geo_mean}
-    structs = [F.struct(F.lit(k).alias("method"), F.lit(cf).alias("corrected"), (E.corrected(f(F.col("cells"), M), M, k) if cf else f(F.col("cells"), M)).alias("estimate")) for k, f in tools.items() for cf in ((True, False) if k != "geo_mean" else (False,))]
-    # raw geometric means aren't on the scale of counts: they are put there by the mean ratio at each checkpoint
+    structs = [F.struct(F.lit(k).alias("method"), F.lit(cf).alias("corrected"), (E.corrected(f(F.col("cells"), M), M, k) if cf else f(F.col("cells"), M)).alias("estimate")) for k, f in tools.items() for cf in (True, False)]
     est = rows.select("checkpoint", F.explode(F.array(*structs)).alias("x")).select("checkpoint", "x.*")
-    scaled = est.withColumn("estimate", F.when(F.col("method") == "geo_mean", F.col("estimate") * F.col("checkpoint") / F.avg("estimate").over(W.partitionBy("checkpoint", "method", "corrected"))).otherwise(F.col("estimate")))
-    return measures.by_checkpoint(measures.with_errors(scaled, "checkpoint", "estimate"), ["method", "corrected"])
+    return measures.by_checkpoint(measures.with_errors(est, "checkpoint", "estimate"), ["method", "corrected"])
 
 
 @query()
@@ -743,7 +830,7 @@ def type_comparison(spark: SparkSession, d: str) -> DataFrame:
     """Every sketch type on the same simulated streams, each with its estimator."""
     rows = simulate.simulate_types(spark, 4, M, [1000, 10_000, 100_000])
     c = F.col("cells")
-    pick = {"floor4": E.est_hybrid(c, M), "floor3": E.est_hybrid(c, M), "floor5": E.est_hybrid(c, M), "fhist5": E.est_mean_hist(c, M, 1), "fhist6": E.est_hybrid_layered(c, M), "fhist7": E.est_mean_hist(c, M, 3), "abs6": E.est_hll(c, M), "hist8": E.est_gra(c, M), "offset4_trunc": E.est_hll(c, M)}
+    pick = {"floor4": E.est_hybrid(c, M), "floor3": E.est_hybrid(c, M), "floor5": E.est_hybrid(c, M), "fhist5": E.est_tlc_layered(c, M, 1), "fhist6": E.est_hybrid_layered(c, M), "fhist7": E.est_tlc_layered(c, M, 3), "offset4_map": E.est_hll(c, M), "offset3_map": E.est_hll(c, M), "abs6": E.est_hll(c, M), "hist8": E.est_gra(c, M), "offset4_trunc": E.est_hll(c, M)}
     est = F.col("own")
     for k, e in pick.items():
         est = F.when(F.col("spec") == k, e).otherwise(est)
@@ -752,21 +839,25 @@ def type_comparison(spark: SparkSession, d: str) -> DataFrame:
 
 @query()
 def idempotence(spark: SparkSession, d: str) -> DataFrame:
-    """Events added once, and three times over: which sketches are unchanged."""
+    """Events added once, and each batch three times over: which sketches are unchanged, in every part of the rows."""
 
     def run(batches):
         import numpy as np
         import pandas as pd
 
-        h = np.concatenate([b["h"].to_numpy() for b in batches]).astype(np.int64).view(np.uint64)
-        for k, make in simulate.SEQUENTIAL.items():
-            once, thrice = make(256).add_batch(h), make(256)
-            for _ in range(3):
-                thrice.add_batch(h)
-            yield pd.DataFrame({"spec": [k], "unchanged": [bool((once.levels() == thrice.levels()).all())], "floor_once": [once.floor], "floor_thrice": [thrice.floor]})
-
-    # one stream in one order is what is asked about
-    return levels.hashed(load_table(spark, d, "events", ["event_id"]), ["event_id"]).coalesce(1).mapInPandas(run, "spec string, unchanged boolean, floor_once int, floor_thrice int")
+        held = {k: (make(256), make(256)) for k, make in simulate.SEQUENTIAL.items()}
+        for b in batches:
+            h = b["h"].to_numpy().astype(np.int64).view(np.uint64)
+            for once, thrice in held.values():
+                once.add_batch(h)
+                for _ in range(3):
+                    thrice.add_batch(h)
+        for k, (once, thrice) in held.items():
+            yield pd.DataFrame({"spec": [k], "unchanged": [bool((once.levels() == thrice.levels()).all())], "lower": [int((once.levels() < thrice.levels()).sum())], "floor_risen": [thrice.floor - once.floor]})
+
+    rows = levels.hashed(load_table(spark, d, "events", ["event_id"]), ["event_id"])
+    made = rows.mapInPandas(run, "spec string, unchanged boolean, lower int, floor_risen int")
+    return made.groupBy("spec").agg(F.bool_and("unchanged").alias("unchanged"), F.sum("lower").alias("lower"), F.max("floor_risen").alias("floor_risen"))
 
 
 @query()

@@ -9,7 +9,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from floorcount.operators.state import FloorSketch, TruncatedOffset, TwoBit
+from floorcount.operators.state import FloorSketch, TruncatedOffset, TwoBit, levels_of
 
 CELLS = "array<struct<lvl: int, state: int, cnt: bigint>>"
 
@@ -97,11 +97,12 @@ def draws(rng: np.random.Generator, n: int, adds: int) -> np.ndarray:
     return np.minimum(rng.integers(0, n, adds), rng.integers(0, n, adds))
 
 
-def simulate_skewed(spark: SparkSession, runs: int, specs: Sequence[str] = ("floor4", "floor3"), m: int = 256, n: int = 100_000, passes: int = 8, points: Sequence[int] = (), seed: int = 1, repair: bool = True, parts: int | None = None) -> DataFrame:
-    """Rows (run, spec, checkpoint, adds, cells, repaired): order-dependent sketches of duplicate-heavy streams.
+def simulate_skewed(spark: SparkSession, runs: int, specs: Sequence[str] = ("floor4", "floor3"), m: int = 256, n: int = 100_000, passes: int = 8, points: Sequence[int] = (), seed: int = 1, repair: bool = True, parts: int | None = None, at_end: bool = False) -> DataFrame:
+    """Rows (run, spec, checkpoint, truth, adds, cells, repaired): order-dependent sketches of duplicate-heavy streams.
 
     Elements are pairs out of two arrays of sqrt(n) words; a bitmap tells how many distinct ones have come. `repaired` is the
-    summary after the ledger's repair; the same as cells where there is none.
+    summary after the ledger's repair; the same as cells where there is none. All passes are run; at_end adds a row for each
+    sketch at the stream's end, as checkpoint n, whatever the truth is by then.
     """
     side = int(np.ceil(np.sqrt(n)))
     points = sorted(points or checkpoints(n, 1.3))
@@ -112,7 +113,13 @@ def simulate_skewed(spark: SparkSession, runs: int, specs: Sequence[str] = ("flo
         upper, lower = rng.integers(0, 1 << 32, side, dtype=np.uint64), rng.integers(0, 1 << 32, side, dtype=np.uint64)
         seen, truth, adds, due = np.zeros(side * side, dtype=bool), 0, 0, 0
         held = {k: f(m) for k, f in make.items()}
-        while adds < n * passes and due < len(points):
+
+        def told(k: str, s, checkpoint: int, true: int, added: int) -> dict:
+            cells = [dict(zip(("lvl", "state", "cnt"), c)) for c in s.cells()]
+            fixed = [{"lvl": a, "state": b, "cnt": int(round(c))} for a, b, c in s.repaired_cells()] if repair and isinstance(s, FloorSketch) and s.ledger and s.width == 3 else cells
+            return {"run": run, "spec": k, "checkpoint": checkpoint, "truth": true, "adds": added, "cells": cells, "repaired": fixed}
+
+        while adds < n * passes:
             i = draws(rng, n, 4096)
             fresh = np.zeros(len(i), dtype=bool)
             fresh[np.unique(i, return_index=True)[1]] = True
@@ -124,16 +131,16 @@ def simulate_skewed(spark: SparkSession, runs: int, specs: Sequence[str] = ("flo
                 for s in held.values():
                     s.add_batch(_mix(upper[i[start:stop] // side] << np.uint64(32) | lower[i[start:stop] % side]))
                 for k, s in held.items():
-                    cells = [dict(zip(("lvl", "state", "cnt"), c)) for c in s.cells()]
-                    fixed = [{"lvl": a, "state": b, "cnt": int(round(c))} for a, b, c in s.repaired_cells()] if repair and s.ledger and s.width == 3 else cells
-                    yield {"run": run, "spec": k, "checkpoint": points[due], "adds": adds + stop, "cells": cells, "repaired": fixed}
+                    yield told(k, s, points[due], points[due], adds + stop)
                 start, due = stop, due + 1
             for s in held.values():
                 s.add_batch(_mix(upper[i[start:] // side] << np.uint64(32) | lower[i[start:] % side]))
             seen[i] = True
             truth, adds = int(count[-1]), adds + len(i)
+        if at_end:
+            yield from (told(k, s, n, truth, adds) for k, s in held.items())
 
-    return _rows(spark, runs, parts, one, f"run long, spec string, checkpoint long, adds long, cells {CELLS}, repaired {CELLS}")
+    return _rows(spark, runs, parts, one, f"run long, spec string, checkpoint long, truth long, adds long, cells {CELLS}, repaired {CELLS}")
 
 
 def _mix(x: np.ndarray) -> np.ndarray:
@@ -143,7 +150,10 @@ def _mix(x: np.ndarray) -> np.ndarray:
 
 
 def simulate_types(spark: SparkSession, runs: int, m: int = 2048, points: Sequence[int] = (), seed: int = 1, parts: int | None = None) -> DataFrame:
-    """Rows (run, spec, checkpoint, cells, own): every sketch type fed the same distinct hashes; own: the two-bit family's own estimate."""
+    """Rows (run, spec, checkpoint, cells, own): every sketch type fed the same distinct hashes; own: the type's own estimate where it has one.
+
+    Registers with an exception map hold every level, as absolute ones do, whatever the width of the regular ones.
+    """
     points = list(points) or checkpoints(100_000, 2.0)
 
     def one(run: int) -> Iterator[dict]:
@@ -154,7 +164,9 @@ def simulate_types(spark: SparkSession, runs: int, m: int = 2048, points: Sequen
         for c in points:
             for k, s in held.items():
                 s.add_batch(h[at:c])
-                yield {"run": run, "spec": k, "checkpoint": c, "cells": [dict(zip(("lvl", "state", "cnt"), x)) for x in s.cells()], "own": None}
+                cells = [dict(zip(("lvl", "state", "cnt"), x)) for x in s.cells()]
+                for spec in (k, *(("offset4_map", "offset3_map") if k == "abs6" else ())):
+                    yield {"run": run, "spec": spec, "checkpoint": c, "cells": cells, "own": s.estimate() if isinstance(s, TruncatedOffset) else None}
             two.add_batch(h[at:c])
             yield {"run": run, "spec": "twobit", "checkpoint": c, "cells": [], "own": two.estimate()}
             at = c
@@ -162,20 +174,27 @@ def simulate_types(spark: SparkSession, runs: int, m: int = 2048, points: Sequen
     return _rows(spark, runs, parts, one, f"run long, spec string, checkpoint long, cells {CELLS}, own double")
 
 
-def merge_study(spark: SparkSession, runs: int, m: int = 2048, n: int = 200_000, parts_of: Sequence[int] = (1, 8, 16, 64), seed: int = 1) -> DataFrame:
-    """Rows (run, parts, truth, clamped, cells): one stream dealt to so many four-bit sketches, merged one after the other."""
+def merge_study(spark: SparkSession, runs: int, m: int = 2048, n: int = 200_000, parts_of: Sequence[int] = (1, 8, 16, 64), seed: int = 1, width: int = 4) -> DataFrame:
+    """Rows (run, parts, truth, clamped, lost, cells): one stream dealt to so many sketches, merged one after the other.
+
+    clamped: registers of the merged sketch at the top code. lost: levels that the merged sketch is short of, over all
+    registers, of those of one bitmap of the whole stream.
+    """
 
     def one(run: int) -> Iterator[dict]:
         h = np.random.default_rng([seed, run]).integers(0, 1 << 64, n, dtype=np.uint64)
+        true = np.full(m, -1, dtype=np.int64)
+        np.maximum.at(true, (h & np.uint64(m - 1)).astype(np.int64), levels_of(h))
         for k in parts_of:
             whole = None
             for i in range(k):
-                s = FloorSketch(m, 4).add_batch(h[i::k])
+                s = FloorSketch(m, width).add_batch(h[i::k])
                 whole = s if whole is None else whole.merge(s)
-            top = int(np.count_nonzero(whole.levels() >= whole.floor + whole.top))
-            yield {"run": run, "parts": k, "truth": n, "clamped": top, "cells": [dict(zip(("lvl", "state", "cnt"), x)) for x in whole.cells()]}
+            now = whole.levels()
+            top = int(np.count_nonzero(now >= whole.floor + whole.top))
+            yield {"run": run, "parts": k, "truth": n, "clamped": top, "lost": int((true - now).clip(min=0).sum()), "cells": [dict(zip(("lvl", "state", "cnt"), x)) for x in whole.cells()]}
 
-    return _rows(spark, runs, None, one, f"run long, parts int, truth long, clamped int, cells {CELLS}")
+    return _rows(spark, runs, None, one, f"run long, parts int, truth long, clamped int, lost long, cells {CELLS}")
 
 
 def build_cf(simulated: DataFrame, m: int, tool, ratio_of_means: bool = False) -> DataFrame:

@@ -47,14 +47,12 @@ def sequential_state(events: DataFrame, key: str, col: str, m: int = 256, kind:
     rows = events.select(F.col(key).cast("string").alias("k"), H.hash_key([col], kind).alias("h")).filter(F.col("h").isNotNull())
 
     def step(k: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        import pickle
-
         from floorcount.operators.state import FloorSketch
 
-        sketch = pickle.loads(state.get[0]) if state.exists else FloorSketch(m=m)
+        sketch = FloorSketch.from_bytes(state.get[0]) if state.exists else FloorSketch(m=m)
         for pdf in batches:
             sketch.add_batch(pdf["h"].to_numpy().astype(np.int64).view(np.uint64), H.WIDTH[kind])
-        state.update((pickle.dumps(sketch),))
+        state.update((sketch.to_bytes(),))
         z = m - float(sketch.at_least()[sketch.floor + 1])
         yield pd.DataFrame({"k": [k[0]], "rows": [sketch.rows], "floor": [sketch.floor], "estimate": [2.0 ** (sketch.floor + 1) * m * float(np.log(m / max(z, 0.5)))]})
 

@@ -6,7 +6,6 @@ from floorcount.plans import registry
 
 TABLES = "/root/testdata/sf0.001"
 SQL = registry.oracle_sql()
-SLOW = {"memory_grid", "type_comparison", "history_ablation", "averaging_comparison", "simulate_unique", "memory_variance"}
 
 
 @pytest.mark.parametrize("name", sorted(SQL))
@@ -14,7 +13,7 @@ def test_equals_sql(name, compare):
     compare(registry.queries()[name], SQL[name], TABLES)
 
 
-@pytest.mark.parametrize("name", sorted(set(registry.queries()) - set(SQL) - SLOW))
+@pytest.mark.parametrize("name", sorted(set(registry.queries()) - set(SQL)))
 def test_has_rows(name, spark):
     assert registry.queries()[name](spark, TABLES).limit(1).count() == 1
 

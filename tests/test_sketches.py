@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from floorcount.functions import constants as K
 from floorcount.functions import estimators as E
 from floorcount.functions import hashing as H
-from floorcount.operators import encode, levels, sets, state
+from floorcount.operators import encode, levels, sets, shingles, state, udf
 from floorcount.plans import measures, simulate
 
 TABLES = "/root/testdata/sf0.01"
@@ -213,3 +213,121 @@ def test_stream_equals_batch(spark, tmp_path):
     out = {r["start"]: r["estimate"] for r in spark.read.parquet(str(tmp_path / "out")).collect()}
     batch = {r["start"]: r["estimate"] for r in windowed_estimates(ev.withColumn("ts", F.col("ts").cast("timestamp")), ["user_id"], 64, "1 day").collect()}
     assert len(out) >= len(batch) - 1 and all(out[k] == pytest.approx(batch[k]) for k in out)
+
+
+def test_updates_are_counted_one_by_one():
+    h = np.random.default_rng(21).integers(0, 1 << 64, 4000, dtype=np.uint64)
+    for make in (lambda: state.FloorSketch(32, 4), lambda: state.FloorSketch(32, 4, exit_mode="off"), lambda: state.FloorSketch(32, 4, 2)):
+        a, b = make().add_batch(h), make()
+        changed = 0
+        for x in h:
+            before = (b.levels().tolist(), b.cells())
+            b.add_batch(np.array([x], dtype=np.uint64))
+            changed += before != (b.levels().tolist(), b.cells())
+        assert a.updates == b.updates and (b.hist or b.updates == changed)
+        assert 0 < a.updates <= a.passed
+
+
+def test_state_survives_as_bytes():
+    h = np.random.default_rng(22).integers(0, 1 << 64, 9000, dtype=np.uint64)
+    for s in (state.FloorSketch(64, 3), state.FloorSketch(48, 4, 2, "paper"), state.FloorSketch(256, 4, lazy=65)):
+        half = s.add_batch(h[:4000])
+        back = state.FloorSketch.from_bytes(half.to_bytes())
+        a, b = half.add_batch(h[4000:]), back.add_batch(h[4000:])
+        assert a.to_bytes() == b.to_bytes() and a.cells() == b.cells() and a.ledger == b.ledger
+
+
+def test_a_cut_off_code_stays_cut_off():
+    s = state.TruncatedOffset(4, 2)
+    code = lambda reg, lvl: np.array([(1 << (63 - lvl)) | reg], dtype=np.uint64)
+    for reg in range(4):
+        s.add_batch(code(reg, 9 if reg == 0 else 0))
+    assert s.base == 1 and s.levels().tolist() == [2, 0, 0, 0]  # level 9 was cut to the top code, and fell with the base
+    s.add_batch(code(0, 9))
+    assert s.levels()[0] == 3  # the same element again is told from before
+    h = np.random.default_rng(23).integers(0, 1 << 64, 3000, dtype=np.uint64)
+    a, b = state.TruncatedOffset(16, 3).add_batch(h), state.TruncatedOffset(16, 3)
+    for x in h:
+        b.add_batch(np.array([x], dtype=np.uint64))
+    assert a.base == b.base and (a.codes == b.codes).all()
+    assert state.TruncatedOffset(2048).add_batch(np.random.default_rng(24).integers(0, 1 << 64, 200_000, dtype=np.uint64)).estimate() == pytest.approx(200_000, rel=0.1)
+
+
+def test_groups_pruned_by_their_own_floors_keep_their_registers(spark):
+    rows = spark.range(60_000).select((F.col("id") % 7).alias("g"), F.when(F.col("id") % 7 == 6, F.lit(1)).otherwise(F.col("id")).alias("x"))
+    pilot = rows.sample(0.3, 4)
+    full = levels.registers(levels.build_levels(rows, ["x"], ["g"], 64), ["g"])
+    for few in (100, 0):
+        floors = levels.group_floors(levels.hashed(pilot, ["x"], ["g"]), ["g"], 64, 64)
+        assert {r["g"] for r in floors.collect()} == set(range(6))
+        kept = levels.prune_by_groups(levels.hashed(rows, ["x"], ["g"]), floors, ["g"], 64, 3, few=few)
+        assert kept.count() < 0.7 * 60_000 if few else kept.count() == 60_000
+        assert sorted(map(tuple, levels.registers(levels.levels_of(kept, ["g"], 64, 64), ["g"]).collect())) == sorted(map(tuple, full.collect()))
+    again = levels.build_levels_pruned(rows, ["x"], pilot, 64, by=["g"])
+    assert sorted(map(tuple, levels.registers(again, ["g"]).collect())) == sorted(map(tuple, full.collect()))
+
+
+def test_shingle_hashes():
+    text = "aé漢b🎉 cd" * 9
+    rolled = shingles.char_hashes(text, 5, "xxhash64")
+    runs = [text[i : i + 5] for i in range(len(text) - 4)]
+    assert len(rolled) == len(runs) and len(set(rolled.tolist())) == len(set(runs)) and len({(r, int(h)) for r, h in zip(runs, rolled)}) == len(set(runs))
+    import hashlib
+
+    assert shingles.char_hashes(text, 5, "md5_60").tolist() == [int(hashlib.md5(r.encode()).hexdigest()[:15], 16) for r in runs]
+    assert len(shingles.char_hashes("abc", 5, "xxhash64")) == 0 and len(shingles.word_hashes("a b c d", 3, "xxhash64")) == 2
+
+
+def test_shingle_bitmaps_of_many_groups(spark, monkeypatch):
+    monkeypatch.setattr(shingles, "HELD", 2)
+    rows = [(k % 5 if k % 5 else None, f"text {k % 9} of some length {k % 4}") for k in range(40)] + [(1, None), (1, ""), (9, "short")]
+    df = spark.createDataFrame(rows, "g long, text string")
+    got = sorted(map(tuple, shingles.shingle_levels(df, "text", ["g"], 64, 8, "md5_60").collect()), key=str)
+    parts = df.filter("length(text) >= 8").select("g", F.explode(F.transform(F.sequence(F.lit(1), F.length("text") - 7), lambda i: F.substring("text", i, F.lit(8)))).alias("e"))
+    assert got == sorted(map(tuple, levels.build_levels(parts, ["e"], ["g"], 64, "md5_60").collect()), key=str)
+
+
+def test_sketches_as_values(spark):
+    df = spark.range(9000).select((F.col("id") % 3).alias("g"), (F.col("id") % 4000).alias("x"))
+    made = udf.sketch_agg(df, ["x"], ["g"], 256)
+    whole = udf.merge_agg(made, (), "sketch")
+    two = made.filter("g < 2").groupBy().pivot("g", [0, 1]).agg(F.first("sketch"))
+    both = two.select(udf.sketch_estimate(udf.sketch_merge("0", "1")).alias("v")).first()["v"]
+    truth = df.filter("g < 2").select("x").distinct().count()
+    assert both == pytest.approx(truth, rel=0.25)
+    for method in udf.METHODS:
+        assert whole.select(udf.sketch_estimate_by("sketch", F.lit(method)).alias("v")).first()["v"] == pytest.approx(4000, rel=0.25)
+
+
+def test_tuples_that_look_alike_are_told_apart(spark):
+    rows = [("a", "bc"), ("ab", "c"), ("1:a", None), (None, "1:a"), ("a\x1f", "b"), ("a", "\x1fb"), ("-", None), (None, "-"), (None, None)]
+    df = spark.createDataFrame(rows, "p string, q string").select(H.element(["p", "q"]).alias("e"))
+    assert df.distinct().count() == len(rows) and df.filter("e is null").count() == 1
+
+
+def test_repair_over_the_tiers_comes_nearer_the_truth(spark):
+    df = spark.range(40_000)
+    rows = [r.asDict() for r in encode.repair_tiers(levels.build_levels(df, ["id"], m=256), (), 256, 3).orderBy("t").collect()]
+    assert sum(r["exactly"] for r in rows) == pytest.approx(rows[0]["repaired"]) and rows[0]["at_least"] == 256
+    above = [r for r in rows if r["ledger"]]
+    off = lambda k: sum(abs(r[k] - r["truth"]) for r in above)
+    assert off("repaired") <= off("at_least")
+
+
+def test_three_bits_part_from_four_past_a_hundred_elements_a_register(spark):
+    rows = simulate.simulate_skewed(spark, 8, ("floor4", "floor3"), 64, 60_000, 4, [1000, 40_000])
+    est = rows.select("spec", "checkpoint", E.est_hybrid(F.col("cells"), 64).alias("e"), E.est_hybrid(F.col("repaired"), 64).alias("r"))
+    mean = {(r["spec"], r["checkpoint"]): (r["e"] / r["checkpoint"] - 1, r["r"] / r["checkpoint"] - 1) for r in est.groupBy("spec", "checkpoint").agg(F.avg("e").alias("e"), F.avg("r").alias("r")).collect()}
+    apart = lambda at, k: abs(mean["floor3", at][k] - mean["floor4", at][k])
+    assert apart(1000, 1) < 0.03 and mean["floor3", 40_000][1] > mean["floor3", 40_000][0]
+
+
+def test_blend_lies_between_tiers_and_history(spark):
+    rows = simulate.simulate_unique(spark, 64, 2048, [round(60_000 * 2 ** (i / 4)) for i in range(5)])
+    got = {(r["method"], r["checkpoint"]): r for r in measures.accuracy(rows, 2048, ["tlc", "hist_lc", "tlc_layered"]).collect()}
+    points = {c for _, c in got}
+    for c in points:
+        low, high = sorted((got["tlc", c]["bias"], got["hist_lc", c]["bias"]))
+        assert low - 1e-9 <= got["tlc_layered", c]["bias"] <= high + 1e-9
+    mean = lambda k: sum(got[k, c]["mae"] for c in points)
+    assert mean("tlc_layered") < 0.85 * mean("tlc")

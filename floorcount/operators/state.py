@@ -202,16 +202,24 @@ class TruncatedOffset:
     m: int = 2048
     width: int = 4
     base: int = 0
+    rows: int = 0
+    promotions: int = 0
     codes: np.ndarray | None = None
+    updates: int | None = None  # not counted
 
     @property
     def floor(self) -> int:
         return self.base - 1
 
+    @property
+    def passed(self) -> int:
+        return self.rows  # there is no exit test
+
     def add_batch(self, h: np.ndarray, width: int = 64) -> TruncatedOffset:
         if self.codes is None:
             self.codes = np.zeros(self.m, dtype=np.int64)
         h = h.astype(np.uint64, copy=False)
+        self.rows += len(h)
         reg, lvl = (h & np.uint64(self.m - 1)).astype(np.int64), levels_of(h, width)
         top = (1 << self.width) - 1
         while len(lvl):
@@ -223,11 +231,31 @@ class TruncatedOffset:
             upto = int(rising[first].max()) + 1 if whole else len(lvl)  # the base can only rise once the last low one has
             np.maximum.at(self.codes, reg[:upto], np.maximum(code[:upto], 0))
             reg, lvl = reg[upto:], lvl[upto:]
-            if (step := int(self.codes.min())) > 0:
-                self.base += step
-                self.codes -= step
+            self._rise()
         return self
 
+    def _rise(self) -> None:
+        if (step := int(self.codes.min())) > 0:
+            self.base += step
+            self.codes = self.codes - step
+            self.promotions += step
+
+    def merge(self, other: TruncatedOffset) -> TruncatedOffset:
+        """Both at the higher base; each register is the larger one."""
+        base, top = max(self.base, other.base), (1 << self.width) - 1
+        held = [np.clip(s.levels() + 1 - base, 0, top) for s in (self, other)]
+        self.base, self.codes, self.rows = base, np.maximum(*held), self.rows + other.rows
+        self._rise()
+        return self
+
+    def to_bytes(self) -> bytes:
+        return struct.pack("<iiiqq", self.m, self.width, self.base, self.rows, self.promotions) + (self.levels() + 1 - self.base).astype(np.int8).tobytes()
+
+    @classmethod
+    def from_bytes(cls, raw: bytes) -> TruncatedOffset:
+        m, width, base, rows, promotions = struct.unpack_from("<iiiqq", raw)
+        return cls(m, width, base, rows, promotions, np.frombuffer(raw, dtype=np.int8, count=m, offset=struct.calcsize("<iiiqq")).astype(np.int64))
+
     def levels(self) -> np.ndarray:
         return (self.codes if self.codes is not None else np.zeros(self.m, dtype=np.int64)) + self.base - 1
 
@@ -314,8 +342,8 @@ def sequential(df: DataFrame, cols: Sequence[str | Column], make, by: Sequence[s
     return rows.mapInPandas(run, schema)
 
 
-def merge_sketches(parts: DataFrame, by: Sequence[str] = ()) -> DataFrame:
-    """Rows (by..., rows, floor, cells): each group's sketches merged one after the other by part."""
+def merge_sketches(parts: DataFrame, by: Sequence[str] = (), load=FloorSketch.from_bytes) -> DataFrame:
+    """Rows (by..., rows, floor, cells): each group's sketches merged one after the other by part; load: reads the type's bytes."""
     names = list(by)
     schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in parts.schema.fields if f.name in names), "rows long, floor int, cells array<struct<lvl: int, state: int, cnt: bigint>>"])
 
@@ -323,7 +351,7 @@ def merge_sketches(parts: DataFrame, by: Sequence[str] = ()) -> DataFrame:
         whole = None
         for pdf in batches:
             for raw in pdf.sort_values("part")["sketch"]:
-                s = FloorSketch.from_bytes(raw)
+                s = load(bytes(raw))
                 whole = s if whole is None else whole.merge(s)
         yield pd.DataFrame([dict(zip(names, key)) | {"rows": whole.rows, "floor": whole.floor, "cells": [{"lvl": a, "state": b, "cnt": c} for a, b, c in whole.cells()]}])
 

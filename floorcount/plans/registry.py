@@ -685,18 +685,18 @@ def lib_hll_sketch(spark: SparkSession, d: str) -> DataFrame:
     return sets.library_sketch(stacked(spark, d), "e", ["g"])
 
 
-def _sequential(spec: str):
+def _sequential(spec: str, load=state.FloorSketch.from_bytes, tool: Callable = E.est_tlc):
     def run(spark: SparkSession, d: str) -> DataFrame:
         make = simulate.SEQUENTIAL[spec]
         parts = state.sequential(stacked(spark, d), ["e"], lambda: make(M), ["g"])
-        return state.merge_sketches(parts, ["g"]).select("g", "rows", "floor", F.round(E.est_tlc(F.col("cells"), M), 4).alias("estimate"))
+        return state.merge_sketches(parts, ["g"], load).select("g", "rows", "floor", F.round(tool(F.col("cells"), M), 4).alias("estimate"))
 
     return run
 
 
 for _s in ("floor4", "floor3", "fhist6"):
     add(f"sequential_{_s}", _sequential(_s))
-add("offset4_trunc", _sequential("offset4_trunc"))
+add("offset4_trunc", _sequential("offset4_trunc", state.TruncatedOffset.from_bytes, E.est_hll))
 
 
 @query()

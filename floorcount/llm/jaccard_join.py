@@ -40,6 +40,8 @@ CHUNK, CHUNK_FREQUENT, REMEMBERED = 1_000_000, 8_192, 50_000
 EARLY = 4
 #: Rounds of neighbours, at most (another follows where most of the pairs were links), and how many neighbours each document meets in a list.
 ROUNDS, NEIGHBOURS = 2, 2
+#: Documents among which neighbours are drawn, over NEIGHBOURS; longer lists are dealt out by hash, anew each round.
+DRAWN = 512
 #: Documents of a list that one task holds against the others of the list; longer lists are dealt out.
 BLOCK = 4_096
 #: Sets that reach the limit are of the same or the next size class; the margin keeps rounding out of it.
@@ -296,7 +298,7 @@ def _size_class(shift: float = 0.0) -> Column:
 
 def neighbour_pairs(lists: DataFrame, number: int) -> DataFrame:
     """Distinct pairs of documents of different groups that follow each other in a list, dealt by size, in an order by hash."""
-    dealt = lists.withColumns({"class": _size_class(number / 2), "part": F.pmod(F.xxhash64("id", F.lit(number)), F.ceil(F.col("k") / BLOCK))})
+    dealt = lists.withColumns({"class": _size_class(number / 2), "part": F.pmod(F.xxhash64("id", F.lit(number)), F.ceil(F.col("k") * NEIGHBOURS / DRAWN))})
     order = W.partitionBy("token", "class", "part").orderBy(F.xxhash64("id", "token", F.lit(number)), "id")
     own = F.struct("id", "n", "pos", "comp", *ODDS)
     met = dealt.withColumn("next", F.array(*[F.lead(own, k).over(order) for k in range(1, NEIGHBOURS + 1)]))

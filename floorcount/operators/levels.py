@@ -110,6 +110,18 @@ def build_micro(df: DataFrame, cols: Sequence[str | Column], by: Sequence[str] =
     return rows.groupBy(*by).agg(word) if by else rows.agg(F.coalesce(word, F.lit(0).cast("bigint")).alias("micro"))
 
 
+def build_lazy(df: DataFrame, cols: Sequence[str | Column], by: Sequence[str], m: int = 2048, least: int = 24, kind: str = "xxhash64", few: int = FEW_GROUPS) -> tuple[DataFrame, DataFrame]:
+    """(rows (by..., micro, allocated), rows (by..., reg, bits)): registers only for groups whose small bitmap holds `least` places or more.
+
+    Most groups of a long tail stay a single word. The allocated ones pick their rows by a join, sent to all tasks while few.
+    """
+    micro = build_micro(df, cols, by, m, kind).withColumn("allocated", F.bit_count("micro") >= least)
+    large = micro.filter("allocated").select(*[F.col(c).alias(f"_{c}") for c in by])
+    send = F.broadcast if large.limit(few + 1).count() <= few else (lambda x: x)
+    same = reduce(lambda a, c: a & F.col(c).eqNullSafe(F.col(f"_{c}")), by, F.lit(True))
+    return micro, levels_of(hashed(df, cols, by, kind).join(send(large), same, "left_semi"), by, m, H.WIDTH[kind])
+
+
 def registers(levels: DataFrame, by: Sequence[str] = (), h: int = HISTORY) -> DataFrame:
     """Rows (by..., reg, lvl, state): the largest level and the h bits under it."""
     lvl = highest(F.col("bits"))

@@ -94,6 +94,12 @@ def library_sketch(df: DataFrame, col: str, by: Sequence[str] = (), log_k: int =
     return df.groupBy(*by).agg(n) if by else df.agg(n)
 
 
+def theta_sketch(df: DataFrame, col: str, by: Sequence[str] = (), log_k: int = 17) -> DataFrame:
+    """The engine's built-in sample of smallest hashes, for comparison; exact up to 2^log_k elements a group, and as large."""
+    n = F.theta_sketch_estimate(F.theta_sketch_agg(col, log_k)).alias("estimate")
+    return df.groupBy(*by).agg(n) if by else df.agg(n)
+
+
 def exact_tiny(df: DataFrame, col: str) -> DataFrame:
     """Exact distinct count of small non-negative integers by bitmaps, each bucket of them a group key."""
     parts = df.filter(F.col(col).isNotNull()).groupBy(F.call_function("bitmap_bucket_number", F.col(col)).alias("bucket")).agg(F.call_function("bitmap_count", F.call_function("bitmap_construct_agg", F.call_function("bitmap_bit_position", F.col(col)))).alias("n"))

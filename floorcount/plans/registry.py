@@ -685,6 +685,38 @@ def lib_hll_sketch(spark: SparkSession, d: str) -> DataFrame:
     return sets.library_sketch(stacked(spark, d), "e", ["g"])
 
 
+@query(f"SELECT g, count(DISTINCT e)::BIGINT AS estimate FROM ({oracles.STACKED}) GROUP BY g")
+def lib_theta_sketch(spark: SparkSession, d: str) -> DataFrame:
+    return sets.theta_sketch(stacked(spark, d), "e", ["g"])
+
+
+_CAPPED = oracles.base("SELECT l_suppkey AS g, l_orderkey::VARCHAR AS e FROM lineitem", 64) + "," + oracles.tlc(64)
+
+
+@query(_CAPPED + ", n AS (SELECT g, count(*) AS n FROM e GROUP BY g) SELECT t.g AS l_suppkey, round(least(tlc, n), 4) AS estimate FROM t JOIN n ON n.g = t.g")
+def est_capped(spark: SparkSession, d: str) -> DataFrame:
+    """Estimates that the rows added bound from above."""
+    li = load_table(spark, d, "lineitem", ["l_suppkey", "l_orderkey"])
+    rows = li.groupBy(F.col("l_suppkey").alias("_s")).agg(F.count(F.lit(1)).alias("n"))
+    est = sets.estimate(levels.build_levels(li, ["l_orderkey"], ["l_suppkey"], 64, SQL_HASH), ["l_suppkey"], 64)
+    return est.join(rows, F.col("l_suppkey") == F.col("_s")).select("l_suppkey", F.round(sets.capped(F.col("tlc"), F.col("n")), 4).alias("estimate"))
+
+
+@query(oracles.base("SELECT user_id AS g, event_id::VARCHAR AS e FROM events", 256, floors=False) + ", u AS (SELECT g, count(DISTINCT place) AS seen, count(DISTINCT reg) AS n FROM l GROUP BY g) SELECT g AS user_id, seen::INT AS seen, seen >= 24 AS allocated, CASE WHEN seen >= 24 THEN n ELSE 0 END AS n_regs FROM u")
+def lazy_users(spark: SparkSession, d: str) -> DataFrame:
+    """Users' events: registers only for users whose small bitmap holds 24 places or more."""
+    micro, regs = levels.build_lazy(load_table(spark, d, "events", ["user_id", "event_id"]), ["event_id"], ["user_id"], 256, 24, SQL_HASH)
+    held = regs.groupBy(F.col("user_id").alias("_u")).agg(F.count(F.lit(1)).alias("n"))
+    return micro.join(held, F.col("user_id").eqNullSafe(F.col("_u")), "left").select("user_id", F.bit_count("micro").alias("seen"), "allocated", F.coalesce("n", F.lit(0)).alias("n_regs"))
+
+
+@query()
+def update_share(spark: SparkSession, d: str) -> DataFrame:
+    """Of rows added to one sketch, those that pass the exit test, and of these the share that changes a register."""
+    made = state.sequential(load_table(spark, d, "lineitem", ["l_orderkey", "l_linenumber"]), ["l_orderkey", "l_linenumber"], lambda: state.FloorSketch(256))
+    return made.agg(F.sum("rows").alias("rows"), F.sum("passed").alias("passed"), F.sum("updates").alias("updates"), F.sum("promotions").alias("promotions")).withColumn("share", F.col("updates") / F.col("passed"))
+
+
 def _sequential(spec: str, load=state.FloorSketch.from_bytes, tool: Callable = E.est_tlc):
     def run(spark: SparkSession, d: str) -> DataFrame:
         make = simulate.SEQUENTIAL[spec]

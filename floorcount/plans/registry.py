@@ -56,8 +56,13 @@ def summaries(spark: SparkSession, d: str) -> DataFrame:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """A folder all executors see: the one the cluster names, else one of this machine."""
-    return spark.sparkContext.getConf().get("spark.checkpoint.dir") or "file://" + tempfile.mkdtemp(prefix="floorcount-")
+    """A folder all executors see: the one the cluster names; one of this machine only where all tasks run on it too."""
+    named = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.sparkContext.getCheckpointDir()
+    if named:
+        return named
+    if not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster"):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
+    return "file://" + tempfile.mkdtemp(prefix="floorcount-")
 
 
 # --- registers and encodings ---------------------------------------------------------------------------------------

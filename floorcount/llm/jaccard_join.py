@@ -359,7 +359,9 @@ def links(texts: DataFrame, profile: DataFrame, scratch: Scratch) -> tuple[DataF
     frequent = spark.sparkContext.broadcast(frequent_tokens(profile))
     entries = scratch.keep(shared(postings(texts, frequent)), "shared")
     stand_in = entries.join(copies.withColumnRenamed("id", "c"), F.col("id") == F.col("c"), "left")
-    lists = stand_in.select("token", F.coalesce("rep", "id").alias("id"), "n", "pos").groupBy("token", "id").agg(F.max("n").alias("n"), F.max("pos").alias("pos"))
+    # one exchange by token serves the lists, their marks and the join of both
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    lists = stand_in.select("token", F.coalesce("rep", "id").alias("id"), "n", "pos").repartition(parts, "token").groupBy("token", "id").agg(F.max("n").alias("n"), F.max("pos").alias("pos"))
     # tokens of one passage have the same documents: such lists, known by count and two hashes of their ids, are looked at once
     same = ["k", "x1", "x2"]
     # the one whose token is the first of them in every set's order stands for them
@@ -373,7 +375,7 @@ def links(texts: DataFrame, profile: DataFrame, scratch: Scratch) -> tuple[DataF
     ids = lists.select(F.col("id").alias("i")).distinct()
     # sets and signatures of documents that share a token, dealt as joins deal them
     dealt = Bucketed(scratch, "signatures", "id"), Bucketed(scratch, "sets", "id")
-    parts, tried = int(spark.conf.get("spark.sql.shuffle.partitions")), None
+    tried = None
 
     def linked(pairs: DataFrame, name: str) -> DataFrame:
         """The links among the pairs that weren't tried before."""

@@ -88,7 +88,7 @@ def repeated_windows(prints: DataFrame) -> DataFrame:
     both = F.explode(F.array(F.struct(F.col("ahead").alias("w"), F.col("line").alias("first"), "last"), F.struct(F.col("back").alias("w"), "first", F.col("line").alias("last"))))
     windows = prints.select("d", "k", both.alias("x")).select("x.w", "d", "k", F.col("x.first").alias("line"), "x.last").filter("w is not null")
     first = windows.groupBy(F.col("w").alias("g")).agg(F.min(place()).alias("p"), F.count(F.lit(1)).alias("n")).filter("n > 1").select("g", "p")
-    return windows.join(first, F.col("w") == F.col("g")).filter(place() != F.col("p")).select("d", "k", F.col("line").alias("first"), "last")
+    return windows.join(first.hint("merge"), F.col("w") == F.col("g")).filter(place() != F.col("p")).select("d", "k", F.col("line").alias("first"), "last")
 
 
 def repeated_runs(windows: DataFrame) -> DataFrame:
@@ -135,7 +135,8 @@ def dedup_lines(df: DataFrame, doc: str = "doc_id", text: str = "text", scratch:
     runs = found.groupBy("d", "k").agg(F.array_sort(F.collect_list(F.struct("first", "last"))).alias("removed"))
     body = F.col(f"`{text}`").cast("string")
     at, d, k, run = (free_name(df, n) for n in ("_hash", "_doc", "_key", "_runs"))
-    runs = runs.select(F.col("d").alias(d), F.col("k").alias(k), F.col("removed").alias(run))
+    # texts are dealt by key at every size, whatever few runs a small table has
+    runs = runs.select(F.col("d").alias(d), F.col("k").alias(k), F.col("removed").alias(run)).hint("merge")
     joined = df.withColumn(at, F.unhex(F.md5(body))).join(runs, F.col(f"`{doc}`").eqNullSafe(F.col(d)) & (F.col(at) == F.col(k)), "left")
     lines = F.split(body, "\n", -1)
     joined = joined.withColumn(run, F.when(F.size(run) > 1, bridged(F.col(run), lines)).otherwise(F.col(run)))

@@ -342,8 +342,8 @@ def sequential(df: DataFrame, cols: Sequence[str | Column], make, by: Sequence[s
     return rows.mapInPandas(run, schema)
 
 
-def merge_sketches(parts: DataFrame, by: Sequence[str] = (), load=FloorSketch.from_bytes) -> DataFrame:
-    """Rows (by..., rows, floor, cells): each group's sketches merged one after the other by part; load: reads the type's bytes."""
+def merge_sketches(parts: DataFrame, by: Sequence[str] = (), kind: type = FloorSketch) -> DataFrame:
+    """Rows (by..., rows, floor, cells): each group's sketches merged one after the other by part; kind: their type."""
     names = list(by)
     schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in parts.schema.fields if f.name in names), "rows long, floor int, cells array<struct<lvl: int, state: int, cnt: bigint>>"])
 
@@ -351,7 +351,7 @@ def merge_sketches(parts: DataFrame, by: Sequence[str] = (), load=FloorSketch.fr
         whole = None
         for pdf in batches:
             for raw in pdf.sort_values("part")["sketch"]:
-                s = load(bytes(raw))
+                s = kind.from_bytes(bytes(raw))
                 whole = s if whole is None else whole.merge(s)
         yield pd.DataFrame([dict(zip(names, key)) | {"rows": whole.rows, "floor": whole.floor, "cells": [{"lvl": a, "state": b, "cnt": c} for a, b, c in whole.cells()]}])
 

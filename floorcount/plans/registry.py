@@ -722,18 +722,18 @@ def update_share(spark: SparkSession, d: str) -> DataFrame:
     return made.agg(F.sum("rows").alias("rows"), F.sum("passed").alias("passed"), F.sum("updates").alias("updates"), F.sum("promotions").alias("promotions")).withColumn("share", F.col("updates") / F.col("passed"))
 
 
-def _sequential(spec: str, load=state.FloorSketch.from_bytes, tool: Callable = E.est_tlc):
+def _sequential(spec: str, kind: type = state.FloorSketch, tool: Callable = E.est_tlc):
     def run(spark: SparkSession, d: str) -> DataFrame:
         make = simulate.SEQUENTIAL[spec]
         parts = state.sequential(stacked(spark, d), ["e"], lambda: make(M), ["g"])
-        return state.merge_sketches(parts, ["g"], load).select("g", "rows", "floor", F.round(tool(F.col("cells"), M), 4).alias("estimate"))
+        return state.merge_sketches(parts, ["g"], kind).select("g", "rows", "floor", F.round(tool(F.col("cells"), M), 4).alias("estimate"))
 
     return run
 
 
 for _s in ("floor4", "floor3", "fhist6"):
     add(f"sequential_{_s}", _sequential(_s))
-add("offset4_trunc", _sequential("offset4_trunc", state.TruncatedOffset.from_bytes, E.est_hll))
+add("offset4_trunc", _sequential("offset4_trunc", state.TruncatedOffset, E.est_hll))
 
 
 @query()

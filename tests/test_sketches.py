@@ -331,3 +331,18 @@ def test_blend_lies_between_tiers_and_history(spark):
         assert low - 1e-9 <= got["tlc_layered", c]["bias"] <= high + 1e-9
     mean = lambda k: sum(got[k, c]["mae"] for c in points)
     assert mean("tlc_layered") < 0.85 * mean("tlc")
+
+
+def test_a_pilot_with_the_floor_of_the_whole_loses_no_level(spark):
+    rows = spark.range(3000).select((F.col("id") % 3).alias("g"), F.col("id").alias("x"))
+    for by in ([], ["g"]):
+        full = sorted(map(tuple, levels.registers(levels.build_levels(rows, ["x"], by, 32), by).collect()))
+        assert sorted(map(tuple, levels.registers(levels.build_levels_pruned(rows, ["x"], rows, 32, by=by), by).collect())) == full
+        bare = levels.registers(levels.build_levels_pruned(rows, ["x"], rows, 32, hist=0, by=by), by)
+        assert sorted(tuple(r)[:-1] for r in bare.collect()) == [r[:-1] for r in full]
+
+
+def test_many_sketches_keep_their_levels(spark, compare):
+    from floorcount.plans import registry
+
+    compare(registry.queries()["many_sketches"], registry.oracle_sql()["many_sketches"], TABLES)

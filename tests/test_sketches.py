@@ -346,3 +346,11 @@ def test_many_sketches_keep_their_levels(spark, compare):
     from floorcount.plans import registry
 
     compare(registry.queries()["many_sketches"], registry.oracle_sql()["many_sketches"], TABLES)
+
+
+def test_theta_sketch_is_exact_past_its_capacity(spark):
+    rows = spark.range(60_000).select((F.col("id") % 2).alias("g"), F.when(F.col("id") % 5 > 0, F.col("id") % 20_000).alias("x"))
+    want = {r["g"]: r["n"] for r in rows.groupBy("g").agg(F.count_distinct("x").alias("n")).collect()}
+    assert {r["g"]: r["estimate"] for r in sets.theta_sketch(rows, "x", ["g"], 6).collect()} == want
+    assert sets.theta_sketch(rows, "x", log_k=10).first()["estimate"] == sum(want.values())
+    assert sets.theta_sketch(rows.filter("x < 0"), "x").first()["estimate"] == 0 == sets.theta_sketch(rows.select("g", F.lit(None).cast("bigint").alias("x")), "x", ["g"]).first()["estimate"]

@@ -23,3 +23,12 @@ def test_entry(spark):
 
     assert __spark_entry__.entry(spark).count() == 3
     assert set(registry.queries()) <= set(__spark_entry__.queries())
+
+
+#: Queries that once made their data up.
+MOVED = ["averaging_comparison"]
+
+
+@pytest.mark.parametrize("name", MOVED)
+def test_reads_a_table(name, spark):
+    assert registry.queries()[name](spark, TABLES).inputFiles()

@@ -354,3 +354,37 @@ def test_theta_sketch_is_exact_past_its_capacity(spark):
     assert {r["g"]: r["estimate"] for r in sets.theta_sketch(rows, "x", ["g"], 6).collect()} == want
     assert sets.theta_sketch(rows, "x", log_k=10).first()["estimate"] == sum(want.values())
     assert sets.theta_sketch(rows.filter("x < 0"), "x").first()["estimate"] == 0 == sets.theta_sketch(rows.select("g", F.lit(None).cast("bigint").alias("x")), "x", ["g"]).first()["estimate"]
+
+
+def test_a_growing_table_is_counted_and_hashed_anew(spark):
+    rows = spark.range(4000).select(F.when(F.col("id") % 10 > 0, F.col("id") % 3000).alias("x")).repartition(3)
+    out = simulate.grown(rows, 3, 48, [1, 10, 100]).collect()
+    whole = rows.filter("x is not null").distinct().count()
+    assert len(out) == 9 and len({r["checkpoint"] for r in out}) == 3 and max(r["checkpoint"] for r in out) == whole
+    salts = np.random.default_rng(1).integers(0, 1 << 64, 3, dtype=np.uint64)
+    h = np.array([r[0] for r in rows.filter("x is not null").select(F.xxhash64("x")).distinct().collect()], dtype=np.int64).view(np.uint64)
+    for run in range(3):
+        x = simulate._mix(h ^ salts[run])
+        top = {}
+        for v in x.tolist():
+            top[(v & 0xFFFFFFFF) % 48] = max(top.get((v & 0xFFFFFFFF) % 48, -1), 64 - v.bit_length())
+        (got,) = [r["cells"] for r in out if r["run"] == run and r["checkpoint"] == whole]
+        assert sorted(lvl for c in got for lvl in [c["lvl"]] * c["cnt"]) == sorted(top.values())
+
+
+def test_streams_of_a_table_keep_rows_and_truth(spark):
+    rows = spark.range(5000).select((F.col("id") % 500).alias("x"), "id").repartition(3)
+    out = simulate.repeated(rows, 3, ("floor4", "abs6"), 64, [10, 50, 100]).collect()
+    assert {(r["checkpoint"], r["truth"]) for r in out} == {(50, 50), (250, 250), (500, 500)} and len(out) == 18
+    assert {r["adds"] for r in out if r["truth"] == 500} == {5000}
+    assert {r["run"] for r in out if abs(r["adds"] - 5000 * (1 - (1 - 0.5) ** 0.1)) < 300 and r["truth"] == 250} == {0, 1, 2}
+    # the same stream in any deal of the table's rows
+    again = simulate.repeated(rows.repartition(7), 3, ("floor4", "abs6"), 64, [10, 50, 100]).collect()
+    key = lambda r: (r["run"], r["spec"], r["checkpoint"])
+    assert sorted(map(tuple, out), key=str) == sorted(map(tuple, again), key=str) and len(set(map(key, out))) == 18
+
+
+def test_merged_parts_of_a_table_lose_nothing_alone(spark):
+    out = simulate.merge_dealt(spark.range(6000).select((F.col("id") % 5000).alias("x")), 2, 64, (1, 4), widths=(4, 3)).collect()
+    assert len(out) == 8 and {r["truth"] for r in out} == {5000}
+    assert all(sum(c["cnt"] for c in r["cells"]) == 64 for r in out) and all(r["lost"] == 0 for r in out if r["parts"] == 1 and r["width"] == 4)

@@ -26,7 +26,7 @@ def test_entry(spark):
 
 
 #: Queries that once made their data up.
-MOVED = ["averaging_comparison"]
+MOVED = ["averaging_comparison", "bias_curves"]
 
 
 @pytest.mark.parametrize("name", MOVED)

@@ -26,7 +26,7 @@ def test_entry(spark):
 
 
 #: Queries that once made their data up.
-MOVED = ["averaging_comparison", "bias_curves", "cf_curve", "cf_fold", "cf_range_lookup", "history_ablation"]
+MOVED = ["averaging_comparison", "bias_curves", "cf_curve", "cf_fold", "cf_range_lookup", "history_ablation", "laws"]
 
 
 @pytest.mark.parametrize("name", MOVED)

@@ -26,7 +26,7 @@ def test_entry(spark):
 
 
 #: Queries that once made their data up.
-MOVED = ["averaging_comparison", "bias_curves", "cf_curve", "cf_fold", "cf_range_lookup", "history_ablation", "laws", "memory_grid", "memory_table", "memory_variance", "merge_study"]
+MOVED = ["averaging_comparison", "bias_curves", "cf_curve", "cf_fold", "cf_range_lookup", "history_ablation", "laws", "memory_grid", "memory_table", "memory_variance", "merge_study", "simulate_skewed"]
 
 
 @pytest.mark.parametrize("name", MOVED)

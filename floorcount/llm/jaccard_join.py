@@ -46,6 +46,8 @@ DRAWN = 512
 BLOCK = 4_096
 #: Sets that reach the limit are of the same or the next size class; the margin keeps rounding out of it.
 CLASS = 1.05 * 100 / LIMIT
+#: Words of 64 bits in the table that tells whose sets a round needs; it goes to all tasks, 16 bytes each.
+WANTED = 131_072
 #: Tokens before each posting that tell whether two sets have met already; a pair that they miss meets again and is told apart later.
 BEFORE = 8
 
@@ -249,11 +251,18 @@ def _batch(out: list[tuple[np.ndarray, ...]]) -> pa.RecordBatch:
 
 
 def shared(entries: DataFrame) -> DataFrame:
-    """The postings whose token several ids have. Frequent tokens are known to be shared, and are spread."""
+    """The postings whose token several ids have, one of them of like size. Frequent tokens are known to be shared, and are spread.
+
+    A set whose first common token stands at pos reaches the limit with sets of up to `most` tokens only; of two such sets
+    the smaller one's `most` is at least the larger one's size.
+    """
     salt = F.when(F.col("often"), F.pmod(F.xxhash64("id"), F.lit(64))).otherwise(0)
-    by = W.partitionBy("token", "salt")
-    both = entries.withColumn("salt", salt).withColumns({"lo": F.min("id").over(by), "hi": F.max("id").over(by)})
-    return both.filter("often or lo < hi").select("token", "id", "n", "pos")
+    most = F.least(F.floor(F.col("n") * 100 / LIMIT), F.floor((F.col("n") - F.col("pos")) * (100 + LIMIT) / LIMIT) - F.col("n"))
+    by = W.partitionBy("token", "salt").orderBy("n")
+    whole, before = by.rowsBetween(W.unboundedPreceding, W.unboundedFollowing), by.rowsBetween(W.unboundedPreceding, -1)
+    met = {"lo": F.min("id").over(whole), "hi": F.max("id").over(whole), "larger": F.lead("n").over(by), "reach": F.max("most").over(before)}
+    both = entries.withColumn("salt", salt).repartition("token", "salt").withColumn("most", most).withColumns(met)
+    return both.filter("often or (lo < hi and (larger <= most or n <= reach))").select("token", "id", "n", "pos")
 
 
 def may_link(x: Callable[[str], Column], y: Callable[[str], Column]) -> Column:
@@ -373,8 +382,8 @@ def links(texts: DataFrame, profile: DataFrame, scratch: Scratch) -> tuple[DataF
     if lists.isEmpty():
         return copies, lists.select(F.col("id").alias("node"), F.col("id").alias("component"))
     ids = lists.select(F.col("id").alias("i")).distinct()
-    # sets and signatures of documents that share a token, dealt as joins deal them
-    dealt = Bucketed(scratch, "signatures", "id"), Bucketed(scratch, "sets", "id")
+    # signatures of documents that share a token, dealt as joins deal them
+    dealt = Bucketed(scratch, "signatures", "id")
     tried = None
 
     def linked(pairs: DataFrame, name: str) -> DataFrame:
@@ -382,7 +391,12 @@ def links(texts: DataFrame, profile: DataFrame, scratch: Scratch) -> tuple[DataF
         nonlocal tried
         pairs = scratch.keep(pairs if tried is None else pairs.join(tried, ["a", "b"], "left_anti"), f"pairs-{name}")
         tried = pairs if tried is None else tried.unionAll(pairs)
-        return scratch.keep(_verify(_suffix_filter(pairs, signatures), sets), f"links-{name}")
+        near = scratch.keep(_suffix_filter(pairs, signatures), f"near-{name}")
+        if near.isEmpty():
+            return near
+        found = scratch.keep(_verify(near, scratch.keep(_packed(texts, near), f"sets-{name}")), f"links-{name}")
+        scratch.drop(f"sets-{name}")
+        return found
 
     def grouped(groups: DataFrame) -> DataFrame:
         rest = groups.filter("node <> component").select(F.col("node").alias("v"), "component")
@@ -394,7 +408,7 @@ def links(texts: DataFrame, profile: DataFrame, scratch: Scratch) -> tuple[DataF
         return components(found.unionAll(known), "a", "b", scratch, name)
 
     try:
-        signatures, sets = dealt[0].keep(rows.select("id", "n", "sig").repartition(parts, "id").join(ids.repartition(parts, "i"), F.col("id") == F.col("i"), "left_semi")), dealt[1].keep(_packed(texts, ids, parts))
+        signatures = dealt.keep(rows.select("id", "n", "sig").repartition(parts, "id").join(ids.repartition(parts, "i"), F.col("id") == F.col("i"), "left_semi"))
         # two documents that have a link to the same third one are known to be of one group; most groups are whole after this
         first = linked(least_pairs(lists), "least")
         groups = scratch.keep(first.groupBy(F.col("b").alias("node")).agg(F.min("a").alias("component")), "groups")
@@ -408,20 +422,26 @@ def links(texts: DataFrame, profile: DataFrame, scratch: Scratch) -> tuple[DataF
         last = linked(all_pairs(now.join(mixed, F.col("token") == F.col("t"), "left_semi")), "all")
         return copies, merged(last if ROUNDS else last.unionAll(first), groups, "groups-all")
     finally:
-        for table in dealt:
-            table.drop()
+        dealt.drop()
 
 
-def _packed(texts: DataFrame, ids: DataFrame, parts: int) -> DataFrame:
-    """Rows (id, tokens): the whole sets of the ids, as bytes."""
+def _packed(texts: DataFrame, pairs: DataFrame) -> DataFrame:
+    """Rows (id, tokens): the whole sets, as bytes, of the ids in pairs, and of a few more whose hash is like one of theirs.
+
+    The ids' bits in a table of fixed size pick the texts where they are read, so that texts aren't shuffled.
+    """
+    word, bit = (lambda h: F.pmod(F.shiftright(h, 6), F.lit(WANTED))), (lambda h: F.expr(f"shiftleft(1L, cast({h} & 63 as int))"))
+    ids = pairs.select(F.xxhash64("a").alias("h")).unionAll(pairs.select(F.xxhash64("b")))
+    wanted = ids.groupBy(word(F.col("h")).alias("word")).agg(F.bit_or(bit("h")).alias("bits"))
 
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in _slices(batch):
                 yield pa.RecordBatch.from_arrays([part.column("id"), pa.array([shingle_set(x).tobytes() for x in part.column("text").to_pylist()], pa.binary())], names=["id", "tokens"])
 
-    chosen = texts.repartition(parts, "id").join(ids.repartition(parts, "i"), F.col("id") == F.col("i"), "left_semi")
-    return chosen.mapInArrow(tidy(pack), "id long, tokens binary").filter(F.octet_length("tokens") > 0)
+    hashed = texts.filter("id is not null").withColumn("h", F.xxhash64("id"))
+    chosen = hashed.join(F.broadcast(wanted), word(F.col("h")) == F.col("word")).filter(F.col("bits").bitwiseAND(bit("h")) != 0)
+    return chosen.select("id", "text").mapInArrow(tidy(pack), "id long, tokens binary").filter(F.octet_length("tokens") > 0)
 
 
 def near_duplicates(docs: DataFrame, doc: str = "doc_id", text: str = "text", scratch: Scratch | None = None) -> DataFrame:

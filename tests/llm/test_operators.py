@@ -373,6 +373,22 @@ def brute_groups(texts):
     return {i: (len(sets[i]), root(i)) for i in sets}
 
 
+def test_lists_hold_what_may_link_and_sets_are_of_pairs_only(spark):
+    rng = random.Random(4)
+    rows = {(t, i): (n := rng.randint(5, 60), rng.randrange(jaccard_join.prefix_length(n))) for t in range(60) for i in rng.sample(range(50), rng.randint(1, 5))}
+    rows |= {(99, 1): (10, 0), (99, 2): (14, 0), (98, 1): (20, 0), (98, 2): (21, 4)}
+    df = spark.createDataFrame([(t, i, *x, False) for (t, i), x in rows.items()], "token long, id long, n int, pos int, often boolean")
+    kept = {(r["token"], r["id"]) for r in jaccard_join.shared(df).collect()}
+    for (t, i), (n, p) in rows.items():
+        for (u, j), (m, q) in rows.items():
+            if t == u and i != j and min(n, m) * 100 >= max(n, m) * 75 and min(n - p, m - q) * 175 >= (n + m) * 75:
+                assert (t, i) in kept
+    assert not {(99, 1), (99, 2)} & kept
+    texts = spark.createDataFrame([(i, f"{prose(f'own{i}', 30)}".encode()) for i in range(300)], "id long, text binary")
+    got = {r["id"]: bytes(r["tokens"]) for r in jaccard_join._packed(texts, spark.createDataFrame([(1, 7), (7, 9)], "a long, b long")).collect()}
+    assert {1, 7, 9} <= set(got) and len(got) < 10 and all(t == jaccard_join.shingle_set(prose(f"own{i}", 30).encode()).tobytes() for i, t in got.items())
+
+
 @pytest.mark.parametrize("rounds, block, early", [(3, 4096, 4), (0, 3, 0), (1, 5, 1)])
 def test_groups_equal_brute_force(docs_of, rounds, block, early, monkeypatch):
     monkeypatch.setattr(jaccard_join, "ROUNDS", rounds)

@@ -5,7 +5,9 @@ import random
 import re
 import struct
 
+import numpy as np
 import public_tokenizers
+import pyarrow as pa
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
@@ -203,6 +205,21 @@ def test_bpe_equals_the_library(coders, text):
     assert ids(ours.encode(text)) == theirs.encode_ordinary(text) and ours.decode(ours.encode(text)) == text.encode()
 
 
+def test_bpe_tells_neighbours_without_merging(coders):
+    ours = coders[0]
+    rank = np.random.default_rng(7).integers(0, len(ours.tokens), (4000, 2)).tolist() + [[r, r] for r in range(0, 3000, 7)]
+    for word in (" undenominational", " zzzzzzzzz", " ththethin", " aaaaaaaa", " cimenteadoqueja"):
+        made = ours.encode_piece(word.encode())
+        rank += [list(x) for x in zip(made, made[1:])] + [[made[0], r] for r in made]
+    for left, right in rank:
+        if ours.tokens[left] and ours.tokens[right] and all(ours.merged(ours.tokens[x]) == [x] for x in (left, right)):
+            assert ours.stay_apart(left, right) == (ours.merged(ours.tokens[left] + ours.tokens[right]) == [left, right])
+    rows = [None, b"", np.array(made, dtype="<u4").tobytes(), b"", np.array(made[:1], dtype="<u4").tobytes()]
+    for first in range(5):
+        assert ours.decode_all(pa.array(rows, pa.binary()).slice(first)).to_pylist() == [ours.decode(x) for x in rows[first:]]
+    assert ours.decode_all(pa.array([], pa.binary())).to_pylist() == []
+
+
 def test_bpe_of_columns(docs_of, coders, spark):
     df = docs_of([*EDGE, "a" * 3000, "é" * 500])
     path = public_tokenizers.path("byte_bpe_50k.tiktoken")

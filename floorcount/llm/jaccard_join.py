@@ -425,22 +425,26 @@ def links(texts: DataFrame, profile: DataFrame, scratch: Scratch) -> tuple[DataF
         dealt.drop()
 
 
+def told(rows: DataFrame, key: str, ids: DataFrame) -> DataFrame:
+    """rows with `may`, never false where the key is among ids, a table of one column: a bit table of fixed size tells, without an exchange of rows."""
+    word, bit = (lambda h: F.pmod(F.shiftright(h, 6), F.lit(WANTED))), F.expr("shiftleft(1L, cast(_h & 63 as int))")
+    wanted = ids.select(F.xxhash64(F.col(ids.columns[0])).alias("_h")).groupBy(word(F.col("_h")).alias("_word")).agg(F.bit_or(bit).alias("_bits"))
+    met = rows.withColumn("_h", F.xxhash64(key)).join(F.broadcast(wanted), word(F.col("_h")) == F.col("_word"), "left")
+    return met.withColumn("may", F.coalesce(F.col("_bits").bitwiseAND(bit) != 0, F.lit(False))).drop("_h", "_word", "_bits")
+
+
 def _packed(texts: DataFrame, pairs: DataFrame) -> DataFrame:
     """Rows (id, tokens): the whole sets, as bytes, of the ids in pairs, and of a few more whose hash is like one of theirs.
 
     The ids' bits in a table of fixed size pick the texts where they are read, so that texts aren't shuffled.
     """
-    word, bit = (lambda h: F.pmod(F.shiftright(h, 6), F.lit(WANTED))), (lambda h: F.expr(f"shiftleft(1L, cast({h} & 63 as int))"))
-    ids = pairs.select(F.xxhash64("a").alias("h")).unionAll(pairs.select(F.xxhash64("b")))
-    wanted = ids.groupBy(word(F.col("h")).alias("word")).agg(F.bit_or(bit("h")).alias("bits"))
 
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in _slices(batch):
                 yield pa.RecordBatch.from_arrays([part.column("id"), pa.array([shingle_set(x).tobytes() for x in part.column("text").to_pylist()], pa.binary())], names=["id", "tokens"])
 
-    hashed = texts.filter("id is not null").withColumn("h", F.xxhash64("id"))
-    chosen = hashed.join(F.broadcast(wanted), word(F.col("h")) == F.col("word")).filter(F.col("bits").bitwiseAND(bit("h")) != 0)
+    chosen = told(texts.filter("id is not null"), "id", pairs.select("a").unionAll(pairs.select("b"))).filter("may")
     return chosen.select("id", "text").mapInArrow(tidy(pack), "id long, tokens binary").filter(F.octet_length("tokens") > 0)
 
 

@@ -297,9 +297,8 @@ def write_warc(records: DataFrame, path: str) -> None:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         out, size = [], 0
-        for batch in batches:
-            for i in range(batch.num_rows):
-                r = {n: batch.column(n)[i].as_py() for n in batch.schema.names}
+        for part in (batch.slice(start, 64) for batch in batches for start in range(0, batch.num_rows, 64)):
+            for r in part.to_pylist():
                 block = b"".join(members(r["block"]))
                 kind, refers = r["warc_type"], None
                 if r["first_archive"] is not None and (r["first_archive"], r["first_offset"]) != (r["archive"], r["offset"]):

@@ -245,6 +245,20 @@ def test_bpe_of_columns(docs_of, coders, spark):
     assert byte_bpe.encode(df.limit(0), path, public_tokenizers.PATTERN).count() == 0
 
 
+def test_round_trip_equals_both_calls_in_one_pass(docs_of, spark):
+    import corpus_pipeline
+
+    path = public_tokenizers.path("byte_bpe_50k.tiktoken")
+    df = docs_of([*EDGE, "a" * 3000, "é" * 500])
+    once = byte_bpe.round_trip(df, path, public_tokenizers.PATTERN)
+    both = byte_bpe.decode(byte_bpe.encode(df, path, public_tokenizers.PATTERN), path, public_tokenizers.PATTERN)
+    assert once.columns == both.columns and sorted(map(str, once.collect())) == sorted(map(str, both.collect()))
+    stage = corpus_pipeline.tokenize(spark, df.select("doc_id", "text"), "")
+    assert stage._jdf.queryExecution().executedPlan().toString().count("MapInArrow ") == 1
+    with pytest.raises(ValueError):
+        byte_bpe.round_trip(df.withColumn("DECODED", F.lit(1)), path, public_tokenizers.PATTERN)
+
+
 # --- languages -----------------------------------------------------------------------------------------------------
 
 
